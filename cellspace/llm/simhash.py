@@ -125,17 +125,15 @@ def differing(a: np.ndarray, b: np.ndarray) -> np.ndarray:
     return np.bitwise_count((a ^ b).view(np.uint64))
 
 
-def _verify(distance: int, check_distance: int, memory: int = 500_000):
-    """Rows in key order; within a key all pairs are compared. Only the current key's rows are kept."""
+def _verify(distance: int, memory: int = 500_000):
+    """Rows (key, id, fingerprint) in key order: ids of all pairs that share a key and are close in the fingerprint.
+
+    All runs of equal keys are compared at once, by offsets; only the last run of a batch is carried over.
+    """
 
     def checked(rows: np.ndarray, i: np.ndarray, j: np.ndarray) -> np.ndarray:
-        """Ids of the pairs that are close in the fingerprint of their table and in the check."""
-        own = 3 + (rows[i, 0] % SEEDS)
-        near = differing(rows[i, own], rows[j, own]) <= distance
-        i, j = i[near], j[near]
-        far = sum(differing(np.ascontiguousarray(rows[i, 3 + SEEDS + c]), np.ascontiguousarray(rows[j, 3 + SEEDS + c])).astype(int) for c in range(CHECK_WORDS))
-        ok = far <= check_distance
-        return rows[np.stack([i[ok], j[ok]], 1), 2]
+        near = differing(rows[i, 2], rows[j, 2]) <= distance
+        return rows[np.stack([i[near], j[near]], 1), 1]
 
     def pairs(rows: np.ndarray, ends: np.ndarray) -> Iterator[np.ndarray]:
         """All pairs within runs of equal keys; a row's run ends before ``ends``."""
@@ -153,7 +151,7 @@ def _verify(distance: int, check_distance: int, memory: int = 500_000):
         rest, found = None, []
 
         def flush(block: np.ndarray) -> None:
-            change = np.flatnonzero((block[1:, :2] != block[:-1, :2]).any(1)) + 1
+            change = np.flatnonzero(block[1:, 0] != block[:-1, 0]) + 1
             lengths = np.diff(np.concatenate([[0], change, [len(block)]]))
             found.extend(pairs(block, np.repeat(np.cumsum(lengths), lengths)))
 
@@ -169,7 +167,7 @@ def _verify(distance: int, check_distance: int, memory: int = 500_000):
                 block = np.concatenate([rest, block])
             if not len(block):
                 continue
-            other = (block[::-1, :2] != block[-1, :2]).any(1)
+            other = block[::-1, 0] != block[-1, 0]
             tail = len(block) - int(np.argmax(other)) if other.any() else 0
             if tail:
                 flush(block[:tail])
@@ -186,11 +184,16 @@ def _verify(distance: int, check_distance: int, memory: int = 500_000):
 def near_pairs(nodes: DataFrame, count: int, distance: int = DISTANCE, check_distance: int = CHECK_DISTANCE) -> DataFrame:
     """Verified pairs (a < b) of nodes (id, f.., c..): exactly those within the distances in some fingerprint."""
     plan = block_plan(count, distance)
-    tables = [F.struct(F.lit(k * SEEDS + s).alias("t"), _key(f"f{s}", spans).alias("k")) for s in range(SEEDS) for k, spans in enumerate(plan)]
-    rows = nodes.select(F.inline(F.array(*tables)), "id", *PRINT_COLS, *CHECK_COLS)
-    rows = rows.select(F.col("t").cast("long"), "k", F.col("id").cast("long"), *PRINT_COLS, *CHECK_COLS)
-    rows = rows.repartition("t", "k").sortWithinPartitions("t", "k")
-    return map_batches(rows, _verify(distance, check_distance), "a long, b long").distinct()
+    # the number of the table lies above the at most 48 bits of a key
+    keys = [F.struct((_key(f"f{s}", spans) + F.lit((k * SEEDS + s) << 48)).alias("k"), F.col(f"f{s}").alias("f")) for s in range(SEEDS) for k, spans in enumerate(plan)]
+    rows = nodes.select(F.inline(F.array(*keys)), F.col("id").cast("long").alias("id")).select("k", "id", "f")
+    rows = rows.repartition("k").sortWithinPartitions("k")
+    close = map_batches(rows, _verify(distance), "a long, b long").distinct()
+    for side in ("a", "b"):  # the check prints come after, to the pairs that are close
+        check = nodes.select(F.col("id").cast("long").alias(side), *[F.col(c).alias(f"{side}{c}") for c in CHECK_COLS])
+        close = close.join(maybe_broadcast(check, count), side)
+    far = sum((F.bit_count(F.col(f"a{c}").bitwiseXOR(F.col(f"b{c}"))) for c in CHECK_COLS), F.lit(0))
+    return close.where(far <= check_distance).select("a", "b")
 
 
 def least_labels(edges: DataFrame, rounds: int = 60) -> DataFrame:
