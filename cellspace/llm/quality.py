@@ -4,7 +4,7 @@ A document is a set of indicators: words, word pairs, word shapes and shape pair
 repeat), hashed into ``DIMS`` places. Each indicator is scaled by the log-count ratio of the classes; a linear model
 with squared hinge loss is fitted to the scaled indicators by dual coordinate descent, and its weights are moved
 towards their mean size (``BETA`` is the share of the fitted part), as is usual for this model. The cut weighs a
-lost good document as three kept bad ones. Fitting uses at most ``TRAIN_PER_CLASS`` labelled
+lost good document as ten kept bad ones. Fitting uses at most ``TRAIN_PER_CLASS`` labelled
 documents of either class, chosen by hash (the only bound); scoring runs over every whole text and moves no data.
 """
 
@@ -23,7 +23,7 @@ from cellspace.llm.common import WordIds, map_batches, mix, pieces, word_hashes
 DIMS = 1 << 20
 #: Labelled documents of each class that the fit may use.
 TRAIN_PER_CLASS = 2500
-BETA, COST, EPOCHS, SMOOTH = 0.25, 0.1, 12, 1.0
+BETA, COST, EPOCHS, SMOOTH, FOLDS = 0.25, 0.1, 12, 1.0, 4
 
 _KIND = np.full(256, 7, np.uint8)
 for _c in range(256):
@@ -104,18 +104,28 @@ class QualityModel:
         return np.bincount(who, self.weights[feature], len(texts)) + self.bias
 
 
-def fit_rows(rows: list[np.ndarray], y: np.ndarray) -> QualityModel:
+def _mixed(rows: list[np.ndarray], y: np.ndarray) -> QualityModel:
     ratio = log_count_ratios(rows, y)
     w, bias = dual_coordinate_descent(rows, ratio, y)
     seen = np.unique(np.concatenate(rows))
     mixed = np.zeros_like(w)
     mixed[seen] = (1 - BETA) * np.abs(w[seen]).mean() + BETA * w[seen]
-    model = QualityModel(mixed * ratio, BETA * bias)
-    # the mean size pulls towards plain naive Bayes, so the cut between the classes is set anew
-    s = np.array([model.weights[r].sum() for r in rows]) + model.bias
-    cuts = np.sort(s)
-    good, bad = np.searchsorted(np.sort(s[y == 1]), cuts) / (y == 1).sum(), np.searchsorted(np.sort(s[y == -1]), cuts) / (y == -1).sum()
-    k = int(np.argmax(bad - 3 * good))
+    return QualityModel(mixed * ratio, BETA * bias)
+
+
+def fit_rows(rows: list[np.ndarray], y: np.ndarray) -> QualityModel:
+    """The mean size pulls towards plain naive Bayes, so the cut is set anew, on rows that each of ``FOLDS`` fits has
+    not seen."""
+    model, held = _mixed(rows, y), np.zeros(len(rows))
+    fold = np.arange(len(rows)) % FOLDS
+    for f in range(FOLDS):
+        train = np.flatnonzero(fold != f)
+        part = _mixed([rows[i] for i in train], y[train]) if len(set(y[train].tolist())) == 2 else model
+        for i in np.flatnonzero(fold == f):
+            held[i] = part.weights[rows[i]].sum() + part.bias
+    cuts = np.sort(held)
+    below = lambda sign: np.searchsorted(np.sort(held[y == sign]), cuts) / (y == sign).sum()
+    k = int(np.argmax(below(-1) - 10 * below(1)))
     model.threshold = float(cuts[k] + cuts[max(0, k - 1)]) / 2
     return model
 
