@@ -918,11 +918,11 @@ def scene_pipeline(spark, d):
     return graph.run(gr.sample_box(g, g.lo, g.hi, 500))["edge"]
 
 
-@query("W_sphere_cloud", "SELECT event_id, round(cos(radians(lat)) * cos(radians(lon)) * r, 5) AS x, round(cos(radians(lat)) * sin(radians(lon)) * r, 5) AS y, round(sin(radians(lat)) * r, 5) AS z FROM (SELECT event_id, (extract(hour FROM ts) * 60 + extract(minute FROM ts)) / 4.0 AS lon, (user_id % 181) - 90 AS lat, value AS r FROM events)")
+@query("W_sphere_cloud", "SELECT event_id, round(cos(radians(lat)) * cos(radians(lon)) * r, 5) + 0 AS x, round(cos(radians(lat)) * sin(radians(lon)) * r, 5) + 0 AS y, round(sin(radians(lat)) * r, 5) + 0 AS z FROM (SELECT event_id, (extract(hour FROM ts) * 60 + extract(minute FROM ts)) / 4.0 AS lon, (user_id % 181) - 90 AS lat, value AS r FROM events)")
 def sphere_cloud(spark, d):
     e = table(spark, d, "events").select("event_id", ((F.hour("ts") * 60 + F.minute("ts")) / 4.0).alias("lon"), ((F.col("user_id") % 181) - 90).alias("lat"), F.col("value").alias("r"))
     x, y, z = sphere_to_xyz(F.col("lon"), F.col("lat"), F.col("r"))
-    return e.select("event_id", F.round(x, 5).alias("x"), F.round(y, 5).alias("y"), F.round(z, 5).alias("z"))
+    return e.select("event_id", *[(F.round(c, 5) + 0.0).alias(n) for c, n in ((x, "x"), (y, "y"), (z, "z"))])
 
 
 @query("W_sql_scene", "SELECT l_quantity AS x, l_extendedprice AS y, l_discount AS z FROM lineitem WHERE l_tax > 0.07")
