@@ -131,8 +131,8 @@ def fit_rows(rows: list[np.ndarray], y: np.ndarray) -> QualityModel:
 
 
 def _feature_kernel(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-    ids = WordIds(word_rows)
-    for part, texts in pieces(batches):
+    ids = WordIds(word_rows, 150_000)
+    for part, texts in pieces(batches, 1, 2_000_000):
         feature, n = indicators([t or "" for t in texts], ids)
         rows = np.split(feature.astype(np.int32), np.cumsum(n)[:-1])
         yield pa.RecordBatch.from_arrays([part.column(0), pa.array([r.tobytes() for r in rows], pa.binary()), part.column(2)], names=["id", "features", "label"])
@@ -165,8 +165,8 @@ def quality_scores(docs: DataFrame, model: QualityModel, id_col: str = "doc_id",
     sent = df.sparkSession.sparkContext.broadcast(model)
 
     def kernel(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        ids, m = WordIds(word_rows), sent.value
-        for part, texts in pieces(batches):
+        ids, m = WordIds(word_rows, 150_000), sent.value
+        for part, texts in pieces(batches, 1, 2_000_000):
             texts = [t or "" for t in texts]
             s = m.score(texts, ids)
             keep = (s >= m.threshold) & np.array([bool(t.strip()) for t in texts], bool)
@@ -181,8 +181,8 @@ def keep_quality(docs: DataFrame, model: QualityModel, text_col: str = "text") -
     sent = docs.sparkSession.sparkContext.broadcast(model)
 
     def kernel(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        ids, m = WordIds(word_rows), sent.value
-        for part, texts in pieces(batches, at):
+        ids, m = WordIds(word_rows, 150_000), sent.value
+        for part, texts in pieces(batches, at, 2_000_000):
             keep = m.score([t or "" for t in texts], ids) >= m.threshold
             keep &= np.array([bool(t and t.strip()) for t in texts], bool)
             yield part.filter(pa.array(keep))
