@@ -3,7 +3,6 @@
 from __future__ import annotations
 
 import numpy as np
-import pandas as pd
 import pyarrow as pa
 import pyarrow.compute as pc
 from pyspark.ml.functions import array_to_vector, vector_to_array
@@ -69,9 +68,3 @@ def norm_sum(df: DataFrame, kind: str, cols: list[str]) -> DataFrame:
         return sum(x * x for x in pickle.loads(bytes(v)))  # noqa: S301 - bytes written by ``encode`` in the same job
 
     return df.agg(F.sum(slow("v")).alias("total"))
-
-
-@F.pandas_udf("double")
-def binary_norm(v: pd.Series) -> pd.Series:
-    """Squared norm of packed doubles, for use in SQL."""
-    return v.map(lambda b: float((np.frombuffer(b, float) ** 2).sum()) if b is not None else None)
