@@ -1,14 +1,16 @@
 """Log-likelihood of whole documents under a gated recurrent language model, in NumPy.
 
-Words are what blanks separate. The vocabulary holds the ``VOCAB`` most frequent words of the corpus, counted over all
-documents; any other word is the unknown word followed by its bytes under a byte model of the corpus. The network is
-one gated recurrent layer; the output is factored: a softmax over word classes (of even square-root mass), then one
+Words are what blanks separate. The vocabulary holds every word that occurs ``MIN_COUNT`` times among all documents
+(the ``VOCAB`` most frequent at least), so it grows with the corpus; any other word is the unknown word followed by its
+bytes under a model of byte sequences counted over all such words. The network is one gated recurrent layer; the output
+is factored: a softmax over word classes (of even square-root mass, their number the root of the vocabulary), then one
 over the words of the class.
 
-Training covers every document once, in ``ROUNDS`` slices by hash of the text. In a round each task lays the
-documents of its part of the slice end to end in lanes and runs truncated back-propagation over windows, carrying the
-state from window to window; the tasks' parameters, weighted by their words, are averaged in two levels of
-aggregation and start the next round. Scoring sorts the documents of a batch by length, carries the state over
+Training covers every document once, in slices by hash of the text; their number grows with the root of the number of
+words, and so does the number of tasks of a slice. In a round each task lays the documents of its part of the slice end
+to end in lanes and runs truncated back-propagation over windows, carrying the state from window to window; the changes
+of the parameters, weighted by the words of the tasks that changed them, are averaged in two levels of aggregation and
+start the next round. Scoring sorts the documents of a batch by length, carries the state over
 windows to the end of each, and includes the end-of-document event, so a text's length is priced too.
 
 At scale: word counts and parameters are shuffled; texts never are.
@@ -16,9 +18,10 @@ At scale: word counts and parameters are shuffled; texts never are.
 
 from __future__ import annotations
 
+import math
 from collections import Counter
 from collections.abc import Iterator
-from dataclasses import dataclass
+from dataclasses import dataclass, field
 
 import numpy as np
 import pyarrow as pa
@@ -28,39 +31,132 @@ from pyspark.sql import functions as F
 from cellspace.llm.common import map_batches, pieces, staged
 
 VOCAB, CLASSES, HIDDEN = 2048, 40, 16
+#: A word that occurs so often is in the vocabulary.
+MIN_COUNT = 50
 ROUNDS, LANES, WINDOW, RATE = 2, 1024, 12, 0.1
-BLOCKS = 16
+#: Words a task trains on in a round, about; the square root of the corpus in this unit gives the rounds.
+WORDS_A_TASK = 8_000_000
+BLOCK_ROWS = 4096
 EDGE, UNKNOWN = 0, 1
+#: Bytes before a byte that its cost may depend on.
+CONTEXT, END, BEGIN = 3, 256, 257
+
+
+def byte_grams(words: list[bytes]) -> tuple[list[np.ndarray], np.ndarray]:
+    """Keys of 1, 2, ... bytes of context for each byte and end of the words, and the lengths with the end.
+
+    A key holds the symbol in its low 9 bits and the context, nearest first, above them.
+    """
+    lengths = np.fromiter(map(len, words), np.int64, len(words)) + 1
+    flat = np.frombuffer(b"\0".join([*words, b""]), np.uint8).astype(np.int64)
+    ends = np.cumsum(lengths)
+    flat[ends - 1] = END
+    at = np.arange(len(flat)) - np.repeat(ends - lengths, lengths)
+    keys = [flat]
+    for k in range(1, CONTEXT + 1):
+        keys.append(keys[-1] + (np.where(at < k, BEGIN, np.roll(flat, k)) << 9 * k))
+    return keys, lengths
+
+
+class ByteModel:
+    """-ln of bytes given those before: counts of each context length, smoothed by the next shorter one."""
+
+    def __init__(self, byte_cost: np.ndarray, counts: list[tuple[np.ndarray, np.ndarray]]):
+        self.base, self.levels = np.exp(-byte_cost), []
+        for k, (keys, n) in enumerate(counts, 1):
+            order = np.argsort(keys)
+            keys, n = keys[order], n[order].astype(np.float64)
+            context, which, kinds = np.unique(keys >> 9, return_inverse=True, return_counts=True)
+            total = np.bincount(which, n, len(context)) + kinds
+            left = kinds / total
+            shorter = self.probability([keys & ((1 << 9 * (j + 1)) - 1) for j in range(k)])
+            self.levels.append((keys, n / total[which] + left[which] * shorter, context, left))
+
+    @staticmethod
+    def _find(table: np.ndarray, keys: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+        if not len(table):
+            return np.zeros(len(keys), np.int64), np.zeros(len(keys), bool)
+        at = np.minimum(np.searchsorted(table, keys), len(table) - 1)
+        return at, table[at] == keys
+
+    def probability(self, keys: list[np.ndarray]) -> np.ndarray:
+        """Of the last of ``keys``, each the symbol with one more byte of context."""
+        k = len(keys) - 1
+        if not k:
+            return self.base[keys[0]]
+        known, p, context, left = self.levels[k - 1]
+        at, found = self._find(known, keys[k])
+        out = p[at] if len(p) else np.zeros(len(at))
+        if not found.all():
+            new = np.flatnonzero(~found)
+            shorter = self.probability([x[new] for x in keys[:k]])
+            at, found = self._find(context, keys[k][new] >> 9)
+            out[new] = shorter * np.where(found, left[at], 1.0) if len(left) else shorter
+        return out
+
+    def costs(self, words: list[bytes]) -> np.ndarray:
+        """-ln of each whole word, its end included."""
+        if not words:
+            return np.zeros(0)
+        keys, lengths = byte_grams(words)
+        return np.add.reduceat(-np.log(self.probability(keys[: len(self.levels) + 1])), np.cumsum(lengths) - lengths)
 
 
 @dataclass
 class Vocabulary:
-    """``words[k]`` has id ``k + 2``; counts hold all ids; ``byte_cost`` is -ln of each byte and, last, of the end."""
+    """``words[k]`` has id ``k + 2``; counts hold all ids; ``byte_cost`` is -ln of each byte and, last, of the end;
+    ``grams`` are the keys and counts of each context length."""
 
     words: list[bytes]
     counts: np.ndarray
     byte_cost: np.ndarray
+    grams: list[tuple[np.ndarray, np.ndarray]] = field(default_factory=list)
 
     def __post_init__(self):
+        classes = max(CLASSES, math.isqrt(len(self.counts)))
         mass = np.cumsum(np.sqrt(self.counts.astype(np.float64)))
-        order = np.minimum((mass - 1e-9) / max(mass[-1], 1e-9) * CLASSES, CLASSES - 1).astype(np.int64)
+        order = np.minimum((mass - 1e-9) / max(mass[-1], 1e-9) * classes, classes - 1).astype(np.int64)
         self.class_of = np.unique(order, return_inverse=True)[1]
         self.starts = np.concatenate([np.flatnonzero(np.diff(self.class_of, prepend=-1)), [len(order)]])
         self.ids = {w: k + 2 for k, w in enumerate(self.words)}
+        self.bytes = ByteModel(self.byte_cost, self.grams)
+
+    def without_words(self) -> Vocabulary:
+        """What the network needs: counts and classes."""
+        return Vocabulary([], self.counts, self.byte_cost)
 
     def encode(self, words: list[bytes]) -> np.ndarray:
         get = self.ids.get
         return np.array([get(w, 1) for w in words], np.int32)
 
-    def spelling(self, words: list[bytes]) -> float:
-        """-ln of the bytes of the unknown words."""
-        raw = b"".join(words)
-        seen = np.bincount(np.frombuffer(raw, np.uint8), minlength=256)
-        return float(seen @ self.byte_cost[:256] + len(words) * self.byte_cost[256])
+    def spelling(self, words: list[bytes]) -> np.ndarray:
+        """-ln of the bytes of each unknown word."""
+        return self.bytes.costs(words)
+
+
+def count_grams(rare: DataFrame) -> list[tuple[np.ndarray, np.ndarray]]:
+    """Byte sequences of the words (word, n), by context length."""
+
+    def kernel(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            if not batch.num_rows:
+                continue
+            keys, lengths = byte_grams(batch.column(0).to_pylist())
+            n = np.repeat(np.asarray(batch.column(1)), lengths)
+            for k in range(1, CONTEXT + 1):
+                own, which = np.unique(keys[k], return_inverse=True)
+                yield pa.RecordBatch.from_arrays([pa.array(np.full(len(own), k, np.int32)), pa.array(own), pa.array(np.bincount(which, n).astype(np.int64))], names=["level", "key", "n"])
+
+    sums = map_batches(rare, kernel, "level int, key long, n long").groupBy("level", "key").agg(F.sum("n").alias("n")).toArrow()
+    level, key, n = (np.asarray(sums[c].combine_chunks()) for c in ("level", "key", "n"))
+    return [(key[level == k], n[level == k]) for k in range(1, CONTEXT + 1)]
+
 
+def count_words(docs: DataFrame, text_col: str = "text", size: int = VOCAB, least: int = MIN_COUNT) -> Vocabulary:
+    """Counts of all words of all documents; bytes are counted under keys that begin with a blank.
 
-def count_words(docs: DataFrame, text_col: str = "text", size: int = VOCAB) -> Vocabulary:
-    """Counts of all words of all documents; bytes are counted under keys that begin with a blank."""
+    The vocabulary holds the words that occur ``least`` times, and ``size - 2`` at least.
+    """
 
     def kernel(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         counts, octets, docs_seen = Counter(), np.zeros(256, np.int64), 0
@@ -85,11 +181,20 @@ def count_words(docs: DataFrame, text_col: str = "text", size: int = VOCAB) -> V
     counts = staged(map_batches(docs.select(text_col), kernel, "word binary, n long").groupBy("word").agg(F.sum("n").alias("n")), "words")
     special = F.substring("word", 1, 1) == F.lit(b" ")
     own = {bytes(r["word"]): r["n"] for r in counts.where(special).collect()}
-    top = counts.where(~special).orderBy(F.desc("n"), "word").limit(size - 2).collect()
+    frequent = counts.where(~special & (F.col("n") >= least))
+    if frequent.count() >= size - 2:
+        found = frequent.toArrow()
+        top = sorted(zip(found["word"].to_pylist(), found["n"].to_pylist(), strict=True), key=lambda r: (-r[1], r[0]))
+    else:
+        top = [(bytes(r["word"]), r["n"]) for r in counts.where(~special).orderBy(F.desc("n"), "word").limit(size - 2).collect()]
+    rare = counts.where(~special)
+    if top:
+        word, n = top[-1]
+        rare = rare.where((F.col("n") < n) | ((F.col("n") == n) & (F.col("word") > F.lit(bytearray(word)))))
     total = counts.where(~special).agg(F.sum("n")).first()[0] or 0
-    n = [r["n"] for r in top]
+    n = [k for _, k in top]
     octets = np.array([own.get(b" " + bytes([k]), 0) for k in range(256)] + [total], np.float64) + 0.1
-    return Vocabulary([bytes(r["word"]) for r in top], np.array([own.get(b" docs", 0) + 1, total - sum(n) + 1, *n], np.int64), -np.log(octets / octets.sum()).astype(np.float64))
+    return Vocabulary([w for w, _ in top], np.array([own.get(b" docs", 0) + 1, total - sum(n) + 1, *n], np.int64), -np.log(octets / octets.sum()).astype(np.float64), count_grams(rare))
 
 
 class RecurrentModel:
@@ -138,7 +243,8 @@ class RecurrentModel:
         return out, saved
 
     def output(self, h: np.ndarray, target: np.ndarray, grads: dict | None = None):
-        """-ln p of each target given states [n, H]; with ``grads`` also the gradient of the states."""
+        """-ln p of each target given states [n, H]; with ``grads`` also the gradient of the states. That of ``to_word``
+        is listed by runs of rows."""
         v, W, Wc = self.v, self.p["to_word"], self.p["to_class"]
         n = len(target)
         cls = v.class_of[target]
@@ -172,7 +278,7 @@ class RecurrentModel:
             if grads is not None:
                 e /= s[:, None]
                 e[at, right] -= 1
-                grads["to_word"][lo:hi] += e.T @ x
+                grads["to_word"].append((slice(lo, hi), e.T @ x))
                 dext[a:b] += e @ W[lo:hi]
         back = np.empty(n, np.int64)
         back[order] = rows
@@ -180,8 +286,17 @@ class RecurrentModel:
 
     def window(self, ids: np.ndarray, target: np.ndarray, h: np.ndarray) -> tuple[float, np.ndarray, dict[str, np.ndarray]]:
         """Cost of a window [time, lane], the state after it and the gradients, cut off at its beginning."""
-        H, U = self.hidden, self.p["state"]
+        cost, h, parts = self.window_parts(ids, target, h)
         grads = {k: np.zeros_like(x) for k, x in self.p.items()}
+        for k, some in parts.items():
+            for rows, g in some:
+                grads[k][rows] = g
+        return cost, h, grads
+
+    def window_parts(self, ids: np.ndarray, target: np.ndarray, h: np.ndarray) -> tuple[float, np.ndarray, dict[str, list]]:
+        """The same with gradients as (rows, values), only of the rows that the window uses."""
+        H, U = self.hidden, self.p["state"]
+        grads = {"state": np.zeros_like(U), "to_class": np.zeros_like(self.p["to_class"]), "to_word": []}
         reset = ids == EDGE
         out, saved = self.steps(ids, h, reset, keep=True)
         T, B = ids.shape
@@ -202,14 +317,17 @@ class RecurrentModel:
         flat = ids.ravel()
         order = np.argsort(flat, kind="stable")
         first = np.flatnonzero(np.diff(flat[order], prepend=-1))
-        grads["gates"][flat[order][first]] = np.add.reduceat(dg.reshape(T * B, 3 * H)[order], first, axis=0)
-        return float(cost.sum()), out[-1], grads
-
-    def update(self, grads: dict[str, np.ndarray], scale: float, rate: float = RATE) -> None:
-        for k, g in grads.items():
-            g *= np.float32(scale)
-            self.squares[k] += g * g
-            self.p[k] -= np.float32(rate) * g / np.sqrt(self.squares[k])
+        gates = np.add.reduceat(dg.reshape(T * B, 3 * H)[order], first, axis=0)
+        every = slice(None)
+        return float(cost.sum()), out[-1], {"gates": [(flat[order][first], gates)], "state": [(every, grads["state"])], "to_class": [(every, grads["to_class"])], "to_word": grads["to_word"]}
+
+    def update(self, grads: dict[str, list], scale: float, rate: float = RATE) -> None:
+        for k, some in grads.items():
+            for rows, g in some:
+                g *= np.float32(scale)
+                squares = self.squares[k][rows] + g * g
+                self.squares[k][rows] = squares
+                self.p[k][rows] -= np.float32(rate) * g / np.sqrt(squares)
 
     def train_stream(self, stream: np.ndarray, lanes: int = LANES, window: int = WINDOW) -> float:
         """One pass over documents laid end to end, each begun by the edge id; the mean cost of a word."""
@@ -223,7 +341,7 @@ class RecurrentModel:
         h, total = np.zeros((lanes, self.hidden), np.float32), 0.0
         for at in range(0, length, window):
             x, y = ids[at : at + window], target[at : at + window]
-            cost, h, grads = self.window(x, y, h)
+            cost, h, grads = self.window_parts(x, y, h)
             self.update(grads, 1000.0 / x.size)
             total += cost
         return total / (lanes * length)
@@ -276,53 +394,66 @@ def encoded_docs(docs: DataFrame, v: Vocabulary, id_col: str, text_col: str) ->
         vocabulary = sent.value
         kind = id_type(len(vocabulary.counts))
         for part, texts in pieces(batches):
-            rows = []
+            rows, strange, owner = [], [], []
             for t in texts:
                 if t is None:
                     rows.append((None,) * 5)
                     continue
                 words = t.encode("utf-8", "replace").split()
                 ids = vocabulary.encode(words)
-                strange = [words[k] for k in np.flatnonzero(ids == UNKNOWN)]
-                rows.append((ids.astype(kind).tobytes(), len(words), len(strange), vocabulary.spelling(strange), sum(map(len, words)) + len(words)))
+                new = np.flatnonzero(ids == UNKNOWN)
+                strange += [words[k] for k in new]
+                owner.append(np.full(len(new), len(rows)))
+                rows.append((ids.astype(kind).tobytes(), len(words), len(new), 0.0, sum(map(len, words)) + len(words)))
+            spelled = np.bincount(np.concatenate(owner), vocabulary.spelling(strange), len(rows)) if strange else np.zeros(len(rows))
             types = [pa.binary(), pa.int32(), pa.int32(), pa.float64(), pa.int64()]
-            yield pa.RecordBatch.from_arrays([part.column(0), *(pa.array(c, t) for c, t in zip(zip(*rows, strict=True), types, strict=True))], names=["id", "ids", "words", "unknown", "spelled", "bytes"])
+            cols = [pa.array(c, t) for c, t in zip(zip(*rows, strict=True), types, strict=True)]
+            cols[3] = pa.array(spelled, mask=np.array([r[0] is None for r in rows]))
+            yield pa.RecordBatch.from_arrays([part.column(0), *cols], names=["id", "ids", "words", "unknown", "spelled", "bytes"])
 
-    return staged(map_batches(df, kernel, f"id {df.schema['id'].dataType.simpleString()}, ids binary, words int, unknown int, spelled double, bytes long"), "word-ids")
+    out = staged(map_batches(df, kernel, f"id {df.schema['id'].dataType.simpleString()}, ids binary, words int, unknown int, spelled double, bytes long"), "word-ids")
+    sent.destroy()
+    return out
 
 
 def id_type(size: int) -> type:
     return np.uint16 if size <= 1 << 16 else np.int32
 
 
-def _flat(params: dict[str, np.ndarray]) -> np.ndarray:
-    return np.concatenate([params[k].ravel() for k in RecurrentModel.NAMES])
+def _changes(kind: int, new: np.ndarray, old: np.ndarray, words: int) -> Iterator[pa.RecordBatch]:
+    """The rows that training changed, in blocks: row numbers, weights and weighted changes."""
+    rows = np.flatnonzero((new != old).any(1))
+    for part in np.split(rows, np.flatnonzero(np.diff(rows // BLOCK_ROWS)) + 1):
+        if len(part):
+            yield _block(kind, int(part[0]) // BLOCK_ROWS, part % BLOCK_ROWS, np.full(len(part), words, np.float64), (new[part].astype(np.float64) - old[part]) * words)
 
 
-def _shaped(flat: np.ndarray, like: dict[str, np.ndarray]) -> dict[str, np.ndarray]:
-    out, at = {}, 0
-    for k in RecurrentModel.NAMES:
-        out[k] = flat[at : at + like[k].size].reshape(like[k].shape).astype(np.float32)
-        at += like[k].size
-    return out
+def _block(kind: int, block: int, rows: np.ndarray, weight: np.ndarray, body: np.ndarray) -> pa.RecordBatch:
+    raw = [rows.astype(np.int32).tobytes(), weight.astype(np.float32).tobytes(), body.astype(np.float32).tobytes()]
+    return pa.RecordBatch.from_arrays([pa.array([kind], pa.int32()), pa.array([block], pa.int32()), *(pa.array([x], pa.binary()) for x in raw)], names=["kind", "block", "rows", "weight", "body"])
 
 
-def _summed(keys: list[str]):
-    """A grouped kernel that adds weighted blocks."""
+def _opened(r: dict) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    rows = np.frombuffer(r["rows"], np.int32)
+    return rows, np.frombuffer(r["weight"], np.float32), np.frombuffer(r["body"], np.float32).reshape(len(rows), -1)
 
-    def kernel(table: pa.Table) -> pa.Table:
-        total = None
-        for raw in table["body"].to_pylist():
-            x = np.frombuffer(raw, np.float64)
-            total = x.copy() if total is None else total + x
-        first = [table[k].slice(0, 1).combine_chunks() for k in keys]
-        return pa.table([*first, pa.array([float(sum(table["weight"].to_pylist()))]), pa.array([total.tobytes()], pa.binary())], names=[*keys, "weight", "body"])
 
-    return kernel
+def _summed(table: pa.Table) -> pa.Table:
+    """Adds the changes of one block."""
+    weight, body, found = np.zeros(BLOCK_ROWS), None, table.select(["kind", "block", "rows", "weight", "body"]).to_pylist()
+    for r in found:
+        rows, w, x = _opened(r)
+        if body is None:
+            body = np.zeros((BLOCK_ROWS, x.shape[1]))
+        weight[rows] += w
+        body[rows] += x
+    rows = np.flatnonzero(weight)
+    return pa.Table.from_batches([_block(found[0]["kind"], found[0]["block"], rows, weight[rows], body[rows])])
 
 
-def train_round(coded: DataFrame, model: RecurrentModel, slice_no: int, rounds: int) -> RecurrentModel:
-    """Every task trains on its part of the slice from the same parameters; the weighted mean comes back."""
+def train_round(coded: DataFrame, model: RecurrentModel, slice_no: int, rounds: int, tasks: int | None = None) -> RecurrentModel:
+    """Every task trains on its part of the slice from the same parameters; the weighted mean of each row over the tasks
+    that changed it comes back."""
     spark = coded.sparkSession
     sent = spark.sparkContext.broadcast((model.v, model.p, model.hidden))
 
@@ -341,27 +472,40 @@ def train_round(coded: DataFrame, model: RecurrentModel, slice_no: int, rounds:
             mine.train_stream(stream_of(waiting))
             words += size
         if words:
-            for k, part in enumerate(np.array_split(_flat(mine.p).astype(np.float64) * words, BLOCKS)):
-                yield pa.RecordBatch.from_arrays([pa.array([k], pa.int32()), pa.array([float(words)]), pa.array([part.tobytes()], pa.binary())], names=["block", "weight", "body"])
+            for k, name in enumerate(RecurrentModel.NAMES):
+                yield from _changes(k, mine.p[name], params[name], words)
 
     mine = F.pmod(F.xxhash64("ids"), F.lit(rounds)) == slice_no
-    sums = map_batches(coded.select("ids").where(F.col("ids").isNotNull() & mine), kernel, "block int, weight double, body binary")
-    sums = sums.withColumn("salt", F.pmod(F.spark_partition_id(), F.lit(32)))
-    sums = sums.groupBy("block", "salt").applyInArrow(_summed(["block", "salt"]), "block int, salt int, weight double, body binary")
-    rows = sums.groupBy("block").applyInArrow(_summed(["block"]), "block int, weight double, body binary").collect()  # BLOCKS rows
-    if not rows:
-        return model
-    flat = np.concatenate([np.frombuffer(r["body"], np.float64) / r["weight"] for r in sorted(rows, key=lambda r: r["block"])])
-    return RecurrentModel(model.v, model.hidden, params=_shaped(flat, model.p))
+    part = coded.select("ids").where(F.col("ids").isNotNull() & mine)
+    schema = "kind int, block int, rows binary, weight binary, body binary"
+    sums = map_batches(part.coalesce(tasks) if tasks else part, kernel, schema)
+    sums = sums.withColumn("salt", F.floor(F.spark_partition_id() / 16))
+    sums = sums.groupBy("kind", "block", "salt").applyInArrow(_summed, schema)
+    rows = sums.groupBy("kind", "block").applyInArrow(_summed, schema).collect()  # the size of the model
+    sent.destroy()
+    params = {k: x.copy() for k, x in model.p.items()}
+    for r in rows:
+        at, weight, body = _opened(r)
+        params[RecurrentModel.NAMES[r["kind"]]][r["block"] * BLOCK_ROWS + at] += body / weight[:, None]
+    return RecurrentModel(model.v, model.hidden, params=params)
+
+
+def rounds_of(words: int, least: int = ROUNDS) -> int:
+    return max(least, math.ceil(math.sqrt(words / WORDS_A_TASK)))
 
 
 def lm_log_likelihood(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", vocab: int = VOCAB, hidden: int = HIDDEN, rounds: int = ROUNDS) -> DataFrame:
-    """Trains on all documents and scores them all: see ``lm_scores``."""
+    """Trains on all documents and scores them all: see ``lm_scores``. ``vocab`` and ``rounds`` are the least numbers;
+    both follow the corpus beyond."""
     v = count_words(docs, text_col, vocab)
     coded = encoded_docs(docs, v, id_col, text_col)
+    v = v.without_words()
     model = RecurrentModel(v, hidden)
+    words = int(v.counts.sum())
+    rounds = rounds_of(words, rounds)
+    tasks = math.ceil(words / rounds / WORDS_A_TASK)
     for k in range(rounds):
-        model = train_round(coded, model, k, rounds)
+        model = train_round(coded, model, k, rounds, tasks)
     return lm_scores(coded, model).withColumnRenamed("id", id_col)
 
 

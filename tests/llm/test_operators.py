@@ -251,6 +251,23 @@ def test_lm_table(spark):
     assert lm.lm_log_likelihood(frame(spark, [])).count() == 0
 
 
+def test_lm_gathers_more_from_more(spark):
+    many = [f"word{k}" for k in range(3000)]
+    few = lm.count_words(frame(spark, [(i, " ".join(many[:100] + ["rare", "rarer"][: i + 1])) for i in range(2)]), size=50)
+    assert len(few.words) == 48
+    count = lm.count_words(frame(spark, [(i, " ".join(many)) for i in range(lm.MIN_COUNT)] + [(99, "once")]), size=50)
+    assert set(count.words) == {w.encode() for w in many} and count.counts[lm.UNKNOWN] == 2
+    assert len(count.starts) - 1 > lm.CLASSES and [k for k, _ in count.grams][0].size == 5
+    assert lm.rounds_of(10**6) == lm.ROUNDS and lm.rounds_of(10**10) == 36
+    odd = lm.Vocabulary([], np.array([1, 1]), np.full(257, np.log(257)), [(k, np.ones(len(k))) for k in map(np.unique, lm.byte_grams([b"seen", b"sea"])[0][1:])])
+    after = [b"se" + bytes([k]) for k in range(256)]
+    keys, lengths = lm.byte_grams(after)
+    third = np.cumsum(lengths) - 2
+    keys = [np.append(k[third], (k[third[0]] >> 9 << 9) + lm.END) for k in keys]
+    assert abs(odd.bytes.probability(keys).sum() - 1) < 1e-9
+    assert odd.spelling([b"seen"])[0] < odd.spelling([b"nese"])[0]
+
+
 def test_forward_backward_against_enumeration():
     rng = np.random.default_rng(0)
     emit, move = rng.standard_normal((4, 1, 3)), rng.standard_normal((3, 3))
