@@ -23,7 +23,7 @@ from pyspark.sql import functions as F
 from cellspace.llm.common import WordIds, folded_words, map_batches, maybe_broadcast, mix, pieces, staged, word_hashes
 
 SEEDS, CHECK_WORDS, BITS = 3, 2, 64
-DISTANCE, CHECK_DISTANCE = 4, 36
+DISTANCE, CHECK_DISTANCE = 7, 40
 PRINT_COLS = [f"f{s}" for s in range(SEEDS)]
 CHECK_COLS = [f"c{s}" for s in range(CHECK_WORDS)]
 

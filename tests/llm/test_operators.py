@@ -177,6 +177,26 @@ def test_simhash_pairs_equal_brute_force(spark):
     assert got == want and len(want) > 60
 
 
+def test_near_copies_of_six_tenths():
+    """Pairs of about 100 words that share 0.6 to 0.8 of their word triples."""
+    rng = np.random.default_rng(12)
+    docs, pairs = [], []
+    for _ in range(400):
+        a = [f"w{int(k)}" for k in rng.zipf(1.3, int(rng.integers(60, 200))) % 5000]
+        b = list(a)
+        for at in rng.choice(len(a), max(1, len(a) // 20), replace=False):
+            b[at] = f"n{rng.integers(10**6)}"
+        ta, tb = ({tuple(x[i : i + 3]) for i in range(len(x) - 2)} for x in (a, b))
+        if 0.6 <= len(ta & tb) / len(ta | tb) < 0.8:
+            pairs.append((len(docs), len(docs) + 1))
+            docs += [[w.encode() for w in a], [w.encode() for w in b]]
+    prints = simhash.fingerprints(docs, WordIds(simhash.word_rows, 150_000))
+    i, j = np.array(pairs).T
+    bits = simhash.differing(prints[i], prints[j]).astype(int)
+    hit = (bits[:, :3].min(1) <= simhash.DISTANCE) & (bits[:, 3:].sum(1) <= simhash.CHECK_DISTANCE)
+    assert len(pairs) > 200 and hit.mean() >= 0.9
+
+
 def test_near_groups(spark):
     text = words(300)
     near = text.split()
