@@ -2,8 +2,9 @@
 
 A vocabulary made from prose needs few tokens for words and many for random strings, so few characters per token
 expose a key. Candidates are runs of 16 or more of the characters that keys are made of with a digit among them.
-Left out, unless an assignment to a key-like name comes before: digests (hex of a digest's length), UUIDs and names
-joined from words. Left out always: digests in the caller's table, numbers, and parts of addresses and paths.
+Left out, unless an assignment to a key-like name comes before: digests (hex of a digest's length), UUIDs, names
+joined from words that the vocabulary knows, and parts of addresses and paths. Left out always: digests in the caller's
+table and numbers.
 """
 
 from __future__ import annotations
@@ -30,10 +31,21 @@ _ASSIGNED = re.compile(r"(?:api[_\- ]?key|secret|token|passw(?:or)?d|pwd|credent
 _DIGEST_NAME = re.compile(r"(?:sha-?\d{0,3}|md5|digest|checksum|commit|etag|revision|integrity|fingerprint)[\w\-]{0,10}[\"']?\s{0,3}[=:]?\s{0,3}[\"'`(]?$", re.IGNORECASE)
 _HEX = re.compile(r"[0-9a-f]+|[0-9A-F]+")
 _UUID = re.compile(r"[0-9a-fA-F]{8}(?:-[0-9a-fA-F]{4}){3}-[0-9a-fA-F]{12}")
-_WORDY = re.compile(r"(?:[A-Z]?[a-z]{2,}|[A-Z]{2,}|\d{1,4})(?:[_\-/]?(?:[A-Z]?[a-z]{2,}|[A-Z]{2,}|\d{1,4}))*")
+_WORD = r"(?:[A-Z]?[a-z]{2,}(?:[A-Z][a-z]+)*|[A-Z]{2,})"
+#: Words (case changes begin a new one) and short numbers between separators; a number may end a word.
+_NAME = re.compile(rf"(?:{_WORD}\d{{0,4}}|\d{{1,4}})(?:[_\-/](?:{_WORD}\d{{0,4}}|\d{{1,4}}))*")
+_LETTERS = re.compile(r"[A-Z]?[a-z]+|[A-Z]+")
 _PATH = re.compile(r"(?:https?:|www\.|@|\\|~/|\./)\S*$")
 
 
+def is_name(s: str, encode, max_ratio: float = MAX_RATIO) -> bool:
+    """Whether ``s`` is joined from words and numbers and the words, one by one, need few tokens."""
+    if not _NAME.fullmatch(s):
+        return False
+    words = _LETTERS.findall(s)
+    return not words or sum(map(len, words)) > max_ratio * sum(len(encode(w)) for w in words)
+
+
 def find_secrets(text: str, encode, known: frozenset[str] = frozenset(), max_ratio: float = MAX_RATIO) -> list[tuple[int, int, int, bool]]:
     """(first character, characters, tokens, whether a key-like name is assigned) of each secret."""
     out = []
@@ -48,10 +60,10 @@ def find_secrets(text: str, encode, known: frozenset[str] = frozenset(), max_rat
             continue
         before = text[max(0, at - 60) : at]
         named = bool(_ASSIGNED.search(before))
-        if _PATH.search(before.rsplit(None, 1)[-1] if before and not before[-1].isspace() else ""):
-            continue
         if not named:
-            if _DIGEST_NAME.search(before) or _UUID.fullmatch(s) or (_HEX.fullmatch(s) and len(s) in (32, 40, 56, 64, 96, 128)) or _WORDY.fullmatch(s):
+            if _PATH.search(before.rsplit(None, 1)[-1] if before and not before[-1].isspace() else ""):
+                continue
+            if _DIGEST_NAME.search(before) or _UUID.fullmatch(s) or (_HEX.fullmatch(s) and len(s) in (32, 40, 56, 64, 96, 128)) or is_name(s, encode, max_ratio):
                 continue
         n = len(encode(s))
         if len(s) / n <= max_ratio:

@@ -103,6 +103,20 @@ def test_secrets(spark):
     assert masked == {'a token = "[SECRET]" b'} and secrets.mask_secrets(df).count() == 12
 
 
+def test_secrets_that_look_like_names():
+    encode = encoding(VOCAB).encode_ordinary
+    found = lambda t: [t[a : a + n] for a, n, _, _ in secrets.find_secrets(t, encode)]
+    rng = np.random.default_rng(6)
+    for alphabet, n, head in (("ABCDEFGHIJKLMNOPQRSTUVWXYZ234567", 16, "AKIA"), ("abcdefghijklmnopqrstuvwxyz0123456789", 20, ""), ("abcdefghijklmnopqrstuvwxyz0123456789", 32, "")):
+        keys = [head + "".join(rng.choice(list(alphabet), n)) for _ in range(300)]
+        keys = [k for k in keys if any(c.isdigit() for c in k)]
+        assert np.mean([found(f"see {k} there") == [k] for k in keys]) > 0.95
+    key = "q8Zx7Lw2Tn5Rv9Kc3Bm6"
+    assert found(f"get https://host.example.com/x?api_key={key} now") == [key]
+    assert found(f"get https://host.example.com/x/{key} now") == [] and found("on 2023-01-15-0042 at") == []
+    assert found("the version2-configuration-file-17 and myServerName2_backupFolder") == []
+
+
 def test_top_k(spark):
     rng = np.random.default_rng(3)
     x = rng.standard_normal((300, 24)).round(3)
