@@ -22,8 +22,10 @@ from cellspace.llm.common import map_batches, staged
 
 BLOCK = 2048
 TILE = 512
-#: Slack for single-precision bounds; candidates within it are settled in double precision.
+#: Least slack for single-precision bounds; candidates within it are settled in double precision.
 SLACK = 1e-4
+#: Units of rounding, of single and double precision.
+SINGLE, DOUBLE = 2.0**-24, 2.0**-53
 
 
 def levels_of(dim: int, finest: int = 16) -> list[int]:
@@ -53,13 +55,17 @@ def squared(a: np.ndarray, b: np.ndarray, aa: np.ndarray, bb: np.ndarray) -> np.
 
 
 class Prepared:
-    """A block of vectors with its statistics in single precision."""
+    """A block of vectors with its statistics in single precision, measured from ``centre``."""
 
-    def __init__(self, ids: np.ndarray, x: np.ndarray):
+    def __init__(self, ids: np.ndarray, x: np.ndarray, centre: np.ndarray | None = None):
         self.ids, self.x = ids, x.astype(np.float64)
-        single = self.x.astype(np.float32)
-        self.levels = [statistics(self.x, n).astype(np.float32) for n in levels_of(x.shape[1])] + [single]
-        self.norms = [(s * s).sum(1) for s in self.levels]
+        near = self.x - (self.x.mean(0) if centre is None else centre)
+        with np.errstate(over="ignore"):
+            self.levels = [statistics(near, n).astype(np.float32) for n in levels_of(x.shape[1])] + [near.astype(np.float32)]
+            self.norms = [(s * s).sum(1) for s in self.levels]
+            #: what rounding may add to or take from a squared distance of two vectors, for each of both
+            terms = x.shape[1] + 4
+            self.slack = 4 * terms * (SINGLE * (near * near).sum(1).max(initial=0) + DOUBLE * (self.x * self.x).sum(1).max(initial=0))
 
 
 def survivors(a: Prepared, b: Prepared, limit_a: np.ndarray, limit_b: np.ndarray, same: bool) -> Iterator[tuple[np.ndarray, np.ndarray]]:
@@ -68,12 +74,13 @@ def survivors(a: Prepared, b: Prepared, limit_a: np.ndarray, limit_b: np.ndarray
     Level by level the columns that no row of the tile can use are dropped; what is left of the last level, the vectors
     themselves, are the survivors.
     """
+    slack = SLACK + a.slack + b.slack
     for at in range(0, len(a.ids), TILE):
         rows = np.arange(at, min(at + TILE, len(a.ids)))
         cols = np.arange(len(b.ids)) if not same else np.arange(at, len(b.ids))
         for level, (sa, sb) in enumerate(zip(a.levels, b.levels, strict=True)):
             d = squared(sa[rows], sb[cols], a.norms[level][rows], b.norms[level][cols])
-            within = d <= np.maximum(limit_a[rows][:, None], limit_b[cols][None, :]) + SLACK
+            within = ~(d > np.maximum(limit_a[rows][:, None], limit_b[cols][None, :]) + slack)  # overflow passes
             if level + 1 < len(a.levels):
                 rows, cols = rows[within.any(1)], cols[within.any(0)]
                 if not len(rows) or not len(cols):
@@ -105,8 +112,8 @@ def best(query: np.ndarray, other: np.ndarray, d: np.ndarray, k: int) -> tuple[n
     return query[keep], other[keep], d[keep]
 
 
-def _block(ids: bytes, body: bytes, dim: int) -> Prepared:
-    return Prepared(np.frombuffer(ids, np.int64), np.frombuffer(body, np.float64).reshape(-1, dim))
+def _block(ids: bytes, body: bytes, dim: int, centre: np.ndarray | None = None) -> Prepared:
+    return Prepared(np.frombuffer(ids, np.int64), np.frombuffer(body, np.float64).reshape(-1, dim), centre)
 
 
 def own_limits(p: Prepared, k: int) -> np.ndarray:
@@ -117,8 +124,8 @@ def own_limits(p: Prepared, k: int) -> np.ndarray:
         for at in range(0, n, TILE):
             d = squared(p.levels[-1][at : at + TILE], p.levels[-1], p.norms[-1][at : at + TILE], p.norms[-1])
             d[np.arange(len(d)), np.arange(at, at + len(d))] = np.inf
-            limit[at : at + TILE] = np.partition(d, k - 1, axis=1)[:, k - 1] + SLACK
-    return limit
+            limit[at : at + TILE] = np.partition(d, k - 1, axis=1)[:, k - 1] + SLACK + 2 * p.slack
+    return np.where(np.isnan(limit), np.inf, limit)
 
 
 def exact_top_k(vectors: DataFrame, k: int = 10, id_col: str = "vec_id", vector_col: str = "embedding", block: int = BLOCK) -> DataFrame:
@@ -143,7 +150,8 @@ def exact_top_k(vectors: DataFrame, k: int = 10, id_col: str = "vec_id", vector_
             ids, x = np.array([w[0] for w in waiting], np.int64), np.array([w[1] for w in waiting])
             p = Prepared(ids, x)
             limit = own_limits(p, k)
-            s = p.levels[min(2, len(p.levels) - 2)] if len(p.levels) > 1 else p.levels[0]
+            segments = levels_of(x.shape[1])
+            s = statistics(p.x, segments[min(2, len(segments) - 1)])
             values = [[int(ids[0])], [x.shape[1]], [ids.tobytes()], [x.tobytes()], [limit.tobytes()], [float(limit.max())], [s.min(0).astype(float).tolist()], [s.max(0).astype(float).tolist()]]
             types = [pa.int64(), pa.int32(), pa.binary(), pa.binary(), pa.binary(), pa.float64(), pa.list_(pa.float64()), pa.list_(pa.float64())]
             return pa.RecordBatch.from_arrays([pa.array(v, t) for v, t in zip(values, types, strict=True)], names=["first", "dim", "ids", "body", "limits", "reach", "lo", "hi"])
@@ -173,13 +181,13 @@ def exact_top_k(vectors: DataFrame, k: int = 10, id_col: str = "vec_id", vector_
             for r in batch.to_pylist():
                 same = r["a_no"] == r["b_no"]
                 a = _block(r["a_ids"], r["a_body"], r["dim"])
-                b = a if same else _block(r["b_ids"], r["b_body"], r["dim"])
+                b = a if same else _block(r["b_ids"], r["b_body"], r["dim"], a.x.mean(0))
                 la, lb = np.frombuffer(r["a_limits"]), np.frombuffer(r["b_limits"])
                 found = []
                 for i, j in survivors(a, b, la, lb, same):
                     d = exact(a, b, i, j)
                     for q, o, limit in ((i, j, la), (j, i, lb)):
-                        near = d <= limit[q] + SLACK
+                        near = ~(d > limit[q] + SLACK)
                         found.append((q[near] + (0 if q is i else 1 << 40), o[near], d[near]))
                 if not found:
                     continue

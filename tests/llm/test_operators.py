@@ -134,6 +134,22 @@ def test_top_k(spark):
     assert 901 not in got and topk.exact_top_k(df.limit(0)).count() == 0
 
 
+@pytest.mark.parametrize("shift,scale", [(30.0, 1.0), (1e5, 1.0), (0.0, 100.0), (0.0, 1e25)])
+def test_top_k_far_from_the_origin(shift, scale):
+    rng = np.random.default_rng(8)
+    x = rng.standard_normal((400, 64)) * scale / 8 + shift
+    d = ((x[:, None] - x[None]) ** 2).sum(2)
+    np.fill_diagonal(d, np.inf)
+    a, b = topk.Prepared(np.arange(200), x[:200]), topk.Prepared(np.arange(200, 400), x[200:], x[:200].mean(0))
+    la, lb = topk.own_limits(a, 10), topk.own_limits(topk.Prepared(b.ids, b.x), 10)
+    own = np.sort(d[:200, :200], 1)[:, 9]
+    assert (la >= own).all()
+    kept = np.zeros((200, 200), bool)
+    for i, j in topk.survivors(a, b, la, lb, False):
+        kept[i, j] = True
+    assert kept[(d[:200, 200:] <= np.maximum(own[:, None], np.sort(d[200:, 200:], 1)[:, 9][None]))].all()
+
+
 def test_lower_bounds_hold():
     rng = np.random.default_rng(1)
     x = rng.standard_normal((60, 30))
