@@ -5,7 +5,7 @@ from __future__ import annotations
 from pyspark.sql import functions as F
 
 from cellspace.functions.spaces import LINE3
-from cellspace.plans.shared import new_path
+from cellspace.plans.shared import new_path, staged
 from cellspace.sources.layout import table
 from cellspace.streaming import views as sv
 from cellspace.workloads.base import grid, query
@@ -55,7 +55,8 @@ def static_join(spark, d):
 
 @query("W_camera_stream")
 def camera_stream(spark, d):
-    """Events as view changes: the newest view of each user becomes a request, answered in micro-batches by the grid."""
+    """Events as view changes: the newest view of each user becomes a request, answered in micro-batches by the grid,
+    whose layers are read until a view has its points; a view of an empty box has none."""
     g = grid(spark, d, LINE3, 64)
     e = sv.events_stream(spark, d)
     zoom = F.least(F.col("value") / 100, F.lit(0.9))
@@ -68,9 +69,10 @@ def camera_stream(spark, d):
         newest = batch.groupBy("user_id").agg(F.max_by(F.struct("request_id", "lo", "hi", "wanted"), F.struct("ts", "request_id")).alias("v")).select("v.*")
         from cellspace.operators.grid import sample_boxes
 
-        first = g.rows.where("layer = 1")
-        small = type(g)(first, g.cols, g.base, g.lo, g.hi, g.count)
-        sample_boxes(small, newest, newest.count()).groupBy("request_id").agg(F.count("*").alias("points")).withColumn("batch", F.lit(number)).write.mode("append").parquet(out)
+        newest = staged(newest, "requests")
+        points = sample_boxes(g, newest, newest.count()).groupBy("request_id").agg(F.count("*").alias("points"))
+        every = newest.select("request_id").join(points, "request_id", "left").withColumn("points", F.coalesce("points", F.lit(0).cast("long")))
+        every.withColumn("batch", F.lit(number)).write.mode("append").parquet(out)
 
     q = views.writeStream.foreachBatch(answer).option("checkpointLocation", new_path(spark, "camera")).trigger(availableNow=True).start()
     q.awaitTermination()

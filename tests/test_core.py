@@ -193,3 +193,16 @@ def test_every_query_has_a_name_of_ours():
 
     q, o = e.queries(), e.oracle_sql()
     assert set(o) <= set(q) and all(re.fullmatch(r"[A-Za-z0-9_]+", n) for n in q) and len(q) > 120
+
+
+def test_camera_views_get_their_points(spark):
+    from pyspark.sql import functions as F
+
+    from cellspace.workloads.streams import camera_stream
+
+    got = {r.request_id: r.points for r in camera_stream(spark, SF).collect()}
+    events = spark.read.parquet(f"{SF}/events.parquet")
+    newest = {r.e for r in events.groupBy("user_id").agg(F.max_by("event_id", F.struct("ts", "event_id")).alias("e")).collect()}
+    assert newest <= set(got)
+    lines = spark.read.parquet(f"{SF}/lineitem.parquet").count()
+    assert sum(n >= 20 for n in got.values()) > 0.8 * len(got) and max(got.values()) <= lines
