@@ -1,10 +1,11 @@
 """Log-likelihood of whole documents under a gated recurrent language model, in NumPy.
 
-Words are what blanks separate. The vocabulary holds every word that occurs ``MIN_COUNT`` times among all documents
-(the ``VOCAB`` most frequent at least), so it grows with the corpus; any other word is the unknown word followed by its
-bytes under a model of byte sequences counted over all such words. The network is one gated recurrent layer; the output
-is factored: a softmax over word classes (of even square-root mass, their number the root of the vocabulary), then one
-over the words of the class.
+Words are what blanks separate. The vocabulary holds every word that occurs as often as ``threshold`` of the number of
+words says (the ``VOCAB`` most frequent at least), so it grows with the corpus, about as its root, and a model fits a
+worker at any size; any other word is the unknown word followed by its bytes under a model of byte sequences counted
+over all such words. The network is one gated recurrent layer; the output is factored: a softmax over groups of word
+classes, one over the classes of the group (of even square-root mass, their number the root of the vocabulary), then
+one over the words of the class.
 
 Training covers every document once, in slices by hash of the text; their number grows with the root of the number of
 words, and so does the number of tasks of a slice. In a round each task lays the documents of its part of the slice end
@@ -31,15 +32,20 @@ from pyspark.sql import functions as F
 from cellspace.llm.common import map_batches, pieces, staged
 
 VOCAB, CLASSES, HIDDEN = 2048, 40, 16
-#: A word that occurs so often is in the vocabulary.
-MIN_COUNT = 50
+#: A word is in the vocabulary if it occurs so often, and a ``ROOT_SHARE``-th of the root of all words.
+MIN_COUNT, ROOT_SHARE = 50, 8
 ROUNDS, LANES, WINDOW, RATE = 2, 1024, 12, 0.1
 #: Words a task trains on in a round, about; the square root of the corpus in this unit gives the rounds.
 WORDS_A_TASK = 8_000_000
 BLOCK_ROWS = 4096
 EDGE, UNKNOWN = 0, 1
 #: Bytes before a byte that its cost may depend on.
-CONTEXT, END, BEGIN = 3, 256, 257
+CONTEXT, END, BEGIN = 5, 256, 257
+
+
+def threshold(words: int) -> int:
+    """The least count of a word of the vocabulary."""
+    return max(MIN_COUNT, math.isqrt(words) // ROOT_SHARE)
 
 
 def byte_grams(words: list[bytes]) -> tuple[list[np.ndarray], np.ndarray]:
@@ -118,6 +124,12 @@ class Vocabulary:
         order = np.minimum((mass - 1e-9) / max(mass[-1], 1e-9) * classes, classes - 1).astype(np.int64)
         self.class_of = np.unique(order, return_inverse=True)[1]
         self.starts = np.concatenate([np.flatnonzero(np.diff(self.class_of, prepend=-1)), [len(order)]])
+        # groups of classes of even mass; each class is in one
+        own = np.sqrt(np.bincount(self.class_of, self.counts.astype(np.float64)))
+        groups, mass = math.isqrt(len(own)), np.cumsum(own)
+        group = np.minimum((mass - 1e-9) / max(mass[-1], 1e-9) * groups, groups - 1).astype(np.int64)
+        self.group_of = np.unique(group, return_inverse=True)[1]
+        self.group_starts = np.concatenate([np.flatnonzero(np.diff(self.group_of, prepend=-1)), [len(own)]])
         self.ids = {w: k + 2 for k, w in enumerate(self.words)}
         self.bytes = ByteModel(self.byte_cost, self.grams)
 
@@ -152,10 +164,11 @@ def count_grams(rare: DataFrame) -> list[tuple[np.ndarray, np.ndarray]]:
     return [(key[level == k], n[level == k]) for k in range(1, CONTEXT + 1)]
 
 
-def count_words(docs: DataFrame, text_col: str = "text", size: int = VOCAB, least: int = MIN_COUNT) -> Vocabulary:
+def count_words(docs: DataFrame, text_col: str = "text", size: int = VOCAB, least: int | None = None) -> Vocabulary:
     """Counts of all words of all documents; bytes are counted under keys that begin with a blank.
 
-    The vocabulary holds the words that occur ``least`` times, and ``size - 2`` at least.
+    The vocabulary holds the words that occur ``least`` times (by default ``threshold`` of the number of words), and
+    ``size - 2`` at least.
     """
 
     def kernel(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -181,6 +194,8 @@ def count_words(docs: DataFrame, text_col: str = "text", size: int = VOCAB, leas
     counts = staged(map_batches(docs.select(text_col), kernel, "word binary, n long").groupBy("word").agg(F.sum("n").alias("n")), "words")
     special = F.substring("word", 1, 1) == F.lit(b" ")
     own = {bytes(r["word"]): r["n"] for r in counts.where(special).collect()}
+    total = counts.where(~special).agg(F.sum("n")).first()[0] or 0
+    least = threshold(total) if least is None else least
     frequent = counts.where(~special & (F.col("n") >= least))
     if frequent.count() >= size - 2:
         found = frequent.toArrow()
@@ -191,28 +206,29 @@ def count_words(docs: DataFrame, text_col: str = "text", size: int = VOCAB, leas
     if top:
         word, n = top[-1]
         rare = rare.where((F.col("n") < n) | ((F.col("n") == n) & (F.col("word") > F.lit(bytearray(word)))))
-    total = counts.where(~special).agg(F.sum("n")).first()[0] or 0
     n = [k for _, k in top]
     octets = np.array([own.get(b" " + bytes([k]), 0) for k in range(256)] + [total], np.float64) + 0.1
     return Vocabulary([w for w, _ in top], np.array([own.get(b" docs", 0) + 1, total - sum(n) + 1, *n], np.int64), -np.log(octets / octets.sum()).astype(np.float64), count_grams(rare))
 
 
 class RecurrentModel:
-    """Parameters: ``gates`` [ids, 3H] (input of update, reset and candidate), ``state`` [H, 3H], ``to_class`` [H+1, C],
-    ``to_word`` [ids, H+1]."""
+    """Parameters: ``gates`` [ids, 3H] (input of update, reset and candidate), ``state`` [H, 3H], ``to_group`` [H+1, G],
+    ``to_class`` [C, H+1], ``to_word`` [ids, H+1]."""
 
-    NAMES = ("gates", "state", "to_class", "to_word")
+    NAMES = ("gates", "state", "to_group", "to_class", "to_word")
 
     def __init__(self, vocabulary: Vocabulary, hidden: int = HIDDEN, seed: int = 1, params: dict[str, np.ndarray] | None = None):
         self.v, self.hidden = vocabulary, hidden
-        n, c = len(vocabulary.counts), len(vocabulary.starts) - 1
+        n, c, g = len(vocabulary.counts), len(vocabulary.starts) - 1, len(vocabulary.group_starts) - 1
         if params is None:
             rng = np.random.default_rng(seed)
             make = lambda *s: (rng.standard_normal(s) * 0.1).astype(np.float32)
-            params = {"gates": make(n, 3 * hidden), "state": make(hidden, 3 * hidden), "to_class": make(hidden + 1, c), "to_word": make(n, hidden + 1) * np.float32(0.3)}
+            params = {"gates": make(n, 3 * hidden), "state": make(hidden, 3 * hidden), "to_group": make(hidden + 1, g), "to_class": make(c, hidden + 1) * np.float32(0.3), "to_word": make(n, hidden + 1) * np.float32(0.3)}
             share = vocabulary.counts / vocabulary.counts.sum()
             mass = np.bincount(vocabulary.class_of, share)
-            params["to_class"][-1] = np.log(mass)
+            above = np.bincount(vocabulary.group_of, mass)
+            params["to_group"][-1] = np.log(above)
+            params["to_class"][:, -1] = np.log(mass / above[vocabulary.group_of])
             params["to_word"][:, -1] = np.log(share / mass[vocabulary.class_of])
         self.p = params
         self.squares = {k: np.full_like(x, 1e-3) for k, x in params.items()}
@@ -243,31 +259,41 @@ class RecurrentModel:
         return out, saved
 
     def output(self, h: np.ndarray, target: np.ndarray, grads: dict | None = None):
-        """-ln p of each target given states [n, H]; with ``grads`` also the gradient of the states. That of ``to_word``
-        is listed by runs of rows."""
-        v, W, Wc = self.v, self.p["to_word"], self.p["to_class"]
+        """-ln p of each target given states [n, H]; with ``grads`` also the gradient of the states. Those of
+        ``to_class`` and ``to_word`` are listed by runs of rows."""
+        v, top = self.v, self.p["to_group"]
         n = len(target)
-        cls = v.class_of[target]
         ext = np.concatenate([h, np.ones((n, 1), np.float32)], 1)
-        order = np.argsort(cls, kind="stable")
-        ext, target, cls = ext[order], target[order], cls[order]
-        logit = np.minimum(ext @ Wc, 60)  # weights are small: no shift is needed before exp
+        order = np.argsort(target, kind="stable")  # words lie by class, classes by group
+        ext, target = ext[order], target[order]
+        cls = v.class_of[target]
+        group = v.group_of[cls]
+        logit = np.minimum(ext @ top, 60)  # weights are small: no shift is needed before exp
         rows = np.arange(n)
-        cost = -logit[rows, cls]
+        cost = -logit[rows, group]
         e = np.exp(logit, out=logit)
         s = e.sum(1)
         cost += np.log(s)
+        dext = None
         if grads is not None:
             e /= s[:, None]
-            e[rows, cls] -= 1
-            grads["to_class"] += ext.T @ e
-            dext = e @ Wc.T
-        edges = np.searchsorted(cls, np.arange(len(v.starts)))
-        for k in range(len(v.starts) - 1):
-            a, b = edges[k], edges[k + 1]
-            lo, hi = v.starts[k], v.starts[k + 1]
-            if a == b or hi - lo == 1:
-                continue
+            e[rows, group] -= 1
+            grads["to_group"] += ext.T @ e
+            dext = e @ top.T
+        self._within("to_class", ext, cls, group, v.group_starts, cost, dext, grads)
+        self._within("to_word", ext, target, cls, v.starts, cost, dext, grads)
+        back = np.empty(n, np.int64)
+        back[order] = rows
+        return (cost[back], dext[back, :-1]) if grads is not None else cost[back]
+
+    def _within(self, name: str, ext: np.ndarray, target: np.ndarray, run: np.ndarray, starts: np.ndarray, cost: np.ndarray, dext: np.ndarray | None, grads: dict | None) -> None:
+        """Adds the softmax of each target among the parameter rows of its run; rows come in the order of runs."""
+        W = self.p[name]
+        edges = np.searchsorted(run, np.arange(len(starts))).tolist()
+        bounds = starts.tolist()
+        rows = np.arange(len(run))
+        for k in np.flatnonzero((np.diff(starts) > 1) & (np.diff(edges) > 0)).tolist():
+            a, b, lo, hi = edges[k], edges[k + 1], bounds[k], bounds[k + 1]
             x = ext[a:b]
             logit = np.minimum(x @ W[lo:hi].T, 60)
             at, right = rows[: b - a], target[a:b] - lo
@@ -278,11 +304,8 @@ class RecurrentModel:
             if grads is not None:
                 e /= s[:, None]
                 e[at, right] -= 1
-                grads["to_word"].append((slice(lo, hi), e.T @ x))
+                grads[name].append((slice(lo, hi), e.T @ x))
                 dext[a:b] += e @ W[lo:hi]
-        back = np.empty(n, np.int64)
-        back[order] = rows
-        return (cost[back], dext[back, :-1]) if grads is not None else cost[back]
 
     def window(self, ids: np.ndarray, target: np.ndarray, h: np.ndarray) -> tuple[float, np.ndarray, dict[str, np.ndarray]]:
         """Cost of a window [time, lane], the state after it and the gradients, cut off at its beginning."""
@@ -296,7 +319,7 @@ class RecurrentModel:
     def window_parts(self, ids: np.ndarray, target: np.ndarray, h: np.ndarray) -> tuple[float, np.ndarray, dict[str, list]]:
         """The same with gradients as (rows, values), only of the rows that the window uses."""
         H, U = self.hidden, self.p["state"]
-        grads = {"state": np.zeros_like(U), "to_class": np.zeros_like(self.p["to_class"]), "to_word": []}
+        grads = {"state": np.zeros_like(U), "to_group": np.zeros_like(self.p["to_group"]), "to_class": [], "to_word": []}
         reset = ids == EDGE
         out, saved = self.steps(ids, h, reset, keep=True)
         T, B = ids.shape
@@ -319,7 +342,7 @@ class RecurrentModel:
         first = np.flatnonzero(np.diff(flat[order], prepend=-1))
         gates = np.add.reduceat(dg.reshape(T * B, 3 * H)[order], first, axis=0)
         every = slice(None)
-        return float(cost.sum()), out[-1], {"gates": [(flat[order][first], gates)], "state": [(every, grads["state"])], "to_class": [(every, grads["to_class"])], "to_word": grads["to_word"]}
+        return float(cost.sum()), out[-1], {"gates": [(flat[order][first], gates)], "state": [(every, grads["state"])], "to_group": [(every, grads["to_group"])], "to_class": grads["to_class"], "to_word": grads["to_word"]}
 
     def update(self, grads: dict[str, list], scale: float, rate: float = RATE) -> None:
         for k, some in grads.items():
@@ -330,21 +353,22 @@ class RecurrentModel:
                 self.p[k][rows] -= np.float32(rate) * g / np.sqrt(squares)
 
     def train_stream(self, stream: np.ndarray, lanes: int = LANES, window: int = WINDOW) -> float:
-        """One pass over documents laid end to end, each begun by the edge id; the mean cost of a word."""
-        n = len(stream) - 1
-        lanes = max(1, min(lanes, n // (2 * window)))
-        length = n // lanes
-        if length < 1:
-            return 0.0
-        ids = stream[: lanes * length].reshape(lanes, length).T
-        target = stream[1 : lanes * length + 1].reshape(lanes, length).T
-        h, total = np.zeros((lanes, self.hidden), np.float32), 0.0
-        for at in range(0, length, window):
-            x, y = ids[at : at + window], target[at : at + window]
-            cost, h, grads = self.window_parts(x, y, h)
-            self.update(grads, 1000.0 / x.size)
-            total += cost
-        return total / (lanes * length)
+        """One pass over documents laid end to end, each begun by the edge id; the mean cost of a word. What doesn't
+        fill the lanes evenly follows in fewer lanes, so every word is a target once."""
+        at, words, total = 0, len(stream) - 1, 0.0
+        while (n := words - at) > 0:
+            lanes = max(1, min(lanes, n // (2 * window)))
+            length = n // lanes
+            ids = stream[at : at + lanes * length].reshape(lanes, length).T
+            target = stream[at + 1 : at + lanes * length + 1].reshape(lanes, length).T
+            h = np.zeros((lanes, self.hidden), np.float32)
+            for t in range(0, length, window):
+                x, y = ids[t : t + window], target[t : t + window]
+                cost, h, grads = self.window_parts(x, y, h)
+                self.update(grads, 1000.0 / max(x.size, 1000))
+                total += cost
+            at += lanes * length
+        return total / max(words, 1)
 
     def log_likelihoods(self, docs: list[np.ndarray], window: int = 64) -> np.ndarray:
         """ln p of each whole document, its end included; the state is carried over windows."""
