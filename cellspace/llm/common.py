@@ -17,8 +17,8 @@ import pyarrow.compute as pc
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-#: A side of a join is broadcast only below this many rows of at most a few dozen bytes (about 64 MB).
-BROADCAST_ROWS = 2_000_000
+#: A side of a join is broadcast only if its rows and their width stay within this many bytes.
+BROADCAST_BYTES = 12_000_000
 #: Python kernels take a batch apart into pieces of about this many bytes of text.
 CHUNK_BYTES = 6_000_000
 
@@ -49,9 +49,10 @@ def staged(df: DataFrame, tag: str) -> DataFrame:
     return spark.read.schema(df.schema).parquet(path)
 
 
-def maybe_broadcast(df: DataFrame, rows: int, limit: int = BROADCAST_ROWS) -> DataFrame:
-    """A broadcast hint if the counted ``rows`` are within ``limit``; else Spark's own choice of join."""
-    return F.broadcast(df) if rows <= limit else df
+def maybe_broadcast(df: DataFrame, rows: int, width: int = 32) -> DataFrame:
+    """A hint to broadcast ``df`` if ``rows`` rows of about ``width`` bytes are within BROADCAST_BYTES; else Spark's
+    own joins shuffle."""
+    return F.broadcast(df) if rows * width <= BROADCAST_BYTES else df
 
 
 def tokenizer_path(name: str) -> str:

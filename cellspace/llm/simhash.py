@@ -7,7 +7,10 @@ close pairs share one. Pairs that share a key are verified: at most ``distance``
 ``check_distance`` of the check differ. Verified pairs give groups by spreading the least id.
 
 Equal fingerprints are one node, so copies by the thousand cost nothing. More blocks give longer keys; their number
-follows the count of nodes and changes the cost only, never the pairs. What is shuffled is fingerprints, not texts.
+follows the count of nodes and changes the cost only, never the pairs. What is shuffled is fingerprints, not texts; a
+key carries its fingerprint and the check, so that only pairs that pass both leave the task that finds them.
+
+Rows are told apart by a number of their own, so ids may be of any type, null or repeated.
 """
 
 from __future__ import annotations
@@ -86,24 +89,29 @@ def word_rows(words: list[bytes]) -> list[np.ndarray]:
     return [(2 * _bits(h, SEEDS, 1).astype(np.int8) - 1).reshape(len(words), BITS * SEEDS), h]
 
 
-def _kernel(extra: int):
+def _kernel(carried: int):
     def kernel(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         ids = WordIds(word_rows, 150_000)
-        for part, texts in pieces(batches, 1, 1_500_000):
+        for part, texts in pieces(batches, carried, 1_500_000):
             words = [folded_words(t or "") for t in texts]
             prints = fingerprints(words, ids)
             n = pa.array([len(w) for w in words], pa.int64())
-            yield pa.RecordBatch.from_arrays([part.column(0), n, *(pa.array(prints[:, k]) for k in range(extra))], names=["id", "words", *PRINT_COLS, *CHECK_COLS])
+            names = [*part.schema.names[:carried], "words", *PRINT_COLS, *CHECK_COLS]
+            yield pa.RecordBatch.from_arrays([*part.columns[:carried], n, *(pa.array(prints[:, k]) for k in range(SEEDS + CHECK_WORDS))], names=names)
 
     return kernel
 
 
+def _printed(df: DataFrame) -> DataFrame:
+    """The prints of each row; the last column of ``df`` is its text, the others stay."""
+    carried = ", ".join(f"`{f.name}` {f.dataType.simpleString()}" for f in df.schema[:-1])
+    cols = ", ".join(f"{c} long" for c in [*PRINT_COLS, *CHECK_COLS])
+    return map_batches(df, _kernel(len(df.columns) - 1), f"{carried}, words long, {cols}")
+
+
 def simhash_prints(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """(id, words, f0.., c0..) of each document with words; texts without any (null, empty, only signs) have none."""
-    df = docs.select(F.col(id_col).alias("id"), F.col(text_col).alias("text"))
-    kind = df.schema["id"].dataType.simpleString()
-    cols = ", ".join(f"{c} long" for c in [*PRINT_COLS, *CHECK_COLS])
-    return map_batches(df, _kernel(SEEDS + CHECK_WORDS), f"id {kind}, words long, {cols}").where("words > 0")
+    return _printed(docs.select(F.col(id_col).alias("id"), F.col(text_col).alias("text"))).where("words > 0")
 
 
 def block_plan(nodes: int, distance: int = DISTANCE) -> list[tuple[tuple[int, int], ...]]:
@@ -125,14 +133,17 @@ def differing(a: np.ndarray, b: np.ndarray) -> np.ndarray:
     return np.bitwise_count((a ^ b).view(np.uint64))
 
 
-def _verify(distance: int, memory: int = 500_000):
-    """Rows (key, id, fingerprint) in key order: ids of all pairs that share a key and are close in the fingerprint.
+def _verify(distance: int, check_distance: int, memory: int = 500_000):
+    """Rows (key, id, fingerprint, check) in key order: ids of all pairs that share a key and are close in both.
 
     All runs of equal keys are compared at once, by offsets; only the last run of a batch is carried over.
     """
 
     def checked(rows: np.ndarray, i: np.ndarray, j: np.ndarray) -> np.ndarray:
         near = differing(rows[i, 2], rows[j, 2]) <= distance
+        i, j = i[near], j[near]
+        far = sum((differing(rows[i, k], rows[j, k]).astype(np.int64) for k in range(3, 3 + CHECK_WORDS)), np.zeros(len(i), np.int64))
+        near = far <= check_distance
         return rows[np.stack([i[near], j[near]], 1), 1]
 
     def pairs(rows: np.ndarray, ends: np.ndarray) -> Iterator[np.ndarray]:
@@ -186,14 +197,9 @@ def near_pairs(nodes: DataFrame, count: int, distance: int = DISTANCE, check_dis
     plan = block_plan(count, distance)
     # the number of the table lies above the at most 48 bits of a key
     keys = [F.struct((_key(f"f{s}", spans) + F.lit((k * SEEDS + s) << 48)).alias("k"), F.col(f"f{s}").alias("f")) for s in range(SEEDS) for k, spans in enumerate(plan)]
-    rows = nodes.select(F.inline(F.array(*keys)), F.col("id").cast("long").alias("id")).select("k", "id", "f")
+    rows = nodes.select(F.inline(F.array(*keys)), F.col("id").cast("long").alias("id"), *CHECK_COLS).select("k", "id", "f", *CHECK_COLS)
     rows = rows.repartition("k").sortWithinPartitions("k")
-    close = map_batches(rows, _verify(distance), "a long, b long").distinct()
-    for side in ("a", "b"):  # the check prints come after, to the pairs that are close
-        check = nodes.select(F.col("id").cast("long").alias(side), *[F.col(c).alias(f"{side}{c}") for c in CHECK_COLS])
-        close = close.join(maybe_broadcast(check, count), side)
-    far = sum((F.bit_count(F.col(f"a{c}").bitwiseXOR(F.col(f"b{c}"))) for c in CHECK_COLS), F.lit(0))
-    return close.where(far <= check_distance).select("a", "b")
+    return map_batches(rows, _verify(distance, check_distance), "a long, b long").distinct()
 
 
 def least_labels(edges: DataFrame, rounds: int = 60) -> DataFrame:
@@ -216,36 +222,70 @@ def least_labels(edges: DataFrame, rounds: int = 60) -> DataFrame:
     raise RuntimeError("labels did not settle")
 
 
+def _groups(prints: DataFrame, distance: int, check_distance: int) -> tuple[DataFrame, DataFrame, int]:
+    """From written prints (row, id, ...): (row, node) of the rows in a group of two or more, (node, best, group_size)
+    of these groups, and how many rows that are. ``best`` is the row to keep: that of the least id, nulls last."""
+    cols = [*PRINT_COLS, *CHECK_COLS]
+    some = prints.where("words > 0")
+    nodes = staged(some.groupBy(*cols).agg(F.min("row").alias("id"), F.count("*").alias("n")), "nodes")
+    count = nodes.count()
+    labels = least_labels(near_pairs(nodes, count, distance, check_distance))
+    many = staged(nodes.join(maybe_broadcast(labels, labels.count(), 16), "id", "left").where("n > 1 or label is not null").select(*cols, F.coalesce("label", "id").alias("node")), "nodes")
+    held = staged(some.select("row", "id", *cols).join(maybe_broadcast(many, many.count(), 56), cols).select("row", "id", "node"), "groups")
+    best = F.min(F.struct(F.col("id").isNull().alias("none"), F.col("id"), F.col("row"))).alias("best")
+    groups = held.groupBy("node").agg(best, F.count("*").alias("group_size"))
+    return held.select("row", "node"), staged(groups.select("node", "best.id", "best.row", "group_size"), "groups"), held.count()
+
+
 def near_groups(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", distance: int = DISTANCE, check_distance: int = CHECK_DISTANCE) -> DataFrame:
     """A row for each document: id, ``group_id`` (least id of its group), ``group_size`` (rows) and ``is_near_copy``
-    (all but one row of each group).
+    (all rows but one of each group: that of the least id, any of them if several have it).
 
-    Documents without words (null, empty, only signs) are groups of their own, and so are rows with a null id.
-    Repeated rows with one id are one group. An empty table gives none.
+    Documents without words (null, empty, only signs) are groups of their own. Repeated rows, and rows with one id and
+    different texts, are rows of their own: each is in the group of its text. Null ids take part and sort last; a group
+    of null ids only has a null ``group_id``. An empty table gives none.
     """
-    ids = docs.select(F.col(id_col).alias("id"), F.col(text_col).alias("text"))
-    prints = staged(simhash_prints(ids, "id", "text").where("id is not null"), "prints")
-    groups = labels_of(prints, distance, check_distance)
-    count = groups.count()
-    out = ids.select("id").join(maybe_broadcast(groups, count), "id", "left").withColumn("group_id", F.coalesce("group_id", "id"))
-    sizes = groups.join(prints.select("id"), "id").groupBy("group_id").agg(F.count("*").alias("group_size")).where("group_size > 1")
-    out = out.join(maybe_broadcast(sizes, count), "group_id", "left").withColumn("group_size", F.coalesce("group_size", F.lit(1).cast("long")))
-    return out.select(F.col("id").alias(id_col), "group_id", "group_size", (F.coalesce(F.col("id") != F.col("group_id"), F.lit(False))).alias("is_near_copy"))
-
-
-def labels_of(prints: DataFrame, distance: int = DISTANCE, check_distance: int = CHECK_DISTANCE) -> DataFrame:
-    """(id, group_id) of the documents that are in a group of two rows or more."""
-    cols = [*PRINT_COLS, *CHECK_COLS]
-    nodes = staged(prints.groupBy(*cols).agg(F.min("id").alias("id"), F.count("*").alias("n")), "nodes")
-    count = nodes.count()
-    labels = least_labels(near_pairs(nodes, count, distance, check_distance))
-    joined = nodes.join(maybe_broadcast(labels, count), "id", "left").withColumn("group_id", F.coalesce("label", "id"))
-    many = joined.where("n > 1 or label is not null").select(*cols, "group_id")
-    return staged(prints.select("id", *cols).join(maybe_broadcast(many, count * 2), cols).groupBy("id").agg(F.min("group_id").alias("group_id")), "groups")
+    ids = docs.select(F.col(id_col).alias("id"), F.monotonically_increasing_id().alias("row"), F.col(text_col).alias("text"))
+    prints = staged(_printed(ids), "prints")
+    held, groups, count = _groups(prints, distance, check_distance)
+    member = held.join(maybe_broadcast(groups.withColumnRenamed("row", "kept").withColumnRenamed("id", "group_id"), count, 32), "node")
+    out = prints.select("id", "row").join(maybe_broadcast(member, count, 40), "row", "left")
+    return out.select(
+        F.col("id").alias(id_col),
+        F.when(F.col("kept").isNull(), F.col("id")).otherwise(F.col("group_id")).alias("group_id"),
+        F.coalesce("group_size", F.lit(1).cast("long")).alias("group_size"),
+        F.coalesce(F.col("row") != F.col("kept"), F.lit(False)).alias("is_near_copy"),
+    )
 
 
 def drop_near_copies(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", distance: int = DISTANCE, check_distance: int = CHECK_DISTANCE) -> DataFrame:
-    """``docs`` without the rows that are near copies of a kept one; one document of each group stays."""
-    prints = staged(simhash_prints(docs.select(F.col(id_col).alias("id"), F.col(text_col).alias("text")), "id", "text").where("id is not null"), "prints")
-    gone = staged(labels_of(prints, distance, check_distance).where("id != group_id").select(F.col("id").alias(id_col)), "gone")
-    return docs.join(maybe_broadcast(gone, gone.count()), id_col, "left_anti")
+    """``docs`` with one row of each group of near copies: that of the least id, nulls last; all columns stay.
+
+    Rows are dropped by their id where it is that of one row only; rows with a null or repeated id are written to the
+    shared folder with a number of their own and dropped by that. Documents without words all stay, and an empty table
+    stays empty.
+    """
+    AT = "__cs_at"
+    ids = docs.select(F.col(id_col).alias("id"))
+    again = staged(ids.groupBy("id").count().where("count > 1 or id is null").select(F.col("id").alias("__cs_id")), "repeated")
+    shared = again.count()
+    alone, several = docs, None
+    if shared:
+        twice = maybe_broadcast(again, shared, 40)
+        same = F.col(id_col).eqNullSafe(F.col("__cs_id"))
+        alone = docs.join(twice, same, "left_anti")
+        several = staged(docs.join(twice, same, "left_semi").withColumn(AT, F.monotonically_increasing_id()), "several")
+    both = alone.select(F.col(id_col).alias("id"), F.lit(None).cast("long").alias("at"), F.col(text_col).alias("text"))
+    if several is not None:
+        both = both.unionByName(several.select(F.col(id_col).alias("id"), F.col(AT).alias("at"), F.col(text_col).alias("text")))
+    prints = staged(_printed(both.select("id", "at", F.monotonically_increasing_id().alias("row"), "text")), "prints")
+    held, groups, count = _groups(prints, distance, check_distance)
+    extra = held.join(maybe_broadcast(groups.select("node", F.col("row").alias("kept")), count, 16), "node").where("row != kept").select("row")
+    gone = staged(prints.select("row", "id", "at").join(maybe_broadcast(extra, count, 8), "row", "left_semi").select("id", "at"), "gone")
+    dropped = gone.count()
+    by_id = maybe_broadcast(gone.where("at is null").select(F.col("id").alias(id_col)), dropped, 40)
+    out = alone.join(by_id, id_col, "left_anti")
+    if several is not None:
+        by_row = maybe_broadcast(gone.where("at is not null").select(F.col("at").alias(AT)), dropped, 8)
+        out = out.unionByName(several.join(by_row, AT, "left_anti").drop(AT).select(*docs.columns))
+    return out.select(*docs.columns)
