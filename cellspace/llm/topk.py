@@ -3,9 +3,11 @@
 A vector is cut into 1, 2, 4, ... segments; each segment keeps its mean and deviation. The squared distance of two
 vectors is at least the sum over segments of (segment length) x ((difference of means)^2 + (difference of
 deviations)^2), and finer levels bound it better. Vectors are range-sorted by their coarsest statistics into blocks.
-The first pass searches each block in itself, which bounds every query's k-th distance. The second pass visits those
-pairs of blocks whose boxes of statistics may hold something nearer, prunes pairs of vectors level by level from coarse
-to fine, and computes exact distances of the survivors. A pair of blocks is visited once and serves both sides.
+The first pass searches each block in itself, which bounds every query's k-th distance. Neighbouring blocks form groups;
+a task takes one pair of groups whose boxes of statistics may hold something nearer, so a block is sent to as many tasks
+as there are groups it may meet, not to each block's. The task visits its pairs of blocks that may matter, prunes pairs
+of vectors level by level from coarse to fine, computes exact distances of the survivors, and tightens the bounds with
+what it found. A pair of blocks is visited once and serves both sides.
 """
 
 from __future__ import annotations
@@ -19,8 +21,11 @@ from pyspark.sql import functions as F
 from pyspark.sql.window import Window
 
 from cellspace.llm.common import map_batches, staged
+from cellspace.plans.shared import row_numbers
 
 BLOCK = 2048
+#: Most blocks of a group: a task holds two groups.
+GROUP_BLOCKS = 16
 TILE = 512
 #: Least slack for single-precision bounds; candidates within it are settled in double precision.
 SLACK = 1e-4
@@ -112,10 +117,6 @@ def best(query: np.ndarray, other: np.ndarray, d: np.ndarray, k: int) -> tuple[n
     return query[keep], other[keep], d[keep]
 
 
-def _block(ids: bytes, body: bytes, dim: int, centre: np.ndarray | None = None) -> Prepared:
-    return Prepared(np.frombuffer(ids, np.int64), np.frombuffer(body, np.float64).reshape(-1, dim), centre)
-
-
 def own_limits(p: Prepared, k: int) -> np.ndarray:
     """An upper bound of the k-th squared distance of each vector of a block, from the block alone."""
     n = len(p.ids)
@@ -128,33 +129,104 @@ def own_limits(p: Prepared, k: int) -> np.ndarray:
     return np.where(np.isnan(limit), np.inf, limit)
 
 
-def exact_top_k(vectors: DataFrame, k: int = 10, id_col: str = "vec_id", vector_col: str = "embedding", block: int = BLOCK) -> DataFrame:
+_APART = "aggregate(zip_with(zip_with(a_lo, b_hi, (x, y) -> x - y), zip_with(b_lo, a_hi, (x, y) -> x - y), (x, y) -> greatest(x, y, 0.0D)), 0.0D, (s, v) -> s + v * v)"
+
+
+class _Side:
+    """A block in a task: prepared vectors, limits, and the best found so far."""
+
+    def __init__(self, r: dict, dtype: type, centre: np.ndarray):
+        self.no = r["no"]
+        self.p = Prepared(np.frombuffer(r["ids"], np.int64), np.frombuffer(r["body"], dtype).reshape(-1, r["dim"]), centre)
+        self.limit = np.frombuffer(r["limits"]).copy()
+        self.lo, self.hi = np.array(r["lo"]), np.array(r["hi"])
+        self.found: list[tuple[np.ndarray, np.ndarray, np.ndarray]] = []
+
+    def add(self, query: np.ndarray, other: np.ndarray, d: np.ndarray, k: int) -> None:
+        """Keeps the k nearest of each query and lowers the limits of those that have k."""
+        near = ~(d > self.limit[query] + SLACK)
+        if not near.any():
+            return
+        self.found.append((query[near], other[near], d[near]))
+        q, o, d = best(*(np.concatenate(x) for x in zip(*self.found, strict=True)), k)
+        self.found = [(q, o, d)]
+        count = np.bincount(q, minlength=len(self.limit))
+        last = np.cumsum(count)[count >= k] - 1
+        self.limit[q[last]] = np.minimum(self.limit[q[last]], d[last] + SLACK)
+
+
+def _visit(a: _Side, b: _Side, k: int) -> None:
+    same = a is b
+    gap = np.maximum(np.maximum(a.lo - b.hi, b.lo - a.hi), 0)
+    if not same and (gap * gap).sum() > max(a.limit.max(), b.limit.max()) + SLACK:
+        return
+    for i, j in survivors(a.p, b.p, a.limit, b.limit, same):
+        d = exact(a.p, b.p, i, j)
+        if same:
+            a.add(np.concatenate([i, j]), np.concatenate([a.p.ids[j], a.p.ids[i]]), np.concatenate([d, d]), k)
+        else:
+            a.add(i, b.p.ids[j], d, k)
+            b.add(j, a.p.ids[i], d, k)
+
+
+def _cell_kernel(k: int, dtype: type):
+    """Rows of a cell: the blocks of two groups, or of one with itself."""
+
+    def kernel(table: pa.Table) -> pa.Table:
+        rows = table.to_pylist()
+        centre = np.frombuffer(rows[0]["body"], dtype).reshape(-1, rows[0]["dim"]).astype(np.float64).mean(0)
+        own = [_Side(r, dtype, centre) for r in sorted(rows, key=lambda r: r["no"])]
+        side = {r["no"]: r["side"] for r in rows}
+        for x, a in enumerate(own):
+            for b in own[x:]:
+                if side[a.no] == 2 or side[a.no] != side[b.no]:  # a group with itself, or the two sides
+                    _visit(a, b, k)
+        parts = [(np.full(len(f[0]), s.no), *f) for s in own for f in s.found]
+        no, at, other, d = (np.concatenate(x) for x in zip(*parts, strict=True)) if parts else (np.zeros(0, np.int64),) * 3 + (np.zeros(0),)
+        return pa.table([pa.array(no, pa.int64()), pa.array(at, pa.int64()), pa.array(other, pa.int64()), pa.array(d, pa.float64())], names=["no", "at", "neighbour", "d"])
+
+    return kernel
+
+
+def exact_top_k(vectors: DataFrame, k: int = 10, id_col: str = "vec_id", vector_col: str = "embedding", block: int = BLOCK, group_blocks: int = GROUP_BLOCKS) -> DataFrame:
     """(id, rank, neighbour, distance): the ``k`` nearest other rows of every row by Euclidean distance, ties by id.
 
-    Every row is a query. Rows with a null id or vector, a null or non-finite entry or no entry take no part. Vectors
-    of different lengths aren't compared. Repeated rows are neighbours of one another at distance 0. A row with fewer
-    than k comparable others has as many neighbours as there are.
+    Every row is a query. Ids may be of any type that can be ordered. Rows with a null id or vector, a null or
+    non-finite entry or no entry take no part. Vectors of different lengths aren't compared. Repeated rows are
+    neighbours of one another at distance 0. A row with fewer than k comparable others has as many neighbours as there
+    are. An empty table gives none.
     """
-    df = vectors.select(F.col(id_col).cast("long").alias("id"), F.transform(vector_col, lambda v: v.cast("double")).alias("x"))
-    df = df.where(F.col("id").isNotNull() & F.col("x").isNotNull() & (F.size("x") > 0) & ~F.exists("x", lambda v: v.isNull() | F.isnan(v) | (F.abs(v) == F.lit(float("inf")))))
-    mean = F.aggregate("x", F.lit(0.0), lambda s, v: s + v) / F.size("x")
+    spark = vectors.sparkSession
+    df = vectors.select(F.col(id_col).alias("own"), F.col(vector_col).alias("x")).where(F.col("own").isNotNull())
+    single = df.schema["x"].dataType.elementType.simpleString() == "float"
+    dtype, element = (np.float32, "float") if single else (np.float64, "double")
+    df = df.select("own", F.col("x").cast(f"array<{element}>").alias("x"))
+    df = df.where(F.col("x").isNotNull() & (F.size("x") > 0) & ~F.exists("x", lambda v: v.isNull() | F.isnan(v) | (F.abs(v) == F.lit(float("inf")))))
+    id_type = df.schema["own"].dataType.simpleString()
+    names = None
+    if id_type in ("tinyint", "smallint", "int", "bigint"):
+        df = df.withColumn("id", F.col("own").cast("long")).drop("own")
+    else:  # ids that aren't numbers are numbered in their order
+        names = staged(row_numbers(df.select("own").distinct(), [F.col("own")], "id").withColumn("id", F.col("id").cast("long")), "ids")
+        df = df.join(names, "own").drop("own")
+    mean = F.aggregate("x", F.lit(0.0), lambda s, v: s + v.cast("double")) / F.size("x")
     df = staged(df.select("id", "x", F.size("x").alias("dim"), mean.alias("mean")), "vectors")
     parts = max(1, -(-df.count() // block))
     ranged = df.repartitionByRange(parts, "dim", "mean", "id").sortWithinPartitions("dim", "mean", "id")
 
     def packed(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         """Blocks of one dimension with box, ids, vectors and limits."""
-        waiting: list[tuple[int, list]] = []
+        waiting: list[tuple[int, np.ndarray]] = []
 
         def out() -> pa.RecordBatch:
-            ids, x = np.array([w[0] for w in waiting], np.int64), np.array([w[1] for w in waiting])
+            ids, x = np.array([w[0] for w in waiting], np.int64), np.array([w[1] for w in waiting], dtype)
             p = Prepared(ids, x)
             limit = own_limits(p, k)
             segments = levels_of(x.shape[1])
             s = statistics(p.x, segments[min(2, len(segments) - 1)])
-            values = [[int(ids[0])], [x.shape[1]], [ids.tobytes()], [x.tobytes()], [limit.tobytes()], [float(limit.max())], [s.min(0).astype(float).tolist()], [s.max(0).astype(float).tolist()]]
-            types = [pa.int64(), pa.int32(), pa.binary(), pa.binary(), pa.binary(), pa.float64(), pa.list_(pa.float64()), pa.list_(pa.float64())]
-            return pa.RecordBatch.from_arrays([pa.array(v, t) for v, t in zip(values, types, strict=True)], names=["first", "dim", "ids", "body", "limits", "reach", "lo", "hi"])
+            values = [[x.shape[1]], [ids.tobytes()], [x.tobytes()], [limit.tobytes()], [float(limit.max())], [s.min(0).astype(float).tolist()], [s.max(0).astype(float).tolist()]]
+            types = [pa.int32(), pa.binary(), pa.binary(), pa.binary(), pa.float64(), pa.list_(pa.float64()), pa.list_(pa.float64())]
+            return pa.RecordBatch.from_arrays([pa.array(v, t) for v, t in zip(values, types, strict=True)], names=["dim", "ids", "body", "limits", "reach", "lo", "hi"])
 
         for b in batches:
             for i, x in zip(b.column(0).to_pylist(), b.column(1).to_pylist(), strict=True):
@@ -165,44 +237,36 @@ def exact_top_k(vectors: DataFrame, k: int = 10, id_col: str = "vec_id", vector_
         if waiting:
             yield out()
 
-    blocks = map_batches(ranged.select("id", "x"), packed, "first long, dim int, ids binary, body binary, limits binary, reach double, lo array<double>, hi array<double>")
+    blocks = map_batches(ranged.select("id", "x"), packed, "dim int, ids binary, body binary, limits binary, reach double, lo array<double>, hi array<double>")
     blocks = staged(blocks.withColumn("no", F.monotonically_increasing_id()), "blocks")
-    box = blocks.select("no", "dim", "reach", "lo", "hi")
+    count = blocks.count()
+    tasks = int(spark.conf.get("spark.sql.shuffle.partitions"))
+    groups = max(1, min(count, max(int(np.ceil(np.sqrt(2 * tasks))), -(-count // group_blocks))))
+    placed = staged(row_numbers(blocks.select("no", "dim", "reach", "lo", "hi"), [F.col("no")], "place", count).withColumn("g", F.struct("dim", F.floor((F.col("place") - 1) * groups / count).alias("g"))), "boxes")
+    # boxes of groups: the least and greatest of each entry
+    entry = placed.select("g", "reach", F.posexplode(F.arrays_zip("lo", "hi")).alias("e", "v")).groupBy("g", "e").agg(F.min("v.lo").alias("lo"), F.max("v.hi").alias("hi"), F.max("reach").alias("reach"))
+    box = entry.groupBy("g").agg(F.max("reach").alias("reach"), F.array_sort(F.collect_list(F.struct("e", "lo", "hi"))).alias("v"))
+    box = staged(box.select("g", "reach", F.col("v.lo").alias("lo"), F.col("v.hi").alias("hi")), "groups")
     left, right = box.select(*[F.col(c).alias(f"a_{c}") for c in box.columns]), box.select(*[F.col(c).alias(f"b_{c}") for c in box.columns])
-    apart = F.aggregate(F.zip_with(F.zip_with("a_lo", "b_hi", lambda x, y: x - y), F.zip_with("b_lo", "a_hi", lambda x, y: x - y), lambda x, y: F.greatest(x, y, F.lit(0.0))), F.lit(0.0), lambda s, v: s + v * v)
-    pairs = left.join(right, (F.col("a_dim") == F.col("b_dim")) & (F.col("a_no") <= F.col("b_no")) & (apart <= F.greatest("a_reach", "b_reach") + SLACK)).select("a_no", "b_no")
-    body = ["ids", "body", "limits"]
-    one = blocks.select(F.col("no").alias("a_no"), "dim", *[F.col(c).alias(f"a_{c}") for c in body])
-    two = blocks.select(F.col("no").alias("b_no"), *[F.col(c).alias(f"b_{c}") for c in body])
-    work = pairs.join(one, "a_no").join(two, "b_no").select("a_no", "b_no", "dim", "a_ids", "a_body", "a_limits", "b_ids", "b_body", "b_limits")
-
-    def search(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in batches:
-            for r in batch.to_pylist():
-                same = r["a_no"] == r["b_no"]
-                a = _block(r["a_ids"], r["a_body"], r["dim"])
-                b = a if same else _block(r["b_ids"], r["b_body"], r["dim"], a.x.mean(0))
-                la, lb = np.frombuffer(r["a_limits"]), np.frombuffer(r["b_limits"])
-                found = []
-                for i, j in survivors(a, b, la, lb, same):
-                    d = exact(a, b, i, j)
-                    for q, o, limit in ((i, j, la), (j, i, lb)):
-                        near = ~(d > limit[q] + SLACK)
-                        found.append((q[near] + (0 if q is i else 1 << 40), o[near], d[near]))
-                if not found:
-                    continue
-                q, o, d = (np.concatenate(x) for x in zip(*found, strict=True))
-                side, row = q >> 40, q & ((1 << 40) - 1)
-                other = np.where(side == 0, b.ids[np.minimum(o, len(b.ids) - 1)], a.ids[np.minimum(o, len(a.ids) - 1)])
-                # positions tell rows with one id apart
-                key = np.where(side == 0, row, row + (0 if same else len(a.ids)))
-                key, other, d = best(key, other, d, k)
-                mine = np.concatenate([a.ids, b.ids])[key]
-                block_no = np.where(key < len(a.ids), r["a_no"], r["b_no"])
-                position = np.where(key < len(a.ids), key, key - len(a.ids))
-                yield pa.RecordBatch.from_arrays([pa.array(mine), pa.array(block_no), pa.array(position), pa.array(other), pa.array(d)], names=["id", "no", "at", "neighbour", "d"])
-
-    found = map_batches(work, search, "id long, no long, at long, neighbour long, d double")
+    meet = (F.col("a_g.dim") == F.col("b_g.dim")) & (F.col("a_g.g") <= F.col("b_g.g")) & (F.expr(_APART) <= F.greatest("a_reach", "b_reach") + SLACK)
+    cells = left.join(right, meet).select(F.col("a_g"), F.col("b_g"))
+    cells = staged(cells.withColumn("cell", F.monotonically_increasing_id()), "cells")
+    same = F.col("a_g") == F.col("b_g")
+    to = cells.select(F.col("a_g").alias("g"), "cell", F.when(same, 2).otherwise(0).alias("side")).unionByName(cells.where(~same).select(F.col("b_g").alias("g"), "cell", F.lit(1).alias("side")))
+    work = blocks.join(placed.select("no", "g").join(to, "g").select("no", "cell", "side"), "no").select("cell", "side", "no", "dim", "ids", "body", "limits", "lo", "hi")
+    found = work.groupBy("cell").applyInArrow(_cell_kernel(k, dtype), "no long, at long, neighbour long, d double")
     rank = F.row_number().over(Window.partitionBy("no", "at").orderBy("d", "neighbour"))
     found = found.withColumn("rank", rank).where(F.col("rank") <= k)
-    return found.select(F.col("id").alias(id_col), "rank", "neighbour", F.round(F.sqrt("d"), 6).alias("distance"))
+
+    def identify(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for b in batches:
+            for no, raw in zip(b.column(0).to_pylist(), b.column(1).to_pylist(), strict=True):
+                ids = np.frombuffer(raw, np.int64)
+                yield pa.RecordBatch.from_arrays([pa.array(np.full(len(ids), no)), pa.array(np.arange(len(ids))), pa.array(ids)], names=["no", "at", "id"])
+
+    owner = map_batches(blocks.select("no", "ids"), identify, "no long, at long, id long")
+    out = found.join(owner, ["no", "at"]).select("id", "rank", "neighbour", F.round(F.sqrt("d"), 6).alias("distance"))
+    if names is None:
+        return out.select(F.col("id").cast(id_type).alias(id_col), "rank", F.col("neighbour").cast(id_type).alias("neighbour"), "distance")
+    out = out.join(names.select("id", F.col("own").alias(id_col)), "id").join(names.select(F.col("id").alias("neighbour"), F.col("own").alias("near")), "neighbour")
+    return out.select(id_col, "rank", F.col("near").alias("neighbour"), "distance")
