@@ -2,9 +2,10 @@
 
 The 64-bit hash of a text is its key. The directory has ``2**global_depth`` slots; a slot names a bucket and a
 bucket with more keys than ``capacity`` is split, which doubles the directory when the bucket already uses all of
-its bits. Entry files (bucket, key, rows) are written in key order, so an owner task holds a range of keys. Only
-rows whose key occurs more than once travel, and owners walk them in key order with a chain of the distinct byte
-strings seen under the current key, so equal hashes of different texts stay apart.
+its bits. Buckets are ranges of keys. Each belongs to one owner task, and owners hold runs of buckets of about as many
+keys: entries (owner, bucket, key, rows) are sent to their owners and written in key order, a file an owner. Only rows
+whose key occurs more than once travel; they go to the owner of their bucket, which walks them in key order with a
+chain of the distinct byte strings seen under the current key, so equal hashes of different texts stay apart.
 
 At scale: one scan makes the keys (16 bytes a row are shuffled after a partial count), a second scan fetches the
 texts of repeated keys. Copies within an input batch are merged before the shuffle, so a text that occurs a million
@@ -20,9 +21,13 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from pyspark.sql.pandas.types import to_arrow_type
+
 from cellspace.llm.common import map_batches, maybe_broadcast, staged
 
-KEY, BUCKET, PAYLOAD = "__cs_key", "__cs_bucket", "__cs_row"
+KEY, BUCKET, OWNER = "__cs_key", "__cs_bucket", "__cs_owner"
+#: Least keys of a full bucket; in larger tables buckets are larger, so that the directory stays within 2**20 slots.
+CAPACITY = 4096
 
 
 class ExtendibleDirectory:
@@ -70,60 +75,74 @@ def _prefix(depth: int):
 
 
 class TextIndex:
-    """The index of one table: entry files (bucket, key, rows with it) and the directory."""
+    """The index of one table: the directory, and entry files (owner, bucket, key, rows with it) in key order."""
+
+    def __init__(self, entries: DataFrame, directory: ExtendibleDirectory, repeated: int, owners: int):
+        self.entries, self.directory, self.repeated, self.owners = entries, directory, repeated, owners
+
 
-    def __init__(self, entries: DataFrame, directory: ExtendibleDirectory, repeated: int):
-        self.entries, self.directory, self.repeated = entries, directory, repeated
+def owners_of(d: ExtendibleDirectory, owners: int) -> list[tuple[int, int, int]]:
+    """(slot, bucket, owner) in key order: each owner has a run of whole buckets, of about as many keys as the others."""
+    out, seen, total, last, owner = [], 0, max(1, int(d._sums[-1])), -1, 0
+    for slot, bucket in enumerate(d.slots.tolist()):
+        if bucket != last:
+            owner = min(owners - 1, seen * owners // total)
+            seen, last = seen + d.size(bucket), bucket
+        out.append((slot, bucket, owner))
+    return out
 
-    def slots(self) -> DataFrame:
-        d = self.directory
-        spark = self.entries.sparkSession
-        return spark.createDataFrame([(int(i), int(b)) for i, b in enumerate(d.slots)], f"__cs_slot long, {BUCKET} long")
 
-    def with_bucket(self, df: DataFrame) -> DataFrame:
-        """Adds the bucket; ``df`` has a key."""
-        slot = _prefix(self.directory.global_depth)
-        return df.withColumn("__cs_slot", slot).join(maybe_broadcast(self.slots(), len(self.directory.slots)), "__cs_slot").drop("__cs_slot")
+def _placed(df: DataFrame, d: ExtendibleDirectory, owners: int) -> DataFrame:
+    """Adds bucket and owner; ``df`` has a key."""
+    slots = df.sparkSession.createDataFrame(owners_of(d, owners), f"__cs_slot long, {BUCKET} long, {OWNER} int")
+    slot = _prefix(d.global_depth)
+    return df.withColumn("__cs_slot", slot).join(maybe_broadcast(slots, len(d.slots), 12), "__cs_slot").drop("__cs_slot")
 
 
-def build_index(docs: DataFrame, text_col: str = "text", capacity: int = 65_536) -> TextIndex:
+def build_index(docs: DataFrame, text_col: str = "text", capacity: int | None = None) -> TextIndex:
     """Keys of all texts that aren't null, in entry files of the shared folder."""
+    owners = int(docs.sparkSession.conf.get("spark.sql.shuffle.partitions"))
     keys = docs.select(F.xxhash64(text_col).alias(KEY)).where(F.col(text_col).isNotNull())
-    entries = staged(keys.groupBy(KEY).agg(F.count("*").alias("n")), "entries")
-    total, repeated = entries.agg(F.count("*"), F.count_if(F.col("n") > 1)).first()
+    counts = staged(keys.groupBy(KEY).agg(F.count("*").alias("n")), "keys")
+    total, repeated = counts.agg(F.count("*"), F.count_if(F.col("n") > 1)).first()
+    capacity = max(CAPACITY, total >> 17) if capacity is None else capacity
     depth = min(20, max(0, int(np.ceil(np.log2(max(1, total / capacity)))) + 3)) if total > capacity else 0
-    counts = np.zeros(1 << depth, np.int64)
+    histogram = np.zeros(1 << depth, np.int64)
     if depth:
-        for r in entries.groupBy(_prefix(depth).alias("p")).count().collect():  # at most 2**depth rows
-            counts[r["p"]] = r["count"]
+        for r in counts.groupBy(_prefix(depth).alias("p")).count().collect():  # at most 2**depth rows
+            histogram[r["p"]] = r["count"]
     else:
-        counts[0] = total
-    return TextIndex(entries, ExtendibleDirectory(counts, depth, capacity), repeated or 0)
+        histogram[0] = total
+    directory = ExtendibleDirectory(histogram, depth, capacity)
+    entries = _owned(_placed(counts, directory, owners), owners, []).select(OWNER, BUCKET, KEY, "n")
+    return TextIndex(staged(entries, "entries"), directory, repeated or 0, owners)
 
 
 def _candidates(docs: DataFrame, text_col: str, index: TextIndex) -> tuple[DataFrame, DataFrame]:
-    """(rows whose key repeats, with bucket and key; the other rows)."""
-    repeated = maybe_broadcast(index.entries.where("n > 1").select(KEY), index.repeated)
+    """(rows whose key repeats, with owner, bucket and key; the other rows)."""
+    repeated = maybe_broadcast(index.entries.where("n > 1").select(KEY), index.repeated, 16)
     keyed = docs.withColumn(KEY, F.when(docs[text_col].isNotNull(), F.xxhash64(text_col)))
-    return index.with_bucket(keyed.join(repeated, KEY, "left_semi")), keyed.join(repeated, KEY, "left_anti").drop(KEY)
+    return _placed(keyed.join(repeated, KEY, "left_semi"), index.directory, index.owners), keyed.join(repeated, KEY, "left_anti").drop(KEY)
 
 
-def _owners(df: DataFrame, order: list) -> DataFrame:
-    return df.repartition(BUCKET, KEY).sortWithinPartitions(BUCKET, KEY, *order)
+def _owned(df: DataFrame, owners: int, order: list) -> DataFrame:
+    """Rows at their owners, in the order of unsigned keys."""
+    upper, lower = F.shiftrightunsigned(F.col(KEY), 32), F.col(KEY).bitwiseAND(F.lit(0xFFFFFFFF))
+    return df.repartitionById(owners, F.col(OWNER)).sortWithinPartitions(upper, lower, *order)
 
 
-def _local_groups(id_at: int, text_at: int, key_at: int, bucket_at: int):
+def _local_groups(id_at: int, text_at: int, key_at: int, owner_at: int):
     """Copies within a batch become one row with all their ids."""
 
     def kernel(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in batches:
             groups: dict[tuple, list] = {}
-            rows = zip(b.column(bucket_at).to_pylist(), b.column(key_at).to_pylist(), b.column(text_at).to_pylist(), b.column(id_at).to_pylist(), strict=True)
-            for bucket, key, text, i in rows:
-                groups.setdefault((bucket, key, text), []).append(i)
+            rows = zip(b.column(owner_at).to_pylist(), b.column(key_at).to_pylist(), b.column(text_at).to_pylist(), b.column(id_at).to_pylist(), strict=True)
+            for owner, key, text, i in rows:
+                groups.setdefault((owner, key, text), []).append(i)
             if groups:
                 ks = list(groups)
-                yield pa.RecordBatch.from_arrays([pa.array([k[j] for k in ks], t) for j, t in ((0, pa.int64()), (1, pa.int64()), (2, pa.string()))] + [pa.array(list(groups.values()), pa.list_(b.schema.field(id_at).type))], names=[BUCKET, KEY, "text", "ids"])
+                yield pa.RecordBatch.from_arrays([pa.array([k[j] for k in ks], t) for j, t in ((0, pa.int32()), (1, pa.int64()), (2, pa.string()))] + [pa.array(list(groups.values()), pa.list_(b.schema.field(id_at).type))], names=[OWNER, KEY, "text", "ids"])
 
     return kernel
 
@@ -159,22 +178,23 @@ def _chain_groups(id_type: pa.DataType, step: int = 100_000):
     return kernel
 
 
-def exact_groups(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", capacity: int = 65_536) -> DataFrame:
+def exact_groups(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", capacity: int | None = None) -> DataFrame:
     """A row for each document: its id, ``keep_id`` (least id with the same bytes), ``copies`` (rows with these
     bytes) and ``is_copy`` (all but the first in id order).
 
     Null texts equal nothing: they keep themselves, with ``copies`` 1. Empty texts equal one another. Null ids sort
-    last; a group of null ids only has a null ``keep_id``. Repeated rows count as copies. An empty table gives none.
+    last; a group of null ids only has a null ``keep_id``. Repeated rows count as copies. Ids may be
+    of any type that can be ordered. An empty table gives none.
     """
     docs = docs.select(F.col(id_col).alias("id"), F.col(text_col).alias("text"))
     id_type = docs.schema["id"].dataType.simpleString()
-    arrow = {"bigint": pa.int64(), "int": pa.int32(), "string": pa.string()}[id_type]
+    arrow = to_arrow_type(docs.schema["id"].dataType)
     index = build_index(docs, "text", capacity)
     twice, once = _candidates(docs, "text", index)
     single = once.select("id", F.col("id").alias("keep_id"), F.lit(1).cast("long").alias("copies"), F.lit(False).alias("is_copy"))
-    twice = twice.select("id", "text", KEY, BUCKET)
-    merged = map_batches(twice, _local_groups(0, 1, 2, 3), f"{BUCKET} long, {KEY} long, text string, ids array<{id_type}>")
-    found = map_batches(_owners(merged, []), _chain_groups(arrow), f"id {id_type}, keep_id {id_type}, copies long, is_copy boolean")
+    twice = twice.select("id", "text", KEY, OWNER)
+    merged = map_batches(twice, _local_groups(0, 1, 2, 3), f"{OWNER} int, {KEY} long, text string, ids array<{id_type}>")
+    found = map_batches(_owned(merged, index.owners, []), _chain_groups(arrow), f"id {id_type}, keep_id {id_type}, copies long, is_copy boolean")
     return single.unionByName(found).withColumnRenamed("id", id_col)
 
 
@@ -214,12 +234,16 @@ def _first_in_batch(key_at: int, text_at: int, id_at: int):
     return kernel
 
 
-def drop_copies(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", capacity: int = 65_536) -> DataFrame:
-    """``docs`` with one row of each distinct text, that of the least id (nulls last); null texts all stay."""
+def drop_copies(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", capacity: int | None = None) -> DataFrame:
+    """``docs`` with one row of each distinct text, that of the least id (nulls last); all columns stay.
+
+    Null texts equal nothing and all stay; of empty texts one stays. Of repeated rows one stays. An empty table stays
+    empty.
+    """
     index = build_index(docs, text_col, capacity)
     twice, once = _candidates(docs, text_col, index)
     names, schema = twice.columns, twice.schema
     at = [names.index(c) for c in (KEY, text_col, id_col)]
     twice = map_batches(twice, _first_in_batch(*at), schema)
-    kept = map_batches(_owners(twice, [F.col(id_col).asc_nulls_last()]), _first_of_each(*at[:2]), schema)
-    return once.unionByName(kept.drop(KEY, BUCKET))
+    kept = map_batches(_owned(twice, index.owners, [F.col(id_col).asc_nulls_last()]), _first_of_each(*at[:2]), schema)
+    return once.unionByName(kept.drop(KEY, BUCKET, OWNER))
