@@ -1,16 +1,16 @@
 """Best-fit packing of documents into sequences, in bulk-synchronous rounds.
 
-A document takes as many places as its text has bytes; one longer than a sequence is cut into full sequences and a
+A document takes as many places as its text has tokens; one longer than a sequence is cut into full sequences and a
 rest, so nothing is lost. Rests and short documents are items. Items are range-sorted by size (equal sizes by hash)
 into homes of about ``HOME_ITEMS``. In each round the open gaps are sorted too and matched with the homes' unplaced
 volume by successor: from the largest sizes down, each home is given the smallest gaps that are no smaller than its
 items; gaps of equal size are told apart by rank. Each home then sweeps its items from large to small, putting each
-into the smallest gap that takes it and updating that gap. Rounds repeat with what is left. When no gap fits,
-the homes with the larger half of the volume open sequences, whose gaps the smaller items see in the next round; items
-over half a sequence open theirs at once, as no two of them share one.
+into the smallest gap that takes it and updating that gap. Rounds repeat with what is left, until nothing is. When no
+gap fits, the homes with the larger half of the volume open sequences, whose gaps the smaller items see in the next
+round; items over half a sequence open theirs at once, as no two of them share one.
 
-The driver sees a histogram of gaps (at most ``capacity`` rows) and one row for each home. What is shuffled is a few
-numbers for each item.
+The driver sees a histogram of gaps (at most ``capacity`` rows) and one row for each home, and gives back runs of ranks.
+What is shuffled is a few numbers for each item.
 """
 
 from __future__ import annotations
@@ -21,12 +21,15 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
+from pyspark.sql.pandas.types import to_arrow_type
 from pyspark.sql.window import Window
 
-from cellspace.llm.common import maybe_broadcast, staged
+from cellspace.llm.bpe import bpe_encode, token_counts
+from cellspace.llm.common import maybe_broadcast, staged, tokenizer_path
 
-#: Places of a sequence: bytes of text (2,048 tokens at 4 bytes each).
-CAPACITY = 8192
+#: Places of a sequence, in tokens.
+CAPACITY = 2048
+VOCABULARY = tokenizer_path("byte_bpe_50k.tiktoken")
 HOME_ITEMS = 50_000
 
 
@@ -77,32 +80,45 @@ def assign_gaps(histogram: dict[int, int], volumes: list[tuple[int, int, int, in
     return out
 
 
-def best_fit_pack(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", capacity: int = CAPACITY, home_items: int = HOME_ITEMS, rounds: int = 12) -> DataFrame:
-    """(id, piece, bin_id, start, length): where each piece of each document lies. Piece k holds the bytes from
-    ``k * capacity`` on.
+def best_fit_pack(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", capacity: int = CAPACITY, home_items: int = HOME_ITEMS, vocabulary: str = VOCABULARY) -> DataFrame:
+    """(id, piece, bin_id, start, length): where each piece of each document lies, in tokens. Piece k holds the tokens
+    from ``k * capacity`` on.
 
     Null and empty texts take no place: one row with piece 0, a null bin, start null and length 0. Null ids are packed
-    as any other; repeated rows are packed each. An empty table gives none.
+    as any other, of any type; repeated rows are packed each. An empty table gives none.
     """
-    sized = docs.select(F.col(id_col).alias("id"), F.coalesce(F.octet_length(text_col), F.lit(0)).cast("long").alias("n"))
+    counted = token_counts(docs, id_col, text_col, vocabulary).select("id", F.col("tokens").alias("n"))
+    # row: tells equal ids apart; only its value within one written table matters
+    sized = staged(counted.withColumn("row", F.monotonically_increasing_id()), "sizes")
+    return _packed(sized, capacity, home_items).drop("row").withColumnRenamed("id", id_col)
+
+
+def packed_sequences(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", capacity: int = CAPACITY, home_items: int = HOME_ITEMS, vocabulary: str = VOCABULARY) -> DataFrame:
+    """(bin_id, tokens, ids, lengths): the sequences themselves, with the documents they hold in order and how many
+    tokens of each. Documents without tokens are in none."""
+    coded = bpe_encode(docs, id_col, text_col, vocabulary).select(F.col(id_col).alias("id"), "tokens")
+    coded = staged(coded.withColumn("row", F.monotonically_increasing_id()), "coded")
+    where = _packed(coded.select("id", F.coalesce(F.size("tokens"), F.lit(0)).cast("long").alias("n"), "row"), capacity, home_items)
+    part = where.where("length > 0").join(coded.select("row", "tokens"), "row")
+    part = part.select("bin_id", F.struct("start", "id", "length", F.slice("tokens", F.col("piece") * capacity + 1, F.col("length")).alias("t")).alias("p"))
+    bins = part.groupBy("bin_id").agg(F.sort_array(F.collect_list("p")).alias("p"))
+    return bins.select("bin_id", F.flatten(F.col("p.t")).alias("tokens"), F.col("p.id").alias("ids"), F.col("p.length").alias("lengths"))
+
+
+def _packed(sized: DataFrame, capacity: int, home_items: int) -> DataFrame:
+    """(id, row, piece, bin_id, start, length) from the written table (id, n, row)."""
     id_type = sized.schema["id"].dataType
+    sized = sized.withColumn("n", F.greatest("n", F.lit(0)))
     whole, rest = F.floor(F.col("n") / capacity), F.col("n") % capacity
-    # row: tells equal ids apart; only its value within one written table matters
-    sized = staged(sized.withColumn("row", F.monotonically_increasing_id()), "sizes")
-    empty = sized.where("n = 0").select("id", F.lit(0).alias("piece"), F.lit(None).cast("string").alias("bin_id"), F.lit(None).cast("int").alias("start"), F.lit(0).alias("length"))
+    empty = sized.where("n = 0").select("id", "row", F.lit(0).alias("piece"), F.lit(None).cast("string").alias("bin_id"), F.lit(None).cast("int").alias("start"), F.lit(0).alias("length"))
     full = sized.where(F.col("n") >= capacity).select("id", "row", F.explode(F.sequence(F.lit(0), (whole - 1).cast("int"))).alias("piece"))
-    full = full.select("id", "piece", F.concat_ws("-", F.lit("full"), "row", "piece").alias("bin_id"), F.lit(0).alias("start"), F.lit(capacity).alias("length"))
+    full = full.select("id", "row", "piece", F.concat_ws("-", F.lit("full"), "row", "piece").alias("bin_id"), F.lit(0).alias("start"), F.lit(capacity).alias("length"))
     items = sized.where(rest > 0).select("id", "row", whole.cast("int").alias("piece"), rest.cast("int").alias("size"))
     items = items.withColumn("key", F.col("size") * 65536 + F.pmod(F.xxhash64("row"), F.lit(65536)))
-    count = items.count()
-    homes = max(1, -(-count // home_items))
-    edges = sorted(set(items.approxQuantile("key", [k / homes for k in range(1, homes)], 0.1 / homes))) if homes > 1 else []
-    home = F.lit(0)
-    for at in range(0, len(edges), 500):  # number of edges below the key
-        home = home + F.size(F.filter(F.array(*[F.lit(float(e)) for e in edges[at : at + 500]]), lambda e: e < F.col("key")))
-    items = items.select("id", "row", "piece", "size", home.alias("home"))
-
-    spark = docs.sparkSession
+    homes = max(1, -(-items.count() // home_items))
+    items = staged(items.repartitionByRange(homes, "key").select("id", "row", "piece", "size", F.spark_partition_id().alias("home")), "items")
+
+    spark = sized.sparkSession
     out_type = T.StructType([T.StructField("kind", T.IntegerType()), T.StructField("id", id_type), T.StructField("row", T.LongType()), T.StructField("piece", T.IntegerType()), T.StructField("size", T.IntegerType()), T.StructField("home", T.IntegerType()), T.StructField("bin_id", T.StringType()), T.StructField("start", T.IntegerType())])
     nothing = {"id": F.lit(None).cast(id_type), "row": F.lit(None).cast("long"), "piece": F.lit(None).cast("int"), "bin_id": F.lit(None).cast("string"), "start": F.lit(None).cast("int")}
     placed, gaps, number, stuck = [], None, 0, False
@@ -116,16 +132,16 @@ def best_fit_pack(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text
             if plan:
                 ranked = gaps.withColumn("rank", F.row_number().over(Window.partitionBy("size").orderBy("bin_id")) - 1)
                 table = spark.createDataFrame(plan, "g int, first long, past long, to int")
-                ranked = ranked.join(maybe_broadcast(table, len(plan)), (F.col("size") == F.col("g")) & (F.col("rank") >= F.col("first")) & (F.col("rank") < F.col("past")), "left")
+                ranked = ranked.join(maybe_broadcast(table, len(plan), 24), (F.col("size") == F.col("g")) & (F.col("rank") >= F.col("first")) & (F.col("rank") < F.col("past")), "left")
                 ranked = staged(ranked.select("size", "bin_id", F.col("to").alias("home")), "gaps")
                 idle = ranked.where("home is null").select("size", "bin_id")
                 state = state.unionByName(ranked.where("home is not null").select(F.lit(1).alias("kind"), "size", "home", "bin_id", *[nothing[c].alias(c) for c in ("id", "row", "piece", "start")]))
             else:  # no gap fits: the homes with the larger half of the volume open sequences
                 idle, total = gaps, sum(v[3] for v in volumes)
                 for v in sorted(volumes, key=lambda v: -v[2]):
-                    if number >= rounds or not may_open or 2 * sum(x[3] for x in volumes if x[0] in may_open) < total:
+                    if not may_open or 2 * sum(x[3] for x in volumes if x[0] in may_open) < total:
                         may_open.add(v[0])
-        done = staged(state.groupBy("home").applyInArrow(_home_kernel(capacity, may_open, number, pa_type(id_type)), out_type), "round")
+        done = staged(state.groupBy("home").applyInArrow(_home_kernel(capacity, may_open, number, to_arrow_type(id_type)), out_type), "round")
         placed.append(done.where("kind = 2"))
         items = done.where("kind = 0").select("id", "row", "piece", "size", "home")
         gaps = done.where("kind = 1").select("size", "bin_id")
@@ -136,14 +152,10 @@ def best_fit_pack(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text
             break
         stuck = bool(number) and not counts.get(2)
         number += 1
-    found = empty.unionByName(full.select("id", F.col("piece").cast("int"), "bin_id", "start", "length"))
+    found = empty.unionByName(full)
     for p in placed:
-        found = found.unionByName(p.select("id", "piece", "bin_id", "start", F.col("size").alias("length")))
-    return found.withColumnRenamed("id", id_col)
-
-
-def pa_type(kind: T.DataType) -> pa.DataType:
-    return {"bigint": pa.int64(), "int": pa.int32(), "string": pa.string()}[kind.simpleString()]
+        found = found.unionByName(p.select("id", "row", "piece", "bin_id", "start", F.col("size").alias("length")))
+    return found
 
 
 def _home_kernel(capacity: int, may_open: set[int], number: int, id_type: pa.DataType):

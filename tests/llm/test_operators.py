@@ -363,16 +363,45 @@ def _check_packing(out, sizes, capacity):
 @pytest.mark.parametrize("home", [50_000, 40])
 def test_packing(spark, home):
     rng = np.random.default_rng(7)
-    rows = [(i, "x" * int(n)) for i, n in enumerate(rng.integers(0, 260, 400))] + [(400, None), (401, "é" * 500)]
-    out = packing.best_fit_pack(frame(spark, rows), capacity=100, home_items=home).collect()
-    sizes = {i: len((t or "").encode()) for i, t in rows}
+    rows = [(i, words(int(n), i)) for i, n in enumerate(rng.integers(0, 90, 400))] + [(400, None), (401, "é" * 500)]
+    df = frame(spark, rows)
+    out = packing.best_fit_pack(df, capacity=100, home_items=home).collect()
+    encode = encoding(VOCAB).encode_ordinary
+    sizes = {i: len(encode(t or "")) for i, t in rows}
     n = _check_packing(out, sizes, 100)
     rest = sorted((s % 100 for s in sizes.values() if s % 100), reverse=True)
-    best = sum(s // 100 for s in sizes.values()) + len(packing.sweep(rest, [], 100, True)[1])
-    assert n <= best * 1.05
+    best = sum(s // 100 for s in sizes.values()) + _best_fit_decreasing(rest, 100)
+    assert n <= best * 1.05 and max(sizes.values()) > 200
     assert packing.best_fit_pack(frame(spark, [])).count() == 0
 
 
+def _best_fit_decreasing(sizes, capacity):
+    """The number of bins of the plain method: each size into the fullest bin that takes it."""
+    left = []
+    for s in sorted(sizes, reverse=True):
+        fits = [k for k, g in enumerate(left) if g >= s]
+        if fits:
+            left[min(fits, key=lambda k: left[k])] -= s
+        else:
+            left.append(capacity - s)
+    return len(left)
+
+
+def test_packed_sequences_hold_all_tokens(spark):
+    rows = [(1, words(130)), (1, words(20, 3)), (None, words(33, 4)), (5, ""), (6, None), (7, "日本 " * 90), (8, words(20, 3))]
+    encode = encoding(VOCAB).encode_ordinary
+    got = {}
+    for r in packing.packed_sequences(frame(spark, rows), capacity=64).collect():
+        assert len(r.tokens) == sum(r.lengths) <= 64
+        at = 0
+        for i, n in zip(r.ids, r.lengths, strict=True):
+            got.setdefault(i, []).append(tuple(r.tokens[at : at + n]))
+            at += n
+    for i in {i for i, _ in rows}:
+        want = [tuple(e[k : k + 64]) for j, t in rows if j == i for e in [encode(t or "")] for k in range(0, len(e), 64)]
+        assert sorted(got.get(i, [])) == sorted(want)
+
+
 def test_sweep_takes_the_smallest_gap():
     where, left = packing.sweep([5, 3], [9, 6, 3], 10, True)
     assert where == [(1, 4), (2, 7)] and left == [9, 1, 0]
