@@ -20,19 +20,16 @@ import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
+from pyspark.sql.window import Window
 
-from cellspace.llm.common import WordIds, folded_words, map_batches, mix, pieces, word_hashes
+from cellspace.llm.common import WordIds, folded_words, map_batches, maybe_broadcast, mix, pieces, staged, word_hashes
 
 DIMS = 1 << 16
 TRAIN_PER_LANG = 250
 STEPS, LANES, LENGTH = 150, 64, 32
-#: Bytes of a word that features see; of a longer one the first and last halves.
-SEEN = 48
 
 
 def byte_table(words: list[bytes]) -> tuple[np.ndarray, np.ndarray]:
-    half = SEEN // 2
-    words = [w if len(w) <= SEEN else w[:half] + w[-half:] for w in words]
     n = np.fromiter(map(len, words), np.int64, len(words))
     width = int(n.max()) if len(n) else 1
     data = np.frombuffer(b"".join([w.ljust(width, b"\0") for w in words]), np.uint8).reshape(len(words), width)
@@ -40,9 +37,15 @@ def byte_table(words: list[bytes]) -> tuple[np.ndarray, np.ndarray]:
 
 
 def feature_columns(words: list[bytes], lexicon: dict[bytes, int]) -> Iterator[tuple[np.ndarray, np.ndarray]]:
-    """(rows, hashed feature of each): one kind of feature after the other."""
-    if not words:
-        return
+    """(rows, hashed feature of each): one kind of feature after the other, of words of like length together."""
+    width = np.fromiter((max(5, len(w).bit_length()) for w in words), np.int64, len(words))
+    for k in np.unique(width):
+        at = np.flatnonzero(width == k)
+        for rows, feature in _features([words[i] for i in at], lexicon):
+            yield at[rows], feature
+
+
+def _features(words: list[bytes], lexicon: dict[bytes, int]) -> Iterator[tuple[np.ndarray, np.ndarray]]:
     data, n = byte_table(words)
     every = np.arange(len(words))
 
@@ -207,19 +210,17 @@ def train(docs: dict[str, list[list[bytes]]], steps: int = STEPS, seed: int = 0)
 
 
 def fit_languages(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", lang_col: str = "lang", per_lang: int = TRAIN_PER_LANG, steps: int = STEPS) -> LanguageModel:
-    """Fits to documents with a language; null ids, texts and languages are left out."""
+    """Fits to ``per_lang`` documents of each language, in the order of a hash of their ids; null ids, texts and
+    languages are left out, of rows with one id and language the least text counts. Without any the model knows one
+    language, "und"."""
     ids = docs.select(F.col(id_col).alias("id"), F.col(lang_col).alias("lang")).where(F.col("id").isNotNull() & F.col("lang").isNotNull() & F.col(text_col).isNotNull())
-    langs = [r["lang"] for r in ids.groupBy("lang").count().orderBy("lang").collect()]
-    h = F.xxhash64("id")
-    chosen = None
-    for g in langs:
-        mine = ids.where(F.col("lang") == g).orderBy(h, "id").limit(per_lang)
-        chosen = mine if chosen is None else chosen.union(mine)
+    place = F.row_number().over(Window.partitionBy("lang").orderBy(F.xxhash64("id"), "id"))
+    chosen = staged(ids.withColumn("place", place).where(F.col("place") <= per_lang).select("id", "lang").distinct(), "chosen")
     sample: dict[str, dict] = defaultdict(dict)
-    if chosen is not None:
-        text = docs.select(F.col(id_col).alias("id"), F.col(text_col).alias("text"))
-        for r in text.join(F.broadcast(chosen.distinct()), "id").toLocalIterator():
-            sample[r["lang"]].setdefault(r["id"], folded_words(r["text"] or ""))
+    text = docs.select(F.col(id_col).alias("id"), F.col(text_col).alias("text")).where("text is not null")
+    found = text.join(maybe_broadcast(chosen, chosen.count(), 32), "id").groupBy("lang", "id").agg(F.min("text").alias("text"))
+    for r in found.toLocalIterator():
+        sample[r["lang"]][r["id"]] = folded_words(r["text"])
     pools = {g: [d[i] for i in sorted(d)] for g, d in sample.items()}
     if not any(any(p) for p in pools.values()):
         return LanguageModel(["und"], np.zeros((DIMS, 1), np.float32), np.zeros((1, 1), np.float32), {})

@@ -13,6 +13,7 @@ others.
 
 from __future__ import annotations
 
+import math
 import re
 from collections.abc import Iterator
 from dataclasses import dataclass, field
@@ -25,24 +26,25 @@ from cellspace.llm.common import map_batches, pieces
 
 TEMPLATES: dict[str, str] = {
     "apache-2.0-notice": 'Licensed under the Apache License<<beginOptional>>, Version 2.0<<endOptional>><<beginOptional>> (the "License")<<endOptional>>',
-    "apache-2.0-header": 'Licensed under the Apache License, Version 2.0 (the "License"); you may not use this file except in compliance with the License. You may obtain a copy of the License at <<var;name="url";original="http";match=".{1,200}">> Unless required by applicable law or agreed to in writing, software distributed under the License is distributed on an "AS IS" BASIS, WITHOUT WARRANTIES OR CONDITIONS OF ANY KIND, either express or implied.',
+    "apache-2.0-header": 'Licensed under the Apache License, Version 2.0 (the "License"); you may not use this file except in compliance with the License. You may obtain a copy of the License at <<var;name="url";original="http";match=".{1,200}">> Unless required by applicable law or agreed to in writing, software distributed under the License is distributed on an "AS IS" BASIS, WITHOUT WARRANTIES OR CONDITIONS OF ANY KIND, either express or implied. See the License for the specific language governing permissions and limitations under the License.',
     "mit-notice": '<<beginOptional>>This <<var;name="thing";original="work";match="[a-z ]{1,40}">> is <<endOptional>><<var;name="verb";original="released";match="released|licensed|distributed|available">> under the <<beginOptional>>terms of the <<endOptional>>MIT License',
-    "mit-text": 'Permission is hereby granted, free of charge, to any person obtaining a copy of <<var;name="what";original="this software";match=".{1,120}">> and associated documentation files (the "Software"), to deal in the Software without restriction, including without limitation the rights to use, copy, modify, merge, publish, distribute, sublicense, and/or sell copies of the Software, and to permit persons to whom the Software is furnished to do so, subject to the following conditions: The above copyright notice and this permission notice <<beginOptional>>(including the next paragraph)<<endOptional>> shall be included in all copies or substantial portions of the Software.',
-    "isc-text": "Permission to use, copy, modify, and<<beginOptional>>/or<<endOptional>> distribute this software for any purpose with or without fee is hereby granted, provided that the above copyright notice and this permission notice appear in all copies.",
-    "bsd-conditions": 'Redistribution and use in source and binary forms, with or without modification, are permitted provided that the following conditions are met: <<beginOptional>>1. <<endOptional>>Redistributions of source code must retain the above copyright notice, this list of conditions and the following disclaimer. <<beginOptional>>2. <<endOptional>>Redistributions in binary form must reproduce the above copyright notice, this list of conditions and the following disclaimer in the documentation and/or other materials provided with the distribution.<<beginOptional>> <<beginOptional>>3. <<endOptional>>Neither the name of <<var;name="owner";original="the copyright holder";match=".{1,120}">> nor the names of its contributors may be used to endorse or promote products derived from this software without specific prior written permission.<<endOptional>>',
+    "mit-text": 'Permission is hereby granted, free of charge, to any person obtaining a copy of <<var;name="what";original="this software";match=".{1,120}">> and associated documentation files (the "Software"), to deal in the Software without restriction, including without limitation the rights to use, copy, modify, merge, publish, distribute, sublicense, and/or sell copies of the Software, and to permit persons to whom the Software is furnished to do so, subject to the following conditions: The above copyright notice and this permission notice <<beginOptional>>(including the next paragraph)<<endOptional>> shall be included in all copies or substantial portions of the Software. THE SOFTWARE IS PROVIDED "AS IS", WITHOUT WARRANTY OF ANY KIND, EXPRESS OR IMPLIED, INCLUDING BUT NOT LIMITED TO THE WARRANTIES OF MERCHANTABILITY, FITNESS FOR A PARTICULAR PURPOSE AND NONINFRINGEMENT. IN NO EVENT SHALL <<var;name="holders";original="THE AUTHORS OR COPYRIGHT HOLDERS";match=".{1,160}">> BE LIABLE FOR ANY CLAIM, DAMAGES OR OTHER LIABILITY, WHETHER IN AN ACTION OF CONTRACT, TORT OR OTHERWISE, ARISING FROM, OUT OF OR IN CONNECTION WITH THE SOFTWARE OR THE USE OR OTHER DEALINGS IN THE SOFTWARE.',
+    "isc-text": 'Permission to use, copy, modify, and<<beginOptional>>/or<<endOptional>> distribute this software for any purpose with or without fee is hereby granted, provided that the above copyright notice and this permission notice appear in all copies. THE SOFTWARE IS PROVIDED "AS IS" AND <<var;name="holder";original="THE AUTHOR";match=".{1,160}">> DISCLAIMS ALL WARRANTIES WITH REGARD TO THIS SOFTWARE INCLUDING ALL IMPLIED WARRANTIES OF MERCHANTABILITY AND FITNESS. IN NO EVENT SHALL <<var;name="holder";original="THE AUTHOR";match=".{1,160}">> BE LIABLE FOR ANY SPECIAL, DIRECT, INDIRECT, OR CONSEQUENTIAL DAMAGES OR ANY DAMAGES WHATSOEVER RESULTING FROM LOSS OF USE, DATA OR PROFITS, WHETHER IN AN ACTION OF CONTRACT, NEGLIGENCE OR OTHER TORTIOUS ACTION, ARISING OUT OF OR IN CONNECTION WITH THE USE OR PERFORMANCE OF THIS SOFTWARE.',
+    "bsd-text": 'Redistribution and use in source and binary forms, with or without modification, are permitted provided that the following conditions are met: <<beginOptional>>1. <<endOptional>>Redistributions of source code must retain the above copyright notice, this list of conditions and the following disclaimer. <<beginOptional>>2. <<endOptional>>Redistributions in binary form must reproduce the above copyright notice, this list of conditions and the following disclaimer in the documentation and/or other materials provided with the distribution.<<beginOptional>> <<beginOptional>>3. <<endOptional>>Neither the name of <<var;name="owner";original="the copyright holder";match=".{1,120}">> nor the names of its contributors may be used to endorse or promote products derived from this software without specific prior written permission.<<endOptional>> THIS SOFTWARE IS PROVIDED BY <<var;name="by";original="THE COPYRIGHT HOLDERS AND CONTRIBUTORS";match=".{1,160}">> "AS IS" AND ANY EXPRESS OR IMPLIED WARRANTIES, INCLUDING, BUT NOT LIMITED TO, THE IMPLIED WARRANTIES OF MERCHANTABILITY AND FITNESS FOR A PARTICULAR PURPOSE ARE DISCLAIMED. IN NO EVENT SHALL <<var;name="who";original="THE COPYRIGHT HOLDER OR CONTRIBUTORS";match=".{1,160}">> BE LIABLE FOR ANY DIRECT, INDIRECT, INCIDENTAL, SPECIAL, EXEMPLARY, OR CONSEQUENTIAL DAMAGES (INCLUDING, BUT NOT LIMITED TO, PROCUREMENT OF SUBSTITUTE GOODS OR SERVICES; LOSS OF USE, DATA, OR PROFITS; OR BUSINESS INTERRUPTION) HOWEVER CAUSED AND ON ANY THEORY OF LIABILITY, WHETHER IN CONTRACT, STRICT LIABILITY, OR TORT (INCLUDING NEGLIGENCE OR OTHERWISE) ARISING IN ANY WAY OUT OF THE USE OF THIS SOFTWARE, EVEN IF ADVISED OF THE POSSIBILITY OF SUCH DAMAGE.',
+    "zlib-text": "This software is provided 'as-is', without any express or implied warranty. In no event will the <<var;name=\"who\";original=\"authors\";match=\".{1,80}\">> be held liable for any damages arising from the use of this software. Permission is granted to anyone to use this software for any purpose, including commercial applications, and to alter it and redistribute it freely, subject to the following restrictions: <<beginOptional>>1. <<endOptional>>The origin of this software must not be misrepresented; you must not claim that you wrote the original software. If you use this software in a product, an acknowledgment in the product documentation would be appreciated but is not required. <<beginOptional>>2. <<endOptional>>Altered source versions must be plainly marked as such, and must not be misrepresented as being the original software. <<beginOptional>>3. <<endOptional>>This notice may not be removed or altered from any source distribution.",
     "gpl-notice": '<<beginOptional>>This <<var;name="thing";original="work";match="[a-z ]{1,40}">> is <<endOptional>>licensed under the <<beginOptional>>terms of the <<endOptional>>GNU <<beginOptional>><<var;name="kind";original="Lesser";match="lesser|affero|library">> <<endOptional>>General Public License<<beginOptional>>, <<endOptional>><<beginOptional>>version <<var;name="n";original="3";match="[0-9.]{1,4}">><<endOptional>><<beginOptional>> or <<beginOptional>>(at your option) <<endOptional>>any later version<<endOptional>>',
-    "gpl-header": 'This program is free software<<beginOptional>>:<<endOptional>> you can redistribute it and/or modify it under the terms of the GNU General Public License as published by the Free Software Foundation, either version <<var;name="n";original="3";match="[0-9.]{1,4}">> of the License, or (at your option) any later version.',
+    "gpl-header": 'This program is free software<<beginOptional>>:<<endOptional>> you can redistribute it and/or modify it under the terms of the GNU General Public License as published by the Free Software Foundation, either version <<var;name="n";original="3";match="[0-9.]{1,4}">> of the License, or (at your option) any later version. This program is distributed in the hope that it will be useful, but WITHOUT ANY WARRANTY; without even the implied warranty of MERCHANTABILITY or FITNESS FOR A PARTICULAR PURPOSE. See the GNU General Public License for more details.',
     "cc-notice": '<<beginOptional>>This <<var;name="thing";original="work";match="[a-z ]{1,40}">> is <<endOptional>>licensed under <<beginOptional>>a <<endOptional>><<beginOptional>>the <<endOptional>><<var;name="family";original="CC";match="cc|creative commons( attribution)?">> <<var;name="kind";original="BY";match="by( nc)?( sa| nd)?|0|attribution[a-z 0-9.]{0,60}">> <<var;name="n";original="4.0";match="[1-4]\\.[05]">><<beginOptional>> International<<endOptional>><<beginOptional>> License<<endOptional>>',
     "mpl-2.0-notice": "This Source Code Form is subject to the terms of the Mozilla Public License, v. 2.0.",
-    "unlicense": "This is free and unencumbered software released into the public domain.",
+    "unlicense-notice": "This is free and unencumbered software released into the public domain.",
+    "unlicense-text": 'This is free and unencumbered software released into the public domain. Anyone is free to copy, modify, publish, use, compile, sell, or distribute this software, either in source code form or as a compiled binary, for any purpose, commercial or non-commercial, and by any means. In jurisdictions that recognize copyright laws, the author or authors of this software dedicate any and all copyright interest in the software to the public domain. We make this dedication for the benefit of the public at large and to the detriment of our heirs and successors. We intend this dedication to be an overt act of relinquishment in perpetuity of all present and future rights to this software under copyright law. THE SOFTWARE IS PROVIDED "AS IS", WITHOUT WARRANTY OF ANY KIND, EXPRESS OR IMPLIED, INCLUDING BUT NOT LIMITED TO THE WARRANTIES OF MERCHANTABILITY, FITNESS FOR A PARTICULAR PURPOSE AND NONINFRINGEMENT. IN NO EVENT SHALL THE AUTHORS BE LIABLE FOR ANY CLAIM, DAMAGES OR OTHER LIABILITY, WHETHER IN AN ACTION OF CONTRACT, TORT OR OTHERWISE, ARISING FROM, OUT OF OR IN CONNECTION WITH THE SOFTWARE OR THE USE OR OTHER DEALINGS IN THE SOFTWARE.',
+    "bsl-1.0-text": 'Permission is hereby granted, free of charge, to any person or organization obtaining a copy of the software and accompanying documentation covered by this license (the "Software") to use, reproduce, display, distribute, execute, and transmit the Software, and to prepare derivative works of the Software, and to permit third-parties to whom the Software is furnished to do so, all subject to the following: The copyright notices in the Software and this entire statement, including the above license grant, this restriction and the following disclaimer, must be included in all copies of the Software, in whole or in part, and all derivative works of the Software, unless such copies or derivative works are solely in the form of machine-executable object code generated by a source language processor.',
 }
 
 _TOKEN = re.compile(r"\d+(?:\.\d+)+|\w+", re.UNICODE)
 _MARK = re.compile(r"<<(beginOptional|endOptional|var;[^>]*)>>")
 _FIELD = re.compile(r'(\w+)="([^"]*)"')
 _SAME = {"licence": "license", "licenced": "licensed", "licences": "licenses", "sub": "sub", "sublicence": "sublicense"}
-#: Longest run of tokens that a replaceable region may take.
-VAR_TOKENS = 40
 
 
 def fold(token: str) -> str:
@@ -58,11 +60,11 @@ def tokens_at(text: str) -> tuple[list[str], list[int], list[int]]:
 @dataclass
 class TokenAutomaton:
     """State 0 is the start, ``end`` accepts. ``step[s]`` is (token, next), ``empty[s]`` lists next states, ``loop[s]``
-    is (pattern, next) of a replaceable region."""
+    is (pattern, next, most characters that the pattern can match) of a replaceable region."""
 
     step: dict[int, tuple[str, int]] = field(default_factory=dict)
     empty: dict[int, list[int]] = field(default_factory=dict)
-    loop: dict[int, tuple[re.Pattern, int]] = field(default_factory=dict)
+    loop: dict[int, tuple[re.Pattern, int, float]] = field(default_factory=dict)
     end: int = 0
     mandatory: list[str] = field(default_factory=list)
 
@@ -96,10 +98,11 @@ class TokenAutomaton:
                 if s in self.step and self.step[s][0] == token:
                     moved.add(self.step[s][1])
             for s, since in open_vars:
-                pattern, nxt = self.loop[s]
-                if pattern.fullmatch(" ".join(tokens[since : k + 1])):
+                pattern, nxt, most = self.loop[s]
+                filling = " ".join(tokens[since : k + 1])
+                if pattern.fullmatch(filling):
                     moved.add(nxt)
-                if k + 1 - since < VAR_TOKENS:
+                if len(filling) < most:
                     kept.add((s, since))
             k += 1
             plain, open_vars = self.closure(moved), kept
@@ -107,6 +110,12 @@ class TokenAutomaton:
                 open_vars.add((s, k))
 
 
+def _most(pattern: str) -> float:
+    """Characters of the longest text that a pattern matches."""
+    most = re._parser.parse(pattern).getwidth()[1]
+    return math.inf if most >= re._constants.MAXREPEAT else most
+
+
 def compile_template(markup: str) -> TokenAutomaton:
     a, state, opened, at = TokenAutomaton(), 0, [], 0
 
@@ -133,7 +142,7 @@ def compile_template(markup: str) -> TokenAutomaton:
             state += 1
         else:
             pattern = dict(_FIELD.findall(mark)).get("match", ".+")
-            a.loop[state] = (re.compile(pattern, re.IGNORECASE), state + 1)
+            a.loop[state] = (re.compile(pattern, re.IGNORECASE), state + 1, _most(pattern))
             state += 1
     if opened:
         raise ValueError("beginOptional without endOptional")
