@@ -417,7 +417,8 @@ def encoded_docs(docs: DataFrame, v: Vocabulary, id_col: str, text_col: str) ->
     def kernel(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         vocabulary = sent.value
         kind = id_type(len(vocabulary.counts))
-        for part, texts in pieces(batches):
+        known: dict[bytes, float] = {}
+        for part, texts in pieces(batches, 1, 1_500_000):
             rows, strange, owner = [], [], []
             for t in texts:
                 if t is None:
@@ -429,7 +430,12 @@ def encoded_docs(docs: DataFrame, v: Vocabulary, id_col: str, text_col: str) ->
                 strange += [words[k] for k in new]
                 owner.append(np.full(len(new), len(rows)))
                 rows.append((ids.astype(kind).tobytes(), len(words), len(new), 0.0, sum(map(len, words)) + len(words)))
-            spelled = np.bincount(np.concatenate(owner), vocabulary.spelling(strange), len(rows)) if strange else np.zeros(len(rows))
+            if len(known) > 300_000:
+                known = {}
+            new = [w for w in dict.fromkeys(strange) if w not in known]
+            known.update(zip(new, vocabulary.spelling(new).tolist(), strict=True))
+            cost = np.fromiter(map(known.__getitem__, strange), np.float64, len(strange))
+            spelled = np.bincount(np.concatenate(owner), cost, len(rows)) if strange else np.zeros(len(rows))
             types = [pa.binary(), pa.int32(), pa.int32(), pa.float64(), pa.int64()]
             cols = [pa.array(c, t) for c, t in zip(zip(*rows, strict=True), types, strict=True)]
             cols[3] = pa.array(spelled, mask=np.array([r[0] is None for r in rows]))
