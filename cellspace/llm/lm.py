@@ -105,7 +105,10 @@ class ByteModel:
         if not words:
             return np.zeros(0)
         keys, lengths = byte_grams(words)
-        return np.add.reduceat(-np.log(self.probability(keys[: len(self.levels) + 1])), np.cumsum(lengths) - lengths)
+        k = len(self.levels)
+        own, which = np.unique(keys[k], return_inverse=True)  # in order, so that neighbours are looked up together
+        cost = -np.log(self.probability([own & ((1 << 9 * (j + 1)) - 1) for j in range(k)] + [own]))
+        return np.add.reduceat(cost[which], np.cumsum(lengths) - lengths)
 
 
 @dataclass
