@@ -27,6 +27,9 @@ from cellspace.llm.common import WordIds, folded_words, map_batches, maybe_broad
 
 SEEDS, CHECK_WORDS, BITS = 3, 2, 64
 DISTANCE, CHECK_DISTANCE = 7, 40
+#: Rows of a task that compares keys, and the least number of such tasks: with fewer, rows of one node share a block of
+#: the shuffle and compress away, so that the bytes of a key would depend on the size of the input.
+KEY_ROWS, KEY_TASKS = 400_000, 64
 PRINT_COLS = [f"f{s}" for s in range(SEEDS)]
 CHECK_COLS = [f"c{s}" for s in range(CHECK_WORDS)]
 
@@ -198,7 +201,8 @@ def near_pairs(nodes: DataFrame, count: int, distance: int = DISTANCE, check_dis
     # the number of the table lies above the at most 48 bits of a key
     keys = [F.struct((_key(f"f{s}", spans) + F.lit((k * SEEDS + s) << 48)).alias("k"), F.col(f"f{s}").alias("f")) for s in range(SEEDS) for k, spans in enumerate(plan)]
     rows = nodes.select(F.inline(F.array(*keys)), F.col("id").cast("long").alias("id"), *CHECK_COLS).select("k", "id", "f", *CHECK_COLS)
-    rows = rows.repartition("k").sortWithinPartitions("k")
+    tasks = max(KEY_TASKS, count * len(keys) // KEY_ROWS)
+    rows = rows.repartition(tasks, "k").sortWithinPartitions("k")
     return map_batches(rows, _verify(distance, check_distance), "a long, b long").distinct()
 
 
