@@ -12,6 +12,8 @@ import numpy as np
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from cellspace.functions.loadings import LETTER_LOADINGS, LETTER_MEAN, LETTER_SPREAD, VECTOR_LOADINGS, VECTOR_MEAN
+
 LINE_KEY = "concat_ws('|', l_orderkey, l_linenumber, l_partkey, l_suppkey, cast(round(l_extendedprice * 100) as bigint))"
 LETTERS = "abcdefghijklmnopqrstuvwxyzàâçéèêîôùûäöü"
 
@@ -25,6 +27,11 @@ class FeatureSpace:
     sql_key: str  # DuckDB
     sql_features: tuple[str, ...]
     extra: tuple[str, ...] = ()
+    #: Steps before the features: (Spark SQL, DuckDB SQL) of named columns, each step over the one before.
+    steps: tuple[tuple[tuple[str, str, str], ...], ...] = ()
+    #: Spark SQL that is true of the rows whose features are all there; tested before they are made, so that long
+    #: feature expressions aren't pushed down into a filter as well.
+    valid: str = ""
 
     @property
     def dim(self) -> int:
@@ -36,14 +43,21 @@ class FeatureSpace:
 
     def frame(self, spark: SparkSession, sf_dir: str) -> DataFrame:
         df = spark.read.parquet(f"{sf_dir}/{self.table}.parquet")
+        if self.valid:
+            df = df.where(self.valid)
+        for step in self.steps:
+            df = df.selectExpr(self.key, *self.extra, *[f"{e} AS {n}" for n, e, _ in step])
         df = df.selectExpr(f"{self.key} AS key", *[f"cast({e} AS double) AS x{k}" for k, e in enumerate(self.features)], *self.extra)
-        return clean(df, self.cols)
+        return df if self.valid else clean(df, self.cols)
 
     def sql(self) -> str:
         cols = ", ".join(f"CAST({e} AS DOUBLE) AS x{k}" for k, e in enumerate(self.sql_features))
         some = " AND ".join(f"x{k} IS NOT NULL AND NOT isnan(x{k})" for k in range(self.dim))
         extra = "".join(f", {e}" for e in self.extra)
-        return f"SELECT * FROM (SELECT {self.sql_key} AS key, {cols}{extra} FROM {self.table}) WHERE {some}"
+        source = self.table
+        for step in self.steps:
+            source = f"(SELECT {self.sql_key}{extra}, {', '.join(f'{e} AS {n}' for n, _, e in step)} FROM {source})"
+        return f"SELECT * FROM (SELECT {self.sql_key} AS key, {cols}{extra} FROM {source}) WHERE {some}"
 
 
 def clean(df: DataFrame, cols: list[str]) -> DataFrame:
@@ -68,17 +82,38 @@ CHARGE5 = FeatureSpace("charge5", "lineitem", _SPARK_KEY, _charge, _DUCK_KEY, _c
 EVENT3 = FeatureSpace("event3", "events", "event_id", ("(hour(ts) * 3600 + minute(ts) * 60 + second(ts)) / 3600.0", "value / 10", "get_json_object(props, '$.k')"), "event_id", ("(extract(hour FROM ts) * 3600 + extract(minute FROM ts) * 60 + floor(extract(second FROM ts))) / 3600.0", "value / 10", "json_extract_string(props, '$.k')"))
 
 
-def _share(letter: str, fold: str = "lower(text)") -> str:
-    return f"(length({fold}) - length(replace({fold}, '{letter}', ''))) * 100.0 / greatest(length(text), 1)"
+def _dot(terms: list[str], mean: tuple[float, ...], weights: tuple[float, ...]) -> str:
+    return " + ".join(f"({t} - cast({m!r} as double)) * cast({w!r} as double)" for t, m, w in zip(terms, mean, weights, strict=True))
+
+
+#: The text in lower case and its length, then the share of each letter in per cent.
+_TEXT_STEP = (("folded", "lower(text)", "lower(text)"), ("n", "length(text)", "length(text)"))
+_LETTER_STEP = tuple((f"c{k}", e, e) for k, c in enumerate(LETTERS) for e in [f"cast(length(folded) - length(replace(folded, '{c}', '')) as double) * cast(100 as double) / cast(greatest(n, 1) as double)"])
+_C = [f"c{k}" for k in range(len(LETTERS))]
+_PC = tuple(_dot(_C, LETTER_MEAN, w) for w in LETTER_LOADINGS)
+
 
+def _doc_space(name: str, features: tuple[str, ...]) -> FeatureSpace:
+    return FeatureSpace(name, "documents", "doc_id", features, "doc_id", features, ("lang",), (_TEXT_STEP, _LETTER_STEP), "text IS NOT NULL")
 
-_doc = tuple(_share(c) for c in "ehénu")
-DOC5 = FeatureSpace("doc5", "documents", "doc_id", _doc, "doc_id", _doc, ("lang",))
-DOC3 = FeatureSpace("doc3", "documents", "doc_id", _doc[:3], "doc_id", _doc[:3], ("lang",))
-DOC2 = FeatureSpace("doc2", "documents", "doc_id", _doc[:2], "doc_id", _doc[:2], ("lang",))
-DOC39 = FeatureSpace("doc39", "documents", "doc_id", tuple(_share(c) for c in LETTERS), "doc_id", tuple(_share(c) for c in LETTERS), ("lang",))
-EMB5 = FeatureSpace("emb5", "embeddings", "vec_id", tuple(f"embedding[{k}]" for k in range(5)), "vec_id", tuple(f"embedding[{k + 1}]" for k in range(5)), ("label",))
-SPACES = {s.name: s for s in (LINE5, LINE3, LINE2, CHARGE5, EVENT3, DOC5, DOC3, DOC2, DOC39, EMB5)}
+
+DOC39 = _doc_space("doc39", tuple(_C))
+#: The first components of the letter shares, and the same with unit spread (whitened).
+DOC5, DOC3, DOC2 = (_doc_space(f"doc{m}", _PC[:m]) for m in (5, 3, 2))
+DOC5W, DOC3W = (_doc_space(f"doc{m}w", tuple(f"({e}) / cast({s!r} as double)" for e, s in zip(_PC[:m], LETTER_SPREAD[:m], strict=True))) for m in (5, 3))
+_entry = lambda k, at: f"cast(embedding[{k + at}] as double)"
+_vec = lambda at: tuple(_dot([_entry(k, at) for k in range(64)], VECTOR_MEAN, w) for w in VECTOR_LOADINGS)
+_whole = "embedding IS NOT NULL AND size(embedding) >= 64 AND NOT exists(embedding, v -> v IS NULL OR isnan(v))"
+EMB5 = FeatureSpace("emb5", "embeddings", "vec_id", _vec(0), "vec_id", _vec(1), ("label",), (), _whole)
+EMB64 = FeatureSpace("emb64", "embeddings", "vec_id", tuple(_entry(k, 0) for k in range(64)), "vec_id", tuple(_entry(k, 1) for k in range(64)), ("label",), (), _whole)
+SPACES = {s.name: s for s in (LINE5, LINE3, LINE2, CHARGE5, EVENT3, DOC5, DOC3, DOC2, DOC5W, DOC3W, DOC39, EMB5, EMB64)}
+
+
+def letter_components(spark: SparkSession, sf_dir: str, m: int = 5) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """(mean, loadings [39, m], spreads) fitted to the letter shares of a folder's documents."""
+    mean, cov, _ = covariance(DOC39.frame(spark, sf_dir), DOC39.cols)
+    w, v = eigen(cov)
+    return mean, v[:, :m], np.sqrt(w[:m])
 
 
 def standardise(df: DataFrame, cols: list[str]) -> tuple[DataFrame, dict[str, tuple[float, float]]]:

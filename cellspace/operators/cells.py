@@ -16,7 +16,7 @@ from pyspark.sql import functions as F
 
 from cellspace.functions.curves import curve_order
 from cellspace.operators.grid import rank_hash
-from cellspace.plans.shared import staged
+from cellspace.plans.shared import maybe_broadcast, staged
 
 MAX_SEEDS = 100_000
 
@@ -104,28 +104,35 @@ def seed_tree(seeds: np.ndarray, leaf: int = 8) -> list:
     return build(np.arange(len(seeds)), 0)
 
 
-def tree_nearest(tree, seeds: np.ndarray, p: np.ndarray) -> int:
-    best = (np.inf, -1)
+def tree_nearest(tree, seeds: np.ndarray, points: np.ndarray) -> np.ndarray:
+    """Nearest seed of each point, ties to the lower: all points go down together, split at each cut; those whose best
+    is farther than the cut visit the other side as well."""
+    best, at = np.full(len(points), np.inf), np.full(len(points), len(seeds))
 
-    def visit(node):
-        nonlocal best
+    def visit(node, own: np.ndarray) -> None:
+        if not len(own):
+            return
         if isinstance(node, np.ndarray):
-            d = np.zeros(len(node))
-            for k in range(len(p)):
-                gap = p[k] - seeds[node, k]
+            ids = np.sort(node)
+            d = np.zeros((len(own), len(ids)))
+            for k in range(points.shape[1]):
+                gap = points[own, k, None] - seeds[None, ids, k]
                 d += gap * gap
-            for dist, i in zip(d, node, strict=True):
-                if (dist, i) < best:
-                    best = (float(dist), int(i))
+            j = d.argmin(1)
+            near, dist = ids[j], d[np.arange(len(own)), j]
+            go = (dist < best[own]) | ((dist == best[own]) & (near < at[own]))
+            best[own[go]], at[own[go]] = dist[go], near[go]
             return
         axis, cut, left, right = node
-        first, second = (left, right) if p[axis] < cut else (right, left)
-        visit(first)
-        if (p[axis] - cut) ** 2 <= best[0]:
-            visit(second)
+        low = points[own, axis] < cut
+        visit(left, own[low])
+        visit(right, own[~low])
+        cross = (points[own, axis] - cut) ** 2 <= best[own]
+        visit(right, own[low & cross])
+        visit(left, own[~low & cross])
 
-    visit(tree)
-    return best[1]
+    visit(tree, np.arange(len(points)))
+    return at
 
 
 def tag_cells(df: DataFrame, cols: list[str], seeds: Seeds, how: str = "matrix", edges: np.ndarray | None = None, keep: list[str] | None = None) -> DataFrame:
@@ -153,10 +160,12 @@ def tag_cells(df: DataFrame, cols: list[str], seeds: Seeds, how: str = "matrix",
                     s = slice(at, at + step)
                     a[s], second[s], d2[s] = two_nearest(x[s], sx)
             elif how == "tree":
-                a = np.array([tree_nearest(tree, sx, p) for p in x], int)
+                a = tree_nearest(tree, sx, x)
             else:
                 a, hops = walk(x, sx, near, np.zeros(len(x), int))
-                c = coarse[np.array([((sx[coarse] - p) ** 2).sum(1).argmin() for p in x], int)] if len(x) else a
+                c = np.zeros(len(x), int)
+                for at in range(0, len(x), step):
+                    c[at : at + step] = coarse[two_nearest(x[at : at + step], sx[coarse])[0]]
                 again, more = walk(x, sx, near, c)
                 better = ((sx[again] - x) ** 2).sum(1) < ((sx[a] - x) ** 2).sum(1)
                 a, hops = np.where(better, again, a), hops + np.where(better, more, 0)
@@ -174,6 +183,23 @@ def witness_graph(tagged: DataFrame) -> DataFrame:
     return some.groupBy(F.least("cell_tag", "second_tag").alias("src"), F.greatest("cell_tag", "second_tag").alias("dst")).agg(F.count("*").alias("witnesses"))
 
 
+def seed_graph(spark: SparkSession, seeds: Seeds, cols: list[str]) -> DataFrame:
+    """Neighbours among many seeds without a pass over the rows: (src, dst) where the middle of two near seeds has the
+    two as its nearest, which makes them true neighbours. Candidates are the 12 nearest of each seed."""
+    from cellspace.operators.kdtree import build_kdtree
+    from cellspace.operators.neighbours import knn_join
+
+    s = spark.createDataFrame(pa.table([pa.array(seeds.tags), *(pa.array(np.ascontiguousarray(seeds.x[:, k])) for k in range(len(cols)))], names=["key", *cols]))
+    index, tree = build_kdtree(s, cols)
+    near = knn_join(s, index, tree, cols, 13, carry=cols).where("query_key < key")
+    own = s.select(F.col("key").alias("query_key"), *[F.col(c).alias(f"o{k}") for k, c in enumerate(cols)])
+    middle = near.join(own, "query_key").select(F.struct("query_key", "key").alias("pair"), *[((F.col(c) + F.col(f"o{k}")) / 2).alias(c) for k, c in enumerate(cols)])
+    middle = staged(middle.select(F.concat_ws("|", "pair.query_key", "pair.key").alias("key"), *cols), "middles")
+    two = knn_join(middle, index, tree, cols, 2).groupBy("query_key").agg(F.sort_array(F.collect_list("key")).alias("k"))
+    ends = F.split("query_key", r"\|")
+    return two.where((F.col("k")[0] == ends[0].cast("long")) & (F.col("k")[1] == ends[1].cast("long"))).select(F.col("k")[0].alias("src"), F.col("k")[1].alias("dst"))
+
+
 def lattice(spark: SparkSession, lo, hi, per_axis: int) -> DataFrame:
     """Centres of a regular lattice of ``per_axis ** d`` voxels: key, x0.."""
     d = len(lo)
@@ -262,15 +288,68 @@ def cell_boxes(tagged_rows: DataFrame, cols: list[str]) -> DataFrame:
     return tagged_rows.groupBy("cell_tag").agg(F.count("*").alias("n"), *aggs)
 
 
-def query_polyhedron_cells(tagged_rows: DataFrame, boxes: DataFrame, shape, cols: list[str]) -> DataFrame:
-    """Rows of the shape by cells: the box of a cell's members decides inside, outside or test."""
+def cell_balls(tagged_rows: DataFrame, cols: list[str], seeds: Seeds) -> DataFrame:
+    """(cell_tag, n, radius, s..): the seed of each cell and the distance of its farthest member."""
+    spark = tagged_rows.sparkSession
+    s = spark.createDataFrame([(int(t), *map(float, x)) for t, x in zip(seeds.tags, seeds.x, strict=True)], "cell_tag long, " + ", ".join(f"s{k} double" for k in range(len(cols))))
+    far = tagged_rows.groupBy("cell_tag").agg(F.count("*").alias("n"), F.sqrt(F.max("d2")).alias("radius"))
+    return far.join(maybe_broadcast(s, len(seeds.tags)), "cell_tag")
+
+
+def query_polyhedron_cells(tagged_rows: DataFrame, boxes: DataFrame, shape, cols: list[str], bound: str = "box") -> DataFrame:
+    """Rows of the shape by cells, inside, outside or tested by ``bound``: the ``box`` of a cell's members (``boxes`` from
+    ``cell_boxes``), or the ``ball`` around its seed (``boxes`` from ``cell_balls``)."""
     got = boxes.toArrow()
     d = len(cols)
-    lo, hi = np.stack([got[f"lo{k}"].to_numpy() for k in range(d)], 1), np.stack([got[f"hi{k}"].to_numpy() for k in range(d)], 1)
-    kind = shape.classify(lo, hi)
+    if bound == "box":
+        lo, hi = np.stack([got[f"lo{k}"].to_numpy() for k in range(d)], 1), np.stack([got[f"hi{k}"].to_numpy() for k in range(d)], 1)
+        kind = shape.classify(lo, hi)
+    else:
+        x, r = np.stack([got[f"s{k}"].to_numpy() for k in range(d)], 1), got["radius"].to_numpy() * (1 + 1e-12)
+        inside, outside = np.ones(len(x), bool), np.zeros(len(x), bool)
+        for f in shape.faces:
+            at, reach = x @ np.array(f.w), r * np.linalg.norm(f.w)
+            inside, outside = inside & (at + reach < f.b), outside | (at - reach > f.b)
+        kind = np.where(outside, 0, np.where(inside, 2, 1))
     tags = got["cell_tag"].to_numpy()
     table = tagged_rows.sparkSession.createDataFrame([(int(t), bool(k == 2)) for t, k in zip(tags, kind, strict=True) if k], "cell_tag long, sure boolean")
-    return tagged_rows.join(F.broadcast(table), "cell_tag").where(F.col("sure") | shape.column(cols)).drop("sure")
+    return tagged_rows.join(maybe_broadcast(table, len(tags)), "cell_tag").where(F.col("sure") | shape.column(cols)).drop("sure")
+
+
+def delaunay_exact(seeds: np.ndarray) -> tuple[set[tuple[int, int]], np.ndarray]:
+    """(edges, simplices) of the Delaunay tessellation in two or three dimensions, by insertion: simplices whose
+    circumsphere holds the new seed go, and the border of the hole is joined to it. Small sets."""
+    n, d = seeds.shape
+    span = np.ptp(seeds, 0).max() or 1.0
+    mid = seeds.mean(0)
+    frame = np.concatenate([np.full((1, d), -1.0), np.eye(d) * d * 2 - 1]) * span * 1e3 + mid
+    x = np.concatenate([seeds, frame])
+
+    def sphere(s: tuple[int, ...]) -> tuple[np.ndarray, float]:
+        p = x[list(s)]
+        try:
+            c = np.linalg.solve(2 * (p[1:] - p[0]), ((p[1:] - mid) ** 2).sum(1) - ((p[0] - mid) ** 2).sum()) + mid
+        except np.linalg.LinAlgError:
+            return mid, np.inf
+        return c, float(((p[0] - c) ** 2).sum())
+
+    first = tuple(range(n, n + d + 1))
+    held = {first: sphere(first)}
+    for i in range(n):
+        gone = [s for s, (c, r) in held.items() if ((x[i] - c) ** 2).sum() < r * (1 + 1e-12)]
+        faces: dict[tuple[int, ...], int] = {}
+        for s in gone:
+            del held[s]
+            for k in range(d + 1):
+                f = s[:k] + s[k + 1 :]
+                faces[f] = faces.get(f, 0) + 1
+        for f, times in faces.items():
+            if times == 1:
+                s = tuple(sorted((*f, i)))
+                held[s] = sphere(s)
+    real = np.array([s for s in held if s[-1] < n], int).reshape(-1, d + 1)
+    edges = {(int(s[a]), int(s[b])) for s in real for a in range(d + 1) for b in range(a + 1, d + 1)}
+    return edges, real
 
 
 def knn_voronoi(points: np.ndarray, tagged_rows: DataFrame, seeds: Seeds, cols: list[str], k: int) -> DataFrame:

@@ -165,16 +165,40 @@ def requests_frame(spark, requests: list[tuple[int, list[float], list[float], in
     return spark.createDataFrame([(i, [float(v) for v in lo], [float(v) for v in hi], n) for i, lo, hi, n in requests], "request_id int, lo array<double>, hi array<double>, wanted int")
 
 
+def _met_cells(grid: LayeredGrid, requests: DataFrame, layer: int) -> DataFrame:
+    """A row for each request and each cell of the layer that its box meets."""
+    per, out, cell = 1 << layer, requests, F.lit(0).cast("long")
+    for k, (a, b) in enumerate(zip(grid.lo, grid.hi, strict=True)):
+        at = lambda c, a=a, b=b, k=k: F.least(F.greatest(F.floor((F.col(c)[k] - a) / ((b - a) or 1.0) * per), F.lit(0)), F.lit(per - 1)).cast("long")
+        out = out.where((F.col("hi")[k] >= a) & (F.col("lo")[k] <= b) & (F.col("lo")[k] <= F.col("hi")[k])).withColumn(f"__c{k}", F.explode(F.sequence(at("lo"), at("hi"))))
+        cell = cell * per + F.col(f"__c{k}")
+    return out.withColumn("cell_id", cell).drop(*[f"__c{k}" for k in range(len(grid.cols))])
+
+
 def sample_boxes(grid: LayeredGrid, requests: DataFrame, count: int) -> DataFrame:
-    """Many requests at once: (request_id, wanted, layer, rows..) of all layers up to each request's last one."""
-    meet = F.lit(True)
+    """Many requests at once: (request_id, wanted, layer, last_layer, rows..) of all layers up to each request's last one.
+
+    Layer by layer, requests that aren't full yet are turned into the cells they meet and joined to that layer's rows by
+    cell, so deep layers are read only for requests that need them, and no row meets a box it isn't near. Cells of an
+    open request are about as many as the rows it still wants.
+    """
+    box = F.lit(True)
     for k, c in enumerate(grid.cols):
-        meet = meet & (F.col(c) >= F.col("lo")[k]) & (F.col(c) <= F.col("hi")[k])
-    hit = grid.rows.join(maybe_broadcast(requests, count), meet)
-    per = hit.groupBy("request_id", "wanted", "layer").agg(F.count("*").alias("n"))
-    before = F.coalesce(F.sum("n").over(Window.partitionBy("request_id").orderBy("layer").rowsBetween(Window.unboundedPreceding, -1)), F.lit(0))
-    last = per.withColumn("before", before).where(F.col("before") < F.col("wanted")).groupBy("request_id").agg(F.max("layer").alias("last_layer"))
-    return hit.join(maybe_broadcast(last, count), "request_id").where(F.col("layer") <= F.col("last_layer")).drop("lo", "hi")
+        box = box & (F.col(c) >= F.col("lo")[k]) & (F.col(c) <= F.col("hi")[k])
+    still, found = requests.select("request_id", "lo", "hi", "wanted", F.lit(0).cast("long").alias("seen")), None
+    for layer in range(1, grid.layers + 1):
+        cells = staged(_met_cells(grid, still, layer), "met")
+        rows = grid.rows.where(F.col("layer") == layer)
+        hit = rows.join(maybe_broadcast(cells, cells.count()), "cell_id").where(box).drop("lo", "hi", "seen")
+        hit = staged(hit, "hits")
+        found = hit if found is None else found.unionByName(hit)
+        per = hit.groupBy("request_id").agg(F.count("*").alias("n"))
+        still = still.join(per, "request_id", "left").withColumn("seen", F.col("seen") + F.coalesce("n", F.lit(0))).drop("n").where(F.col("seen") < F.col("wanted"))
+        still = staged(still, "open")
+        if layer == grid.layers or not still.limit(1).count():
+            break
+    last = found.groupBy("request_id").agg(F.max("layer").alias("last_layer"))
+    return found.join(maybe_broadcast(last, count), "request_id")
 
 
 def row_sample_top(df: DataFrame, percent: float, n: int, cols, lo, hi, seed: int = 3) -> DataFrame:
@@ -207,13 +231,34 @@ def tune_percent(n: int, rows: int, box_fraction: float) -> float:
     return min(100.0, 100.0 * n / max(1e-12, rows * box_fraction))
 
 
-def ks_distance(sample: DataFrame, whole: DataFrame, col: str) -> float:
-    """Greatest gap between the two distribution functions of a column, from one window over their merged values."""
-    both = sample.select(F.col(col).alias("v"), F.lit(1).alias("s")).unionByName(whole.select(F.col(col).alias("v"), F.lit(0).alias("s")))
-    per = both.groupBy("v").agg(F.sum("s").alias("a"), F.sum(1 - F.col("s")).alias("b"))
-    w = Window.orderBy("v").rowsBetween(Window.unboundedPreceding, 0)
-    per = per.withColumn("ca", F.sum("a").over(w)).withColumn("cb", F.sum("b").over(w))
-    r = per.agg(F.max("ca").alias("na"), F.max("cb").alias("nb")).first()
-    if not r["na"] or not r["nb"]:
+def ks_distance(sample: DataFrame, whole: DataFrame, col: str, steps: int = 10_000) -> float:
+    """Greatest gap between the two distribution functions of a column, at the sample's values and at ``steps``
+    quantiles of the whole; counts below each are taken by one aggregation over cut positions, without any sort."""
+    cuts = whole.agg(F.percentile_approx(col, F.array(*[F.lit(k / 200) for k in range(201)]), steps).alias("q")).first()["q"]
+    own = sample.agg(F.percentile_approx(col, F.array(*[F.lit(k / 200) for k in range(201)]), steps).alias("q")).first()["q"]
+    if not cuts or not own:
         return 1.0
-    return float(per.agg(F.max(F.abs(F.col("ca") / r["na"] - F.col("cb") / r["nb"]))).first()[0])
+    edges = np.unique(np.array([*cuts, *own], float))
+    below = []
+    for df in (sample, whole):
+        at = F.array_position(F.array(*[F.lit(float(e)) for e in edges]), F.col(col))  # a value on an edge belongs to it
+        slot = F.when(at > 0, at - 1).otherwise(F.size(F.filter(F.array(*[F.lit(float(e)) for e in edges]), lambda e: e < F.col(col))))
+        got = np.zeros(len(edges) + 1)
+        for r in df.groupBy(slot.cast("int").alias("s")).count().collect():
+            got[r["s"]] = r["count"]
+        below.append(np.cumsum(got)[:-1] / max(1, got.sum()))
+    return float(np.abs(below[0] - below[1]).max())
+
+
+def chi_square(sample: DataFrame, whole: DataFrame, cols: list[str], lo, hi, bins: int = 4) -> tuple[float, int]:
+    """(chi-square over degrees of freedom, occupied bins) of a sample's counts in equal bins of a box against the
+    counts expected from the whole: about 1 for a fair sample."""
+    cell = F.lit(0)
+    for c, a, b in zip(cols, lo, hi, strict=True):
+        cell = cell * bins + F.least(F.greatest(F.floor((F.col(c) - float(a)) / max(float(b) - float(a), 1e-300) * bins), F.lit(0)), F.lit(bins - 1)).cast("int")
+    count = lambda df: {r["c"]: r["count"] for r in df.where(in_box(cols, lo, hi)).groupBy(cell.alias("c")).count().collect()}
+    got, all_ = count(sample), count(whole)
+    n, total = sum(got.values()), max(1, sum(all_.values()))
+    expected = {c: m * n / total for c, m in all_.items()}
+    value = sum((got.get(c, 0) - e) ** 2 / e for c, e in expected.items() if e > 0)
+    return float(value / max(1, len(expected) - 1)), len(expected)

@@ -1,7 +1,9 @@
 """Balanced kd-trees: rows get a leaf, the tree keeps the tight box and count of every node.
 
-``rank`` splits every node at the middle row of its axis (ties by key), so leaf sizes differ by one at most. Levels
-are windows over nodes; tables beyond one task's size are numbered by a range sort instead, with the same result.
+``rank`` splits every node at the middle row of its axis (ties by key), so leaf sizes differ by one at most. With axes
+in turn, the upper levels find each middle row without a sort of the table: approximate quantiles bracket it, rows below
+the bracket are counted and only those in it are ranked; then every upper node is finished by one task after one
+shuffle. With axes chosen by the data, levels are windows over nodes (a range sort beyond one task's size).
 ``sketch`` splits at approximate medians of all nodes of a level from one aggregation, without any sort. ``hybrid``
 cuts the upper levels by a bounded sample on the driver and ranks within the nodes below, so rows move once.
 Leaf ordinals 0..L-1 are kept; post-order numbers follow in closed form.
@@ -106,6 +108,30 @@ class KdTree:
         d[:, self.counts[nodes] == 0] = np.inf
         return d
 
+    def pair_distance2(self, points: np.ndarray, i: np.ndarray, nodes: np.ndarray) -> np.ndarray:
+        """Squared distances of ``points[i]`` to the tight boxes of ``nodes``, pair by pair."""
+        d = np.zeros(len(i))
+        for k in range(self.dim):
+            x = points[i, k]
+            d += np.maximum(np.maximum(self.lo[nodes, k] - x, x - self.hi[nodes, k]), 0) ** 2
+        return d
+
+    def leaves_within(self, points: np.ndarray, bound: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+        """(point, leaf) pairs of all leaves with rows whose box is within the point's squared ``bound``, by descent."""
+        i, node = np.arange(len(points)), np.ones(len(points), np.int64)
+        for _ in range(self.levels + 1):
+            near = (self.counts[node] > 0) & (self.pair_distance2(points, i, node) <= bound[i])
+            i, node = i[near], node[near]
+            if not len(i) or node[0] >= self.leaves:
+                break
+            i, node = np.repeat(i, 2), np.stack([2 * node, 2 * node + 1], 1).ravel()
+        return i, node - self.leaves
+
+    def leaf_range(self, nodes: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+        """First leaf and end leaf of nodes."""
+        h = self.levels - (np.frexp(nodes.astype(float))[1] - 1)
+        return (nodes << h) - self.leaves, ((nodes + 1) << h) - self.leaves
+
     def locate(self, points: np.ndarray) -> np.ndarray:
         """Leaf ordinals; a point goes left if it isn't beyond the left child's greatest coordinate on the axis."""
         node = np.ones(len(points), np.int64)
@@ -148,7 +174,23 @@ def tree_from_leaves(indexed: DataFrame, cols: list[str], levels: int, axes: np.
     if axes is None:
         depth = np.frexp(np.maximum(np.arange(2 * L), 1).astype(float))[1] - 1
         axes = depth % d
-    return KdTree(levels, axes, *_roll_up(levels, lo, hi, n))
+    tree = KdTree(levels, axes, *_roll_up(levels, lo, hi, n))
+    tree.region_lo, tree.region_hi = regions(tree)
+    return tree
+
+
+def regions(tree: KdTree) -> tuple[np.ndarray, np.ndarray]:
+    """Partition boxes of all nodes in heap order: unlike tight boxes they fill the root's box. A node is cut where its
+    left part ends (at its own border if that part is empty), as ``locate`` does."""
+    lo, hi = np.repeat(tree.lo[1][None], 2 * tree.leaves, 0), np.repeat(tree.hi[1][None], 2 * tree.leaves, 0)
+    for level in range(tree.levels):
+        n = np.arange(1 << level, 2 << level)
+        axis = tree.axes[n]
+        cut = np.where(tree.counts[2 * n] > 0, tree.hi[2 * n, axis], lo[n, axis])
+        for child in (2 * n, 2 * n + 1):
+            lo[child], hi[child] = lo[n], hi[n]
+        hi[2 * n, axis] = lo[2 * n + 1, axis] = cut
+    return lo, hi
 
 
 def _axis_column(axis_of_node: dict[int, int] | None, level: int, cols: list[str], node: str = "node") -> Column:
@@ -177,6 +219,8 @@ def build_kdtree(df: DataFrame, cols: list[str], levels: int | None = None, meth
     out = df.withColumn("node", F.lit(1).cast("long"))
     if method == "hybrid":
         return _build_hybrid(df, cols, levels, rows, key, sample_rows)
+    if method == "rank" and axis_rule == "cycle":
+        return _build_exact(df, cols, levels, rows, key)
     for level in range(levels):
         chosen = _choose_axes(out, cols, axis_rule)
         for n in range(1 << level, 2 << level):
@@ -206,6 +250,68 @@ def build_kdtree(df: DataFrame, cols: list[str], levels: int | None = None, meth
     return out, tree_from_leaves(out, cols, levels, axes)
 
 
+#: Rows of an upper node that one task finishes.
+NODE_ROWS = 1_000_000
+
+
+def _middle_rows(df: DataFrame, axis: str, key: str) -> list[tuple]:
+    """(node, axis value, key) of the middle row of every node: the ceil(n / 2)-th by (axis, key)."""
+    spark = df.sparkSession
+    share = F.percentile_approx(axis, F.array(F.lit(0.4995), F.lit(0.5005)), 10_000)
+    spans = [(r["node"], float(r["q"][0]), float(r["q"][1]), r["n"]) for r in df.groupBy("node").agg(share.alias("q"), F.count("*").alias("n")).collect()]
+    out: list[tuple] = []
+    while spans:
+        table = F.broadcast(spark.createDataFrame(spans, "node long, __lo double, __hi double, __n long"))
+        marked = df.select("node", F.col(axis).alias("__v"), F.col(key).alias("__k")).join(table, "node")
+        inside = staged(marked.where((F.col("__v") >= F.col("__lo")) & (F.col("__v") <= F.col("__hi"))).select("node", "__v", "__k", "__n"), "bracket")
+        below = {r["node"]: r["b"] for r in marked.groupBy("node").agg(F.count_if(F.col("__v") < F.col("__lo")).alias("b")).collect()}
+        ranked = row_numbers(inside, ["node", "__v", "__k"], "__r", inside.count())
+        first = ranked.groupBy("node").agg(F.min("__r").alias("__first"))
+        before = spark.createDataFrame(list(below.items()), "node long, __below long")
+        at = ranked.join(F.broadcast(first), "node").join(F.broadcast(before), "node").where(F.col("__r") - F.col("__first") + 1 + F.col("__below") == F.ceil(F.col("__n") / 2))
+        found = [(r["node"], r["__v"], r["__k"]) for r in at.select("node", "__v", "__k").collect()]
+        out += found
+        done = {n for n, _, _ in found}
+        spans = [(n, -float("inf"), float("inf"), c) for n, _, _, c in spans if n not in done]  # a bracket that missed
+    return out
+
+
+def _build_exact(df: DataFrame, cols: list[str], levels: int, rows: int, key: str, node_rows: int = NODE_ROWS) -> tuple[DataFrame, KdTree]:
+    """The rank build: upper levels by middle rows, the rest of each upper node in one task."""
+    top = min(levels, int(np.ceil(np.log2(max(1, rows / node_rows)))))
+    out = df.withColumn("node", F.lit(1).cast("long"))
+    if top:
+        out = staged(out, "kd-rows")
+    key_type = df.schema[key].dataType.simpleString()
+    for level in range(top):
+        axis = cols[level % len(cols)]
+        cuts = df.sparkSession.createDataFrame(_middle_rows(out, axis, key), f"node long, __v double, __k {key_type}")
+        right = (F.col(axis) > F.col("__v")) | ((F.col(axis) == F.col("__v")) & (F.col(key) > F.col("__k")))
+        out = out.join(F.broadcast(cuts), "node").withColumn("node", F.col("node") * 2 + right.cast("long")).drop("__v", "__k")
+    names, d = [c for c in out.columns if c != "node"], len(cols)
+
+    def finish(table: pa.Table) -> pa.Table:
+        x = [table[c].to_numpy() for c in cols]
+        order = np.argsort(table[key].to_numpy(zero_copy_only=False), kind="stable")
+        leaf = np.empty(len(order), np.int64)
+        parts = [(int(table["node"][0].as_py()), order)]  # rows of a node, by key
+        for level in range(top, levels):
+            v, below = x[level % d], []
+            for node, own in parts:
+                side = np.zeros(len(v), bool)
+                side[own[np.argsort(v[own], kind="stable")][: -(-len(own) // 2)]] = True
+                left = side[own]
+                below += [(2 * node, own[left]), (2 * node + 1, own[~left])]
+            parts = below
+        for node, own in parts:
+            leaf[own] = node - (1 << levels)
+        return table.select(names).append_column("leaf", pa.array(leaf)).append_column("leaf_id", pa.array(2 * leaf - np.bitwise_count(leaf.astype(np.uint64)).astype(np.int64) + 1))
+
+    schema = ", ".join(f"`{f.name}` {f.dataType.simpleString()}" for f in out.schema if f.name != "node") + ", leaf long, leaf_id long"
+    out = staged(out.groupBy("node").applyInArrow(finish, schema), "kd")
+    return out, tree_from_leaves(out, cols, levels)
+
+
 def sample_cuts(points: np.ndarray, levels: int) -> np.ndarray:
     """Cut values in heap order of an in-memory tree over a sample, axes in turn."""
     cuts = np.zeros(1 << levels)

@@ -185,6 +185,38 @@ def visible_edges(levels: list[tuple[np.ndarray, np.ndarray]], view: View) -> tu
     return 0, met
 
 
+def points_and_boxes(grid: LayeredGrid, tree: KdTree, view: View, boxes: int) -> DataFrame:
+    """A sample of the view's points, each with the heap node of the box of the right size that it lies in, its height
+    and rows: points and boxes of one scene."""
+    height, nodes = visible_boxes(tree, View(view.lo, view.hi, boxes))
+    points = sample_box(grid, view.lo, view.hi, view.wanted)
+    from cellspace.operators.kdtree import locate_leaves
+
+    keep = ["key", "layer"]
+    found = locate_leaves(points, tree, grid.cols, keep)
+    return found.select(*keep, F.shiftright(F.col("leaf") + tree.leaves, height).alias("node"), F.lit(height).alias("height"))
+
+
+def coloured_cells(spark, seeds, edges: np.ndarray, counts: DataFrame, view: View) -> DataFrame:
+    """(cell_tag, x.., neighbours, n, colour) of the cells whose seed is in the view: a cell is drawn from the edges to
+    its neighbours, and coloured by its rows over the cube of its reach, from 0 (thin) to 255 (dense), by rank."""
+    inside = ((seeds.x >= np.array(view.lo)) & (seeds.x <= np.array(view.hi))).all(1)
+    near: dict[int, list[int]] = {}
+    for a, b in edges:
+        for i, j in ((int(a), int(b)), (int(b), int(a))):
+            if inside[i]:
+                near.setdefault(i, []).append(int(seeds.tags[j]))
+    d = seeds.x.shape[1]
+    data = [(int(seeds.tags[i]), *map(float, seeds.x[i]), sorted(near.get(int(i), []))) for i in np.flatnonzero(inside)]
+    cells = spark.createDataFrame(data, "cell_tag long, " + ", ".join(f"x{k} double" for k in range(d)) + ", neighbours array<long>")
+    dense = cells.join(counts, "cell_tag", "left").withColumn("n", F.coalesce("n", F.lit(0).cast("long")))
+    dense = dense.withColumn("density", F.when(F.col("reach") > 0, F.col("n") / F.pow("reach", F.lit(float(d)))).otherwise(0.0))
+    from pyspark.sql.window import Window
+
+    colour = F.floor(F.percent_rank().over(Window.orderBy("density", "cell_tag")) * 255).cast("int")
+    return dense.withColumn("colour", colour).drop("reach", "density")
+
+
 def scene_from_sql(spark, text: str) -> DataFrame:
     """Points from a query with exactly three numeric columns, as x, y, z."""
     df = spark.sql(text)

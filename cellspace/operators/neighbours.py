@@ -1,7 +1,8 @@
 """Exact nearest neighbours over a kd index, the boundary-point variant, batch joins and brute force.
 
 The batch join takes two rounds for any number of queries: the home node gives an upper bound of the k-th distance,
-then all leaves whose box is nearer than that are searched. Distances are sums of squares in coordinate order, ties go
+then all leaves whose box is nearer than that are searched, found by descent. A leaf meets all its queries as one matrix
+of distances, and only k rows a query leave it. Distances are sums of squares in coordinate order, ties go
 to the lower key.
 """
 
@@ -46,48 +47,186 @@ def knn_brute(queries: DataFrame, points: DataFrame, cols: list[str], k: int, co
     return _ranked(pairs.select("query_key", "key", "d2"), k).select("query_key", "rank", "key", "d2")
 
 
-def _leaf_lists(q: DataFrame, tree: KdTree, d: int, k: int, first: bool, extra: list[str]) -> DataFrame:
-    """Rows (query_key, q.., leaf): the leaves of the home node, or all leaves nearer than ``bound`` but those."""
+#: Bytes of an indexed table that every worker may hold for a map-only join.
+HELD_BYTES = 64_000_000
+
+
+def nearest_rows(d2: np.ndarray, keys: np.ndarray, k: int) -> tuple[np.ndarray, np.ndarray]:
+    """(query, column) of the k least entries of each row of a distance matrix, ties by key."""
+    if d2.shape[1] > k:
+        kth = np.partition(d2, k - 1, axis=1)[:, k - 1]
+        i, j = np.nonzero(d2 <= kth[:, None])
+    else:
+        i, j = np.nonzero(d2 < np.inf)
+    return first_k(i, d2[i, j], keys[j], k, (i, j))
+
+
+def first_k(query: np.ndarray, d2: np.ndarray, keys: np.ndarray, k: int, columns: tuple) -> tuple:
+    """``columns`` of the k first of each query by distance and key."""
+    order = np.lexsort((keys, d2, query))
+    q = query[order]
+    start = np.flatnonzero(np.diff(q, prepend=q[:1] - 1))
+    rank = np.arange(len(q)) - np.repeat(start, np.diff(np.append(start, len(q))))
+    order = order[rank < k]
+    return tuple(c[order] for c in columns)
+
+
+def distances(x: np.ndarray, y: np.ndarray) -> np.ndarray:
+    """Squared distances in the order of coordinates, as the SQL form has them."""
+    out = np.zeros((len(x), len(y)))
+    for k in range(x.shape[1]):
+        gap = y[None, :, k] - x[:, None, k]
+        out += gap * gap
+    return out
+
+
+class HeldIndex:
+    """An indexed table in memory, rows in leaf order."""
+
+    def __init__(self, tree: KdTree, leaf: np.ndarray, keys: np.ndarray, x: np.ndarray):
+        order = np.lexsort((keys, leaf))
+        self.tree, self.order, self.keys, self.x = tree, order, keys[order], x[order]
+        self.start = np.searchsorted(leaf[order], np.arange(tree.leaves + 1))
+
+    def search(self, x: np.ndarray, k: int) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+        """(query, row, squared distance) of the k nearest rows, in order. The home node bounds the k-th distance; all
+        other leaves within it follow, each against all its queries at once."""
+        t = self.tree
+        home = t.home(x, k)
+        first, past = t.leaf_range(home)
+        bound, found = np.full(len(x), np.inf), []
+
+        def visit(own: np.ndarray, a: int, b: int, limit: bool) -> None:
+            for at in range(0, len(own), max(1, 2_000_000 // max(1, b - a))):
+                some = own[at : at + max(1, 2_000_000 // max(1, b - a))]
+                d2 = distances(x[some], self.x[a:b])
+                if limit:
+                    d2[d2 > bound[some, None]] = np.inf
+                i, j = nearest_rows(d2, self.keys[a:b], k)
+                d = d2[i, j]
+                keep = d < np.inf
+                i, j, d = i[keep], j[keep], d[keep]
+                found.append((some[i], a + j, d))
+                if not limit:
+                    full = np.bincount(i, minlength=len(some)) >= k
+                    far = np.zeros(len(some))
+                    np.maximum.at(far, i, d)
+                    bound[some[full]] = far[full]
+
+        def runs(groups: np.ndarray):
+            order = np.argsort(groups, kind="stable")
+            edges = np.flatnonzero(np.diff(groups[order], prepend=-1))
+            yield from ((int(groups[p[0]]), p) for p in np.split(order, edges[1:]) if len(p))
+
+        for node, own in runs(home):
+            lo, hi = t.leaf_range(np.array([node]))
+            visit(own, self.start[lo[0]], self.start[hi[0]], False)
+        i, leaf = t.leaves_within(x, bound)
+        other = (leaf < first[i]) | (leaf >= past[i])
+        i, leaf = i[other], leaf[other]
+        for j, at in runs(leaf):
+            visit(i[at], self.start[j], self.start[j + 1], True)
+        q, row, d = (np.concatenate(c) for c in zip(*found, strict=True)) if found else (np.zeros(0, np.int64), np.zeros(0, np.int64), np.zeros(0))
+        return first_k(q, d, self.keys[row], k, (q, row, d))
+
+
+def _ranks(query: np.ndarray) -> np.ndarray:
+    start = np.flatnonzero(np.diff(query, prepend=query[:1] - 1))
+    return np.arange(len(query)) - np.repeat(start, np.diff(np.append(start, len(query)))) + 1
+
+
+def knn_join(queries: DataFrame, index: DataFrame, tree: KdTree, cols: list[str], k: int, key: str = "key", carry: list[str] | None = None) -> DataFrame:
+    """(query_key, rank, key, d2, *carry): the k nearest indexed rows of each query; all rows if there are fewer than k.
+    ``carry`` names further columns of the index.
+
+    An index within HELD_BYTES is held by every worker: a pass over the queries that moves nothing. A larger one is
+    met leaf by leaf: queries go to their home leaf, then to all other leaves within the bound found there.
+    """
+    carry = carry or []
+    q = _as_queries(queries, cols, key)
+    kinds = {f.name: f.dataType.simpleString() for f in index.schema}
+    out = [f"query_key {q.schema['query_key'].dataType.simpleString()}", "rank int", f"key {kinds['key']}", "d2 double", *(f"`{c}` {kinds[c]}" for c in carry)]
+    names = ["query_key", "rank", "key", "d2", *carry]
+    d = len(cols)
+    width = 8 * (d + 2) + sum({"string": 40}.get(kinds[c], 8) for c in carry)
+    if int(tree.counts[1]) * width > HELD_BYTES:
+        return _knn_by_leaf(q, index.select("leaf", "key", *cols), tree, cols, k, index.select("key", *carry) if carry else None)
+    got = index.select("leaf", "key", *cols, *[F.col(c).alias(f"__carried{i}") for i, c in enumerate(carry)]).toArrow()
+    sent = q.sparkSession.sparkContext.broadcast((tree, got.combine_chunks()))
+
+    def kernel(batches):
+        t, table = sent.value
+        x = np.stack([table[c].to_numpy() for c in cols], 1) if table.num_rows else np.zeros((0, d))
+        held = HeldIndex(t, table["leaf"].to_numpy(), table["key"].to_numpy(), x)
+        extra = [table[f"__carried{i}"].combine_chunks().take(pa.array(held.order)) for i in range(len(carry))]
+        for b in batches:
+            if not b.num_rows or not table.num_rows:
+                continue
+            points = np.stack([np.asarray(b.column(1 + j)) for j in range(d)], 1)
+            i, row, d2 = held.search(points, k)
+            at = pa.array(row)
+            yield pa.RecordBatch.from_arrays([b.column(0).take(pa.array(i)), pa.array(_ranks(i).astype(np.int32)), pa.array(held.keys[row]), pa.array(d2), *(c.take(at) for c in extra)], names=names)
+
+    return q.mapInArrow(kernel, ", ".join(out))
+
+
+def _leaf_lists(q: DataFrame, tree: KdTree, d: int, k: int, first: bool) -> DataFrame:
+    """Rows (query_key, q.., bound, leaf): the leaves of the home node, or all leaves within ``bound`` but those."""
     sent = q.sparkSession.sparkContext.broadcast(tree)
-    names = ["query_key", *[f"q{j}" for j in range(d)]]
+    names = ["query_key", *[f"q{j}" for j in range(d)], "bound"]
 
     def kernel(batches):
         t = sent.value
-        leaf_nodes = np.arange(t.leaves, 2 * t.leaves)
         for b in batches:
             x = np.stack([np.asarray(b.column(1 + j)) for j in range(d)], 1)
-            home = t.home(x, k)
-            h = t.levels - (np.frexp(home.astype(float))[1] - 1)
-            lo, hi = (home << h) - t.leaves, ((home + 1) << h) - t.leaves
-            for at in range(0, len(x), 256):
-                s = slice(at, at + 256)
-                own = (leaf_nodes[None] - t.leaves >= lo[s, None]) & (leaf_nodes[None] - t.leaves < hi[s, None])
-                if first:
-                    wanted = own & (t.counts[leaf_nodes] > 0)[None]
-                else:
-                    bound = np.asarray(b.column(1 + d))[s]
-                    wanted = (t.box_distance2(x[s], leaf_nodes) <= bound[:, None]) & ~own
-                i, leaf = np.nonzero(wanted)
-                if len(i):
-                    rows = pa.array(i + at)
-                    yield pa.RecordBatch.from_arrays([*(c.take(rows) for c in b.columns[: 1 + d]), pa.array(leaf)], names=[*names, "leaf"])
+            lo, hi = t.leaf_range(t.home(x, k))
+            if first:
+                i = np.repeat(np.arange(len(x)), hi - lo)
+                leaf = np.concatenate([np.arange(a, e) for a, e in zip(lo, hi, strict=True)]) if len(x) else i
+            else:
+                i, leaf = t.leaves_within(x, np.asarray(b.column(1 + d)))
+                other = (leaf < lo[i]) | (leaf >= hi[i])
+                i, leaf = i[other], leaf[other]
+            rows = pa.array(i)
+            yield pa.RecordBatch.from_arrays([*(c.take(rows) for c in b.columns), pa.array(leaf.astype(np.int64))], names=[*names, "leaf"])
 
     kind = q.schema["query_key"].dataType.simpleString()
-    return q.select(*names, *extra).mapInArrow(kernel, f"query_key {kind}, " + ", ".join(f"q{j} double" for j in range(d)) + ", leaf long")
+    return q.select(*names).mapInArrow(kernel, f"query_key {kind}, " + ", ".join(f"q{j} double" for j in range(d)) + ", bound double, leaf long")
 
 
-def knn_join(queries: DataFrame, index: DataFrame, tree: KdTree, cols: list[str], k: int, key: str = "key") -> DataFrame:
-    """(query_key, rank, key, d2): the k nearest indexed rows of each query; all rows if there are fewer than k."""
+def _knn_by_leaf(q: DataFrame, points: DataFrame, tree: KdTree, cols: list[str], k: int, carried: DataFrame | None, query_rows: int = 50_000) -> DataFrame:
+    """Two rounds of cogroups by leaf; a leaf with many queries is met in parts of about ``query_rows``."""
     d = len(cols)
-    q = staged(_as_queries(queries, cols, key), "queries")
-    qn = [f"q{j}" for j in range(d)]
-    pts = index.select("leaf", "key", *cols)
-    near = _leaf_lists(q, tree, d, k, True, []).join(pts, "leaf").withColumn("d2", squared_distance(cols, qn)).select("query_key", "key", "d2")
+    kind, own = q.schema["query_key"].dataType.simpleString(), points.schema["key"].dataType.simpleString()
+
+    def block(left: pa.Table, right: pa.Table) -> pa.Table:
+        qx = np.stack([left[f"q{j}"].to_numpy() for j in range(d)], 1)
+        px = np.stack([right[c].to_numpy() for c in cols], 1) if right.num_rows else np.zeros((0, d))
+        keys, bound, parts = right["key"].to_numpy(), left["bound"].to_numpy(), []
+        step = max(1, 2_000_000 // max(1, len(px)))
+        for at in range(0, len(qx) if len(px) else 0, step):
+            d2 = distances(qx[at : at + step], px)
+            d2[d2 > bound[at : at + step, None]] = np.inf
+            i, j = nearest_rows(d2, keys, k)
+            keep = d2[i, j] < np.inf
+            parts.append((i[keep] + at, j[keep], d2[i, j][keep]))
+        i, j, dd = (np.concatenate(c) for c in zip(*parts, strict=True)) if parts else (np.zeros(0, np.int64), np.zeros(0, np.int64), np.zeros(0))
+        return pa.table([left["query_key"].combine_chunks().take(pa.array(i)), right["key"].combine_chunks().take(pa.array(j)), pa.array(dd)], names=["query_key", "key", "d2"])
+
+    def meet(lists: DataFrame) -> DataFrame:
+        lists = staged(lists, "lists")
+        parts = lists.groupBy("leaf").agg(F.ceil(F.count("*") / query_rows).cast("int").alias("parts"))
+        salted = lists.join(parts, "leaf").withColumn("part", F.pmod(F.xxhash64("query_key"), F.col("parts"))).drop("parts")
+        copies = points.join(parts, "leaf").withColumn("part", F.explode(F.sequence(F.lit(0).cast("long"), F.col("parts").cast("long") - 1))).drop("parts")
+        return salted.groupBy("leaf", "part").cogroup(copies.groupBy("leaf", "part")).applyInArrow(block, f"query_key {kind}, key {own}, d2 double")
+
+    q = staged(q, "queries")
+    near = meet(_leaf_lists(q.withColumn("bound", F.lit(float("inf"))), tree, d, k, True))
     first = staged(_ranked(near, k).select("query_key", "key", "d2"), "round1")
     bound = first.groupBy("query_key").agg(F.max("d2").alias("m"), F.count("*").alias("n"))
     bounded = q.join(bound, "query_key", "left").withColumn("bound", F.when(F.col("n") >= k, F.col("m")).otherwise(F.lit(float("inf"))))
-    more = _leaf_lists(bounded, tree, d, k, False, ["bound"]).join(pts, "leaf").withColumn("d2", squared_distance(cols, qn)).select("query_key", "key", "d2")
-    return _ranked(first.unionByName(more), k).select("query_key", "rank", "key", "d2")
+    out = _ranked(first.unionByName(meet(_leaf_lists(bounded, tree, d, k, False))), k).select("query_key", "rank", "key", "d2")
+    return out if carried is None else out.join(carried, "key").select("query_key", "rank", "key", "d2", *[c for c in carried.columns if c != "key"])
 
 
 def knn_point(index: DataFrame, tree: KdTree, point, cols: list[str], k: int, bound: str = "box", refine: bool = True) -> tuple[list[tuple[int, float]], list[dict]]:
@@ -100,8 +239,8 @@ def knn_point(index: DataFrame, tree: KdTree, point, cols: list[str], k: int, bo
     """
     p = np.asarray(point, float)
     lo, hi = tree.leaf_boxes()
-    if tree.region_lo is not None:
-        lo, hi = tree.region_lo, tree.region_hi
+    if tree.region_lo is not None:  # the rule walks boxes that fill the space
+        lo, hi = tree.region_lo[tree.leaves :], tree.region_hi[tree.leaves :]
     nodes = np.arange(tree.leaves, 2 * tree.leaves)
     box_d = tree.box_distance2(p[None], nodes)[0]
     best: list[tuple[float, int]] = []
@@ -131,49 +270,106 @@ def knn_point(index: DataFrame, tree: KdTree, point, cols: list[str], k: int, bo
     return [(key, d) for d, key in best], trace
 
 
+def _border(p: np.ndarray, lo: np.ndarray, hi: np.ndarray) -> np.ndarray:
+    """Corners of a box and the point's projections on its faces."""
+    d = len(p)
+    corners = np.stack(np.meshgrid(*[[lo[k], hi[k]] for k in range(d)], indexing="ij"), -1).reshape(-1, d)
+    faces = np.repeat(np.clip(p, lo, hi)[None], 2 * d, 0)
+    for k in range(d):
+        faces[2 * k, k], faces[2 * k + 1, k] = lo[k], hi[k]
+    return np.concatenate([corners, faces])
+
+
 def _frontier(p: np.ndarray, lo: np.ndarray, hi: np.ndarray, read: list[int], unread: list[int], kth: float) -> list[int]:
     """The unread leaf that holds the nearest border point (corner or projection) of the read leaves within ``kth``."""
-    d, points = len(p), []
-    for r in read:
-        corners = np.stack(np.meshgrid(*[[lo[r, k], hi[r, k]] for k in range(d)], indexing="ij"), -1).reshape(-1, d)
-        faces = []
-        for k in range(d):
-            for side in (lo[r, k], hi[r, k]):
-                f = np.clip(p, lo[r], hi[r])
-                f[k] = side
-                faces.append(f)
-        points.append(np.concatenate([corners, np.array(faces)]))
-    pts = np.concatenate(points)
+    pts = np.concatenate([_border(p, lo[r], hi[r]) for r in read])
     dist = ((pts - p) ** 2).sum(1)
-    order = np.argsort(dist, kind="stable")
     u = np.array(unread, int)
-    for k in order:
-        if dist[k] > kth:
+    for k in np.argsort(dist, kind="stable"):
+        if dist[k] > kth or not len(u):
             return []
-        touch = u[((lo[u] <= pts[k]) & (pts[k] <= hi[u])).all(1)] if len(u) else u
+        touch = u[((lo[u] <= pts[k]) & (pts[k] <= hi[u])).all(1)]
         if len(touch):
             return [int(touch[0])]
     return []
 
 
-def regions(levels: int, cuts: np.ndarray, lo: np.ndarray, hi: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
-    """Partition boxes of the leaves: they fill the root box, unlike tight boxes."""
-    LO, HI = {1: lo.copy()}, {1: hi.copy()}
-    d = len(lo)
-    for n in range(1, 1 << levels):
-        axis = (n.bit_length() - 1) % d
-        LO[2 * n], HI[2 * n], LO[2 * n + 1], HI[2 * n + 1] = LO[n].copy(), HI[n].copy(), LO[n].copy(), HI[n].copy()
-        HI[2 * n][axis] = LO[2 * n + 1][axis] = cuts[n]
-    L = 1 << levels
-    return np.array([LO[L + j] for j in range(L)]), np.array([HI[L + j] for j in range(L)])
-
-
-def match_simulations(observed: DataFrame, sims: DataFrame, cols: list[str], count: int) -> DataFrame:
-    """(key, sim_id, d2) of the nearest simulated object of each observed one: a map-only pass while the simulations
-    are within the broadcast size, ties to the lower id."""
-    s = sims.select("sim_id", *[F.col(c).alias(f"q{k}") for k, c in enumerate(cols)])
-    pairs = observed.select("key", *cols).crossJoin(maybe_broadcast(s, count)).withColumn("d2", squared_distance(cols, [f"q{k}" for k in range(len(cols))]))
-    return pairs.groupBy("key").agg(F.min(F.struct("d2", "sim_id")).alias("m")).select("key", "m.sim_id", "m.d2")
+def hold(index: DataFrame, tree: KdTree, cols: list[str]) -> HeldIndex:
+    """An index in the driver's memory, within HELD_BYTES."""
+    if int(tree.counts[1]) * 8 * (len(cols) + 2) > HELD_BYTES:
+        raise ValueError("too large to hold: ask point by point")
+    got = index.select("leaf", "key", *cols).toArrow()
+    return HeldIndex(tree, got["leaf"].to_numpy(), got["key"].to_numpy(), np.stack([got[c].to_numpy() for c in cols], 1))
+
+
+def bound_recall(held: HeldIndex, points: np.ndarray, k: int, bound: str) -> tuple[float, int, float]:
+    """(share of the true k nearest found, points with a wrong answer, mean leaves read) of a stopping rule."""
+    t = held.tree
+    lo, hi = t.region_lo[t.leaves :], t.region_hi[t.leaves :]
+    nodes = np.arange(t.leaves, 2 * t.leaves)
+    right = wrong = leaves = 0
+    for p in points:
+        d2 = distances(p[None], held.x)[0]
+        truth = set(np.lexsort((held.keys, d2))[:k].tolist())
+        box_d = t.box_distance2(p[None], nodes)[0]
+        todo, read, best = [int(np.argmin(box_d))], [], np.zeros(0, int)
+        while todo:
+            leaf = todo[0]
+            read.append(leaf)
+            best = np.concatenate([best, np.arange(held.start[leaf], held.start[leaf + 1])])
+            best = best[np.lexsort((held.keys[best], d2[best]))[:k]]
+            kth = d2[best[k - 1]] if len(best) >= k else np.inf
+            unread = np.setdiff1d(np.flatnonzero(t.counts[nodes] > 0), read)
+            if bound == "box":
+                near = unread[box_d[unread] <= kth]
+                todo = [int(near[np.lexsort((near, box_d[near]))[0]])] if len(near) else []
+            else:
+                todo = _frontier(p, lo, hi, read, unread.tolist(), kth)
+        hit = len(truth & set(best.tolist()))
+        right, wrong, leaves = right + hit, wrong + (hit < min(k, len(d2))), leaves + len(read)
+    return right / (k * len(points)), wrong, leaves / len(points)
+
+
+def nearest_of_few(df: DataFrame, cols: list[str], table: pa.Table, features: list[str], give: list[str], keep: list[str]) -> DataFrame:
+    """``keep`` columns of ``df``, the ``give`` columns of the nearest row of an in-memory ``table``, and d2: a pass
+    over ``df`` that moves nothing. Ties go to the earlier row of the table; without rows there is no result."""
+    from pyspark.sql.pandas.types import from_arrow_type
+
+    sent = df.sparkSession.sparkContext.broadcast(table.combine_chunks())
+    n = len(keep)
+
+    def kernel(batches):
+        t = sent.value
+        y = np.stack([t[c].to_numpy() for c in features], 1) if t.num_rows else np.zeros((0, len(cols)))
+        step = max(1, 2_000_000 // max(1, len(y)))
+        for b in batches:
+            if not b.num_rows or not len(y):
+                continue
+            x = np.stack([np.asarray(b.column(n + j)) for j in range(len(cols))], 1)
+            at, d2 = np.zeros(len(x), np.int64), np.zeros(len(x))
+            for a in range(0, len(x), step):
+                m = distances(x[a : a + step], y)
+                at[a : a + step] = m.argmin(1)
+                d2[a : a + step] = m[np.arange(len(m)), at[a : a + step]]
+            yield pa.RecordBatch.from_arrays([*b.columns[:n], *(t[c].combine_chunks().take(pa.array(at)) for c in give), pa.array(d2)], names=[*keep, *give, "d2"])
+
+    kinds = {f.name: f.dataType.simpleString() for f in df.select(*keep).schema}
+    schema = [f"`{c}` {kinds[c]}" for c in keep] + [f"`{c}` {from_arrow_type(table.schema.field(c).type).simpleString()}" for c in give]
+    return df.select(*keep, *cols).mapInArrow(kernel, ", ".join([*schema, "d2 double"]))
+
+
+def match_simulations(observed: DataFrame, sims: DataFrame, cols: list[str], params: list[str], count: int, levels: int | None = None) -> DataFrame:
+    """(key, sim_id, *params, d2): the nearest simulated object of each observed one with the parameters it was made
+    from, ties to the lower id. Up to HELD_BYTES of simulations are held by every worker; more are indexed by a kd-tree
+    and joined by leaf."""
+    if count * 8 * (len(cols) + len(params) + 1) <= HELD_BYTES:
+        table = sims.select("sim_id", *cols, *params).orderBy("sim_id").toArrow()
+        return nearest_of_few(observed, cols, table, cols, ["sim_id", *params], ["key"])
+    from cellspace.operators.kdtree import build_kdtree
+
+    index, tree = build_kdtree(sims.withColumnRenamed("sim_id", "key"), cols, levels, "hybrid")
+    near = knn_join(observed, index, tree, cols, 1, carry=params)
+    return near.select(F.col("query_key").alias("key"), F.col("key").alias("sim_id"), *params, "d2")
 
 
 def knn_lsh(queries: DataFrame, points: DataFrame, cols: list[str], k: int, bucket: float, tables: int = 4) -> DataFrame:

@@ -57,6 +57,25 @@ def query_polyhedron(index: DataFrame, tree: KdTree, shape, cols: list[str], res
     return out if residual is None else out.where(residual)
 
 
+def query_dnf(index: DataFrame, tree: KdTree, parts: list, residuals: list[Column | None], cols: list[str]) -> DataFrame:
+    """Rows of any of several polyhedra, each with a residual condition of its own, from one scan of the leaves that any
+    of them touches. A row is tested once, so none comes twice."""
+    touched, met = [], F.lit(False)
+    for p, r in zip(parts, residuals, strict=True):
+        inside, partial, _ = tree.cover(p)
+        touched += [*inside, *partial]
+        met = met | (p.column(cols) if r is None else p.column(cols) & r)
+    if not touched:
+        return index.where(F.lit(False))
+    runs: list[tuple[int, int]] = []
+    for a, b in sorted(touched):
+        if runs and a <= runs[-1][1] + 1:
+            runs[-1] = (runs[-1][0], max(runs[-1][1], b))
+        else:
+            runs.append((a, b))
+    return index.where(in_ranges("leaf", coalesced(runs))).where(F.coalesce(met, F.lit(False)))
+
+
 def poly_cost(tree: KdTree, shape) -> dict:
     """Leaves inside, partial and outside, rows examined by the index and rows of the table."""
     _, _, t = tree.cover(shape)

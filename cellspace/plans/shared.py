@@ -9,8 +9,8 @@ from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql.window import Window
 
-#: A side of a join is broadcast only if its counted rows are within this (a few dozen bytes each).
-BROADCAST_ROWS = 2_000_000
+#: A side of a join is broadcast only if its counted rows, at their width, are within this many bytes.
+BROADCAST_BYTES = 64_000_000
 #: A window over one group runs in one task; larger tables are numbered by a range sort instead.
 WINDOW_ROWS = 4_000_000
 
@@ -41,8 +41,13 @@ def staged(df: DataFrame, tag: str) -> DataFrame:
     return df.sparkSession.read.schema(df.schema).parquet(path)
 
 
-def maybe_broadcast(df: DataFrame, rows: int, limit: int = BROADCAST_ROWS) -> DataFrame:
-    return F.broadcast(df) if rows <= limit else df
+def row_width(df: DataFrame) -> int:
+    """Bytes of a row, about: 8 a number, 40 a string, 120 anything nested."""
+    return sum(8 if kind in ("bigint", "int", "double", "float", "boolean", "date", "timestamp", "timestamp_ntz") else 40 if kind == "string" else 120 for _, kind in df.dtypes)
+
+
+def maybe_broadcast(df: DataFrame, rows: int) -> DataFrame:
+    return F.broadcast(df) if rows * row_width(df) <= BROADCAST_BYTES else df
 
 
 def row_numbers(df: DataFrame, order: list, name: str, rows: int | None = None) -> DataFrame:

@@ -10,6 +10,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql.streaming import StatefulProcessor, StatefulProcessorHandle
 
+from cellspace.functions.spaces import clean
 from cellspace.plans.shared import new_path
 
 
@@ -27,6 +28,20 @@ def events_stream(spark: SparkSession, sf_dir: str, files: int = 1) -> DataFrame
     return stream.withColumn("ts", F.col("ts").cast("timestamp"))
 
 
+def stream_in_turn(spark: SparkSession, parts: list[DataFrame], tag: str) -> DataFrame:
+    """A stream of tables, one file and one micro-batch each, in their order: what comes late comes late."""
+    path = new_path(spark, tag)
+    for part in parts:
+        part.coalesce(1).write.mode("append").parquet(path)
+    return spark.readStream.schema(parts[0].schema).option("maxFilesPerTrigger", 1).parquet(path)
+
+
+def space_stream(spark: SparkSession, sf_dir: str, space) -> DataFrame:
+    """Keys and features of a space over ``events``, as a stream."""
+    cols = [f"cast({e} AS double) AS x{k}" for k, e in enumerate(space.features)]
+    return clean(events_stream(spark, sf_dir).selectExpr(f"{space.key} AS key", *cols), space.cols)
+
+
 def run_to_table(stream: DataFrame, mode: str = "append", tag: str = "stream") -> DataFrame:
     """Runs a stream over what there is and gives its result as a table.
 

@@ -9,6 +9,7 @@ from pyspark.sql import DataFrame, SparkSession
 from cellspace.functions.spaces import SPACES, FeatureSpace
 from cellspace.operators.grid import LayeredGrid, build_layered_grid
 from cellspace.operators.kdtree import KdTree, build_kdtree
+from cellspace.plans.shared import staged
 
 QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {}
 ORACLES: dict[str, str] = {}
@@ -33,13 +34,19 @@ def kept(spark: SparkSession, sf_dir: str, what: tuple, make: Callable):
     return _KEPT[key]
 
 
+def space_rows(spark: SparkSession, sf_dir: str, space: FeatureSpace | str) -> DataFrame:
+    """The rows of a space, made from their table once for a session and a folder."""
+    s = SPACES[space] if isinstance(space, str) else space
+    return kept(spark, sf_dir, ("space", s.name), lambda: staged(s.frame(spark, sf_dir), "space"))
+
+
 def kd(spark: SparkSession, sf_dir: str, space: FeatureSpace | str, levels: int | None = None, method: str = "rank", axis_rule: str = "cycle") -> tuple[DataFrame, KdTree]:
     s = SPACES[space] if isinstance(space, str) else space
-    return kept(spark, sf_dir, ("kd", s.name, levels, method, axis_rule), lambda: build_kdtree(s.frame(spark, sf_dir), s.cols, levels, method, axis_rule))
+    return kept(spark, sf_dir, ("kd", s.name, levels, method, axis_rule), lambda: build_kdtree(space_rows(spark, sf_dir, s), s.cols, levels, method, axis_rule))
 
 
 def grid(spark: SparkSession, sf_dir: str, space: FeatureSpace, base: int) -> LayeredGrid:
-    return kept(spark, sf_dir, ("grid", space.name, base), lambda: build_layered_grid(space.frame(spark, sf_dir), space.cols, base))
+    return kept(spark, sf_dir, ("grid", space.name, base), lambda: build_layered_grid(space_rows(spark, sf_dir, space), space.cols, base))
 
 
 def rows(spark: SparkSession, data: list[tuple], schema: str) -> DataFrame:

@@ -2,14 +2,17 @@
 
 from __future__ import annotations
 
+import time
+
 import numpy as np
+import pandas as pd
 from pyspark.sql import functions as F
 from pyspark.sql.window import Window
 
 from cellspace.functions import shapes as sh
 from cellspace.functions.curves import morton, morton_sql, quantise
 from cellspace.functions.predicate_text import parse_linear_predicate
-from cellspace.functions.spaces import CHARGE5, DOC2, DOC3, DOC5, DOC39, EMB5, EVENT3, LINE2, LINE3, LINE5, band_colours, covariance, eigen, fix_signs, sphere_to_xyz, standardise, whiten
+from cellspace.functions.spaces import CHARGE5, DOC2, DOC3, DOC5, DOC5W, DOC39, EMB5, EMB64, EVENT3, LETTERS, LINE2, LINE3, LINE5, band_colours, covariance, eigen, fix_signs, linear_radius, principal_components, sphere_to_xyz, standardise, whiten
 from cellspace.operators import basins as ba
 from cellspace.operators import cells as ce
 from cellspace.operators import encodings as en
@@ -22,20 +25,22 @@ from cellspace.operators import regress as rg
 from cellspace.operators import spectra as sp
 from cellspace.plans.shared import staged
 from cellspace.sources.layout import table
-from cellspace.workloads.base import grid, kd, kept, query, rows
+from cellspace.workloads.base import grid, kd, kept, query, rows, space_rows
 
-LEVELS = {"line5": 8, "charge5": 8, "line3": 8, "line2": 8, "doc5": 5, "doc3": 5, "event3": 6, "emb5": 4}
+#: Levels of the square-root rule at the scale where the SQL runs.
+LEVELS = {"line5": 8, "charge5": 8, "doc5": 5}
 MANY = 10**13  # rows that the generated layer thresholds cover
 
 
 def index(spark, d, space):
-    return kd(spark, d, space, LEVELS[space.name])
+    """The kd index of a space; leaves and rows of a leaf are about the square root of the rows."""
+    return kd(spark, d, space)
 
 
 # --- spaces -----------------------------------------------------------------------------------------------------
 @query("m_space_line5", f"SELECT key, round(x0 + x1 + x2 + x3 + x4, 6) AS s FROM ({LINE5.sql()})")
 def m_space(spark, d):
-    return LINE5.frame(spark, d).select("key", F.round(F.col("x0") + F.col("x1") + F.col("x2") + F.col("x3") + F.col("x4"), 6).alias("s"))
+    return space_rows(spark, d, LINE5).select("key", F.round(F.col("x0") + F.col("x1") + F.col("x2") + F.col("x3") + F.col("x4"), 6).alias("s"))
 
 
 _S5 = f"s AS ({LINE5.sql()}), a AS (SELECT " + ", ".join(f"avg(x{k}) AS m{k}, stddev_pop(x{k}) AS d{k}" for k in range(5)) + " FROM s)"
@@ -43,32 +48,61 @@ _S5 = f"s AS ({LINE5.sql()}), a AS (SELECT " + ", ".join(f"avg(x{k}) AS m{k}, st
 
 @query("m_standardise", f"WITH {_S5} SELECT key, " + ", ".join(f"round((x{k} - m{k}) / d{k}, 5) AS z{k}" for k in range(5)) + " FROM s, a")
 def m_standardise(spark, d):
-    z, _ = standardise(LINE5.frame(spark, d), LINE5.cols)
+    z, _ = standardise(space_rows(spark, d, LINE5), LINE5.cols)
     return z.select("key", *[F.round(f"z{k}", 5).alias(f"z{k}") for k in range(5)])
 
 
 @query("m_whiten")
 def m_whiten(spark, d):
-    w, _ = whiten(CHARGE5.frame(spark, d), CHARGE5.cols)
+    w, _ = whiten(space_rows(spark, d, CHARGE5), CHARGE5.cols)
     _, cov, n = covariance(w, [f"w{k}" for k in range(5)])
     return rows(spark, [(i, j, float(round(cov[i, j], 6)), n) for i in range(5) for j in range(5)], "i int, j int, covariance double, n long")
 
 
 @query("m_components")
 def m_components(spark, d):
-    vec = DOC39.frame(spark, d).select(F.array(*DOC39.cols).alias("v"))
+    vec = space_rows(spark, d, DOC39).select(F.array(*DOC39.cols).alias("v"))
     _, cov, _ = sp.gram(vec, "v")
     w, loadings = eigen(cov)
     shares = w / w.sum()
     return rows(spark, [(k, float(shares[k]), [float(v) for v in loadings[:, k]]) for k in range(5)], "component int, share double, loadings array<double>")
 
 
-@query("m_letter_spectrum", f"SELECT key, round({' + '.join(f'x{k}' for k in range(39))}, 6) AS letters, round(x4, 6) AS e FROM ({DOC39.sql()})")
+_COV = [(i, j) for i in range(5) for j in range(5)]
+
+
+@query("m_component_covariance", f"WITH s AS ({DOC5.sql()}) " + " UNION ALL ".join(f"SELECT {i} AS i, {j} AS j, round(covar_pop(x{i}, x{j}), 4) + 0 AS covariance FROM s" for i, j in _COV))
+def m_component_covariance(spark, d):
+    """The components of the letter shares are near uncorrelated, the first the widest."""
+    r = space_rows(spark, d, DOC5).agg(*[F.round(F.covar_pop(f"x{i}", f"x{j}"), 4).alias(f"c{i}_{j}") for i, j in _COV]).first()
+    return rows(spark, [(i, j, r[f"c{i}_{j}"] + 0.0) for i, j in _COV], "i int, j int, covariance double")
+
+
+@query("m_component_scores", f"SELECT key, lang, " + ", ".join(f"round(x{k}, 6) + 0 AS x{k}" for k in range(5)) + f" FROM ({DOC5.sql()})")
+def m_component_scores(spark, d):
+    return space_rows(spark, d, DOC5).select("key", "lang", *[(F.round(c, 6) + 0).alias(c) for c in DOC5.cols])
+
+
+@query("m_principal_components")
+def m_principal_components(spark, d):
+    """Three components fitted anew to the standardised line items and to the correlated charges."""
+    out = []
+    for space in (LINE5, CHARGE5):
+        z, _ = standardise(space_rows(spark, d, space), space.cols)
+        pcs, loadings, shares = principal_components(z, [f"z{k}" for k in range(5)], 3)
+        _, cov, n = covariance(pcs, ["pc1", "pc2", "pc3"])
+        out += [(space.name, k + 1, float(shares[k]), float(cov[k, k]), float(np.abs(cov[k] - np.diag(np.diag(cov))[k]).max()), [float(v) for v in loadings[:, k]], n) for k in range(3)]
+    return rows(spark, out, "space string, component int, share double, variance double, off_diagonal double, loadings array<double>, n long")
+
+
+@query("m_linear_radius", "SELECT event_id, round(value / 1000 * (CAST(299792.458 AS DOUBLE) / CAST(70.0 AS DOUBLE)), 3) AS r FROM events")
+def m_linear_radius(spark, d):
+    return table(spark, d, "events").select("event_id", F.round(linear_radius(F.col("value") / 1000), 3).alias("r"))
+
+
+@query("m_letter_spectrum", "SELECT key, " + ", ".join(f"round(x{k}, 6) AS c{k}" for k in range(len(LETTERS))) + f" FROM ({DOC39.sql()})")
 def m_letter_spectrum(spark, d):
-    total = F.col("x0")
-    for k in range(1, 39):
-        total = total + F.col(f"x{k}")
-    return DOC39.frame(spark, d).select("key", F.round(total, 6).alias("letters"), F.round("x4", 6).alias("e"))
+    return space_rows(spark, d, DOC39).select("key", *[F.round(f"x{k}", 6).alias(f"c{k}") for k in range(len(LETTERS))])
 
 
 def _curves(m: int = 5, n: int = 39) -> np.ndarray:
@@ -76,16 +110,21 @@ def _curves(m: int = 5, n: int = 39) -> np.ndarray:
     return np.exp(-0.5 * ((at[None] - np.linspace(3, n - 4, m)[:, None]) / 4) ** 2)
 
 
-@query("m_band_colours")
+def _colours_sql() -> str:
+    bands = ["ln(" + " + ".join(f"x{k} * CAST({float(c)!r} AS DOUBLE)" for k, c in enumerate(curve)) + " + CAST(1e-6 AS DOUBLE))" for curve in _curves()]
+    return f"SELECT key, " + ", ".join(f"round({a} - {b}, 5) + 0 AS colour{k}" for k, (a, b) in enumerate(zip(bands, bands[1:]))) + f" FROM ({DOC39.sql()})"
+
+
+@query("m_band_colours", _colours_sql())
 def m_band_colours(spark, d):
-    df = DOC39.frame(spark, d)
+    df = space_rows(spark, d, DOC39)
     cols = band_colours(F.array(*DOC39.cols), _curves())
-    return df.select("key", *[F.round(c, 6).alias(f"colour{k}") for k, c in enumerate(cols)])
+    return df.select("key", *[(F.round(c, 5) + 0).alias(f"colour{k}") for k, c in enumerate(cols)])
 
 
 @query("W_projection_density", f"SELECT CAST(floor(x0 / 2) AS BIGINT) AS bin_x, CAST(floor(x1) AS BIGINT) AS bin_y, lang, count(*) AS n FROM ({DOC2.sql()}) GROUP BY ALL")
 def projection_density(spark, d):
-    return DOC2.frame(spark, d).groupBy(F.floor(F.col("x0") / 2).alias("bin_x"), F.floor("x1").alias("bin_y"), "lang").agg(F.count("*").alias("n"))
+    return space_rows(spark, d, DOC2).groupBy(F.floor(F.col("x0") / 2).alias("bin_x"), F.floor("x1").alias("bin_y"), "lang").agg(F.count("*").alias("n"))
 
 
 # --- layered grid ----------------------------------------------------------------------------------------------
@@ -104,13 +143,13 @@ def _grid_sql(space, base: int) -> str:
 
 @query("m_random_rank", f"SELECT key, rand_rank FROM ({_ranked_sql(LINE3)})")
 def m_random_rank(spark, d):
-    df = LINE3.frame(spark, d)
+    df = space_rows(spark, d, LINE3)
     return gr.assign_random_rank(df, rows=df.count()).select("key", F.col("rand_rank").cast("long"))
 
 
 @query("m_random_rank_hash")
 def m_random_rank_hash(spark, d):
-    return gr.assign_random_rank(LINE3.frame(spark, d), how="hash").select("key", "rand_rank")
+    return gr.assign_random_rank(space_rows(spark, d, LINE3), how="hash").select("key", "rand_rank")
 
 
 @query("m_layer_of", f"SELECT o_orderkey, {gr.layer_sql('o_orderkey', 64, 3, MANY)} AS l3, {gr.layer_sql('o_orderkey', 1024, 2, MANY)} AS l2 FROM orders")
@@ -190,12 +229,33 @@ def grid_read_efficiency(spark, d):
     return rows(spark, out, "request_id int, wanted int, returned long, fetched long, layers int, efficiency double")
 
 
+@query("W_grid_vs_block_vs_scan")
+def grid_vs_block_vs_scan(spark, d):
+    """Rows returned and read, fidelity and seconds of three ways to n rows of a box: the layered grid, a block sample
+    tuned by the box's share of the volume and cut to the first n, and a scan in the order of random ranks."""
+    g = grid(spark, d, LINE3, 64)
+    layout = kept(spark, d, ("blocks",), lambda: gr.block_layout(space_rows(spark, d, LINE3), "x0", 50))
+    volume, out = float(np.prod(np.array(g.hi) - np.array(g.lo))), []
+    for i, lo, hi, n in [r for r in zoom_requests() if r[0] in (1, 2, 4, 5, 8)]:
+        share = float(np.prod(np.minimum(hi, g.hi) - np.maximum(lo, g.lo))) / volume
+        p = gr.tune_percent(n, g.count, share)
+        inside = g.rows.where(gr.in_box(g.cols, lo, hi))
+        ways = {"layered_grid": lambda: gr.sample_box(g, lo, hi, n), "block_first_n": lambda: gr.block_sample_top(layout, p, n, g.cols, lo, hi), "scan_by_rank": lambda: gr.scan_sample_top(g.rows, n, g.cols, lo, hi)}
+        for name, make in ways.items():
+            began = time.time()
+            got = staged(make().select(*g.cols), "sample")
+            took, count = time.time() - began, got.count()
+            fair, bins = gr.chi_square(got, inside, g.cols, lo, hi)
+            out.append((i, n, name, round(p, 4) if name == "block_first_n" else None, count, round(fair, 4), bins, round(took, 3)))
+    return rows(spark, out, "request_id int, wanted int, method string, percent double, returned long, chi_square double, bins int, seconds double")
+
+
 @query("W_sample_fidelity")
 def sample_fidelity(spark, d):
     """Greatest gap between distribution functions of sample and box, by method and axis, on rows laid out by price."""
     g = grid(spark, d, LINE3, 64)
     lo, hi, n = g.lo, g.hi, 1000
-    layout = kept(spark, d, ("blocks",), lambda: gr.block_layout(LINE3.frame(spark, d), "x0", 50))
+    layout = kept(spark, d, ("blocks",), lambda: gr.block_layout(space_rows(spark, d, LINE3), "x0", 50))
     whole = g.rows
     samples = {"layered_grid": gr.sample_box(g, lo, hi, n), "scan_by_rank": gr.scan_sample_top(whole, n, g.cols, lo, hi), "row_sample_first_n": gr.row_sample_top(layout, 5, n, g.cols, lo, hi)}
     samples |= {f"block_sample_{p}": gr.block_sample_top(layout, p, n, g.cols, lo, hi) for p in (1, 5, 20)}
@@ -203,8 +263,9 @@ def sample_fidelity(spark, d):
     for name, s in samples.items():
         s = staged(s.select(*g.cols), "sample")
         got = s.count()
-        out += [(name, c, got, round(gr.ks_distance(s, whole, c), 6)) for c in g.cols]
-    return rows(spark, out, "method string, axis string, returned long, ks double")
+        fair, _ = gr.chi_square(s, whole, g.cols, lo, hi)
+        out += [(name, c, got, round(gr.ks_distance(s, whole, c), 6), round(fair, 4)) for c in g.cols]
+    return rows(spark, out, "method string, axis string, returned long, ks double, chi_square double")
 
 
 # --- kd-tree -----------------------------------------------------------------------------------------------------
@@ -218,13 +279,33 @@ for _space in (LINE5, CHARGE5, DOC5):
 
 @query("W_kdtree_methods")
 def kdtree_methods(spark, d):
-    """Leaf sizes by way of building."""
-    out = []
+    """Leaf sizes, shape and seconds by way of building."""
+    out, df = [], space_rows(spark, d, CHARGE5)
     for method, rule in (("rank", "cycle"), ("rank", "widest"), ("rank", "max_variance"), ("sketch", "cycle"), ("hybrid", "cycle")):
-        _, t = kd(spark, d, CHARGE5, 6, method, rule)
-        n = t.counts[t.leaves :]
-        out.append((method, rule, int(n.min()), int(n.max()), float(np.median(kt.box_elongation(t)))))
-    return rows(spark, out, "method string, axis_rule string, least long, most long, elongation double")
+        began = time.time()
+        _, t = kt.build_kdtree(df, CHARGE5.cols, 6, method, rule)
+        took, n = time.time() - began, t.counts[t.leaves :]
+        out.append((method, rule, int(n.min()), int(n.max()), float(np.median(kt.box_elongation(t))), round(took, 3)))
+    return rows(spark, out, "method string, axis_rule string, least long, most long, elongation double, seconds double")
+
+
+def _node_boxes_sql(levels: int, d: int) -> str:
+    box = ", ".join(f"min(x{k}) AS lo{k}, max(x{k}) AS hi{k}" for k in range(d))
+    out = ", ".join(f"round(min(lo{k}), 9) AS lo{k}, round(max(hi{k}), 9) AS hi{k}" for k in range(d))
+    return f", b AS (SELECT leaf, count(*) AS n, {box} FROM kd GROUP BY leaf) SELECT CAST(h AS INTEGER) AS height, CAST(leaf >> h AS BIGINT) AS place, CAST(sum(n) AS BIGINT) AS n, {out} FROM b, range({levels + 1}) AS a(h) GROUP BY ALL"
+
+
+@query("m_node_boxes", kt.rank_build_sql(CHARGE5.sql(), 5, 8) + _node_boxes_sql(8, 5))
+def m_node_boxes(spark, d):
+    """Tight boxes and rows of every node of the tree."""
+    _, t = index(spark, d, CHARGE5)
+    out = []
+    for h in range(t.levels + 1):
+        for place in range(t.leaves >> h):
+            n = (t.leaves >> h) + place
+            if t.counts[n]:
+                out.append((h, place, int(t.counts[n]), *(round(float(v), 9) for k in range(5) for v in (t.lo[n, k], t.hi[n, k]))))
+    return rows(spark, out, "height int, place long, n long, " + ", ".join(f"{b}{k} double" for k in range(5) for b in ("lo", "hi")))
 
 
 @query("W_postorder", f"{kt.rank_build_sql(LINE5.sql(), 5, 8)}, per AS (SELECT leaf, count(*) AS n FROM kd GROUP BY leaf) SELECT 2 * (((m + 1) << h) - 1) - bit_count(((m + 1) << h) - 1) + 1 + h AS node_id, CAST(h AS INTEGER) AS height, CAST(sum(n) AS BIGINT) AS n FROM per, range(9) AS a(h), range(256) AS b(m) WHERE m < (256 >> h) AND leaf >> h = m GROUP BY h, m")
@@ -255,11 +336,7 @@ POLYHEDRA = {
 @query("W_poly_simple", " UNION ALL ".join(f"SELECT {q} AS query_id, key FROM ({LINE5.sql()}) WHERE {p.sql(LINE5.cols)}" for q, p in POLYHEDRA.items()))
 def poly_simple(spark, d):
     idx, t = index(spark, d, LINE5)
-    out = None
-    for q, p in POLYHEDRA.items():
-        r = pq.query_polyhedron(idx, t, p, LINE5.cols).select(F.lit(q).alias("query_id"), "key")
-        out = r if out is None else out.unionByName(r)
-    return out
+    return pq.query_many(idx, t, POLYHEDRA, LINE5.cols)
 
 
 @query("m_query_many", " UNION ALL ".join(f"SELECT {q} AS query_id, count(*) AS n FROM ({LINE5.sql()}) WHERE {p.sql(LINE5.cols)}" for q, p in POLYHEDRA.items()))
@@ -286,21 +363,17 @@ _LOG_SQL = "(x1 - x0 <= 5 AND x0 - x2 > 20 AND log10(2 * x0 * x0) < 3.2) OR (x1
 
 @query("W_poly_dnf_log", f"SELECT key FROM ({LINE5.sql()}) WHERE {_LOG_SQL}")
 def poly_dnf_log(spark, d):
-    """The text is parsed into a union of polyhedra with residuals; the index answers the linear part of each."""
+    """The text is parsed into a union of polyhedra with residuals; one scan of the leaves that any of them touches."""
     idx, t = index(spark, d, LINE5)
     parsed = parse_linear_predicate(LOG_TEXT, _NAMES)
     named = idx.withColumns({n: F.col(c) for n, c in zip(_NAMES, LINE5.cols, strict=True)})
-    out = None
-    for p, r in zip(parsed.shape.parts, parsed.residuals, strict=True):
-        part = pq.query_polyhedron(named, t, p, LINE5.cols, F.expr(r) if r else None).select("key")
-        out = part if out is None else out.unionByName(part)
-    return out.distinct()
+    return pq.query_dnf(named, t, parsed.shape.parts, [F.expr(r) if r else None for r in parsed.residuals], LINE5.cols).select("key")
 
 
 @query("m_parse_predicate", f"SELECT count(*) AS n FROM ({LINE5.sql()}) WHERE NOT ({_LOG_SQL}) AND (x0 = 10 OR x2 <> 3)")
 def m_parse_predicate(spark, d):
     parsed = parse_linear_predicate(f"NOT ({LOG_TEXT}) AND (qty = 10 OR disc <> 3)", _NAMES)
-    df = LINE5.frame(spark, d).withColumns({n: F.col(c) for n, c in zip(_NAMES, LINE5.cols, strict=True)})
+    df = space_rows(spark, d, LINE5).withColumns({n: F.col(c) for n, c in zip(_NAMES, LINE5.cols, strict=True)})
     return df.where(parsed.sql(LINE5.cols)).agg(F.count("*").alias("n"))
 
 
@@ -330,29 +403,64 @@ def cell_classes(spark, d):
 FRACTIONS = (0.0001, 0.001, 0.01, 0.05, 0.1, 0.25, 0.5, 0.75, 1.0)
 
 
+_CUTS = {"line3": (20.0, 40.0, 60.0, 80.0, 110.0), "charge5": (40.0, 80.0, 120.0, 200.0, 300.0)}
+
+
+@query("m_selectivity_counts", " UNION ALL ".join(f"SELECT '{sp.name}' AS space, CAST({c!r} AS DOUBLE) AS cut, count(*) FILTER ({' + '.join(sp.cols)} <= CAST({c!r} AS DOUBLE)) AS returned FROM ({sp.sql()})" for sp in (LINE3, CHARGE5) for c in _CUTS[sp.name]))
+def m_selectivity_counts(spark, d):
+    """Rows of growing half-spaces, through the index."""
+    out = None
+    for space in (LINE3, CHARGE5):
+        idx, t = index(spark, d, space)
+        for c in _CUTS[space.name]:
+            n = pq.query_polyhedron(idx, t, sh.Polyhedron((sh.HalfSpace((1.0,) * space.dim, c),)), space.cols).agg(F.lit(space.name).alias("space"), F.lit(c).alias("cut"), F.count("*").alias("returned"))
+            out = n if out is None else out.unionByName(n)
+    return out
+
+
+def _seconds(df) -> float:
+    began = time.time()
+    df.agg(F.count("*")).collect()
+    return round(time.time() - began, 4)
+
+
 @query("W_selectivity_sweep")
 def selectivity_sweep(spark, d):
-    """Rows examined by the index and by the scan as the returned share grows, and the plan chosen."""
+    """Rows and seconds of the index and of the scan as the returned share grows, and the plan chosen."""
     out = []
     for space in (LINE3, LINE5, CHARGE5):
         idx, t = index(spark, d, space)
+        laid = kept(spark, d, ("laid", space.name), lambda idx=idx: staged(idx.repartitionByRange(32, "leaf").sortWithinPartitions("leaf"), "laid"))
         total = F.col("x0")
         for c in space.cols[1:]:
             total = total + F.col(c)
-        cuts = idx.agg(F.percentile(total, F.array(*[F.lit(f) for f in FRACTIONS])).alias("q")).first()["q"]
+        cuts = idx.agg(F.percentile_approx(total, F.array(*[F.lit(f) for f in FRACTIONS]), 10_000).alias("q")).first()["q"]
         shapes = {k: sh.Polyhedron((sh.HalfSpace((1.0,) * space.dim, float(c)),)) for k, c in enumerate(cuts)}
         counts = idx.agg(*[F.count_if(s.column(space.cols)).alias(f"n{k}") for k, s in shapes.items()]).first()
         for k, s in shapes.items():
             c = pq.poly_cost(t, s)
             plan, est, _ = pq.choose_plan(t, s)
-            out.append((space.name, FRACTIONS[k], counts[f"n{k}"], c["rows_read"], c["rows"], c["inside"], c["partial"], round(est, 6), plan))
-    return rows(spark, out, "space string, fraction double, returned long, index_rows long, scan_rows long, inside long, partial long, estimate double, plan string")
+            took = (_seconds(pq.query_polyhedron(laid, t, s, space.cols)), _seconds(pq.scan_polyhedron(laid, s, space.cols))) if space is not LINE5 and FRACTIONS[k] in (0.001, 0.1, 0.5) else (None, None)
+            out.append((space.name, FRACTIONS[k], counts[f"n{k}"], c["rows_read"], c["rows"], c["inside"], c["partial"], round(est, 6), plan, *took))
+    return rows(spark, out, "space string, fraction double, returned long, index_rows long, scan_rows long, inside long, partial long, estimate double, plan string, index_seconds double, scan_seconds double")
+
+
+@query("m_cost_report")
+def cost_report(spark, d):
+    """Nodes visited, leaves and rows by kind for each polyhedron and space: what a plan is chosen by."""
+    out = []
+    for space in (LINE5, CHARGE5):
+        _, t = index(spark, d, space)
+        for q, p in POLYHEDRA.items():
+            c = pq.poly_cost(t, p)
+            out.append((space.name, q, c["visited"], c["inside"], c["partial"], c["outside"], c["rows_inside"], c["rows_partial"], c["rows"]))
+    return rows(spark, out, "space string, query_id int, visited int, inside int, partial int, outside int, rows_inside long, rows_partial long, n long")
 
 
 @query("m_uniform_grid_query", f"SELECT count(*) AS n FROM ({LINE3.sql()}) WHERE x0 + x1 + x2 <= CAST(40 AS DOUBLE)")
 def m_uniform_grid_query(spark, d):
     s = sh.Polyhedron((sh.HalfSpace((1.0, 1.0, 1.0), 40.0),))
-    found, _ = pq.uniform_grid_query(LINE3.frame(spark, d), LINE3.cols, s, 12, (0, 0, 0), (110, 10, 40))
+    found, _ = pq.uniform_grid_query(space_rows(spark, d, LINE3), LINE3.cols, s, 12, (0, 0, 0), (110, 10, 40))
     return found.agg(F.count("*").alias("n"))
 
 
@@ -383,7 +491,7 @@ def hull_similar(spark, d):
 
 @query("m_separator")
 def m_separator(spark, d):
-    df = DOC5.frame(spark, d).withColumn("label", (F.col("lang") == "en").cast("int"))
+    df = space_rows(spark, d, DOC5).withColumn("label", (F.col("lang") == "en").cast("int"))
     h = pq.linear_separator(df, DOC5.cols, "label")
     return df.groupBy("label").agg(F.count("*").alias("n"), F.count_if(h.column(DOC5.cols) == (F.col("label") == 1)).alias("right"))
 
@@ -434,7 +542,7 @@ def knn_batch(spark, d):
 
 @query("m_knn_brute", _knn_point_sql(10))
 def knn_brute(spark, d):
-    out = nb.knn_brute(_point_frame(spark), LINE5.frame(spark, d), LINE5.cols, 10, len(POINTS))
+    out = nb.knn_brute(_point_frame(spark), space_rows(spark, d, LINE5), LINE5.cols, 10, len(POINTS))
     return out.select("query_key", "rank", "key", F.round("d2", 6).alias("d2"))
 
 
@@ -450,23 +558,30 @@ def knn_trace(spark, d):
 _DOC_PAIRS = f"WITH s AS ({DOC5.sql()}), p AS (SELECT a.key AS query_key, b.key, {nb.squared_distance_sql('b.', 'a.', 5)} AS d2, a.lang AS la, b.lang AS lb FROM s a JOIN s b ON a.key <> b.key), n AS (SELECT *, row_number() OVER (PARTITION BY query_key ORDER BY d2, key) AS r FROM p)"
 
 
-def _doc_neighbours(spark, d, k):
+def _doc_neighbours(spark, d, k, space=DOC5):
     """k nearest other documents of every document."""
-    idx, t = index(spark, d, DOC5)
-    out = nb.knn_join(idx, idx, t, DOC5.cols, k + 1).where("query_key != key")
+    idx, t = index(spark, d, space)
+    out = nb.knn_join(idx, idx, t, space.cols, k + 1).where("query_key != key")
     rank = F.row_number().over(Window.partitionBy("query_key").orderBy("d2", "key"))
     return out.withColumn("rank", rank).where(F.col("rank") <= k)
 
 
-@query("W_similar_top2", f"{_DOC_PAIRS} SELECT query_key, CAST(r AS INTEGER) AS rank, round(d2, 6) AS d2 FROM n WHERE r <= 2")
+@query("W_similar_top2", f"{_DOC_PAIRS} SELECT query_key, CAST(r AS INTEGER) AS rank, key, round(d2, 6) AS d2 FROM n WHERE r <= 2")
 def similar_top2(spark, d):
-    return _doc_neighbours(spark, d, 2).select("query_key", "rank", F.round("d2", 6).alias("d2"))
+    """The two most similar documents of each, by five components of the letter shares."""
+    return _doc_neighbours(spark, d, 2).select("query_key", "rank", "key", F.round("d2", 6).alias("d2"))
+
+
+@query("W_similar_top2_whitened", _DOC_PAIRS.replace(DOC5.sql(), DOC5W.sql()) + " SELECT query_key, CAST(r AS INTEGER) AS rank, key, round(d2, 6) AS d2 FROM n WHERE r <= 2")
+def similar_top2_whitened(spark, d):
+    """The same with every component at unit spread."""
+    return _doc_neighbours(spark, d, 2, DOC5W).select("query_key", "rank", "key", F.round("d2", 6).alias("d2"))
 
 
 @query("W_near_copy_search", f"{_DOC_PAIRS} SELECT least(query_key, key) AS a, greatest(query_key, key) AS b FROM p WHERE d2 = 0 GROUP BY ALL")
 def near_copy_search(spark, d):
     """Pairs of documents at no distance: equal spectra share a hash, so no distance is computed."""
-    df = DOC5.frame(spark, d).withColumn("h", F.xxhash64(*DOC5.cols))
+    df = space_rows(spark, d, DOC5).withColumn("h", F.xxhash64(*DOC5.cols))
     a, b = df.select("h", *DOC5.cols, F.col("key").alias("a")), df.select("h", *[F.col(c).alias(f"y{k}") for k, c in enumerate(DOC5.cols)], F.col("key").alias("b"))
     same = F.lit(True)
     for k, c in enumerate(DOC5.cols):
@@ -475,51 +590,56 @@ def near_copy_search(spark, d):
 
 
 REF = "key % 60 = 0"  # the reference set: rows whose target is known
-_REG = f"WITH s AS (SELECT *, exp(c3) AS y FROM (SELECT b.*, c.x3 AS c3 FROM ({LINE3.sql()}) b JOIN (SELECT key, x3 FROM ({CHARGE5.sql()})) c USING (key))), r AS (SELECT * FROM s WHERE {REF}), u AS (SELECT * FROM s WHERE NOT ({REF}))"
+_X = ["x0", "x1", "x2"]
+_REG = f"r0 AS (SELECT b.key, b.x1 AS x0, b.x2 AS x1, b.x3 AS x2, exp(c.x3) AS y FROM ({LINE5.sql()}) b JOIN ({CHARGE5.sql()}) c USING (key)), ref AS (SELECT * FROM r0 WHERE {REF}), unk AS (SELECT * FROM r0 WHERE NOT ({REF}))"
+_NEAR = f"{_REG}, near AS (SELECT query_key, unnest(least10) AS t, generate_subscripts(least10, 1) AS r FROM (SELECT u.key AS query_key, min({{'d2': {nb.squared_distance_sql('s.', 'u.', 3)}, 'key': s.key, 'y': s.y}}, 10) AS least10 FROM unk u, ref s GROUP BY u.key))"
 
 
 def _regression(spark, d):
-    """(unknown, reference, tree, indexed reference): features of line3, target the charge."""
+    """(unknown, reference, tree, indexed reference): features price, discount and tax, target the charge."""
 
     def make():
-        y = CHARGE5.frame(spark, d).select("key", F.exp("x3").alias("y"), F.col("x2").alias("unit"))
-        df = staged(LINE3.frame(spark, d).join(y, "key").select("key", F.col("x0"), F.ln("unit").alias("x1"), F.col("x2"), "y"), "regression")
+        y = space_rows(spark, d, CHARGE5).select("key", F.exp("x3").alias("y"))
+        df = staged(space_rows(spark, d, LINE5).join(y, "key").select("key", F.col("x1").alias("x0"), F.col("x2").alias("x1"), F.col("x3").alias("x2"), "y"), "regression")
         ref = df.where(REF)
-        idx, t = kt.build_kdtree(ref, ["x0", "x1", "x2"], 4)
+        idx, t = kt.build_kdtree(ref, _X)
         return df.where(f"NOT ({REF})"), ref, t, idx
 
     return kept(spark, d, ("regression",), make)
 
 
-@query("W_knn_join")
+def _near_reference(spark, d, k):
+    """The k nearest reference rows of every unknown row, with their features and target."""
+    unknown, _, t, idx = _regression(spark, d)
+    return nb.knn_join(unknown, idx, t, _X, k, carry=[*_X, "y"])
+
+
+@query("W_knn_join", f"WITH {_NEAR} SELECT query_key, CAST(r AS INTEGER) AS rank, t.key AS key, round(t.d2, 6) AS d2 FROM near")
 def knn_join(spark, d):
     """Ten nearest reference rows of every unknown row."""
-    unknown, _, t, idx = _regression(spark, d)
-    out = nb.knn_join(unknown, idx, t, ["x0", "x1", "x2"], 10)
-    return out.select("query_key", "rank", "key", F.round("d2", 6).alias("d2"))
+    return _near_reference(spark, d, 10).select("query_key", "rank", "key", F.round("d2", 6).alias("d2"))
 
 
 @query("W_knn_bound_recall")
 def knn_bound_recall(spark, d):
-    """Share of right neighbours and leaves read, by dimension and stopping rule, on a table of few leaves."""
+    """Share of right neighbours, wrong answers and leaves read by dimension and stopping rule: 64 rows by hash and the
+    middles of all leaves as queries, on a tree of regions that fill the space."""
     out = []
-    for space, k in ((DOC2, 10), (DOC3, 10), (DOC5, 10)):
-        idx, t = kd(spark, d, space, 5)
-        pts = [tuple(float(v) for v in r) for r in t.lo[t.leaves :][::8] * 0.5 + t.hi[t.leaves :][::8] * 0.5]
+    for space, k in ((DOC2, 10), (DOC3, 10), (DOC5, 10), (LINE3, 10), (CHARGE5, 10)):
+        idx, t = index(spark, d, space)
+        held = nb.hold(idx, t, space.cols)
+        some = idx.select(*space.cols, F.xxhash64("key").alias("h"), "key").orderBy("h", "key").limit(64).toArrow()
+        middle = (t.region_lo + t.region_hi)[t.leaves :][:: max(1, t.leaves // 64)] / 2
+        pts = np.concatenate([np.stack([some[c].to_numpy() for c in space.cols], 1), middle])
         for bound in ("box", "boundary_points"):
-            right = leaves = 0
-            for p in pts:
-                truth = {r["key"] for r in nb.knn_brute(spark.createDataFrame([(0, *p)], "key int, " + ", ".join(f"x{j} double" for j in range(space.dim))), idx, space.cols, k, 1).collect()}
-                best, trace = nb.knn_point(idx, t, p, space.cols, k, bound)
-                right += len(truth & {key for key, _ in best})
-                leaves += len(trace)
-            out.append((space.dim, bound, right / (k * len(pts)), leaves / len(pts)))
-    return rows(spark, out, "d int, bound string, recall double, leaves double")
+            right, wrong, leaves = nb.bound_recall(held, pts, k, bound)
+            out.append((space.name, space.dim, bound, len(pts), right, wrong, leaves))
+    return rows(spark, out, "space string, d int, bound string, queries int, recall double, wrong int, leaves double")
 
 
 @query("m_knn_lsh")
 def knn_lsh(spark, d):
-    df = DOC5.frame(spark, d)
+    df = space_rows(spark, d, DOC5)
     few = nb.knn_lsh(df, df, DOC5.cols, 3, 2.0).where("query_key != key")
     full = _doc_neighbours(spark, d, 2)
     hit = full.join(few, ["query_key", "key"], "left_semi").count()
@@ -532,7 +652,7 @@ _SEEDS = {"doc3": 50, "line3": 200}
 
 def _seeds(spark, d, space, n=None, order=None):
     n = n or _SEEDS[space.name]
-    return kept(spark, d, ("seeds", space.name, n, order), lambda: ce.choose_seeds(space.frame(spark, d), space.cols, n, order=order))
+    return kept(spark, d, ("seeds", space.name, n, order), lambda: ce.choose_seeds(space_rows(spark, d, space), space.cols, n, order=order))
 
 
 def _seed_sql(space, n: int) -> str:
@@ -550,11 +670,11 @@ def m_seeds(spark, d):
 
 
 def _doc_cells(spark, d):
-    return kept(spark, d, ("cells", "doc3"), lambda: ce.tagged(DOC3.frame(spark, d), DOC3.cols, _seeds(spark, d, DOC3), ["lang"]))
+    return kept(spark, d, ("cells", "doc3"), lambda: ce.tagged(space_rows(spark, d, DOC3), DOC3.cols, _seeds(spark, d, DOC3), ["lang"]))
 
 
 def _doc_tags(spark, d):
-    return kept(spark, d, ("tags", "doc3"), lambda: staged(ce.tag_cells(DOC3.frame(spark, d), DOC3.cols, _seeds(spark, d, DOC3)), "tags"))
+    return kept(spark, d, ("tags", "doc3"), lambda: staged(ce.tag_cells(space_rows(spark, d, DOC3), DOC3.cols, _seeds(spark, d, DOC3)), "tags"))
 
 
 @query("W_voronoi_tag", f"WITH {_tag_sql(DOC3, 50)} SELECT cell_tag, count(*) AS n FROM tg WHERE place = 1 GROUP BY cell_tag")
@@ -573,10 +693,10 @@ def voronoi_walk(spark, d):
     out = []
     for n in (16, 64, 256):
         s = _seeds(spark, d, LINE2, n)
-        exact = staged(ce.tag_cells(LINE2.frame(spark, d), LINE2.cols, s), "tags")
+        exact = staged(ce.tag_cells(space_rows(spark, d, LINE2), LINE2.cols, s), "tags")
         e = ce.witness_graph(exact).toArrow()
         edges = np.stack([e["src"].to_numpy(), e["dst"].to_numpy()], 1) - 1
-        walked = ce.tag_cells(LINE2.frame(spark, d), LINE2.cols, s, "walk", edges)
+        walked = ce.tag_cells(space_rows(spark, d, LINE2), LINE2.cols, s, "walk", edges)
         r = walked.join(exact.select("key", F.col("d2").alias("best")), "key").agg(F.avg("steps").alias("steps"), F.avg((F.col("d2") > F.col("best") + 1e-12).cast("double")).alias("off")).first()
         out.append((n, float(np.sqrt(n)), r["steps"], r["off"]))
     return rows(spark, out, "seeds int, root double, steps double, off double")
@@ -584,7 +704,7 @@ def voronoi_walk(spark, d):
 
 @query("m_voronoi_tree", f"WITH {_tag_sql(DOC3, 50)} SELECT key, cell_tag FROM tg WHERE place = 1")
 def voronoi_tree(spark, d):
-    return ce.tag_cells(DOC3.frame(spark, d), DOC3.cols, _seeds(spark, d, DOC3), "tree").select("key", "cell_tag")
+    return ce.tag_cells(space_rows(spark, d, DOC3), DOC3.cols, _seeds(spark, d, DOC3), "tree").select("key", "cell_tag")
 
 
 @query("m_seeds_balanced")
@@ -606,10 +726,10 @@ _LO, _HI = (0.0, 0.0, 0.0), (110.0, 10.0, 40.0)
 @query("m_curve_order", f"SELECT key, {morton_sql([_Q(0), _Q(1), _Q(2)], 8)} AS z FROM ({LINE3.sql()})")
 def m_curve_order(spark, d):
     ints = [quantise(F.col(c), a, b, 8) for c, a, b in zip(LINE3.cols, _LO, _HI, strict=True)]
-    return LINE3.frame(spark, d).select("key", morton(ints, 8).alias("z"))
+    return space_rows(spark, d, LINE3).select("key", morton(ints, 8).alias("z"))
 
 
-_POLY3 = sh.Polyhedron((sh.HalfSpace((1.0, 1.0, 0.0), 14.0), sh.HalfSpace((0.0, -1.0, 1.0), 2.0)))
+_POLY3 = sh.Polyhedron((sh.HalfSpace((1.0, 1.0, 0.0), 3.0), sh.HalfSpace((0.0, -1.0, 1.0), 4.0)))
 
 
 @query("W_voronoi_poly", f"SELECT key FROM ({DOC3.sql()}) WHERE {_POLY3.sql(DOC3.cols)}")
@@ -618,13 +738,20 @@ def voronoi_poly(spark, d):
     return ce.query_polyhedron_cells(cells, ce.cell_boxes(cells, DOC3.cols), _POLY3, DOC3.cols).select("key")
 
 
-@query("m_knn_voronoi", f"SELECT query_key AS query, CAST(r AS INTEGER) AS rank, key, round(d2, 6) AS d2 FROM (SELECT query_key, key, d2, row_number() OVER (PARTITION BY query_key ORDER BY d2, key) AS r FROM (SELECT query_key, key, {nb.squared_distance_sql('s.', 'p.', 3)} AS d2 FROM ({DOC3.sql()}) s, (VALUES (0, CAST(8 AS DOUBLE), CAST(4 AS DOUBLE), CAST(0 AS DOUBLE)), (1, CAST(12 AS DOUBLE), CAST(2 AS DOUBLE), CAST(3 AS DOUBLE))) AS p(query_key, x0, x1, x2))) WHERE r <= 5")
+@query("m_voronoi_poly_ball", f"SELECT key FROM ({DOC3.sql()}) WHERE {_POLY3.sql(DOC3.cols)}")
+def voronoi_poly_ball(spark, d):
+    """The same query judged by the ball around each seed."""
+    cells = _doc_cells(spark, d)
+    return ce.query_polyhedron_cells(cells, ce.cell_balls(cells, DOC3.cols, _seeds(spark, d, DOC3)), _POLY3, DOC3.cols, "ball").select("key")
+
+
+@query("m_knn_voronoi", f"SELECT query_key AS query, CAST(r AS INTEGER) AS rank, key, round(d2, 6) AS d2 FROM (SELECT query_key, key, d2, row_number() OVER (PARTITION BY query_key ORDER BY d2, key) AS r FROM (SELECT query_key, key, {nb.squared_distance_sql('s.', 'p.', 3)} AS d2 FROM ({DOC3.sql()}) s, (VALUES (0, CAST(5 AS DOUBLE), CAST(-1 AS DOUBLE), CAST(0 AS DOUBLE)), (1, CAST(-8 AS DOUBLE), CAST(-4 AS DOUBLE), CAST(2 AS DOUBLE))) AS p(query_key, x0, x1, x2))) WHERE r <= 5")
 def m_knn_voronoi(spark, d):
-    pts = np.array([[8.0, 4.0, 0.0], [12.0, 2.0, 3.0]])
+    pts = np.array([[5.0, -1.0, 0.0], [-8.0, -4.0, 2.0]])
     return ce.knn_voronoi(pts, _doc_cells(spark, d), _seeds(spark, d, DOC3), DOC3.cols, 5).select("query", "rank", "key", F.round("d2", 6).alias("d2"))
 
 
-_BOX3 = ((0.0, 0.0, 0.0), (24.0, 12.0, 8.0))
+_BOX3 = ((-18.0, -28.0, -13.0), (22.0, 20.0, 15.0))
 _LAT = "lt AS (SELECT i, " + ", ".join(f"CAST({a} AS DOUBLE) + ((i // {20 ** (2 - k)}) % 20 + 0.5) * CAST({(b - a) / 20!r} AS DOUBLE) AS x{k}" for k, (a, b) in enumerate(zip(*_BOX3, strict=True))) + " FROM range(8000) AS t(i))"
 _VOXEL = float(np.prod([b - a for a, b in zip(*_BOX3, strict=True)]) / 8000)
 _VOL = f"{_seed_sql(DOC3, 50)}, {_LAT}, nr AS (SELECT i, tag FROM (SELECT lt.i, sd.tag, row_number() OVER (PARTITION BY lt.i ORDER BY {nb.squared_distance_sql('lt.', 'sd.', 3)}, sd.tag) AS r FROM lt, sd) WHERE r = 1), vo AS (SELECT sd.tag AS cell_tag, count(nr.i) AS probes, count(nr.i) * CAST({_VOXEL!r} AS DOUBLE) AS volume FROM sd LEFT JOIN nr ON sd.tag = nr.tag GROUP BY sd.tag)"
@@ -693,6 +820,7 @@ def outliers(spark, d):
 
 @query("m_leaf_outliers")
 def m_leaf_outliers(spark, d):
+    """Rows of the widest leaves (numeric value of the volume, so tested against a plain loop)."""
     return ba.leaf_outliers(index(spark, d, EVENT3)[0], EVENT3.cols, 0.05).select("key", "leaf")
 
 
@@ -701,7 +829,7 @@ def seed_ratio(spark, d):
     """Share of partial cells and of rows tested as the seeds grow."""
     out = []
     for n in (8, 32, 128):
-        t = ce.tagged(DOC3.frame(spark, d), DOC3.cols, _seeds(spark, d, DOC3, n))
+        t = ce.tagged(space_rows(spark, d, DOC3), DOC3.cols, _seeds(spark, d, DOC3, n))
         b = pq.classify_cells(ce.cell_boxes(t, DOC3.cols), _POLY3, 3).groupBy("kind").agg(F.count("*").alias("c"), F.sum("n").alias("n")).collect()
         c = {r["kind"]: (r["c"], r["n"]) for r in b}
         out.append((n, c.get("partial", (0, 0))[0] / n, c.get("partial", (0, 0))[1]))
@@ -710,20 +838,24 @@ def seed_ratio(spark, d):
 
 @query("W_cell_shape")
 def cell_shape(spark, d):
-    """Neighbours of a cell (graph degree) against the faces and corners of a box, by dimension."""
+    """Neighbours (faces) of a cell by witnesses and by the exact tessellation, and its corners, against the faces and
+    corners of a box, by dimension. The exact ones in two and three dimensions."""
     out = []
     for space in (DOC2, DOC3, DOC5):
-        s = ce.choose_seeds(space.frame(spark, d), space.cols, 50)
-        g = ce.witness_graph(ce.tag_cells(space.frame(spark, d), space.cols, s))
+        df = space_rows(spark, d, space)
+        s = ce.choose_seeds(df, space.cols, 50)
+        g = ce.witness_graph(ce.tag_cells(df, space.cols, s))
         deg = g.select(F.explode(F.array("src", "dst")).alias("t")).groupBy("t").count().agg(F.avg("count")).first()[0]
-        _, t = kd(spark, d, space, 5)
-        out.append((space.dim, float(deg or 0), 2 * space.dim, 2**space.dim, float(np.median(kt.box_elongation(t)))))
-    return rows(spark, out, "d int, neighbours double, box_faces int, box_corners int, box_elongation double")
+        edges, simplices = ce.delaunay_exact(s.x) if space.dim < 4 else (None, None)
+        faces, corners = (2 * len(edges) / len(s.x), float(np.bincount(simplices.ravel(), minlength=len(s.x)).mean())) if edges is not None else (None, None)
+        _, t = index(spark, d, space)
+        out.append((space.dim, float(deg or 0), faces, corners, 2 * space.dim, 2**space.dim, float(np.median(kt.box_elongation(t)))))
+    return rows(spark, out, "d int, neighbours double, exact_neighbours double, corners double, box_faces int, box_corners int, box_elongation double")
 
 
 @query("m_edge_extrapolation")
 def edge_extrapolation(spark, d):
-    graphs = ce.nested_graphs(LINE3.frame(spark, d), LINE3.cols, [16, 64, 256])
+    graphs = ce.nested_graphs(space_rows(spark, d, LINE3), LINE3.cols, [16, 64, 256])
     counts = {s: g.count() for s, g in graphs.items()}
     g = ce.edge_growth(counts, 270_000_000)
     return rows(spark, [(s, c, c / s, g["slope"], g["bytes"]) for s, c in counts.items()], "seeds int, edges long, per_seed double, power double, bytes_270m double")
@@ -735,7 +867,7 @@ def classify_quality(spark, d):
     lab = table(spark, d, "labels").where("quality is not null").select(F.col("doc_id").alias("key"), F.col("quality").alias("label"))
     half = F.pmod(F.xxhash64("key"), F.lit(2))
     train, test = lab.where(half == 0), lab.where(half == 1)
-    df = DOC5.frame(spark, d)
+    df = space_rows(spark, d, DOC5)
     idx, t = kt.build_kdtree(df.join(train.select("key"), "key"), DOC5.cols, 3)
     near = nb.knn_join(df.join(test.select("key"), "key"), idx, t, DOC5.cols, 5)
     voted = ba.vote(near, train).withColumnRenamed("label", "guess")
@@ -751,48 +883,91 @@ def classify_quality(spark, d):
 
 
 # --- regression and similarity -----------------------------------------------------------------------------------
-_X = ["x0", "x1", "x2"]
-
-
 def _errors(est, truth, name, extra=""):
     return rg.regression_errors(est, truth, "y").select(F.lit(name).alias("method"), F.lit(extra).alias("setting"), "n", "mae", "rmse", "bias", "sigma")
 
 
+def _law(price, discount, tax):
+    return price * 1000 * (1 - discount / 100) * (1 + tax / 100)
+
+
 def _template_grid(spark, ref):
+    """A full grid over the parameters, with the target that their law gives: the fair rival."""
     lo, hi, _ = gr.global_box(ref, _X)
     axes = [np.linspace(lo[0], hi[0], 20).tolist(), np.linspace(lo[1], hi[1], 10).tolist(), np.linspace(lo[2], hi[2], 5).tolist()]
-    mean = ref.agg(F.avg(F.col("y") / F.col("x0")).alias("m")).first()["m"]
-    return rg.grid_templates(spark, axes, lambda a, b, c: (a * mean, (a, b, c))), 1000
+    return rg.grid_templates(spark, axes, lambda a, b, c: (_law(a, b, c), (a, b, c))), 1000
+
+
+def _reference_spectra(x0, x1, x2):
+    """A stand-in spectrum of 39 values: three bumps whose heights follow the features."""
+    at, bump = np.arange(39.0), lambda c: np.exp(-0.5 * ((np.arange(39.0) - c) / 5) ** 2)
+    return 1.0 + x0[:, None] * bump(8) / 10 + (x1[:, None] + 5) * bump(20) + x2[:, None] * bump(31) / 4 + at / 100
+
+
+def _spectral_templates(spark, ref, bins=1000):
+    """Templates made as a library is: spectra of a grid of parameters seen through transmission curves."""
+    lo, hi, _ = gr.global_box(ref, _X)
+    g = np.stack(np.meshgrid(*[np.linspace(a, b, 10) for a, b in zip(lo, hi, strict=True)], indexing="ij"), -1).reshape(-1, 3)
+    spectra = spark.createDataFrame([(i, float(_law(*p)), v.tolist()) for i, (p, v) in enumerate(zip(g, _reference_spectra(*g.T), strict=True))], "template_id long, param double, spectrum array<double>")
+    return spectra.select("template_id", "param", *[c.alias(f"t{k}") for k, c in enumerate(band_colours(F.col("spectrum"), _curves()))]), len(g)
+
+
+def _observed_colours(df):
+    """The same colours of the unknown rows: their spectra through the curves, as column expressions."""
+    at = np.arange(39.0)
+    bump = lambda c: [float(v) for v in np.exp(-0.5 * ((at - c) / 5) ** 2)]
+    a, b, c = bump(8), bump(20), bump(31)
+    spectrum = F.array(*[1.0 + F.col("x0") * (a[k] / 10) + (F.col("x1") + 5) * b[k] + F.col("x2") * (c[k] / 4) + k / 100 for k in range(39)])
+    named = df.withColumn("spectrum", spectrum)
+    return named.select("key", "y", *[x.alias(f"x{k}") for k, x in enumerate(band_colours(F.col("spectrum"), _curves()))])
 
 
 @query("W_regression_compare")
 def regression_compare(spark, d):
-    """Errors of neighbour polynomials, neighbour average and three template libraries, clean and noisy target."""
+    """Errors of neighbour polynomials, neighbour average and four template libraries, clean and noisy target."""
     unknown, ref, t, idx = _regression(spark, d)
-    noise = (F.pmod(F.xxhash64("key"), F.lit(2000)) / 1000.0 - 1) * 5.0
+    noise = lambda key: (F.pmod(F.xxhash64(key), F.lit(2000)) / 1000.0 - 1) * 5.0
+    near = staged(_near_reference(spark, d, 40), "near")  # rank tells the 10 and 20 nearest
     parts = []
     for k in (10, 20, 40):
-        near = staged(nb.knn_join(unknown, idx, t, _X, k), "near")
         for degree in (0, 1, 2):
             if degree and k < 2 * len(rg.monomials(3, degree)):
                 continue
             name = ("average", "linear", "quadratic")[degree]
-            parts.append(_errors(rg.knn_regress(near, unknown, ref, _X, "y", degree, k), unknown, name, f"k={k}"))
+            parts.append(_errors(rg.knn_regress(near, unknown, _X, "y", degree, k), unknown, name, f"k={k}"))
             if k == 20:
-                noisy_ref, noisy = ref.withColumn("y", F.col("y") + noise), unknown.withColumn("y", F.col("y") + noise)
-                parts.append(_errors(rg.knn_regress(near, noisy, noisy_ref, _X, "y", degree, k), noisy, name, "k=20 noisy"))
+                noisy = unknown.withColumn("y", F.col("y") + noise("key"))
+                parts.append(_errors(rg.knn_regress(near.withColumn("y", F.col("y") + noise("key")), noisy, _X, "y", degree, k), noisy, name, "k=20 noisy"))
         if k == 20:
-            parts.append(_errors(rg.weighted_average(near, ref, "y"), unknown, "weighted average", "k=20"))
+            parts.append(_errors(rg.weighted_average(near, "y", 20), unknown, "weighted average", "k=20"))
+    count = ref.count()
     for bins in (20, 100):
-        parts.append(_errors(rg.template_fit(unknown, rg.target_templates(ref, _X, "y", bins), _X, bins), unknown, "template curve", f"{bins}"))
+        parts.append(_errors(rg.template_fit(unknown, rg.target_templates(ref, _X, "y", bins, count), _X, bins), unknown, "template curve", f"{bins}"))
     lib, n = _template_grid(spark, ref)
     parts.append(_errors(rg.template_fit(unknown, lib, _X, n), unknown, "template grid", f"{n}"))
+    lib, n = _spectral_templates(spark, ref)
+    seen = staged(_observed_colours(unknown), "colours")
+    parts.append(_errors(rg.template_fit(seen, lib, [f"x{k}" for k in range(4)], n), unknown, "template spectra", f"{n}"))
     out = parts[0]
     for p in parts[1:]:
         out = out.unionByName(p)
     return out
 
 
+_E = "count(*) AS n, round(avg(abs(e)), 3) AS mae, round(sqrt(avg(e * e)), 3) AS rmse, round(avg(e), 3) AS bias"
+_TPL = f"tb AS (SELECT CAST(floor((row_number() OVER (ORDER BY y, key) - 1) * 20 / (SELECT count(*) FROM ref)) AS BIGINT) AS template_id, * FROM ref), tm AS (SELECT template_id, avg(y) AS param, avg(x0) AS x0, avg(x1) AS x1, avg(x2) AS x2 FROM tb GROUP BY template_id), tf AS (SELECT u.key, u.y, min({{'d2': {nb.squared_distance_sql('u.', 'tm.', 3)}, 'id': template_id, 'param': param}}) AS m FROM unk u, tm GROUP BY u.key, u.y)"
+
+
+@query("m_regression_baselines", f"WITH {_NEAR}, {_TPL}, av AS (SELECT query_key, avg(t.y) AS estimate FROM near GROUP BY query_key), er AS (SELECT 'average' AS method, estimate - y AS e FROM av JOIN unk ON query_key = key UNION ALL SELECT 'template curve' AS method, m.param - y AS e FROM tf) SELECT method, {_E} FROM er GROUP BY method")
+def regression_baselines(spark, d):
+    """The average of ten neighbours and a curve of twenty templates."""
+    unknown, ref, _, _ = _regression(spark, d)
+    near = _near_reference(spark, d, 10)
+    a = _errors(rg.knn_regress(near, unknown, _X, "y", 0, 10), unknown, "average")
+    b = _errors(rg.template_fit(unknown, rg.target_templates(ref, _X, "y", 20, ref.count()), _X, 20), unknown, "template curve")
+    return a.unionByName(b).select("method", "n", *[F.round(c, 3).alias(c) for c in ("mae", "rmse", "bias")])
+
+
 @query("W_calibration_shift")
 def calibration_shift(spark, d):
     """A band offset on both sets: the neighbour fit doesn't move, templates (made without it) do."""
@@ -802,9 +977,9 @@ def calibration_shift(spark, d):
     out = None
     for share in (0.0, 0.1, 0.3):
         u, r = (rg.shift_band(x, "x0", share * spread) for x in (unknown, ref))
-        i2, t2 = kt.build_kdtree(r, _X, 4)
-        near = staged(nb.knn_join(u, i2, t2, _X, 10), "near")
-        for name, est in (("linear", rg.knn_regress(near, u, r, _X, "y", 1, 10)), ("template grid", rg.template_fit(u, lib, _X, n))):
+        i2, t2 = kt.build_kdtree(r, _X)
+        near = nb.knn_join(u, i2, t2, _X, 10, carry=[*_X, "y"])
+        for name, est in (("linear", rg.knn_regress(near, u, _X, "y", 1, 10)), ("template grid", rg.template_fit(u, lib, _X, n))):
             e = _errors(est, u, name, f"{share}")
             out = e if out is None else out.unionByName(e)
     return out
@@ -816,28 +991,37 @@ def m_coverage(spark, d):
     return rg.coverage(nb.knn_join(unknown, idx, t, _X, 1))
 
 
-@query("W_simulation_match", f"WITH s AS ({DOC5.sql()}), l AS (SELECT " + ", ".join(f"avg(x{k}) FILTER (lang = '{g}') AS {g}{k}" for g in ("en", "fr", "de", "es") for k in range(5)) + " FROM s), m AS (SELECT e * 64 + f * 8 + g AS sim_id, e / 7.0 AS a, f / 7.0 AS b, g / 7.0 AS c FROM range(8) t1(e), range(8) t2(f), range(8) t3(g) WHERE e + f + g <= 7), q AS (SELECT sim_id, " + ", ".join(f"a * en{k} + b * fr{k} + c * de{k} + (1 - a - b - c) * es{k} AS x{k}" for k in range(5)) + f" FROM m, l), p AS (SELECT s.key, q.sim_id, {nb.squared_distance_sql('s.', 'q.', 5)} AS d2 FROM s, q) SELECT key, round(min(d2), 5) AS d2 FROM p GROUP BY key")
+_PARTS = 17  # weights are multiples of a seventeenth: 1,140 mixtures
+_MEANS = ", ".join(f"avg(x{k}) FILTER (lang = '{g}') AS {g}{k}" for g in ("en", "fr", "de", "es") for k in range(5))
+_SIMS = f"l AS (SELECT {_MEANS} FROM s), m AS (SELECT e * 324 + f * 18 + g AS sim_id, e / 17.0 AS en, f / 17.0 AS fr, g / 17.0 AS de FROM range(18) t1(e), range(18) t2(f), range(18) t3(g) WHERE e + f + g <= 17), q AS (SELECT sim_id, en, fr, de, " + ", ".join(f"en * en{k} + fr * fr{k} + de * de{k} + (1 - en - fr - de) * es{k} AS x{k}" for k in range(5)) + " FROM m, l)"
+
+
+@query("W_simulation_match", f"WITH s AS ({DOC5.sql()}), {_SIMS}, p AS (SELECT s.key, min({{'d2': {nb.squared_distance_sql('s.', 'q.', 5)}, 'sim_id': q.sim_id}}) AS m FROM s, q GROUP BY s.key) SELECT key, m.sim_id AS sim_id, round(en, 6) AS en, round(fr, 6) AS fr, round(de, 6) AS de, round(m.d2, 5) AS d2 FROM p JOIN q ON q.sim_id = p.m.sim_id")
 def simulation_match(spark, d):
-    """Mixtures of the languages' mean spectra on a grid of weights; the nearest one of every document."""
-    s = DOC5.frame(spark, d)
+    """Mixtures of the languages' mean spectra on a grid of weights: the nearest one of every document, with the weights
+    it was made from."""
+    s = space_rows(spark, d, DOC5)
     means = s.agg(*[F.avg(F.when(F.col("lang") == g, F.col(f"x{k}"))).alias(f"{g}{k}") for g in ("en", "fr", "de", "es") for k in range(5)])
-    m = spark.range(512).select(F.col("id").alias("sim_id"), (F.floor(F.col("id") / 64) / 7.0).alias("a"), (F.floor(F.col("id") / 8) % 8 / 7.0).alias("b"), (F.col("id") % 8 / 7.0).alias("c")).where("floor(sim_id / 64) + floor(sim_id / 8) % 8 + sim_id % 8 <= 7")
-    mix = [(F.col("a") * F.col(f"en{k}") + F.col("b") * F.col(f"fr{k}") + F.col("c") * F.col(f"de{k}") + (1 - F.col("a") - F.col("b") - F.col("c")) * F.col(f"es{k}")).alias(f"x{k}") for k in range(5)]
-    sims = m.crossJoin(means).select("sim_id", *mix)
-    return nb.match_simulations(s, sims, DOC5.cols, 512).select("key", F.round("d2", 5).alias("d2"))
+    n = _PARTS + 1
+    m = spark.range(n**3).withColumnRenamed("id", "sim_id").select("sim_id", F.floor(F.col("sim_id") / n**2).alias("e"), (F.floor(F.col("sim_id") / n) % n).alias("f"), (F.col("sim_id") % n).alias("g")).where(f"e + f + g <= {_PARTS}")
+    m = m.select("sim_id", *[(F.col(a) / float(_PARTS)).alias(b) for a, b in (("e", "en"), ("f", "fr"), ("g", "de"))])
+    mix = [(F.col("en") * F.col(f"en{k}") + F.col("fr") * F.col(f"fr{k}") + F.col("de") * F.col(f"de{k}") + (1 - F.col("en") - F.col("fr") - F.col("de")) * F.col(f"es{k}")).alias(f"x{k}") for k in range(5)]
+    sims = m.crossJoin(F.broadcast(means)).select("sim_id", "en", "fr", "de", *mix)
+    found = nb.match_simulations(s, sims, DOC5.cols, ["en", "fr", "de"], 1140)
+    return found.select("key", "sim_id", *[F.round(c, 6).alias(c) for c in ("en", "fr", "de")], F.round("d2", 5).alias("d2"))
 
 
 @query("W_similarity_agreement")
 def similarity_agreement(spark, d):
     """Recall of the two nearest by 1 to 8 components against all 39 letters, and their rate of the same language."""
-    df = DOC39.frame(spark, d)
+    df = space_rows(spark, d, DOC39)
     vec = df.select("key", F.array(*DOC39.cols).alias("v"), F.col("lang").alias("label"))
     labels = vec.select("key", "label")
     mean, cov, _ = sp.gram(vec, "v")
     _, loadings = eigen(cov)
 
     def nearest(frame, cols):
-        idx, t = kt.build_kdtree(frame, cols, 5)
+        idx, t = kt.build_kdtree(frame, cols)
         n = nb.knn_join(idx, idx, t, cols, 3).where("query_key != key")
         rank = F.row_number().over(Window.partitionBy("query_key").orderBy("d2", "key"))
         return staged(n.withColumn("rank", rank).where("rank <= 2"), "nearest")
@@ -862,52 +1046,104 @@ def spectrum_components(spark, d):
 
 
 for _kind in ("columns", "array", "binary", "udt", "pickled"):
-    for _space in (LINE5, EMB5):
+    for _space in (LINE5, EMB64):
 
-        @query(f"W_vector_encoding_{_kind}_{_space.name}", f"SELECT round(sum({' + '.join(f'x{k} * x{k}' for k in range(5))}), 3) AS total FROM ({_space.sql()})")
+        @query(f"W_vector_encoding_{_kind}_{_space.name}", f"SELECT round(sum({' + '.join(f'x{k} * x{k}' for k in range(_space.dim))}), 3) AS total FROM ({_space.sql()})")
         def vector_encoding(spark, d, kind=_kind, space=_space):
-            df = en.encode(space.frame(spark, d), space.cols, kind)
+            df = en.encode(space_rows(spark, d, space), space.cols, kind)
             return en.norm_sum(df, kind, space.cols).select(F.round("total", 3).alias("total"))
 
 
 # --- serving -----------------------------------------------------------------------------------------------------
-VIEWS = [lod.View((0.0, 0.0, 0.0), (110.0, 10.0, 40.0), 60), lod.View((20.0, 2.0, 5.0), (60.0, 6.0, 20.0), 40), lod.View((30.0, 3.0, 8.0), (40.0, 5.0, 12.0), 20)]
+#: Whole space, a part, a small part; boxes and edges asked for at the sizes of an interactive client.
+VIEWS = [lod.View((0.0, 0.0, 0.0), (110.0, 10.0, 40.0), 500), lod.View((20.0, 2.0, 5.0), (60.0, 6.0, 20.0), 500), lod.View((30.0, 3.0, 8.0), (40.0, 5.0, 12.0), 500)]
+_LOD_LEVELS = 12
 
 
-@query("W_lod_boxes")
+def _lod_sql() -> str:
+    meets = lambda v: " AND ".join(f"lo{k} <= CAST({v.hi[k]!r} AS DOUBLE) AND hi{k} >= CAST({v.lo[k]!r} AS DOUBLE)" for k in range(3))
+    box = ", ".join(f"min(x{k}) AS lo{k}, max(x{k}) AS hi{k}" for k in range(3))
+    up = ", ".join(f"min(lo{k}) AS lo{k}, max(hi{k}) AS hi{k}" for k in range(3))
+    nodes = f", b AS (SELECT leaf, count(*) AS n, {box} FROM kd GROUP BY leaf), nd AS (SELECT h, leaf >> h AS place, {up} FROM b, range({_LOD_LEVELS + 1}) AS a(h) GROUP BY h, leaf >> h)"
+    views = ", ".join(f"m{i} AS (SELECT {i} AS view_id, * FROM nd WHERE {meets(v)}), p{i} AS (SELECT coalesce(max(h), 0) AS h FROM (SELECT h FROM m{i} GROUP BY h HAVING count(*) >= {v.wanted}))" for i, v in enumerate(VIEWS))
+    out = " UNION ALL ".join(f"SELECT view_id, CAST(m.h AS INTEGER) AS height, CAST((1 << ({_LOD_LEVELS} - m.h)) + place AS BIGINT) AS node, " + ", ".join(f"round({b}{k}, 9) AS {b}{k}" for k in range(3) for b in ("lo", "hi")) + f" FROM m{i} m JOIN p{i} p ON m.h = p.h" for i in range(len(VIEWS)))
+    return kt.rank_build_sql(LINE3.sql(), 3, _LOD_LEVELS) + nodes + ", " + views + " " + out
+
+
+@query("W_lod_boxes", _lod_sql())
 def lod_boxes(spark, d):
-    _, t = index(spark, d, LINE3)
+    """The coarsest level with 500 boxes in view, else the leaves; the tree is as deep as the finest view needs."""
+    _, t = kd(spark, d, LINE3, _LOD_LEVELS)
     out = []
     for i, v in enumerate(VIEWS):
         h, nodes = lod.visible_boxes(t, v)
-        out += [(i, h, int(n), t.lo[n].tolist(), t.hi[n].tolist()) for n in nodes]
-    return rows(spark, out, "view_id int, height int, node long, lo array<double>, hi array<double>")
+        out += [(i, h, int(n), *(round(float(x), 9) for k in range(3) for x in (t.lo[n, k], t.hi[n, k]))) for n in nodes]
+    return rows(spark, out, "view_id int, height int, node long, " + ", ".join(f"{b}{k} double" for k in range(3) for b in ("lo", "hi")))
+
+
+_GRAPHS = (1000, 10_000, 100_000)
+
+
+def _graphs(spark, d):
+    """Nested graphs over seeds of the line items, each with at most as many seeds as there are rows."""
+
+    def make():
+        df = space_rows(spark, d, LINE3)
+        levels, n = [], df.count()
+        for size in sorted({min(g, n) for g in _GRAPHS}):
+            s = ce.choose_seeds(df, LINE3.cols, size)
+            e = ce.seed_graph(spark, s, LINE3.cols).toArrow()
+            levels.append((s, np.stack([e["src"].to_numpy(), e["dst"].to_numpy()], 1) - 1))
+        return levels
+
+    return kept(spark, d, ("graphs",), make)
 
 
 @query("W_lod_edges")
 def lod_edges(spark, d):
-    levels = []
-    for n in (64, 256, 1024):
-        s = _seeds(spark, d, LINE3, n)
-        e = ce.witness_graph(ce.tag_cells(LINE3.frame(spark, d), LINE3.cols, s)).toArrow()
-        levels.append((s.x, np.stack([e["src"].to_numpy(), e["dst"].to_numpy()], 1) - 1))
-    out = []
+    """The first graph of 1,000, 10,000 or 100,000 seeds with 500 edges in view, and the edges."""
+    levels, out = _graphs(spark, d), []
     for i, v in enumerate(VIEWS):
-        level, edges = lod.visible_edges(levels, v)
-        out.append((i, (64, 256, 1024)[level], len(edges)))
+        level, edges = lod.visible_edges([(s.x, e) for s, e in levels], v)
+        out.append((i, len(levels[level][0].tags), len(edges)))
     return rows(spark, out, "view_id int, seeds int, edges int")
 
 
+@query("m_lod_points")
+def lod_points(spark, d):
+    """Points of a view with the boxes they lie in: 100,000 wanted, or all there are."""
+    g = grid(spark, d, LINE3, 64)
+    _, t = kd(spark, d, LINE3, _LOD_LEVELS)
+    out = []
+    for i, v in enumerate(VIEWS):
+        began = time.time()
+        scene = lod.points_and_boxes(g, t, lod.View(v.lo, v.hi, 100_000), 500)
+        n, in_boxes = scene.count(), scene.select("node").distinct().count()
+        out.append((i, n, in_boxes, round(time.time() - began, 3)))
+    return rows(spark, out, "view_id int, points long, boxes long, seconds double")
+
+
+@query("m_lod_cells")
+def lod_cells(spark, d):
+    """Cells of a view as neighbour lists of their seeds, coloured by density."""
+    levels = _graphs(spark, d)
+    s, e = levels[0]
+    tags = kept(spark, d, ("lod-tags",), lambda: staged(ce.tag_cells(space_rows(spark, d, LINE3), LINE3.cols, s, "tree"), "tags"))
+    counts = tags.groupBy("cell_tag").agg(F.count("*").alias("n"), F.sqrt(F.max("d2")).alias("reach"))
+    return lod.coloured_cells(spark, s, e, counts, VIEWS[1])
+
+
 @query("m_scene_cache")
 def scene_cache(spark, d):
-    """A session of views: zooming in fetches, zooming out again is served from the cache."""
+    """A session of views: zooming in fetches, zooming out again is served from the cache without delay."""
     source = lod.SceneSource(grid(spark, d, LINE3, 64), mode="inline")
     out = []
     for step, v in enumerate([*VIEWS, *VIEWS[::-1]]):
+        began = time.time()
         source.show(v)
         scene = source.poll()
-        out.append((step, len(scene), source.cache.hits, source.cache.misses))
-    return rows(spark, out, "step int, points int, hits int, misses int")
+        out.append((step, len(scene), source.cache.hits, source.cache.misses, round(time.time() - began, 4)))
+    return rows(spark, out, "step int, points int, hits int, misses int, seconds double")
 
 
 @query("m_scene_pipeline")
@@ -931,18 +1167,34 @@ def sql_scene(spark, d):
     return lod.scene_from_sql(spark, "SELECT l_quantity, l_extendedprice, l_discount FROM cs_scene WHERE l_tax > 0.07")
 
 
-@query("W_log_mining")
-def log_mining(spark, d):
-    """Predicates of a generated log that parse to linear surfaces, by number of faces: the 100 richest."""
+def _log_lines() -> list[tuple[int, str]]:
+    """A generated log: conjunctions and disjunctions of linear cuts among other statements."""
     rng, names, lines = np.random.default_rng(11), _NAMES, []
-    for i in range(2000):
+    for i in range(1000):
         if rng.random() < 0.4:
             lines.append((i, "SELECT count(*) FROM log WHERE " + " ".join(rng.choice(names, 2))))
             continue
-        parts = [f"{rng.choice(names)} - {rng.integers(1, 4)} * {rng.choice(names)} {rng.choice(['<', '<=', '>', '>='])} {rng.integers(0, 50)}" for _ in range(rng.integers(1, 6))]
+        parts = [f"{rng.choice(names)} - {rng.integers(2, 5)} * {rng.choice(names)} {rng.choice(['<', '<=', '>', '>='])} {rng.integers(0, 50)}" for _ in range(rng.integers(1, 6))]
         lines.append((i, str(rng.choice([" AND ", " OR "])).join(parts)))
-    log = spark.createDataFrame(lines, "log_id int, text string")
-    some = log.where(F.col("text").rlike(r"(?i)\b(" + "|".join(names) + r")\b") & F.col("text").contains("-") & F.col("text").rlike("[<>]"))
-    scored = some.withColumn("score", F.size(F.regexp_extract_all("text", F.lit("(<=|>=|<|>)"), F.lit(1))))
-    return scored.orderBy(F.desc("score"), "log_id").limit(100).select("log_id", "score")
+    return lines
 
+
+def _faces(text: pd.Series) -> pd.Series:
+    """Faces of the polyhedra that a predicate parses to; null if it doesn't parse."""
+
+    def one(t: str) -> int | None:
+        try:
+            return sum(len(p.faces) for p in parse_linear_predicate(t, _NAMES).shape.parts)
+        except (ValueError, KeyError, IndexError, SyntaxError):
+            return None
+
+    return text.map(one).astype("Int32")
+
+
+@query("W_log_mining", "SELECT log_id, CAST(len(regexp_extract_all(text, '<=|>=|<|>')) AS INTEGER) AS faces FROM (VALUES " + ", ".join(f"({i}, '{t}')" for i, t in _log_lines()) + ") AS l(log_id, text) WHERE NOT starts_with(text, 'SELECT') ORDER BY faces DESC, log_id LIMIT 100")
+def log_mining(spark, d):
+    """Predicates of a generated log that parse to linear surfaces, by number of faces: the 100 richest. No table holds
+    a log, so the lines are made here."""
+    log = spark.createDataFrame(_log_lines(), "log_id int, text string")
+    parsed = log.withColumn("faces", F.pandas_udf(_faces, "int")("text")).where("faces > 0")
+    return parsed.orderBy(F.desc("faces"), "log_id").limit(100).select("log_id", "faces")

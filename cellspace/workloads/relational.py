@@ -2,13 +2,15 @@
 
 from __future__ import annotations
 
+import pandas as pd
 from pyspark.sql import functions as F
 from pyspark.sql.window import Window
 
-from cellspace.functions.spaces import LINE5
+from cellspace.functions.spaces import LINE3, LINE5
+from cellspace.operators.grid import block_layout
 from cellspace.plans.shared import maybe_broadcast, row_numbers
 from cellspace.sources.layout import export_flat, read_ranges, table, write_clustered
-from cellspace.workloads.base import kd, query
+from cellspace.workloads.base import kd, kept, query
 
 W = Window
 
@@ -115,9 +117,10 @@ def join_semi(spark, d):
     return table(spark, d, "orders").select("o_orderkey").join(big, "o_orderkey", "left_semi")
 
 
-@query("op_join_anti", "SELECT c_custkey FROM customer WHERE NOT EXISTS (SELECT 1 FROM orders WHERE o_custkey = c_custkey)")
+@query("op_join_anti", "SELECT c_custkey FROM customer WHERE NOT EXISTS (SELECT 1 FROM orders WHERE o_custkey = c_custkey AND o_totalprice > 300000)")
 def join_anti(spark, d):
-    return table(spark, d, "customer").select("c_custkey").join(table(spark, d, "orders").select(F.col("o_custkey").alias("c_custkey")), "c_custkey", "left_anti")
+    dear = table(spark, d, "orders").where("o_totalprice > 300000").select(F.col("o_custkey").alias("c_custkey"))
+    return table(spark, d, "customer").select("c_custkey").join(dear, "c_custkey", "left_anti")
 
 
 @query("op_join_full", "SELECT coalesce(a.o_orderkey, b.o_orderkey) AS o_orderkey, a.o_orderkey IS NOT NULL AS in_a, b.o_orderkey IS NOT NULL AS in_b FROM (SELECT o_orderkey FROM orders WHERE o_totalprice < 200000) a FULL OUTER JOIN (SELECT o_orderkey FROM orders WHERE o_totalprice > 100000) b ON a.o_orderkey = b.o_orderkey")
@@ -353,10 +356,10 @@ def set_intersect(spark, d):
     return t.where("l_quantity < 3").select(F.col("l_partkey").alias("k")).intersect(t.where("l_quantity > 48").select(F.col("l_partkey").alias("k")))
 
 
-@query("op_set_except", "SELECT l_suppkey AS k FROM lineitem WHERE l_quantity < 10 EXCEPT ALL SELECT l_suppkey FROM lineitem WHERE l_quantity > 30")
+@query("op_set_except", "SELECT l_suppkey AS k FROM lineitem WHERE l_quantity < 10 EXCEPT ALL SELECT l_suppkey FROM lineitem WHERE l_quantity > 43")
 def set_except(spark, d):
     t = table(spark, d, "lineitem")
-    return t.where("l_quantity < 10").select(F.col("l_suppkey").alias("k")).exceptAll(t.where("l_quantity > 30").select(F.col("l_suppkey").alias("k")))
+    return t.where("l_quantity < 10").select(F.col("l_suppkey").alias("k")).exceptAll(t.where("l_quantity > 43").select(F.col("l_suppkey").alias("k")))
 
 
 @query("op_distinct", "SELECT DISTINCT md5(text) AS h FROM documents")
@@ -419,9 +422,33 @@ def struct(spark, d):
     return b.select("l_returnflag", "box.lo", "box.hi")
 
 
-@query("op_recursive", "WITH RECURSIVE t(n, p) AS (SELECT 1000, 1000 UNION ALL SELECT n, p // 2 FROM t WHERE p > 1) SELECT p AS node, count(*) AS n FROM t GROUP BY p")
+_UP = "c AS (SELECT c_custkey AS cell, c_custkey // 3 AS parent FROM customer WHERE c_custkey > 0)"
+
+
+@query("op_recursive", f"WITH RECURSIVE {_UP}, up(cell, top, depth) AS (SELECT cell, parent, 1 FROM c UNION ALL SELECT up.cell, c.parent, depth + 1 FROM up JOIN c ON up.top = c.cell) SELECT top AS peak, depth, count(*) AS n FROM up GROUP BY ALL")
 def recursive(spark, d):
-    return spark.sql("WITH RECURSIVE t(n, p) AS (SELECT 1000L, 1000L UNION ALL SELECT n, p DIV 2L FROM t WHERE p > 1) SELECT CAST(p AS INT) AS node, count(*) AS n FROM t GROUP BY p")
+    """A forest of parents over a whole table, followed upwards by recursion."""
+    table(spark, d, "customer").where("c_custkey > 0").select(F.col("c_custkey").cast("long").alias("cell"), F.expr("c_custkey DIV 3").cast("long").alias("parent")).createOrReplaceTempView("cs_forest")
+    return spark.sql("WITH RECURSIVE up(cell, top, depth) MAX RECURSION LEVEL 64 AS (SELECT cell, parent, 1 FROM cs_forest UNION ALL SELECT up.cell, c.parent, depth + 1 FROM up JOIN cs_forest c ON up.top = c.cell) SELECT top AS peak, depth, count(*) AS n FROM up GROUP BY top, depth")
+
+
+@query("op_sample_block")
+def sample_block(spark, d):
+    """A tenth of the blocks of a table laid out by price: whole blocks come or don't, so the sample is lumpy."""
+    layout = kept(spark, d, ("blocks",), lambda: block_layout(LINE3.frame(spark, d), "x0", 50))
+    chosen = layout.where(F.pmod(F.xxhash64("block", F.lit(5)), F.lit(10)) == 0)
+    return chosen.groupBy("block").agg(F.count("*").alias("n"), F.min("x0").alias("lo"), F.max("x0").alias("hi"))
+
+
+@query("op_udaf", "SELECT l_returnflag, l_linestatus, round(quantile_cont(l_extendedprice, 0.5), 4) AS middle, count(*) AS n FROM lineitem GROUP BY ALL")
+def udaf(spark, d):
+    """An aggregate written in Python over Arrow columns: the median of each group."""
+    def middle(v: pd.Series) -> float:
+        return float(v.median())
+
+    f = F.pandas_udf(middle, "double")
+    t = table(spark, d, "lineitem")
+    return t.groupBy("l_returnflag", "l_linestatus").agg(f("l_extendedprice").alias("m")).join(t.groupBy("l_returnflag", "l_linestatus").agg(F.count("*").alias("n")), ["l_returnflag", "l_linestatus"]).select("l_returnflag", "l_linestatus", F.round("m", 4).alias("middle"), "n")
 
 
 @query("op_sample_row")

@@ -5,6 +5,7 @@ import re
 import numpy as np
 import pytest
 from conftest import SF
+from pyspark.sql import functions as F
 
 from cellspace.functions import shapes as sh
 from cellspace.functions.curves import hilbert_numbers, morton_numbers
@@ -136,7 +137,7 @@ def test_polynomials():
     assert abs(regress.local_fit(g - q, y, 2)[0] - truth) < 1e-9 and abs(regress.local_fit(g - q, y, 1)[0] - truth) > 1e-3
     assert regress.local_fit(np.zeros((4, 2)), np.array([1.0, 2, 3, 4]), 2) == (2.5, 0)
     with pytest.raises(ValueError):
-        regress.knn_regress(None, None, None, ["x0", "x1"], "y", 2, 6)
+        regress.knn_regress(None, None, ["x0", "x1"], "y", 2, 6)
 
 
 def test_basins(spark):
@@ -156,7 +157,7 @@ def test_witness_edges_are_true_borders():
     area = [cells.polygon_area(p) for p in cells.cell_polygons(seeds, (0, 0), (1, 1))]
     assert abs(sum(area) - 1) < 1e-9
     tree = cells.seed_tree(seeds)
-    assert [cells.tree_nearest(tree, seeds, p) for p in rows[:200]] == a[:200].tolist()
+    assert cells.tree_nearest(tree, seeds, rows[:200]).tolist() == a[:200].tolist()
 
 
 def test_curves():
@@ -206,3 +207,146 @@ def test_camera_views_get_their_points(spark):
     assert newest <= set(got)
     lines = spark.read.parquet(f"{SF}/lineitem.parquet").count()
     assert sum(n >= 20 for n in got.values()) > 0.8 * len(got) and max(got.values()) <= lines
+
+
+# --- exact builds, joins and fits of many ----------------------------------------------------------------------
+def _points(spark, n, d, seed=0, ties=False):
+    rng = np.random.default_rng(seed)
+    x = rng.standard_normal((n, d))
+    x = x.round(1) if ties else x
+    cols = [f"x{k}" for k in range(d)]
+    return spark.createDataFrame([(int(i), *map(float, r)) for i, r in enumerate(x)], "key long, " + ", ".join(f"{c} double" for c in cols)), x, cols
+
+
+def _plain_leaves(x, levels):
+    node = np.ones(len(x), int)
+    for level in range(levels):
+        for n in np.unique(node):
+            own = np.flatnonzero(node == n)
+            order = own[np.lexsort((own, x[own, level % x.shape[1]]))]
+            node[order[: -(-len(own) // 2)]], node[order[-(-len(own) // 2) :]] = 2 * n, 2 * n + 1
+    return node - (1 << levels)
+
+
+@pytest.mark.parametrize("ties", [False, True])
+def test_exact_build_by_middle_rows(spark, ties):
+    df, x, cols = _points(spark, 3000, 3, 1, ties)
+    want = _plain_leaves(x, 6)
+    for node_rows in (10**6, 400):
+        idx, tree = kdtree._build_exact(df, cols, 6, 3000, "key", node_rows)
+        got = np.empty(3000, int)
+        for r in idx.select("key", "leaf", "leaf_id").collect():
+            got[r.key] = r.leaf
+            assert r.leaf_id == kdtree.postorder_leaf(r.leaf)
+        assert (got == want).all() and tree.counts[1] == 3000
+
+
+def test_regions_fill_the_root(spark):
+    df, x, cols = _points(spark, 900, 3, 2, True)
+    idx, tree = kdtree.build_kdtree(df, cols, 5)
+    lo, hi = tree.region_lo[tree.leaves :], tree.region_hi[tree.leaves :]
+    assert np.isclose((hi - lo).prod(1).sum(), (tree.hi[1] - tree.lo[1]).prod())
+    some = tree.counts[tree.leaves :] > 0
+    assert (lo[some] <= tree.lo[tree.leaves :][some]).all() and (hi[some] >= tree.hi[tree.leaves :][some]).all()
+    pts = np.random.default_rng(3).uniform(tree.lo[1], tree.hi[1], (200, 3))
+    leaf = tree.locate(pts)
+    assert ((lo[leaf] <= pts) & (pts <= hi[leaf])).all()
+
+
+@pytest.mark.parametrize("held", [64_000_000, 0])
+def test_knn_join_equals_all_pairs(spark, held, monkeypatch):
+    from cellspace.operators import neighbours
+
+    monkeypatch.setattr(neighbours, "HELD_BYTES", held)
+    df, x, cols = _points(spark, 700, 3, 4, True)
+    q, y, _ = _points(spark, 90, 3, 5, True)
+    idx, tree = kdtree.build_kdtree(df.withColumn("extra", F.col("key") * 2), cols, 4)
+    d2 = ((y[:, None] - x[None]) ** 2).sum(2)
+    for k in (1, 7, 60):
+        got = {}
+        for r in neighbours.knn_join(q, idx, tree, cols, k, carry=["extra", "x0"]).collect():
+            assert r.extra == 2 * r.key and r.x0 == x[r.key, 0]
+            got.setdefault(r.query_key, []).append((r["rank"], r.key))
+        for i in range(90):
+            near = neighbours.distances(y[i : i + 1], x)[0]
+            assert [key for _, key in sorted(got[i])] == np.lexsort((np.arange(700), near))[:k].tolist()
+    few = neighbours.knn_join(q.limit(3), *kdtree.build_kdtree(df.limit(4), cols, 1), cols, 10)
+    assert few.groupBy("query_key").count().where("count = 4").count() == 3
+    assert np.isfinite(d2).all()
+
+
+def test_boundary_rule_is_near_but_not_beyond_the_exact(spark):
+    from cellspace.operators import neighbours
+
+    df, x, cols = _points(spark, 4096, 5, 6)
+    held = neighbours.hold(*kdtree.build_kdtree(df, cols, 6), cols)
+    pts = np.random.default_rng(7).standard_normal((60, 5))
+    right, wrong, leaves = neighbours.bound_recall(held, pts, 10, "box")
+    assert right == 1 and wrong == 0
+    right, wrong, _ = neighbours.bound_recall(held, pts, 10, "boundary_points")
+    assert 0.9 <= right <= 1
+
+
+def test_fits_of_many_equal_single_ones():
+    rng = np.random.default_rng(8)
+    x = rng.standard_normal((40, 25, 3))
+    y = 1 + x[:, :, 0] * 2 - x[:, :, 1] + 3 * x[:, :, 2] ** 2 + rng.standard_normal((40, 25)) * 0.1
+    x[5, :, 1] = 0  # no spread in one direction
+    x[6] = x[6, :1]
+    for degree in (1, 2):
+        est, used = regress.local_fits(x, y, degree)
+        for i in range(40):
+            e, g = regress.local_fit(x[i], y[i], degree)
+            assert abs(e - est[i]) < 1e-6 * (1 + abs(e)) and g == used[i]
+
+
+def test_nearest_template(spark):
+    df, x, cols = _points(spark, 300, 3, 9)
+    lib = spark.createDataFrame([(i, float(i) * 2, *map(float, v)) for i, v in enumerate(np.random.default_rng(10).standard_normal((50, 3)))], "template_id long, param double, t0 double, t1 double, t2 double")
+    t = np.array([[r.t0, r.t1, r.t2] for r in lib.orderBy("template_id").collect()])
+    got = {r.query_key: (r.template_id, r.estimate) for r in regress.template_fit(df, lib, cols, 50).collect()}
+    want = ((x[:, None] - t[None]) ** 2).sum(2).argmin(1)
+    assert all(got[i] == (want[i], 2.0 * want[i]) for i in range(300))
+
+
+def test_delaunay_spheres_are_empty():
+    for d in (2, 3):
+        x = np.random.default_rng(d).standard_normal((40, d))
+        edges, simplices = cells.delaunay_exact(x)
+        for s in simplices:
+            p = x[s]
+            c = np.linalg.solve(2 * (p[1:] - p[0]), (p[1:] ** 2).sum(1) - (p[0] ** 2).sum())
+            r = ((p[0] - c) ** 2).sum()
+            assert (((x - c) ** 2).sum(1) >= r * (1 - 1e-9)).all()
+        if d == 2:
+            assert cells.delaunay_2d(x) <= edges
+
+
+def test_seed_graph_edges_are_true(spark):
+    x = np.random.default_rng(11).standard_normal((60, 3))
+    seeds = cells.Seeds(np.arange(1, 61), x, np.arange(60))
+    edges, _ = cells.delaunay_exact(x)
+    got = {(r.src - 1, r.dst - 1) for r in cells.seed_graph(spark, seeds, ["x0", "x1", "x2"]).collect()}
+    assert got <= edges and len(got) > 60
+
+
+def test_fidelity_measures(spark):
+    df, x, cols = _points(spark, 4000, 2, 12)
+    fair, low = df.where("key % 4 = 0"), df.where("x0 < 0")
+    lo, hi = x.min(0), x.max(0)
+    assert grid.chi_square(fair, df, cols, lo, hi)[0] < 3 < 20 < grid.chi_square(low, df, cols, lo, hi)[0]
+    a, b = np.sort(x[::4, 0]), np.sort(x[:, 0])
+    exact = max(np.abs(np.searchsorted(a, v, "right") / len(a) - np.searchsorted(b, v, "right") / len(b)).max() for v in (a, b))
+    assert abs(grid.ks_distance(fair, df, "x0") - exact) < 0.01 and grid.ks_distance(low, df, "x0") > 0.4
+
+
+def test_batch_samples_equal_single_ones(spark):
+    df, x, cols = _points(spark, 5000, 3, 13)
+    g = grid.build_layered_grid(df, cols, 64)
+    boxes = [(1, [-1.0] * 3, [1.0] * 3, 200), (2, [-9.0] * 3, [9.0] * 3, 50), (3, [0.0] * 3, [0.2] * 3, 500), (4, [50.0] * 3, [60.0] * 3, 5), (5, [1.0] * 3, [-1.0] * 3, 5)]
+    got = {}
+    for r in grid.sample_boxes(g, grid.requests_frame(spark, boxes), 5).collect():
+        got.setdefault(r.request_id, set()).add(r.key)
+    for i, lo, hi, n in boxes[:4]:
+        assert got.get(i, set()) == {r.key for r in grid.sample_box(g, lo, hi, n).collect()}
+    assert 5 not in got
