@@ -48,8 +48,9 @@ def threshold(words: int) -> int:
     return max(MIN_COUNT, math.isqrt(words) // ROOT_SHARE)
 
 
-def byte_grams(words: list[bytes]) -> tuple[list[np.ndarray], np.ndarray]:
-    """Keys of 1, 2, ... bytes of context for each byte and end of the words, and the lengths with the end.
+def byte_grams(words: list[bytes], only_last: bool = False) -> tuple[list[np.ndarray], np.ndarray]:
+    """Keys of 0, 1, 2, ... bytes of context (or of most only) for each byte and end of the words, and the lengths with
+    the end.
 
     A key holds the symbol in its low 9 bits and the context, nearest first, above them.
     """
@@ -60,7 +61,14 @@ def byte_grams(words: list[bytes]) -> tuple[list[np.ndarray], np.ndarray]:
     at = np.arange(len(flat)) - np.repeat(ends - lengths, lengths)
     keys = [flat]
     for k in range(1, CONTEXT + 1):
-        keys.append(keys[-1] + (np.where(at < k, BEGIN, np.roll(flat, k)) << 9 * k))
+        before = np.empty_like(flat)
+        before[k:] = flat[:-k] if k < len(flat) else flat[:0]
+        before[at < k] = BEGIN
+        before <<= 9 * k
+        before += keys[-1]
+        keys.append(before)
+        if only_last:
+            keys = keys[-1:]
     return keys, lengths
 
 
@@ -104,9 +112,10 @@ class ByteModel:
         """-ln of each whole word, its end included."""
         if not words:
             return np.zeros(0)
-        keys, lengths = byte_grams(words)
+        keys, lengths = byte_grams(words, True)
         k = len(self.levels)
-        own, which = np.unique(keys[k], return_inverse=True)  # in order, so that neighbours are looked up together
+        deepest = keys[0] & ((1 << 9 * (k + 1)) - 1)
+        own, which = np.unique(deepest, return_inverse=True)  # in order, so that neighbours are looked up together
         cost = -np.log(self.probability([own & ((1 << 9 * (j + 1)) - 1) for j in range(k)] + [own]))
         return np.add.reduceat(cost[which], np.cumsum(lengths) - lengths)
 
@@ -271,7 +280,8 @@ class RecurrentModel:
         ext, target = ext[order], target[order]
         cls = v.class_of[target]
         group = v.group_of[cls]
-        logit = np.minimum(ext @ top, 60)  # weights are small: no shift is needed before exp
+        logit = ext @ top
+        np.minimum(logit, 60, out=logit)  # weights are small: no shift is needed before exp
         rows = np.arange(n)
         cost = -logit[rows, group]
         e = np.exp(logit, out=logit)
@@ -298,7 +308,8 @@ class RecurrentModel:
         for k in np.flatnonzero((np.diff(starts) > 1) & (np.diff(edges) > 0)).tolist():
             a, b, lo, hi = edges[k], edges[k + 1], bounds[k], bounds[k + 1]
             x = ext[a:b]
-            logit = np.minimum(x @ W[lo:hi].T, 60)
+            logit = x @ W[lo:hi].T
+            np.minimum(logit, 60, out=logit)
             at, right = rows[: b - a], target[a:b] - lo
             cost[a:b] -= logit[at, right]
             e = np.exp(logit, out=logit)
