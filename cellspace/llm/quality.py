@@ -140,7 +140,8 @@ def _feature_kernel(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatc
 
 def fit_quality(docs: DataFrame, labels: DataFrame, id_col: str = "doc_id", text_col: str = "text", label_col: str = "quality", per_class: int = TRAIN_PER_CLASS) -> QualityModel:
     """Fits the model to labelled documents. Null labels and texts are left out; of several labels of one id the
-    higher counts. If a class has no document the model passes everything."""
+    higher counts. If a class has no document (an empty table, no labels) the model passes every
+    text that isn't blank."""
     lab = labels.select(F.col(id_col).alias("id"), F.col(label_col).cast("int").alias("label")).where("id is not null and label in (0, 1)")
     lab = lab.groupBy("id").agg(F.max("label").alias("label"))
     order = F.xxhash64("id")
@@ -176,7 +177,8 @@ def quality_scores(docs: DataFrame, model: QualityModel, id_col: str = "doc_id",
 
 
 def keep_quality(docs: DataFrame, model: QualityModel, text_col: str = "text") -> DataFrame:
-    """``docs`` without the rows that the model rejects (and without null, empty and blank texts)."""
+    """``docs`` without the rows that the model rejects (and without null, empty and blank texts). Rows are judged by
+    their text alone, so repeated rows stay or go together, whatever their id; an empty table stays empty."""
     at = docs.columns.index(text_col)
     sent = docs.sparkSession.sparkContext.broadcast(model)
 

@@ -1,4 +1,8 @@
-"""A corpus pipeline of five stages over ``documents``; each works on all that its predecessor kept."""
+"""A corpus pipeline of five stages over ``documents``; each works on all that its predecessor kept.
+
+Ids may be null, repeated and of any type that can be ordered; further columns are carried through all stages but the
+last. An empty table gives no row.
+"""
 
 from __future__ import annotations
 
@@ -13,27 +17,32 @@ from cellspace.llm.simhash import drop_near_copies
 
 
 def good_quality(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Documents that the classifier, fitted to a bounded sample of labelled ones, doesn't reject."""
+    """Documents that the classifier, fitted to a bounded sample of labelled ones, doesn't reject.
+
+    Null, empty and blank texts go; null ids and repeated rows are judged by their text. Without labels of both classes
+    every document with text stays.
+    """
     return keep_quality(docs, fit_quality(docs, spark.read.parquet(f"{sf_dir}/labels.parquet")))
 
 
 def without_copies(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """One document of each text."""
+    """One document of each text: that of the least id, nulls last. Null texts all stay, empty ones are one text."""
     return drop_copies(docs)
 
 
 def without_near_copies(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """One document of each group of near copies."""
+    """One document of each group of near copies: that of the least id, nulls last. Texts without words all stay."""
     return drop_near_copies(docs)
 
 
 def without_secrets(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """The same documents with secrets masked."""
+    """The same documents with secrets masked; no row goes, null and empty texts stay as they are."""
     return mask_secrets(docs)
 
 
 def packed(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Where each piece of each document lies in which sequence."""
+    """Where each piece of each document lies in which sequence, in tokens; a text without tokens has one row without
+    a place, a repeated row is packed again."""
     return best_fit_pack(docs)
 
 
