@@ -41,6 +41,13 @@ def staged(df: DataFrame, tag: str) -> DataFrame:
     return df.sparkSession.read.schema(df.schema).parquet(path)
 
 
+def spread(df: DataFrame) -> DataFrame:
+    """``df``, a plain scan, in as many partitions as there are cores at least: a small table in one file would give one
+    task to every kernel after it."""
+    want = df.sparkSession.sparkContext.defaultParallelism
+    return df.repartition(want) if df.rdd.getNumPartitions() < want else df
+
+
 def row_width(df: DataFrame) -> int:
     """Bytes of a row, about: 8 a number, 40 a string, 120 anything nested."""
     return sum(8 if kind in ("bigint", "int", "double", "float", "boolean", "date", "timestamp", "timestamp_ntz") else 40 if kind == "string" else 120 for _, kind in df.dtypes)

@@ -9,7 +9,7 @@ from pyspark.sql import DataFrame, SparkSession
 from cellspace.functions.spaces import SPACES, FeatureSpace
 from cellspace.operators.grid import LayeredGrid, build_layered_grid
 from cellspace.operators.kdtree import KdTree, build_kdtree
-from cellspace.plans.shared import staged
+from cellspace.plans.shared import spread, staged
 
 QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {}
 ORACLES: dict[str, str] = {}
@@ -37,7 +37,7 @@ def kept(spark: SparkSession, sf_dir: str, what: tuple, make: Callable):
 def space_rows(spark: SparkSession, sf_dir: str, space: FeatureSpace | str) -> DataFrame:
     """The rows of a space, made from their table once for a session and a folder."""
     s = SPACES[space] if isinstance(space, str) else space
-    return kept(spark, sf_dir, ("space", s.name), lambda: staged(s.frame(spark, sf_dir), "space"))
+    return kept(spark, sf_dir, ("space", s.name), lambda: staged(spread(s.frame(spark, sf_dir)), "space"))
 
 
 def kd(spark: SparkSession, sf_dir: str, space: FeatureSpace | str, levels: int | None = None, method: str = "rank", axis_rule: str = "cycle") -> tuple[DataFrame, KdTree]:

@@ -600,7 +600,7 @@ def _regression(spark, d):
 
     def make():
         y = space_rows(spark, d, CHARGE5).select("key", F.exp("x3").alias("y"))
-        df = staged(space_rows(spark, d, LINE5).join(y, "key").select("key", F.col("x1").alias("x0"), F.col("x2").alias("x1"), F.col("x3").alias("x2"), "y"), "regression")
+        df = staged(space_rows(spark, d, LINE5).join(y, "key").select("key", F.col("x1").alias("x0"), F.col("x2").alias("x1"), F.col("x3").alias("x2"), "y").repartition(spark.sparkContext.defaultParallelism, "key"), "regression")
         ref = df.where(REF)
         idx, t = kt.build_kdtree(ref, _X)
         return df.where(f"NOT ({REF})"), ref, t, idx
