@@ -6,15 +6,18 @@ fingerprint of 128 bits of the word triples. A fingerprint is cut into ``blocks`
 close pairs share one. Pairs that share a key are verified: at most ``distance`` bits of that fingerprint and at most
 ``check_distance`` of the check differ. Verified pairs give groups by spreading the least id.
 
-Equal fingerprints are one node, so copies by the thousand cost nothing. More blocks give longer keys; their number
-follows the count of nodes and changes the cost only, never the pairs. What is shuffled is fingerprints, not texts; a
-key carries its fingerprint and the check, so that only pairs that pass both leave the task that finds them.
+Equal fingerprints are one node, so copies by the thousand cost nothing. Pieces are chosen twice: a node is shuffled
+under few short keys (one piece of eight for each fingerprint up to 2^28 nodes), and the task of a key cuts the other
+bits into pieces again, in memory, as many as its rows need. Both change the cost only, never the pairs. What is shuffled
+is fingerprints, not texts; a key carries its fingerprint and the check, so that only pairs that pass both leave the task
+that finds them.
 
 Rows are told apart by a number of their own, so ids may be of any type, null or repeated.
 """
 
 from __future__ import annotations
 
+import math
 from collections.abc import Iterator
 from itertools import combinations
 
@@ -30,6 +33,8 @@ DISTANCE, CHECK_DISTANCE = 7, 40
 #: Rows of a task that compares keys, and the least number of such tasks: with fewer, rows of one node share a block of
 #: the shuffle and compress away, so that the bytes of a key would depend on the size of the input.
 KEY_ROWS, KEY_TASKS = 400_000, 64
+#: Rows that are compared together, the most rows of a key, and what a row costs to sort, in comparisons.
+RUN_ROWS, CELL_ROWS, SORT_COST = 100_000, 1 << 20, 20
 PRINT_COLS = [f"f{s}" for s in range(SEEDS)]
 CHECK_COLS = [f"c{s}" for s in range(CHECK_WORDS)]
 
@@ -117,12 +122,16 @@ def simhash_prints(docs: DataFrame, id_col: str = "doc_id", text_col: str = "tex
     return _printed(docs.select(F.col(id_col).alias("id"), F.col(text_col).alias("text"))).where("words > 0")
 
 
-def block_plan(nodes: int, distance: int = DISTANCE) -> list[tuple[tuple[int, int], ...]]:
+def block_plan(nodes: int, distance: int = DISTANCE, width: int = BITS) -> list[tuple[tuple[int, int], ...]]:
     """Keys as lists of (first bit, bits): every choice of ``blocks - distance`` blocks."""
-    blocks = distance + (2 if nodes <= 1 << 20 else 3 if nodes <= 1 << 26 else 4)
-    edges = np.linspace(0, BITS, blocks + 1).round().astype(int)
+    return _choices(distance, 1 if nodes <= 1 << 28 else 2 if nodes <= 1 << 34 else 3, width)
+
+
+def _choices(distance: int, take: int, width: int) -> list[tuple[tuple[int, int], ...]]:
+    """Choices of ``take`` of ``distance + take`` blocks of ``width`` bits."""
+    edges = np.linspace(0, width, distance + take + 1).round().astype(int)
     spans = [(int(a), int(b - a)) for a, b in zip(edges, edges[1:], strict=False)]
-    return list(combinations(spans, blocks - distance))
+    return list(combinations(spans, take))
 
 
 def _key(column: str, spans) -> F.Column:
@@ -132,42 +141,97 @@ def _key(column: str, spans) -> F.Column:
     return out
 
 
+def _bits_of(values: np.ndarray, spans) -> np.ndarray:
+    """The bits of ``spans`` side by side; ``values`` are uint64."""
+    out = np.zeros(len(values), np.uint64)
+    for first, bits in spans:
+        out = (out << np.uint64(bits)) | ((values >> np.uint64(first)) & np.uint64((1 << bits) - 1))
+    return out
+
+
+def _mask(spans) -> np.uint64:
+    return np.uint64(sum(((1 << bits) - 1) << first for first, bits in spans))
+
+
+def _others(spans) -> list[tuple[int, int]]:
+    """The spans of a fingerprint between those of a key."""
+    ends = [(0, 0), *spans, (BITS, 0)]
+    return [(a + n, b - a - n) for (a, n), (b, _) in zip(ends, ends[1:], strict=False) if b > a + n]
+
+
 def differing(a: np.ndarray, b: np.ndarray) -> np.ndarray:
     return np.bitwise_count((a ^ b).view(np.uint64))
 
 
-def _verify(distance: int, check_distance: int, memory: int = 500_000):
-    """Rows (key, id, fingerprint, check) in key order: ids of all pairs that share a key and are close in both.
+def _run_ends(keys: np.ndarray) -> np.ndarray:
+    """For each of sorted keys where its run of equal ones ends."""
+    stops = np.append(np.flatnonzero(keys[1:] != keys[:-1]) + 1, len(keys))
+    return np.repeat(stops, np.diff(stops, prepend=0))
 
-    All runs of equal keys are compared at once, by offsets; only the last run of a batch is carried over.
-    """
 
-    def checked(rows: np.ndarray, i: np.ndarray, j: np.ndarray) -> np.ndarray:
-        near = differing(rows[i, 2], rows[j, 2]) <= distance
-        i, j = i[near], j[near]
-        far = sum((differing(rows[i, k], rows[j, k]).astype(np.int64) for k in range(3, 3 + CHECK_WORDS)), np.zeros(len(i), np.int64))
-        near = far <= check_distance
-        return rows[np.stack([i[near], j[near]], 1), 1]
-
-    def pairs(rows: np.ndarray, ends: np.ndarray) -> Iterator[np.ndarray]:
-        """All pairs within runs of equal keys; a row's run ends before ``ends``."""
-        at, far = np.arange(len(rows)), 1
-        live = at[at + 1 < ends]
-        while len(live):
-            for lo in range(0, len(live), memory):
-                i = live[lo : lo + memory]
-                if len(hit := checked(rows, i, i + far)):
-                    yield hit
-            far += 1
-            live = live[live + far < ends[live]]
+def _verify(plan: list, distance: int, check_distance: int, memory: int = 500_000):
+    """Rows (key, cell, id, fingerprint, check) in order of key and cell: ids of all pairs that share both and are close
+    in both prints.
+
+    Within a run of equal keys the other bits of the fingerprint are cut into blocks once more, so that only rows which
+    agree in some choice of those too are compared. A pair is found by the first choice that it shares, of the keys and
+    within a key. Whole runs are compared together, by offsets; only the last run of a batch is carried over.
+    """
+    masks = [_mask(spans) for spans in plan]
+
+    def finer(run: np.ndarray, rest: np.ndarray, width: int) -> list:
+        """Choices of blocks of the ``width`` bits of ``rest``: more and longer ones the more pairs are left."""
+        best, least = [()], math.inf
+        for take in range(5):
+            choices = _choices(distance, take, width)
+            own = np.sort((run << np.uint64(sum(n for _, n in choices[0]))) | _bits_of(rest, choices[0]))
+            left = int((_run_ends(own) - np.arange(1, len(own) + 1)).sum())
+            cost = len(choices) * (SORT_COST * len(own) + left)
+            if cost >= least:
+                break
+            best, least = choices, cost
+        return best
+
+    def pairs(run: np.ndarray, rows: np.ndarray, at_plan: int) -> Iterator[np.ndarray]:
+        """All close pairs within runs of one choice of blocks; ``run`` numbers them."""
+        prints = rows[3].view(np.uint64)
+        others = _others(plan[at_plan])
+        rest = _bits_of(prints, others)
+        choices = finer(run, rest, sum(n for _, n in others))
+        inner = [_mask(spans) for spans in choices]
+        for t, spans in enumerate(choices):
+            key = (run << np.uint64(sum(n for _, n in spans))) | _bits_of(rest, spans)
+            order = np.argsort(key, kind="stable")
+            own, ends, far = prints[order], _run_ends(key[order]), 1
+            live = np.flatnonzero(np.arange(len(own)) + 1 < ends)
+            while len(live):
+                for lo in range(0, len(live), memory):
+                    i = live[lo : lo + memory]
+                    i = i[np.bitwise_count(own[i] ^ own[i + far]) <= distance]
+                    if not len(i):
+                        continue
+                    i, j = order[i], order[i + far]
+                    unlike = sum((differing(rows[k][i], rows[k][j]).astype(np.int64) for k in range(4, 4 + CHECK_WORDS)), np.zeros(len(i), np.int64))
+                    new = unlike <= check_distance
+                    for before, values, upto in ((masks, prints, at_plan), (inner, rest, t)):
+                        x = values[i] ^ values[j]
+                        for m in before[:upto]:
+                            new &= (x & m) != 0
+                    if new.any():
+                        yield rows[2][np.stack([i[new], j[new]], 1)]
+                far += 1
+                live = live[live + far < ends[live]]
 
     def kernel(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        rest, found = None, []
+        waiting, held, enough, found = [], 0, RUN_ROWS, []
 
-        def flush(block: np.ndarray) -> None:
-            change = np.flatnonzero(block[1:, 0] != block[:-1, 0]) + 1
-            lengths = np.diff(np.concatenate([[0], change, [len(block)]]))
-            found.extend(pairs(block, np.repeat(np.cumsum(lengths), lengths)))
+        def flush(rows: np.ndarray) -> None:
+            new = np.ones(rows.shape[1], bool)
+            new[1:] = (rows[:2, 1:] != rows[:2, :-1]).any(0)
+            run, which = np.cumsum(new).astype(np.uint64), (rows[0] >> 48) // SEEDS
+            stops = np.append(np.flatnonzero(which[1:] != which[:-1]) + 1, len(which))
+            for lo, hi in zip([0, *stops[:-1]], stops, strict=True):
+                found.extend(pairs(run[lo:hi], rows[:, lo:hi], int(which[lo])))
 
         def out() -> pa.RecordBatch:
             both = np.concatenate(found) if found else np.zeros((0, 2), np.int64)
@@ -176,34 +240,60 @@ def _verify(distance: int, check_distance: int, memory: int = 500_000):
             return pa.RecordBatch.from_arrays([pa.array(both[:, 0].copy()), pa.array(both[:, 1].copy())], names=["a", "b"])
 
         for batch in batches:
-            block = np.stack([np.asarray(c) for c in batch.columns], 1)
-            if rest is not None:
-                block = np.concatenate([rest, block])
-            if not len(block):
+            if not batch.num_rows:
                 continue
-            other = block[::-1, 0] != block[-1, 0]
-            tail = len(block) - int(np.argmax(other)) if other.any() else 0
-            if tail:
-                flush(block[:tail])
-            rest = block[tail:]
+            waiting.append(np.stack([np.asarray(c) for c in batch.columns]))
+            held += batch.num_rows
+            if held < enough:
+                continue
+            rows = np.concatenate(waiting, 1)
+            other = np.flatnonzero((rows[:2] != rows[:2, -1:]).any(0))
+            whole = int(other[-1]) + 1 if len(other) else 0
+            if whole:
+                flush(rows[:, :whole])
+            waiting = [rows[:, whole:].copy()]
+            held = rows.shape[1] - whole
+            enough = max(RUN_ROWS, 2 * held)
             if sum(map(len, found)) > 200_000:
                 yield out()
-        if rest is not None and len(rest):
-            flush(rest)
+        if held:
+            flush(np.concatenate(waiting, 1))
         yield out()
 
     return kernel
 
 
+def key_rows(nodes: DataFrame, count: int, distance: int = DISTANCE, most: int = CELL_ROWS) -> DataFrame:
+    """(k, cell, id, f, c..): a row for each key of each node.
+
+    Rows of a key that more than ``most`` nodes have are dealt to chunks; a cell holds two chunks, every two chunks meet
+    in a cell, so that a task never needs more than ``most`` rows or so at once and no pair is lost.
+    """
+    # the number of the table lies above the at most 48 bits of a key
+    tables = [(_key(f"f{s}", spans) + F.lit((k * SEEDS + s) << 48), f"f{s}") for s in range(SEEDS) for k, spans in enumerate(block_plan(count, distance))]
+    keys = F.array(*[F.struct(key.alias("k"), F.col(f).alias("f")) for key, f in tables])
+    rows = nodes.select(F.inline(keys), F.col("id").cast("long").alias("id"), *CHECK_COLS)
+    cols = ["id", "f", *CHECK_COLS]
+    plain = rows.select("k", F.lit(0).cast("long").alias("cell"), *cols)
+    if count <= most:
+        return plain
+    large = nodes.select(F.explode(F.array(*[key for key, _ in tables])).alias("k")).groupBy("k").count().where(F.col("count") > most)
+    large = staged(large.select("k", F.ceil(2 * F.col("count") / F.lit(most)).cast("int").alias("chunks")), "large")
+    found = large.count()
+    if not found:
+        return plain
+    both = rows.join(maybe_broadcast(large, found, 16), "k", "left").withColumn("own", F.pmod(F.xxhash64("id"), F.col("chunks")).cast("int"))
+    cells = F.expr("transform(filter(sequence(0, chunks - 1), j -> j != own), j -> cast(least(j, own) as long) * chunks + greatest(j, own))")
+    cell = F.explode(F.when(F.col("chunks").isNull(), F.array(F.lit(0).cast("long"))).otherwise(cells))
+    return both.select("k", cell.alias("cell"), *cols)
+
+
 def near_pairs(nodes: DataFrame, count: int, distance: int = DISTANCE, check_distance: int = CHECK_DISTANCE) -> DataFrame:
     """Verified pairs (a < b) of nodes (id, f.., c..): exactly those within the distances in some fingerprint."""
     plan = block_plan(count, distance)
-    # the number of the table lies above the at most 48 bits of a key
-    keys = [F.struct((_key(f"f{s}", spans) + F.lit((k * SEEDS + s) << 48)).alias("k"), F.col(f"f{s}").alias("f")) for s in range(SEEDS) for k, spans in enumerate(plan)]
-    rows = nodes.select(F.inline(F.array(*keys)), F.col("id").cast("long").alias("id"), *CHECK_COLS).select("k", "id", "f", *CHECK_COLS)
-    tasks = max(KEY_TASKS, count * len(keys) // KEY_ROWS)
-    rows = rows.repartition(tasks, "k").sortWithinPartitions("k")
-    return map_batches(rows, _verify(distance, check_distance), "a long, b long").distinct()
+    tasks = max(KEY_TASKS, count * len(plan) * SEEDS // KEY_ROWS)
+    rows = key_rows(nodes, count, distance).repartition(tasks, "k", "cell").sortWithinPartitions("k", "cell")
+    return map_batches(rows, _verify(plan, distance, check_distance), "a long, b long").distinct()
 
 
 def least_labels(edges: DataFrame, rounds: int = 60) -> DataFrame:

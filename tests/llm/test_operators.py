@@ -207,6 +207,62 @@ def test_simhash_pairs_equal_brute_force(spark):
     assert got == want and len(want) > 60
 
 
+def test_simhash_keys_of_millions():
+    """Few keys a node however many nodes, so that the shuffle stays in proportion; plans cover any 7 bits."""
+    for nodes in (10**5, 3 * 10**6, 10**8):
+        assert len(simhash.block_plan(nodes)) * simhash.SEEDS <= 24
+    rng = np.random.default_rng(4)
+    for plan in (simhash.block_plan(10**6), simhash.block_plan(10**9), simhash.block_plan(10**11)):
+        for _ in range(200):
+            x = np.bitwise_or.reduce(np.uint64(1) << rng.choice(64, simhash.DISTANCE, replace=False).astype(np.uint64))
+            assert any(not x & simhash._mask(spans) for spans in plan)
+        for spans in plan:
+            both = sorted([*spans, *simhash._others(spans)])
+            assert sum(n for _, n in both) == 64 and all(a + n == b for (a, n), (b, _) in zip(both, both[1:], strict=False))
+
+
+@pytest.mark.parametrize("most", [10**6, 60])
+def test_simhash_crowded_keys(spark, most):
+    """Fingerprints that agree in most pieces: runs of all rows, cut further, and keys dealt to cells."""
+    rng = np.random.default_rng(5)
+    prints = np.zeros((700, 5), np.int64)
+    prints[:, 0] = rng.integers(0, 2**12, 700) << 30
+    prints[:, 1] = rng.integers(-(2**62), 2**62, 700)
+    prints[:, 2] = rng.integers(0, 2**62, 700) & ~np.int64(0xFF)
+    prints[:, 3] = rng.integers(0, 2**25, 700)
+    prints[::3, 4] = -1
+    rows = [(i, *map(int, r)) for i, r in enumerate(prints)]
+    df = spark.createDataFrame(rows, "id long, f0 long, f1 long, f2 long, c0 long, c1 long")
+    keys = simhash.key_rows(df, len(rows), most=most)
+    if most < len(rows):
+        assert max(r["count"] for r in keys.groupBy("k", "cell").count().collect()) <= 1.6 * most
+    ordered = keys.repartition(5, "k", "cell").sortWithinPartitions("k", "cell")
+    check = 20
+    found = ordered.mapInArrow(simhash._verify(simhash.block_plan(len(rows)), simhash.DISTANCE, check), "a long, b long").distinct().collect()
+    i, j = np.triu_indices(700, 1)
+    bits = simhash.differing(prints[i], prints[j]).astype(int)
+    hit = (bits[:, :3].min(1) <= simhash.DISTANCE) & (bits[:, 3:].sum(1) <= check)
+    assert {(r.a, r.b) for r in found} == set(zip(i[hit].tolist(), j[hit].tolist(), strict=True)) and hit.sum() > 10_000
+
+
+@pytest.mark.parametrize("run_rows", [1, 50, 10**6])
+def test_simhash_runs_over_batches(monkeypatch, run_rows):
+    import pyarrow as pa
+
+    monkeypatch.setattr(simhash, "RUN_ROWS", run_rows)
+    monkeypatch.setattr(simhash, "SORT_COST", 1)
+    rng = np.random.default_rng(6)
+    plan = simhash.block_plan(1000)
+    f = rng.integers(0, 2**20, 900)
+    rows = np.stack([np.sort(rng.integers(0, 5, 900)), np.zeros(900, np.int64), np.arange(900), f, f & 3, f & 5])
+    rows[0] = rows[0] // 4 << 48
+    batches = [pa.RecordBatch.from_arrays([pa.array(c[at : at + 70]) for c in rows], names=list("kvifcd")) for at in range(0, 900, 70)]
+    got = {p for b in simhash._verify(plan, 7, 40)(iter(batches)) for p in zip(*(c.to_pylist() for c in b.columns), strict=True)}
+    i, j = np.triu_indices(900, 1)
+    hit = (simhash.differing(f[i], f[j]) <= 7) & (rows[0][i] == rows[0][j])
+    assert got == set(zip(i[hit].tolist(), j[hit].tolist(), strict=True)) and hit.sum() > 1000
+
+
 def test_near_copies_of_six_tenths():
     """Pairs of about 100 words that share 0.6 to 0.8 of their word triples."""
     rng = np.random.default_rng(12)
