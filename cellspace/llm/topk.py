@@ -1,4 +1,4 @@
-"""Exact nearest neighbours of every vector by multi-resolution segment statistics.
+"""Exact nearest neighbours of every vector, or of chosen ones among all, by multi-resolution segment statistics.
 
 A vector is cut into 1, 2, 4, ... segments; each segment keeps its mean and deviation. The squared distance of two
 vectors is at least the sum over segments of (segment length) x ((difference of means)^2 + (difference of
@@ -7,7 +7,8 @@ The first pass searches each block in itself, which bounds every query's k-th di
 a task takes one pair of groups whose boxes of statistics may hold something nearer, so a block is sent to as many tasks
 as there are groups it may meet, not to each block's. The task visits its pairs of blocks that may matter, prunes pairs
 of vectors level by level from coarse to fine, computes exact distances of the survivors, and tightens the bounds with
-what it found. A pair of blocks is visited once and serves both sides.
+what it found. A pair of blocks is visited once and serves both sides. Rows that ask for neighbours and rows that don't
+are in blocks of their own; blocks that don't ask have limits below any distance, so two of them never meet.
 """
 
 from __future__ import annotations
@@ -16,7 +17,7 @@ from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql.window import Window
 
@@ -188,19 +189,22 @@ def _cell_kernel(k: int, dtype: type):
     return kernel
 
 
-def exact_top_k(vectors: DataFrame, k: int = 10, id_col: str = "vec_id", vector_col: str = "embedding", block: int = BLOCK, group_blocks: int = GROUP_BLOCKS) -> DataFrame:
-    """(id, rank, neighbour, distance): the ``k`` nearest other rows of every row by Euclidean distance, ties by id.
+def exact_top_k(
+    vectors: DataFrame, k: int = 10, id_col: str = "vec_id", vector_col: str = "embedding", block: int = BLOCK, group_blocks: int = GROUP_BLOCKS, queries: Column | None = None
+) -> DataFrame:
+    """(id, rank, neighbour, distance): the ``k`` nearest other rows of every query by Euclidean distance, ties by id.
 
-    Every row is a query. Ids may be of any type that can be ordered. Rows with a null id or vector, a null or
+    Queries are the rows for which ``queries`` holds, all rows if it isn't given; neighbours are all rows. Ids may be of any type that can be ordered. Rows with a null id or vector, a null or
     non-finite entry or no entry take no part. Vectors of different lengths aren't compared. Repeated rows are
     neighbours of one another at distance 0. A row with fewer than k comparable others has as many neighbours as there
     are. An empty table gives none.
     """
     spark = vectors.sparkSession
-    df = vectors.select(F.col(id_col).alias("own"), F.col(vector_col).alias("x")).where(F.col("own").isNotNull())
+    ask = F.lit(True) if queries is None else F.coalesce(queries, F.lit(False))
+    df = vectors.select(F.col(id_col).alias("own"), F.col(vector_col).alias("x"), ask.alias("ask")).where(F.col("own").isNotNull())
     single = df.schema["x"].dataType.elementType.simpleString() == "float"
     dtype, element = (np.float32, "float") if single else (np.float64, "double")
-    df = df.select("own", F.col("x").cast(f"array<{element}>").alias("x"))
+    df = df.select("own", F.col("x").cast(f"array<{element}>").alias("x"), "ask")
     df = df.where(F.col("x").isNotNull() & (F.size("x") > 0) & ~F.exists("x", lambda v: v.isNull() | F.isnan(v) | (F.abs(v) == F.lit(float("inf")))))
     id_type = df.schema["own"].dataType.simpleString()
     names = None
@@ -210,45 +214,47 @@ def exact_top_k(vectors: DataFrame, k: int = 10, id_col: str = "vec_id", vector_
         names = staged(row_numbers(df.select("own").distinct(), [F.col("own")], "id").withColumn("id", F.col("id").cast("long")), "ids")
         df = df.join(names, "own").drop("own")
     mean = F.aggregate("x", F.lit(0.0), lambda s, v: s + v.cast("double")) / F.size("x")
-    df = staged(df.select("id", "x", F.size("x").alias("dim"), mean.alias("mean")), "vectors")
+    df = staged(df.select("id", "x", "ask", F.size("x").alias("dim"), mean.alias("mean")), "vectors")
     parts = max(1, -(-df.count() // block))
-    ranged = df.repartitionByRange(parts, "dim", "mean", "id").sortWithinPartitions("dim", "mean", "id")
+    order = ["dim", "ask", "mean", "id"]
+    ranged = df.repartitionByRange(parts, *order).sortWithinPartitions(*order)
 
     def packed(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        """Blocks of one dimension with box, ids, vectors and limits."""
-        waiting: list[tuple[int, np.ndarray]] = []
+        """Blocks of one dimension, of queries or other rows, with box, ids, vectors and limits."""
+        waiting: list[tuple[int, np.ndarray, bool]] = []
 
         def out() -> pa.RecordBatch:
             ids, x = np.array([w[0] for w in waiting], np.int64), np.array([w[1] for w in waiting], dtype)
             p = Prepared(ids, x)
-            limit = own_limits(p, k)
+            asks = waiting[0][2]
+            limit = own_limits(p, k) if asks else np.full(len(ids), -np.inf)
             segments = levels_of(x.shape[1])
             s = statistics(p.x, segments[min(2, len(segments) - 1)])
-            values = [[x.shape[1]], [ids.tobytes()], [x.tobytes()], [limit.tobytes()], [float(limit.max())], [s.min(0).astype(float).tolist()], [s.max(0).astype(float).tolist()]]
-            types = [pa.int32(), pa.binary(), pa.binary(), pa.binary(), pa.float64(), pa.list_(pa.float64()), pa.list_(pa.float64())]
-            return pa.RecordBatch.from_arrays([pa.array(v, t) for v, t in zip(values, types, strict=True)], names=["dim", "ids", "body", "limits", "reach", "lo", "hi"])
+            values = [[x.shape[1]], [asks], [ids.tobytes()], [x.tobytes()], [limit.tobytes()], [float(limit.max())], [s.min(0).astype(float).tolist()], [s.max(0).astype(float).tolist()]]
+            types = [pa.int32(), pa.bool_(), pa.binary(), pa.binary(), pa.binary(), pa.float64(), pa.list_(pa.float64()), pa.list_(pa.float64())]
+            return pa.RecordBatch.from_arrays([pa.array(v, t) for v, t in zip(values, types, strict=True)], names=["dim", "ask", "ids", "body", "limits", "reach", "lo", "hi"])
 
         for b in batches:
-            for i, x in zip(b.column(0).to_pylist(), b.column(1).to_pylist(), strict=True):
-                if waiting and (len(waiting[0][1]) != len(x) or len(waiting) >= 2 * block):
+            for i, x, asks in zip(*(c.to_pylist() for c in b.columns), strict=True):
+                if waiting and (len(waiting[0][1]) != len(x) or waiting[0][2] != asks or len(waiting) >= 2 * block):
                     yield out()
                     waiting.clear()
-                waiting.append((i, x))
+                waiting.append((i, x, asks))
         if waiting:
             yield out()
 
-    blocks = map_batches(ranged.select("id", "x"), packed, "dim int, ids binary, body binary, limits binary, reach double, lo array<double>, hi array<double>")
+    blocks = map_batches(ranged.select("id", "x", "ask"), packed, "dim int, ask boolean, ids binary, body binary, limits binary, reach double, lo array<double>, hi array<double>")
     blocks = staged(blocks.withColumn("no", F.monotonically_increasing_id()), "blocks")
     count = blocks.count()
     tasks = int(spark.conf.get("spark.sql.shuffle.partitions"))
     groups = max(1, min(count, max(int(np.ceil(np.sqrt(2 * tasks))), -(-count // group_blocks))))
-    placed = staged(row_numbers(blocks.select("no", "dim", "reach", "lo", "hi"), [F.col("no")], "place", count).withColumn("g", F.struct("dim", F.floor((F.col("place") - 1) * groups / count).alias("g"))), "boxes")
+    placed = staged(row_numbers(blocks.select("no", "dim", "ask", "reach", "lo", "hi"), [F.col("no")], "place", count).withColumn("g", F.struct("dim", "ask", F.floor((F.col("place") - 1) * groups / count).alias("g"))), "boxes")
     # boxes of groups: the least and greatest of each entry
     entry = placed.select("g", "reach", F.posexplode(F.arrays_zip("lo", "hi")).alias("e", "v")).groupBy("g", "e").agg(F.min("v.lo").alias("lo"), F.max("v.hi").alias("hi"), F.max("reach").alias("reach"))
     box = entry.groupBy("g").agg(F.max("reach").alias("reach"), F.array_sort(F.collect_list(F.struct("e", "lo", "hi"))).alias("v"))
     box = staged(box.select("g", "reach", F.col("v.lo").alias("lo"), F.col("v.hi").alias("hi")), "groups")
     left, right = box.select(*[F.col(c).alias(f"a_{c}") for c in box.columns]), box.select(*[F.col(c).alias(f"b_{c}") for c in box.columns])
-    meet = (F.col("a_g.dim") == F.col("b_g.dim")) & (F.col("a_g.g") <= F.col("b_g.g")) & (F.expr(_APART) <= F.greatest("a_reach", "b_reach") + SLACK)
+    meet = (F.col("a_g.dim") == F.col("b_g.dim")) & (F.col("a_g") <= F.col("b_g")) & (F.expr(_APART) <= F.greatest("a_reach", "b_reach") + SLACK)
     cells = left.join(right, meet).select(F.col("a_g"), F.col("b_g"))
     cells = staged(cells.withColumn("cell", F.monotonically_increasing_id()), "cells")
     same = F.col("a_g") == F.col("b_g")

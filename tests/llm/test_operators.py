@@ -134,6 +134,24 @@ def test_top_k(spark):
     assert 901 not in got and topk.exact_top_k(df.limit(0)).count() == 0
 
 
+def test_top_k_of_chosen_rows(spark):
+    """Only chosen rows are queries, all rows are neighbours."""
+    from pyspark.sql import functions as F
+
+    rng = np.random.default_rng(8)
+    x = rng.standard_normal((600, 20)).round(3)
+    x[50] = x[51] = x[100]
+    rows = [(i, v.tolist()) for i, v in enumerate(x)]
+    df = spark.createDataFrame([*rows, (None, x[0].tolist()), (950, None), (1000, [1.0, 2.0]), (1003, [1.0, 3.0])], "vec_id long, embedding array<double>")
+    d = ((x[:, None] - x[None]) ** 2).sum(2)
+    np.fill_diagonal(d, np.inf)
+    for every, block in ((50, 40), (50, 2048), (7, 30)):
+        got = sorted((r.vec_id, r.rank, r.neighbour) for r in topk.exact_top_k(df, 7, block=block, group_blocks=2, queries=F.col("vec_id") % every == 0).collect())
+        want = [(i, k + 1, n) for i in range(0, 600, every) for k, n in enumerate(sorted(range(600), key=lambda j: (d[i, j], j))[:7])]
+        assert [g for g in got if g[0] < 900] == want
+        assert [g for g in got if g[0] >= 900] == ([(1000, 1, 1003)] if every == 50 else [])
+
+
 @pytest.mark.parametrize("shift,scale", [(30.0, 1.0), (1e5, 1.0), (0.0, 100.0), (0.0, 1e25)])
 def test_top_k_far_from_the_origin(shift, scale):
     rng = np.random.default_rng(8)
