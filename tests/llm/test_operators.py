@@ -281,6 +281,26 @@ def test_simhash_runs_over_batches(monkeypatch, run_rows):
     assert got == set(zip(i[hit].tolist(), j[hit].tolist(), strict=True)) and hit.sum() > 1000
 
 
+@pytest.mark.parametrize("nodes,keys", [(3 * 10**6, 24), (10**9, 108)])
+def test_simhash_plans_of_large_tables(spark, nodes, keys):
+    """The plans of tables far larger than this one find the same pairs, with few rows to shuffle."""
+    rng = np.random.default_rng(9)
+    prints = rng.integers(-(2**62), 2**62, (300, 5))
+    prints[100:] = prints[rng.integers(0, 100, 200)]
+    for row in prints[100:]:
+        for k in range(5):
+            row[k] ^= sum(1 << int(b) for b in rng.choice(62, rng.integers(0, 12), replace=False))
+    df = spark.createDataFrame([(i, *map(int, r)) for i, r in enumerate(prints)], "id long, f0 long, f1 long, f2 long, c0 long, c1 long")
+    rows = simhash.key_rows(df, nodes)
+    assert rows.count() == keys * 300
+    ordered = rows.repartition(4, "k", "cell").sortWithinPartitions("k", "cell")
+    found = ordered.mapInArrow(simhash._verify(simhash.block_plan(nodes), simhash.DISTANCE, simhash.CHECK_DISTANCE), "a long, b long").distinct().collect()
+    i, j = np.triu_indices(300, 1)
+    bits = simhash.differing(prints[i], prints[j]).astype(int)
+    hit = (bits[:, :3].min(1) <= simhash.DISTANCE) & (bits[:, 3:].sum(1) <= simhash.CHECK_DISTANCE)
+    assert {(r.a, r.b) for r in found} == set(zip(i[hit].tolist(), j[hit].tolist(), strict=True)) and hit.sum() > 100
+
+
 def test_near_copies_of_six_tenths():
     """Pairs of about 100 words that share 0.6 to 0.8 of their word triples."""
     rng = np.random.default_rng(12)
