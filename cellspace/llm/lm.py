@@ -23,6 +23,7 @@ import math
 from collections import Counter
 from collections.abc import Iterator
 from dataclasses import dataclass, field
+from itertools import compress, repeat
 
 import numpy as np
 import pyarrow as pa
@@ -150,8 +151,7 @@ class Vocabulary:
         return Vocabulary([], self.counts, self.byte_cost)
 
     def encode(self, words: list[bytes]) -> np.ndarray:
-        get = self.ids.get
-        return np.array([get(w, 1) for w in words], np.int32)
+        return np.fromiter(map(self.ids.get, words, repeat(UNKNOWN)), np.int32, len(words))
 
     def spelling(self, words: list[bytes]) -> np.ndarray:
         """-ln of the bytes of each unknown word."""
@@ -186,19 +186,24 @@ def count_words(docs: DataFrame, text_col: str = "text", size: int = VOCAB, leas
     def kernel(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         counts, octets, docs_seen = Counter(), np.zeros(256, np.int64), 0
 
+        def add_octets() -> None:
+            n = np.fromiter(counts.values(), np.int64, len(counts))
+            each = np.repeat(n, np.fromiter(map(len, counts), np.int64, len(counts)))
+            octets[:] += np.bincount(np.frombuffer(b"".join(counts), np.uint8), each, 256).astype(np.int64)
+
         def out() -> pa.RecordBatch:
             return pa.RecordBatch.from_arrays([pa.array(list(counts), pa.binary()), pa.array(list(counts.values()), pa.int64())], names=["word", "n"])
 
         for _, texts in pieces(batches, 0):
             for t in texts:
                 if t is not None:
-                    words = t.encode("utf-8", "replace").split()
-                    counts.update(words)
-                    octets += np.bincount(np.frombuffer(b"".join(words), np.uint8), minlength=256)
+                    counts.update(t.encode("utf-8", "replace").split())
                     docs_seen += 1
             if len(counts) > 500_000:
+                add_octets()
                 yield out()
                 counts = Counter()
+        add_octets()
         counts.update({b" " + bytes([k]): int(n) for k, n in enumerate(octets) if n})
         counts[b" docs"] = docs_seen
         yield out()
@@ -249,24 +254,33 @@ class RecurrentModel:
         """States after each input [time, lane, H]. ``reset`` marks inputs before which the state is cleared; only the
         first ``running[t]`` lanes go on at time t."""
         T, B = ids.shape
-        H, U = self.hidden, self.p["state"]
+        H = self.hidden
+        # update, reset and candidate one after the other, so that all arrays of a step are in one piece
+        gates, U = (np.ascontiguousarray(self.p[k].reshape(-1, 3, H).swapaxes(0, 1)) for k in ("gates", "state"))
         out = np.zeros((T, B, H), np.float32)
         saved = []
+        stay = None if reset is None else (~reset)[:, :, None].astype(np.float32)
         for t in range(T):
             b = B if running is None else running[t]
             h = h[:b]
-            if reset is not None:
-                h = h * ~reset[t, :b, None]
-            g = self.p["gates"][ids[t, :b]]
-            u = h @ U
-            zr = np.tanh((g[:, : 2 * H] + u[:, : 2 * H]) * np.float32(0.5))
+            if stay is not None:
+                h = h * stay[t, :b]
+            g, u = gates.take(ids[t, :b], 1), np.matmul(h, U)
+            zr = g[:2]
+            zr += u[:2]
+            zr *= np.float32(0.5)
+            np.tanh(zr, out=zr)
             zr += 1
             zr *= np.float32(0.5)
-            z, r = zr[:, :H], zr[:, H:]
-            c = np.tanh(g[:, 2 * H :] + r * u[:, 2 * H :])
-            new = c + z * (h - c)
+            z, r = zr
+            c = r * u[2]
+            c += g[2]
+            np.tanh(c, out=c)
+            new = h - c
+            new *= z
+            new += c
             if keep:
-                saved.append((h, z, r, c, u[:, 2 * H :]))
+                saved.append((h, z, r, c, u[2]))
             out[t, :b] = h = new
         return out, saved
 
@@ -305,21 +319,24 @@ class RecurrentModel:
         edges = np.searchsorted(run, np.arange(len(starts))).tolist()
         bounds = starts.tolist()
         rows = np.arange(len(run))
+        sums, picked = np.ones(len(run), np.float32), np.zeros(len(run), np.float32)
         for k in np.flatnonzero((np.diff(starts) > 1) & (np.diff(edges) > 0)).tolist():
             a, b, lo, hi = edges[k], edges[k + 1], bounds[k], bounds[k + 1]
             x = ext[a:b]
             logit = x @ W[lo:hi].T
             np.minimum(logit, 60, out=logit)
             at, right = rows[: b - a], target[a:b] - lo
-            cost[a:b] -= logit[at, right]
+            place = at * (hi - lo) + right
+            picked[a:b] = logit.ravel()[place]
             e = np.exp(logit, out=logit)
-            s = e.sum(1)
-            cost[a:b] += np.log(s)
+            s = np.add.reduce(e, 1, out=sums[a:b])
             if grads is not None:
                 e /= s[:, None]
-                e[at, right] -= 1
+                e.ravel()[place] -= 1
                 grads[name].append((slice(lo, hi), e.T @ x))
                 dext[a:b] += e @ W[lo:hi]
+        cost -= picked
+        cost += np.log(sums)
 
     def window(self, ids: np.ndarray, target: np.ndarray, h: np.ndarray) -> tuple[float, np.ndarray, dict[str, np.ndarray]]:
         """Cost of a window [time, lane], the state after it and the gradients, cut off at its beginning."""
@@ -332,31 +349,44 @@ class RecurrentModel:
 
     def window_parts(self, ids: np.ndarray, target: np.ndarray, h: np.ndarray) -> tuple[float, np.ndarray, dict[str, list]]:
         """The same with gradients as (rows, values), only of the rows that the window uses."""
-        H, U = self.hidden, self.p["state"]
-        grads = {"state": np.zeros_like(U), "to_group": np.zeros_like(self.p["to_group"]), "to_class": [], "to_word": []}
+        H = self.hidden
+        back = np.ascontiguousarray(self.p["state"].reshape(H, 3, H).transpose(1, 2, 0))
+        grads = {"state": np.zeros((3, H, H), np.float32), "to_group": np.zeros_like(self.p["to_group"]), "to_class": [], "to_word": []}
         reset = ids == EDGE
         out, saved = self.steps(ids, h, reset, keep=True)
         T, B = ids.shape
         cost, dout = self.output(out.reshape(T * B, H), target.ravel(), grads)
         dout = dout.reshape(T, B, H)
-        dg, dh = np.empty((T, B, 3 * H), np.float32), np.zeros((B, H), np.float32)
+        dg, dh = np.empty((T, B, 3, H), np.float32), np.zeros((B, H), np.float32)
+        stay, du = (~reset)[:, :, None].astype(np.float32), np.empty((3, B, H), np.float32)
         for t in range(T - 1, -1, -1):
             before, z, r, c, uc = saved[t]
             d = dout[t] + dh
-            dc = d * (1 - z) * (1 - c * c)
-            dz = d * (before - c) * z * (1 - z)
-            dr = dc * uc * r * (1 - r)
-            du = np.concatenate([dz, dr, dc * r], 1)
-            dg[t, :, : 2 * H] = du[:, : 2 * H]
-            dg[t, :, 2 * H :] = dc
-            grads["state"] += before.T @ du
-            dh = (d * z + du @ U.T) * ~reset[t][:, None]
+            not_z, dz = 1 - z, before - c
+            dc = c * c
+            np.subtract(1, dc, out=dc)
+            dc *= not_z
+            dc *= d
+            dz *= d
+            dz *= z
+            np.multiply(dz, not_z, out=du[0])
+            dr = 1 - r
+            dr *= r
+            dr *= uc
+            np.multiply(dr, dc, out=du[1])
+            np.multiply(dc, r, out=du[2])
+            dg[t, :, 0], dg[t, :, 1], dg[t, :, 2] = du[0], du[1], dc
+            grads["state"] += np.matmul(before.T, du)
+            dh = np.matmul(du, back).sum(0)
+            d *= z
+            dh += d
+            dh *= stay[t]
         flat = ids.ravel()
         order = np.argsort(flat, kind="stable")
         first = np.flatnonzero(np.diff(flat[order], prepend=-1))
         gates = np.add.reduceat(dg.reshape(T * B, 3 * H)[order], first, axis=0)
         every = slice(None)
-        return float(cost.sum()), out[-1], {"gates": [(flat[order][first], gates)], "state": [(every, grads["state"])], "to_group": [(every, grads["to_group"])], "to_class": grads["to_class"], "to_word": grads["to_word"]}
+        return float(cost.sum()), out[-1], {"gates": [(flat[order][first], gates)], "state": [(every, grads["state"].swapaxes(0, 1).reshape(H, 3 * H))], "to_group": [(every, grads["to_group"])], "to_class": grads["to_class"], "to_word": grads["to_word"]}
 
     def update(self, grads: dict[str, list], scale: float, rate: float = RATE) -> None:
         for k, some in grads.items():
@@ -433,23 +463,24 @@ def encoded_docs(docs: DataFrame, v: Vocabulary, id_col: str, text_col: str) ->
         kind = id_type(len(vocabulary.counts))
         known: dict[bytes, float] = {}
         for part, texts in pieces(batches, 1, 1_500_000):
-            rows, strange, owner = [], [], []
-            for t in texts:
-                if t is None:
+            docs = [None if t is None else t.encode("utf-8", "replace").split() for t in texts]
+            flat = [w for d in docs if d for w in d]
+            ids = vocabulary.encode(flat)
+            unknown = ids == UNKNOWN
+            strange, owner = list(compress(flat, unknown.tolist())), np.repeat(np.arange(len(docs)), [len(d or ()) for d in docs])[unknown]
+            unknowns, ids, rows, at = np.bincount(owner, minlength=len(docs)).tolist(), ids.astype(kind), [], 0
+            for d, n in zip(docs, unknowns, strict=True):
+                if d is None:
                     rows.append((None,) * 5)
                     continue
-                words = t.encode("utf-8", "replace").split()
-                ids = vocabulary.encode(words)
-                new = np.flatnonzero(ids == UNKNOWN)
-                strange += [words[k] for k in new]
-                owner.append(np.full(len(new), len(rows)))
-                rows.append((ids.astype(kind).tobytes(), len(words), len(new), 0.0, sum(map(len, words)) + len(words)))
+                rows.append((ids[at : at + len(d)].tobytes(), len(d), n, 0.0, len(b" ".join(d)) + 1 if d else 0))
+                at += len(d)
             if len(known) > 300_000:
                 known = {}
             new = [w for w in dict.fromkeys(strange) if w not in known]
             known.update(zip(new, vocabulary.spelling(new).tolist(), strict=True))
             cost = np.fromiter(map(known.__getitem__, strange), np.float64, len(strange))
-            spelled = np.bincount(np.concatenate(owner), cost, len(rows)) if strange else np.zeros(len(rows))
+            spelled = np.bincount(owner, cost, len(rows)) if strange else np.zeros(len(rows))
             types = [pa.binary(), pa.int32(), pa.int32(), pa.float64(), pa.int64()]
             cols = [pa.array(c, t) for c, t in zip(zip(*rows, strict=True), types, strict=True)]
             cols[3] = pa.array(spelled, mask=np.array([r[0] is None for r in rows]))

@@ -372,6 +372,29 @@ def test_lm_scores_equal_a_plain_loop():
     assert abs(sum(p) - 1) < 1e-5
 
 
+def test_lm_counts_and_codes_equal_plain_loops(spark):
+    """Bytes counted by way of the words, and pieces encoded at once, row by row as a plain loop has them."""
+    texts = ["b b  c\u00e9 b", None, "", "  ", "x" * 70 + " b", "c\u00e9 new b\tnew", "b"]
+    df = spark.createDataFrame(list(enumerate(texts)), "doc_id long, text string")
+    v = lm.count_words(df, size=4)
+    split = [None if t is None else t.encode().split() for t in texts]
+    octets = np.full(257, 0.1)
+    for w in (w for d in split if d for w in d):
+        octets[-1] += 1
+        for k in w:
+            octets[k] += 1
+    assert v.words == [b"b", "c\u00e9".encode()] and np.allclose(v.byte_cost, -np.log(octets / octets.sum()))
+    for r in lm.encoded_docs(df, v, "doc_id", "text").collect():
+        d = split[r.id]
+        if d is None:
+            assert r.ids is r.words is r.unknown is r.spelled is r.bytes is None
+            continue
+        strange = [w for w in d if w not in v.words]
+        assert np.frombuffer(r.ids, np.uint16).tolist() == [v.ids.get(w, 1) for w in d]
+        assert (r.words, r.unknown, r.bytes) == (len(d), len(strange), sum(len(w) + 1 for w in d))
+        assert np.isclose(r.spelled, sum(v.spelling([w])[0] for w in strange))
+
+
 def test_lm_gradients():
     m = lm.RecurrentModel(_tiny_vocabulary(), 4)
     m.p = {k: x.astype(np.float64) for k, x in m.p.items()}
