@@ -4,7 +4,9 @@
 fingerprint of 128 bits of the word triples. A fingerprint is cut into ``blocks`` pieces; two that differ in at most
 ``distance`` bits agree in ``blocks - distance`` pieces at least, so each choice of that many pieces is a key and
 close pairs share one. Pairs that share a key are verified: at most ``distance`` bits of that fingerprint and at most
-``check_distance`` of the check differ. Verified pairs give groups by spreading the least id.
+``check_distance`` of the check differ. Groups are the connected parts of these pairs, by spreading the least id. The pairs
+themselves, as the square of a large group, are never written: the task of a key joins what is close, skips pairs of
+rows that are joined already and gives a link from the least id to each other row of a part.
 
 Equal fingerprints are one node, so copies by the thousand cost nothing. Pieces are chosen twice: a node is shuffled
 under few short keys (one piece of eight for each fingerprint up to 2^28 nodes), and the task of a key cuts the other
@@ -163,15 +165,32 @@ def differing(a: np.ndarray, b: np.ndarray) -> np.ndarray:
     return np.bitwise_count((a ^ b).view(np.uint64))
 
 
-def _run_ends(keys: np.ndarray) -> np.ndarray:
+def _run_ends(keys: np.ndarray, *more: np.ndarray) -> np.ndarray:
     """For each of sorted keys where its run of equal ones ends."""
-    stops = np.append(np.flatnonzero(keys[1:] != keys[:-1]) + 1, len(keys))
+    new = keys[1:] != keys[:-1]
+    for x in more:
+        new = new | (x[1:] != x[:-1])
+    stops = np.append(np.flatnonzero(new) + 1, len(keys))
     return np.repeat(stops, np.diff(stops, prepend=0))
 
 
-def _verify(plan: list, distance: int, check_distance: int, memory: int = 500_000):
+def _joined(part: np.ndarray, i: np.ndarray, j: np.ndarray) -> np.ndarray:
+    """``part`` (the least row of the part of each row) after rows ``i`` and ``j`` are joined."""
+    part = part.copy()
+    while len(i):
+        a, b = part[i], part[j]
+        apart = a != b
+        i, j, a, b = i[apart], j[apart], a[apart], b[apart]
+        np.minimum.at(part, np.maximum(a, b), np.minimum(a, b))
+        while (part != (up := part[part])).any():
+            part = up
+    return part
+
+
+def _verify(plan: list, distance: int, check_distance: int, memory: int = 500_000, links: bool = False):
     """Rows (key, cell, id, fingerprint, check) in order of key and cell: ids of all pairs that share both and are close
-    in both prints.
+    in both prints. With ``links`` only as many as connect the same rows: the least id of each connected part of the rows
+    that share both, with each other id of the part.
 
     Within a run of equal keys the other bits of the fingerprint are cut into blocks once more, so that only rows which
     agree in some choice of those too are compared. A pair is found by the first choice that it shares, of the keys and
@@ -179,13 +198,20 @@ def _verify(plan: list, distance: int, check_distance: int, memory: int = 500_00
     """
     masks = [_mask(spans) for spans in plan]
 
-    def finer(run: np.ndarray, rest: np.ndarray, width: int) -> list:
-        """Choices of blocks of the ``width`` bits of ``rest``: more and longer ones the more pairs are left."""
+    def finer(run: np.ndarray, rest: np.ndarray, width: int, part: np.ndarray | None = None) -> list:
+        """Choices of blocks of the ``width`` bits of ``rest``: more and longer ones the more pairs are left. Pairs within
+        a ``part`` don't count."""
         best, least = [()], math.inf
+        several = np.zeros(0, np.int64) if part is None else np.flatnonzero(np.bincount(part)[part] > 1)
         for take in range(5):
             choices = _choices(distance, take, width)
-            own = np.sort((run << np.uint64(sum(n for _, n in choices[0]))) | _bits_of(rest, choices[0]))
-            left = int((_run_ends(own) - np.arange(1, len(own) + 1)).sum())
+            own = (run << np.uint64(sum(n for _, n in choices[0]))) | _bits_of(rest, choices[0])
+            left = 0
+            if len(several):
+                order = several[np.lexsort((part[several], own[several]))]
+                left = -int((_run_ends(own[order], part[order]) - np.arange(1, len(order) + 1)).sum())
+            own.sort()
+            left += int((_run_ends(own) - np.arange(1, len(own) + 1)).sum())
             cost = len(choices) * (SORT_COST * len(own) + left)
             if cost >= least:
                 break
@@ -222,6 +248,64 @@ def _verify(plan: list, distance: int, check_distance: int, memory: int = 500_00
                 far += 1
                 live = live[live + far < ends[live]]
 
+    def close(rows: np.ndarray, i: np.ndarray, j: np.ndarray) -> np.ndarray:
+        """Which of the pairs of rows i and j are close in both prints."""
+        out = np.bitwise_count((rows[3][i] ^ rows[3][j]).view(np.uint64)) <= distance
+        at = np.flatnonzero(out)
+        out[at] = sum(differing(rows[k][i[at]], rows[k][j[at]]).astype(np.int64) for k in range(4, 4 + CHECK_WORDS)) <= check_distance
+        return out
+
+    def connected(run: np.ndarray, rows: np.ndarray, at_plan: int) -> Iterator[np.ndarray]:
+        """Links of the connected parts within runs of one choice of blocks. Rows of one part are not compared again, so
+        that many alike cost about as many comparisons, not their square."""
+        others = _others(plan[at_plan])
+        rest, width = _bits_of(rows[3].view(np.uint64), others), sum(n for _, n in others)
+        part, some = np.arange(len(run)), min(width, 40)
+        # neighbours in two orders first: what is left of large parts would mislead the choice of blocks
+        for bits in (rest >> np.uint64(width - some), rest & np.uint64((1 << some) - 1)):
+            order = np.argsort((run << np.uint64(some)) | bits, kind="stable")
+            for far in (1, 2):
+                i, j = order[:-far], order[far:]
+                i, j = i[run[i] == run[j]], j[run[i] == run[j]]
+                hit = close(rows, i, j)
+                part = _joined(part, i[hit], j[hit])
+
+        def arranged(key: np.ndarray):
+            """Rows by key and part, where the run of each ends, and with which it is compared first: the next part's."""
+            order = np.argsort(part, kind="stable")
+            order = order[np.argsort(key[order], kind="stable")]
+            ends, at = _run_ends(key[order]), _run_ends(key[order], part[order])
+            return order, ends, at, np.flatnonzero(at < ends)
+
+        for spans in finer(run, rest, width, part):
+            key = (run << np.uint64(sum(n for _, n in spans))) | _bits_of(rest, spans)
+            order, ends, at, live = arranged(key)
+            found, held, done = [], 0, 0
+            while len(live):
+                for lo in range(0, len(live), memory):
+                    i = live[lo : lo + memory]
+                    i, j = order[i], order[at[i]]
+                    hit = close(rows, i, j)
+                    if hit.any():
+                        found.append((i[hit], j[hit]))
+                        held += len(found[-1][0])
+                at[live] += 1
+                live = live[at[live] < ends[live]]
+                done += 1
+                left = int((ends[live] - at[live]).sum()) if done & (done - 1) == 0 else 0
+                if found and (left > SORT_COST * len(run) or held > memory or not len(live)):
+                    part = _joined(part, *map(np.concatenate, zip(*found, strict=True)))
+                    found, held = [], 0
+                    if left > SORT_COST * len(run):
+                        again = arranged(key)
+                        if 2 * int((again[1] - again[2]).sum()) < left:
+                            (order, ends, at, live), done = again, 0
+        least = np.full(len(run), np.iinfo(np.int64).max)
+        np.minimum.at(least, part, rows[2])
+        own = least[part]
+        other = own != rows[2]
+        yield np.stack([own[other], rows[2][other]], 1)
+
     def kernel(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         waiting, held, enough, found = [], 0, RUN_ROWS, []
 
@@ -231,7 +315,7 @@ def _verify(plan: list, distance: int, check_distance: int, memory: int = 500_00
             run, which = np.cumsum(new).astype(np.uint64), (rows[0] >> 48) // SEEDS
             stops = np.append(np.flatnonzero(which[1:] != which[:-1]) + 1, len(which))
             for lo, hi in zip([0, *stops[:-1]], stops, strict=True):
-                found.extend(pairs(run[lo:hi], rows[:, lo:hi], int(which[lo])))
+                found.extend((connected if links else pairs)(run[lo:hi], rows[:, lo:hi], int(which[lo])))
 
         def out() -> pa.RecordBatch:
             both = np.concatenate(found) if found else np.zeros((0, 2), np.int64)
@@ -288,12 +372,13 @@ def key_rows(nodes: DataFrame, count: int, distance: int = DISTANCE, most: int =
     return both.select("k", cell.alias("cell"), *cols)
 
 
-def near_pairs(nodes: DataFrame, count: int, distance: int = DISTANCE, check_distance: int = CHECK_DISTANCE) -> DataFrame:
-    """Verified pairs (a < b) of nodes (id, f.., c..): exactly those within the distances in some fingerprint."""
+def near_pairs(nodes: DataFrame, count: int, distance: int = DISTANCE, check_distance: int = CHECK_DISTANCE, links: bool = False) -> DataFrame:
+    """Verified pairs (a < b) of nodes (id, f.., c..): exactly those within the distances in some fingerprint; with
+    ``links`` only pairs that connect the same nodes, for each node at most one a key."""
     plan = block_plan(count, distance)
     tasks = max(KEY_TASKS, count * len(plan) * SEEDS // KEY_ROWS)
     rows = key_rows(nodes, count, distance).repartition(tasks, "k", "cell").sortWithinPartitions("k", "cell")
-    return map_batches(rows, _verify(plan, distance, check_distance), "a long, b long").distinct()
+    return map_batches(rows, _verify(plan, distance, check_distance, links=links), "a long, b long").distinct()
 
 
 def least_labels(edges: DataFrame, rounds: int = 60) -> DataFrame:
@@ -323,7 +408,7 @@ def _groups(prints: DataFrame, distance: int, check_distance: int) -> tuple[Data
     some = prints.where("words > 0")
     nodes = staged(some.groupBy(*cols).agg(F.min("row").alias("id"), F.count("*").alias("n")), "nodes")
     count = nodes.count()
-    labels = least_labels(near_pairs(nodes, count, distance, check_distance))
+    labels = least_labels(near_pairs(nodes, count, distance, check_distance, links=True))
     many = staged(nodes.join(maybe_broadcast(labels, labels.count(), 16), "id", "left").where("n > 1 or label is not null").select(*cols, F.coalesce("label", "id").alias("node")), "nodes")
     held = staged(some.select("row", "id", *cols).join(maybe_broadcast(many, many.count(), 56), cols).select("row", "id", "node"), "groups")
     best = F.min(F.struct(F.col("id").isNull().alias("none"), F.col("id"), F.col("row"))).alias("best")

@@ -301,6 +301,31 @@ def test_simhash_plans_of_large_tables(spark, nodes, keys):
     assert {(r.a, r.b) for r in found} == set(zip(i[hit].tolist(), j[hit].tolist(), strict=True)) and hit.sum() > 100
 
 
+def test_large_groups_are_linked_not_paired(spark, monkeypatch):
+    """A group of n alike texts gives some n links to write, not its square; groups are those of all pairs."""
+    rng = np.random.default_rng(11)
+    prints = np.concatenate([np.repeat(rng.integers(-(2**62), 2**62, (1, 5)), 600, 0), rng.integers(-(2**62), 2**62, (200, 5))])
+    prints[700:800] = prints[600:700]
+    at = np.r_[0:600, 700:800]
+    for k in range(5):
+        for _ in range(3):
+            prints[at, k] ^= np.int64(1) << rng.integers(0, 62, len(at))
+    i, j = np.triu_indices(len(prints), 1)
+    bits = simhash.differing(prints[i], prints[j]).astype(int)
+    hit = (bits[:, :3].min(1) <= simhash.DISTANCE) & (bits[:, 3:].sum(1) <= simhash.CHECK_DISTANCE)
+    least = np.arange(len(prints))
+    while (least[i[hit]] != least[j[hit]]).any():
+        np.minimum.at(least, j[hit], least[i[hit]])
+        np.minimum.at(least, i[hit], least[j[hit]])
+    written, spread = [], simhash.least_labels
+    monkeypatch.setattr(simhash, "least_labels", lambda edges: written.append(edges.count()) or spread(edges))
+    df = spark.createDataFrame([(n, n, 9, *map(int, r)) for n, r in enumerate(prints)], "row long, id long, words long, f0 long, f1 long, f2 long, c0 long, c1 long")
+    _, groups, count = simhash._groups(df, simhash.DISTANCE, simhash.CHECK_DISTANCE)
+    want = {k: n for k, n in zip(*map(np.ndarray.tolist, np.unique(least, return_counts=True)), strict=True) if n > 1}
+    assert {r.id: r.group_size for r in groups.collect()} == want and count == sum(want.values())
+    assert hit.sum() > 100_000 and written[0] <= 24 * len(prints)  # at most one a key and node
+
+
 def test_near_copies_of_six_tenths():
     """Pairs of about 100 words that share 0.6 to 0.8 of their word triples."""
     rng = np.random.default_rng(12)
