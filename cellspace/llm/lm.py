@@ -150,14 +150,36 @@ class Vocabulary:
         """What the network needs: counts and classes."""
         return Vocabulary([], self.counts, self.byte_cost)
 
-    def encode(self, words: list[bytes]) -> np.ndarray:
-        return np.fromiter(map(self.ids.get, words, repeat(UNKNOWN)), np.int32, len(words))
-
     def spelling(self, words: list[bytes]) -> np.ndarray:
         """-ln of the bytes of each unknown word."""
         return self.bytes.costs(words)
 
 
+class WordCodes:
+    """Ids of words, and what the bytes of the unknown ones cost: one look-up a word for both. Unknown words met are kept
+    over calls and forgotten beyond ``limit``."""
+
+    def __init__(self, vocabulary: Vocabulary, limit: int = 300_000):
+        self.v, self.size, self.limit = vocabulary, len(vocabulary.counts), limit
+        self.numbers, self.costs = dict(vocabulary.ids), np.zeros(0)
+
+    def __call__(self, words: list[bytes]) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+        """(id of each word, which are unknown, cost of each of these)."""
+        if len(self.costs) > self.limit:
+            self.numbers, self.costs = dict(self.v.ids), np.zeros(0)
+        codes = np.fromiter(map(self.numbers.get, words, repeat(-1)), np.int64, len(words))
+        unmet = codes < 0
+        if unmet.any():
+            late = list(compress(words, unmet.tolist()))
+            new = list(dict.fromkeys(late))
+            first = self.size + len(self.costs)  # unknown words have the numbers after those of the vocabulary
+            self.numbers.update(zip(new, range(first, first + len(new)), strict=True))
+            self.costs = np.concatenate([self.costs, self.v.spelling(new)])
+            codes[unmet] = np.fromiter(map(self.numbers.__getitem__, late), np.int64, len(late))
+        unknown = codes >= self.size
+        return np.where(unknown, UNKNOWN, codes), unknown, self.costs[codes[unknown] - self.size]
+
+
 def count_grams(rare: DataFrame) -> list[tuple[np.ndarray, np.ndarray]]:
     """Byte sequences of the words (word, n), by context length."""
 
@@ -461,13 +483,12 @@ def encoded_docs(docs: DataFrame, v: Vocabulary, id_col: str, text_col: str) ->
     def kernel(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         vocabulary = sent.value
         kind = id_type(len(vocabulary.counts))
-        known: dict[bytes, float] = {}
+        codes = WordCodes(vocabulary)
         for part, texts in pieces(batches, 1, 1_500_000):
             docs = [None if t is None else t.encode("utf-8", "replace").split() for t in texts]
             flat = [w for d in docs if d for w in d]
-            ids = vocabulary.encode(flat)
-            unknown = ids == UNKNOWN
-            strange, owner = list(compress(flat, unknown.tolist())), np.repeat(np.arange(len(docs)), [len(d or ()) for d in docs])[unknown]
+            ids, unknown, cost = codes(flat)
+            owner = np.repeat(np.arange(len(docs)), [len(d or ()) for d in docs])[unknown]
             unknowns, ids, rows, at = np.bincount(owner, minlength=len(docs)).tolist(), ids.astype(kind), [], 0
             for d, n in zip(docs, unknowns, strict=True):
                 if d is None:
@@ -475,12 +496,7 @@ def encoded_docs(docs: DataFrame, v: Vocabulary, id_col: str, text_col: str) ->
                     continue
                 rows.append((ids[at : at + len(d)].tobytes(), len(d), n, 0.0, len(b" ".join(d)) + 1 if d else 0))
                 at += len(d)
-            if len(known) > 300_000:
-                known = {}
-            new = [w for w in dict.fromkeys(strange) if w not in known]
-            known.update(zip(new, vocabulary.spelling(new).tolist(), strict=True))
-            cost = np.fromiter(map(known.__getitem__, strange), np.float64, len(strange))
-            spelled = np.bincount(owner, cost, len(rows)) if strange else np.zeros(len(rows))
+            spelled = np.bincount(owner, cost, len(rows)) if len(owner) else np.zeros(len(rows))
             types = [pa.binary(), pa.int32(), pa.int32(), pa.float64(), pa.int64()]
             cols = [pa.array(c, t) for c, t in zip(zip(*rows, strict=True), types, strict=True)]
             cols[3] = pa.array(spelled, mask=np.array([r[0] is None for r in rows]))

@@ -420,6 +420,22 @@ def test_lm_counts_and_codes_equal_plain_loops(spark):
         assert np.isclose(r.spelled, sum(v.spelling([w])[0] for w in strange))
 
 
+@pytest.mark.parametrize("limit", [0, 5, 10**6])
+def test_lm_codes_look_each_word_up_once(limit):
+    """Ids and costs of words as one by one, over calls, with unknown words forgotten in between; none is spelled twice."""
+    grams = [(k, np.ones(len(k))) for k in map(np.unique, lm.byte_grams([b"seen", b"sea"])[0][1:])]
+    v = lm.Vocabulary([b"a", b"b"], np.array([3, 4, 5, 2]), np.full(257, 5.0), grams)
+    spelled, plain = [], v.spelling
+    v.spelling = lambda new: spelled.extend(new) or plain(new)
+    codes, rng = lm.WordCodes(v, limit), np.random.default_rng(3)
+    for n in (30, 0, 1, 50, 40):
+        flat = [[b"a", b"b", b"seen", b"\xc3\xa9", b"x" * 70, *(b"w%d" % k for k in range(9))][k] for k in rng.integers(0, 14, n)]
+        ids, unknown, cost = codes(flat)
+        assert ids.tolist() == [v.ids.get(w, lm.UNKNOWN) for w in flat] and unknown.tolist() == [w not in v.ids for w in flat]
+        assert np.allclose(cost, [plain([w])[0] for w in flat if w not in v.ids])
+    assert limit < 10**6 or len(spelled) == len(set(spelled)) == 12
+
+
 def test_lm_gradients():
     m = lm.RecurrentModel(_tiny_vocabulary(), 4)
     m.p = {k: x.astype(np.float64) for k, x in m.p.items()}
