@@ -20,13 +20,14 @@ At scale: word counts and parameters are shuffled; texts never are.
 from __future__ import annotations
 
 import math
-from collections import Counter
+from collections import defaultdict
 from collections.abc import Iterator
 from dataclasses import dataclass, field
-from itertools import compress, repeat
+from itertools import count
 
 import numpy as np
 import pyarrow as pa
+import pyarrow.compute as pc
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
@@ -39,6 +40,8 @@ ROUNDS, LANES, WINDOW, RATE = 2, 1024, 12, 0.1
 #: Words a task trains on in a round, about; the square root of the corpus in this unit gives the rounds.
 WORDS_A_TASK = 8_000_000
 BLOCK_ROWS = 4096
+#: Documents scored side by side.
+SCORED = 1024
 EDGE, UNKNOWN = 0, 1
 #: Bytes before a byte that its cost may depend on.
 CONTEXT, END, BEGIN = 5, 256, 257
@@ -161,25 +164,37 @@ class WordCodes:
 
     def __init__(self, vocabulary: Vocabulary, limit: int = 300_000):
         self.v, self.size, self.limit = vocabulary, len(vocabulary.counts), limit
-        self.numbers, self.costs = dict(vocabulary.ids), np.zeros(0)
+        self._begin()
+
+    def _begin(self) -> None:
+        # an unknown word gets its number, after those of the vocabulary, by being looked up
+        self.numbers, self.costs = defaultdict(count(self.size).__next__, self.v.ids), np.zeros(0)
 
     def __call__(self, words: list[bytes]) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
         """(id of each word, which are unknown, cost of each of these)."""
         if len(self.costs) > self.limit:
-            self.numbers, self.costs = dict(self.v.ids), np.zeros(0)
-        codes = np.fromiter(map(self.numbers.get, words, repeat(-1)), np.int64, len(words))
-        unmet = codes < 0
-        if unmet.any():
-            late = list(compress(words, unmet.tolist()))
-            new = list(dict.fromkeys(late))
-            first = self.size + len(self.costs)  # unknown words have the numbers after those of the vocabulary
-            self.numbers.update(zip(new, range(first, first + len(new)), strict=True))
-            self.costs = np.concatenate([self.costs, self.v.spelling(new)])
-            codes[unmet] = np.fromiter(map(self.numbers.__getitem__, late), np.int64, len(late))
+            self._begin()
+        known = self.size + len(self.costs)
+        codes = np.fromiter(map(self.numbers.__getitem__, words), np.int64, len(words))
+        late = np.flatnonzero(codes >= known)
+        if len(late):
+            first = late[np.diff(np.maximum.accumulate(codes[late]), prepend=known - 1) > 0]
+            self.costs = np.concatenate([self.costs, self.v.spelling([words[k] for k in first.tolist()])])
         unknown = codes >= self.size
         return np.where(unknown, UNKNOWN, codes), unknown, self.costs[codes[unknown] - self.size]
 
 
+def split_words(texts: pa.Array) -> tuple[pa.Array, np.ndarray]:
+    """The words of all texts as bytes, one after the other, and how many each text has; a null text has none."""
+    lists = pc.ascii_split_whitespace(pc.fill_null(texts, ""))
+    words, counts = lists.flatten().cast(pa.binary()), np.array(pc.list_value_length(lists), np.int64)
+    empty = np.asarray(pc.binary_length(words)) == 0  # beside blanks at either end
+    if empty.any():
+        counts -= np.bincount(np.repeat(np.arange(len(counts)), counts)[empty], minlength=len(counts))
+        words = words.filter(pa.array(~empty))
+    return words, counts
+
+
 def count_grams(rare: DataFrame) -> list[tuple[np.ndarray, np.ndarray]]:
     """Byte sequences of the words (word, n), by context length."""
 
@@ -206,29 +221,33 @@ def count_words(docs: DataFrame, text_col: str = "text", size: int = VOCAB, leas
     """
 
     def kernel(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        counts, octets, docs_seen = Counter(), np.zeros(256, np.int64), 0
-
-        def add_octets() -> None:
-            n = np.fromiter(counts.values(), np.int64, len(counts))
-            each = np.repeat(n, np.fromiter(map(len, counts), np.int64, len(counts)))
-            octets[:] += np.bincount(np.frombuffer(b"".join(counts), np.uint8), each, 256).astype(np.int64)
-
-        def out() -> pa.RecordBatch:
-            return pa.RecordBatch.from_arrays([pa.array(list(counts), pa.binary()), pa.array(list(counts.values()), pa.int64())], names=["word", "n"])
-
-        for _, texts in pieces(batches, 0):
-            for t in texts:
-                if t is not None:
-                    counts.update(t.encode("utf-8", "replace").split())
-                    docs_seen += 1
-            if len(counts) > 500_000:
-                add_octets()
-                yield out()
-                counts = Counter()
-        add_octets()
-        counts.update({b" " + bytes([k]): int(n) for k, n in enumerate(octets) if n})
-        counts[b" docs"] = docs_seen
-        yield out()
+        octets, docs_seen, seen, rows = np.zeros(256, np.int64), 0, [], 0
+
+        def merged() -> pa.Table:
+            return pa.concat_tables(seen).group_by("word").aggregate([("n", "sum")]).select(["word", "n_sum"]).rename_columns(["word", "n"])
+
+        def out(table: pa.Table) -> Iterator[pa.RecordBatch]:
+            for batch in table.to_batches():
+                lengths = np.asarray(pc.binary_length(batch.column(0)))
+                flat = np.frombuffer(b"".join(batch.column(0).to_pylist()), np.uint8)
+                octets[:] += np.bincount(flat, np.repeat(np.asarray(batch.column(1)), lengths), 256).astype(np.int64)
+                yield batch
+
+        for part, _ in pieces(batches, 0):
+            found = split_words(part.column(0))[0].value_counts()
+            docs_seen += part.num_rows - part.column(0).null_count
+            seen.append(pa.table({"word": found.field("values"), "n": found.field("counts")}))
+            rows += len(found)
+            if rows > 1_000_000:
+                seen = [merged()]
+                rows = seen[0].num_rows
+                if rows > 500_000:
+                    yield from out(seen[0])
+                    seen, rows = [], 0
+        if seen:
+            yield from out(merged())
+        own = {b" " + bytes([k]): int(n) for k, n in enumerate(octets) if n} | {b" docs": docs_seen}
+        yield pa.RecordBatch.from_arrays([pa.array(list(own), pa.binary()), pa.array(list(own.values()), pa.int64())], names=["word", "n"])
 
     counts = staged(map_batches(docs.select(text_col), kernel, "word binary, n long").groupBy("word").agg(F.sum("n").alias("n")), "words")
     special = F.substring("word", 1, 1) == F.lit(b" ")
@@ -272,13 +291,20 @@ class RecurrentModel:
         self.p = params
         self.squares = {k: np.full_like(x, 1e-3) for k, x in params.items()}
 
-    def steps(self, ids: np.ndarray, h: np.ndarray, reset: np.ndarray | None = None, running: list[int] | None = None, keep: bool = False):
+    def step_weights(self) -> list[np.ndarray]:
+        """``gates`` and ``state`` with update, reset and candidate one after the other, so that all arrays of a step are
+        in one piece, the first two halved: a logistic is a tanh of half its argument."""
+        out = [self.p[k].reshape(-1, 3, self.hidden).swapaxes(0, 1).copy() for k in ("gates", "state")]
+        for x in out:
+            x[:2] *= 0.5
+        return out
+
+    def steps(self, ids: np.ndarray, h: np.ndarray, reset: np.ndarray | None = None, running: list[int] | None = None, keep: bool = False, weights: list[np.ndarray] | None = None):
         """States after each input [time, lane, H]. ``reset`` marks inputs before which the state is cleared; only the
-        first ``running[t]`` lanes go on at time t."""
+        first ``running[t]`` lanes go on at time t; ``weights`` are those of ``step_weights``, if at hand."""
         T, B = ids.shape
         H = self.hidden
-        # update, reset and candidate one after the other, so that all arrays of a step are in one piece
-        gates, U = (np.ascontiguousarray(self.p[k].reshape(-1, 3, H).swapaxes(0, 1)) for k in ("gates", "state"))
+        gates, U = self.step_weights() if weights is None else weights
         out = np.zeros((T, B, H), np.float32)
         saved = []
         stay = None if reset is None else (~reset)[:, :, None].astype(np.float32)
@@ -290,7 +316,6 @@ class RecurrentModel:
             g, u = gates.take(ids[t, :b], 1), np.matmul(h, U)
             zr = g[:2]
             zr += u[:2]
-            zr *= np.float32(0.5)
             np.tanh(zr, out=zr)
             zr += 1
             zr *= np.float32(0.5)
@@ -306,13 +331,17 @@ class RecurrentModel:
             out[t, :b] = h = new
         return out, saved
 
+    def grouped(self, ids: np.ndarray) -> np.ndarray:
+        """The order that brings equal ids together; 16-bit numbers are sorted digit by digit."""
+        return np.argsort(ids.astype(np.uint16) if len(self.p["gates"]) <= 1 << 16 else ids, kind="stable")
+
     def output(self, h: np.ndarray, target: np.ndarray, grads: dict | None = None):
         """-ln p of each target given states [n, H]; with ``grads`` also the gradient of the states. Those of
         ``to_class`` and ``to_word`` are listed by runs of rows."""
         v, top = self.v, self.p["to_group"]
         n = len(target)
         ext = np.concatenate([h, np.ones((n, 1), np.float32)], 1)
-        order = np.argsort(target, kind="stable")  # words lie by class, classes by group
+        order = self.grouped(target)  # words lie by class, classes by group
         ext, target = ext[order], target[order]
         cls = v.class_of[target]
         group = v.group_of[cls]
@@ -342,21 +371,32 @@ class RecurrentModel:
         bounds = starts.tolist()
         rows = np.arange(len(run))
         sums, picked = np.ones(len(run), np.float32), np.zeros(len(run), np.float32)
-        for k in np.flatnonzero((np.diff(starts) > 1) & (np.diff(edges) > 0)).tolist():
+        used = np.flatnonzero((np.diff(starts) > 1) & (np.diff(edges) > 0)).tolist()
+        change = None if grads is None else np.zeros_like(W)
+        high = np.abs(W).sum(1).max() * max(1, -ext.min(), ext.max()) > 60  # else no logit needs a bound
+        for k in used:
             a, b, lo, hi = edges[k], edges[k + 1], bounds[k], bounds[k + 1]
             x = ext[a:b]
             logit = x @ W[lo:hi].T
-            np.minimum(logit, 60, out=logit)
+            if high:
+                np.minimum(logit, 60, out=logit)
             at, right = rows[: b - a], target[a:b] - lo
             place = at * (hi - lo) + right
             picked[a:b] = logit.ravel()[place]
             e = np.exp(logit, out=logit)
             s = np.add.reduce(e, 1, out=sums[a:b])
             if grads is not None:
-                e /= s[:, None]
-                e.ravel()[place] -= 1
-                grads[name].append((slice(lo, hi), e.T @ x))
-                dext[a:b] += e @ W[lo:hi]
+                e.ravel()[place] -= s
+                share = s[:, None]
+                np.matmul(e.T, x / share, out=change[lo:hi])
+                back = e @ W[lo:hi]
+                back /= share
+                dext[a:b] += back
+        if grads is not None:
+            runs = [slice(bounds[k], bounds[k + 1]) for k in used]
+            if 2 * sum(r.stop - r.start for r in runs) > len(W):  # rows without a change stay as they are
+                runs = [slice(None)]
+            grads[name] += [(r, change[r]) for r in runs]
         cost -= picked
         cost += np.log(sums)
 
@@ -403,20 +443,28 @@ class RecurrentModel:
             d *= z
             dh += d
             dh *= stay[t]
-        flat = ids.ravel()
-        order = np.argsort(flat, kind="stable")
-        first = np.flatnonzero(np.diff(flat[order], prepend=-1))
-        gates = np.add.reduceat(dg.reshape(T * B, 3 * H)[order], first, axis=0)
+        flat, dg = ids.ravel(), dg.reshape(T * B, 3 * H)
+        strange = flat == UNKNOWN  # up to half of all
+        gates = [(np.array([UNKNOWN]), (strange.astype(np.float32) @ dg)[None])] if strange.any() else []
+        rest = np.flatnonzero(~strange)
+        if len(rest):
+            order = rest[self.grouped(flat[rest])]
+            first = np.flatnonzero(np.diff(flat[order], prepend=-1))
+            gates.append((flat[order][first], np.add.reduceat(dg[order], first, axis=0)))
         every = slice(None)
-        return float(cost.sum()), out[-1], {"gates": [(flat[order][first], gates)], "state": [(every, grads["state"].swapaxes(0, 1).reshape(H, 3 * H))], "to_group": [(every, grads["to_group"])], "to_class": grads["to_class"], "to_word": grads["to_word"]}
+        return float(cost.sum()), out[-1], {"gates": gates, "state": [(every, grads["state"].swapaxes(0, 1).reshape(H, 3 * H))], "to_group": [(every, grads["to_group"])], "to_class": grads["to_class"], "to_word": grads["to_word"]}
 
     def update(self, grads: dict[str, list], scale: float, rate: float = RATE) -> None:
         for k, some in grads.items():
             for rows, g in some:
                 g *= np.float32(scale)
-                squares = self.squares[k][rows] + g * g
-                self.squares[k][rows] = squares
-                self.p[k][rows] -= np.float32(rate) * g / np.sqrt(squares)
+                squares = self.squares[k][rows]
+                squares += g * g
+                if not isinstance(rows, slice):
+                    self.squares[k][rows] = squares
+                g *= np.float32(rate)
+                g /= np.sqrt(squares)
+                self.p[k][rows] -= g
 
     def train_stream(self, stream: np.ndarray, lanes: int = LANES, window: int = WINDOW) -> float:
         """One pass over documents laid end to end, each begun by the edge id; the mean cost of a word. What doesn't
@@ -436,30 +484,36 @@ class RecurrentModel:
             at += lanes * length
         return total / max(words, 1)
 
-    def log_likelihoods(self, docs: list[np.ndarray], window: int = 64) -> np.ndarray:
-        """ln p of each whole document, its end included; the state is carried over windows."""
-        lengths = np.array([len(d) + 1 for d in docs])
-        order = np.argsort(-lengths, kind="stable")
-        sizes = lengths[order]
+    def log_likelihoods(self, docs: list[np.ndarray], window: int = 64, lanes: int = SCORED) -> np.ndarray:
+        """ln p of each whole document, its end included; the state is carried over windows. Documents go by length,
+        ``lanes`` at a time, which is what a processor's cache holds."""
+        order = np.argsort([-len(d) for d in docs], kind="stable")
+        weights, result = self.step_weights(), np.empty(len(docs))
+        for at in range(0, len(docs), lanes):
+            some = order[at : at + lanes]
+            result[some] = self._falling([docs[k] for k in some], window, weights)
+        return result
+
+    def _falling(self, docs: list[np.ndarray], window: int, weights: list[np.ndarray]) -> np.ndarray:
+        """The same of documents whose lengths fall."""
+        sizes = np.array([len(d) + 1 for d in docs])
         starts = np.concatenate([[0], np.cumsum(sizes)[:-1]])
-        flat = stream_of([docs[k] for k in order])
+        flat = stream_of(docs)
         total = np.zeros(len(docs))
         h = np.zeros((len(docs), self.hidden), np.float32)
-        for t0 in range(0, int(sizes[0]) if len(sizes) else 0, window):
+        for t0 in range(0, int(sizes[0]), window):
             B = int(np.searchsorted(-sizes, -t0, "left"))
             T = min(window, int(sizes[0]) - t0)
             running = [int(np.searchsorted(-sizes, -(t0 + t), "left")) for t in range(T)]
             where = np.minimum(starts[:B] + t0 + np.arange(T)[:, None], len(flat) - 2)
-            out, _ = self.steps(flat[where], h[:B], running=running)
+            out, _ = self.steps(flat[where], h[:B], running=running, weights=weights)
             live = np.arange(B) < np.array(running)[:, None]
             t, lane = np.nonzero(live)
             target = flat[where[live] + 1]
             cost = self.output(out[live], target)
             total[:B] -= np.bincount(lane, cost, B)
             h = out[-1][: running[-1]]
-        result = np.empty(len(docs))
-        result[order] = total
-        return result
+        return total
 
 
 def stream_of(docs: list[np.ndarray]) -> np.ndarray:
@@ -484,22 +538,19 @@ def encoded_docs(docs: DataFrame, v: Vocabulary, id_col: str, text_col: str) ->
         vocabulary = sent.value
         kind = id_type(len(vocabulary.counts))
         codes = WordCodes(vocabulary)
-        for part, texts in pieces(batches, 1, 1_500_000):
-            docs = [None if t is None else t.encode("utf-8", "replace").split() for t in texts]
-            flat = [w for d in docs if d for w in d]
-            ids, unknown, cost = codes(flat)
-            owner = np.repeat(np.arange(len(docs)), [len(d or ()) for d in docs])[unknown]
-            unknowns, ids, rows, at = np.bincount(owner, minlength=len(docs)).tolist(), ids.astype(kind), [], 0
-            for d, n in zip(docs, unknowns, strict=True):
-                if d is None:
-                    rows.append((None,) * 5)
-                    continue
-                rows.append((ids[at : at + len(d)].tobytes(), len(d), n, 0.0, len(b" ".join(d)) + 1 if d else 0))
-                at += len(d)
-            spelled = np.bincount(owner, cost, len(rows)) if len(owner) else np.zeros(len(rows))
-            types = [pa.binary(), pa.int32(), pa.int32(), pa.float64(), pa.int64()]
-            cols = [pa.array(c, t) for c, t in zip(zip(*rows, strict=True), types, strict=True)]
-            cols[3] = pa.array(spelled, mask=np.array([r[0] is None for r in rows]))
+        for part, _ in pieces(batches, 1, 1_500_000):
+            words, counts = split_words(part.column(1))
+            found = words.dictionary_encode()  # each different word of a piece is looked up once
+            which, n = np.asarray(found.indices), len(found.dictionary)
+            own, strange, cost = codes(found.dictionary.to_pylist())
+            costs = np.zeros(n)
+            costs[strange] = cost
+            owner, docs = np.repeat(np.arange(part.num_rows), counts), part.num_rows
+            ids, ends, none = own.astype(kind)[which], np.cumsum(counts), np.asarray(part.column(1).is_null())
+            size = np.bincount(owner, np.asarray(pc.binary_length(words)), docs).astype(np.int64) + counts
+            unknown = np.bincount(owner, strange[which], docs).astype(np.int32)
+            raw = [None if no else ids[a:b].tobytes() for no, a, b in zip(none, ends - counts, ends, strict=True)]
+            cols = [pa.array(raw, pa.binary()), pa.array(counts.astype(np.int32), mask=none), pa.array(unknown, mask=none), pa.array(np.bincount(owner, costs[which], docs).astype(np.float64), mask=none), pa.array(size, mask=none)]
             yield pa.RecordBatch.from_arrays([part.column(0), *cols], names=["id", "ids", "words", "unknown", "spelled", "bytes"])
 
     out = staged(map_batches(df, kernel, f"id {df.schema['id'].dataType.simpleString()}, ids binary, words int, unknown int, spelled double, bytes long"), "word-ids")

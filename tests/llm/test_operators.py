@@ -3,6 +3,7 @@
 import itertools
 
 import numpy as np
+import pyarrow as pa
 import pytest
 
 from cellspace.llm import exact_dedup, language, licenses, lm, packing, quality, secrets, simhash, topk
@@ -436,6 +437,36 @@ def test_lm_codes_look_each_word_up_once(limit):
     assert limit < 10**6 or len(spelled) == len(set(spelled)) == 12
 
 
+def test_lm_words_equal_split():
+    """Words cut in Arrow, with and without blanks at the ends, nulls and slices, as ``bytes.split`` has them."""
+    texts = ["b b  c\u00e9 b", None, "", "  ", "x" * 70 + " b\n", " b\x0b a\x0cz\r\n q\x1cw\x85  r\u2003s\x1f ", "\x00 a\x00b", "\t\n"]
+    split = [t.encode().split() if t else [] for t in texts]
+    for column in (pa.array(texts), pa.array(["zz zz", *texts, "k"]).slice(1, len(texts)), pa.array([], pa.string()), pa.array([None], pa.string())):
+        want = split[: len(column)] if len(column) != 1 else [[]]
+        found, counts = lm.split_words(column)
+        assert found.to_pylist() == [w for d in want for w in d] and counts.tolist() == [len(d) for d in want]
+
+
+def test_lm_gradients_come_in_one_piece():
+    """Where a window uses most rows their changes are one array, and an update by it equals one by single rows."""
+    v = lm.Vocabulary([b"w%d" % k for k in range(300)], np.arange(1, 303)[::-1].copy(), np.full(257, 5.0))
+    whole, single = lm.RecurrentModel(v, 5), lm.RecurrentModel(v, 5)
+    rng = np.random.default_rng(0)
+    for n, pieces in ((400, 1), (1, 2)):
+        x, y, h = rng.integers(0, 302, (6, n)), rng.integers(0, 302, (6, n)), np.zeros((n, 5), np.float32)
+        parts, (_, _, grads) = whole.window_parts(x, y, h)[2], single.window(x, y, h)
+        assert len(parts["to_word"]) >= pieces and (n == 1 or len(parts["to_word"]) == 1)
+        whole.update(parts, 0.5)
+        single.update({k: [(np.array([r]), g[r : r + 1]) for r in range(len(g)) if g[r].any()] for k, g in grads.items()}, 0.5)
+        assert all(np.allclose(whole.p[k], single.p[k], atol=1e-6) for k in whole.p)
+
+
+def test_lm_scores_by_lanes():
+    m, rng = lm.RecurrentModel(_tiny_vocabulary(), 5), np.random.default_rng(1)
+    docs = [rng.integers(0, 6, n) for n in rng.integers(0, 90, 50)]
+    assert np.allclose(m.log_likelihoods(docs, lanes=7), m.log_likelihoods(docs), atol=1e-3) and len(m.log_likelihoods([])) == 0
+
+
 def test_lm_gradients():
     m = lm.RecurrentModel(_tiny_vocabulary(), 4)
     m.p = {k: x.astype(np.float64) for k, x in m.p.items()}
