@@ -22,6 +22,6 @@ def differences(spark, name, folder=SF, run=None):
     return tuple(len(db.execute(f"SELECT {cols} FROM {a} EXCEPT ALL SELECT {cols} FROM {b}").fetchall()) for a, b in (("want", "got"), ("got", "want")))
 
 
-@pytest.mark.parametrize("name", ["W_cell_classes", "W_kdtree_build_charge5", "W_kdtree_build_line5", "W_postorder", "W_kdtree_build_doc5"])
+@pytest.mark.parametrize("name", ["W_cell_classes", "W_kdtree_build_charge5", "W_kdtree_build_line5", "W_postorder", "W_kdtree_build_doc5", "m_node_boxes"])
 def test_trees_have_the_levels_of_the_sql(spark, name):
     assert differences(spark, name) == (0, 0)
