@@ -2,24 +2,23 @@
 
 from __future__ import annotations
 
+from operator import or_
+
 import numpy as np
 import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from cellspace.functions.shapes import HalfSpace, Polyhedron, Union, direction_set, hull_polyhedron_2d
+from cellspace.functions.shapes import HalfSpace, Polyhedron, Union, direction_set, hull_polyhedron_2d, joined
 from cellspace.operators.kdtree import KdTree
 from cellspace.plans.shared import maybe_broadcast
 
-#: More intervals than this become a join with a table of intervals.
-MAX_RANGES = 500
+#: Intervals of a condition on leaves at most: each is a comparison a row, and more outgrow the compiled code.
+MAX_RANGES = 32
 
 
 def in_ranges(column: str, ranges: list[tuple[int, int]]) -> Column:
-    out = F.lit(False)
-    for a, b in ranges:
-        out = out | (F.col(column) == a if a == b else F.col(column).between(a, b))
-    return out
+    return joined([F.col(column) == a if a == b else F.col(column).between(a, b) for a, b in ranges], or_, False)
 
 
 def coalesced(ranges: list[tuple[int, int]], limit: int = MAX_RANGES) -> list[tuple[int, int]]:
