@@ -8,7 +8,7 @@ from pyspark.sql.window import Window
 
 from cellspace.functions.spaces import LINE3, LINE5
 from cellspace.operators.grid import block_layout
-from cellspace.plans.shared import maybe_broadcast, row_numbers
+from cellspace.plans.shared import maybe_broadcast, row_numbers, staged
 from cellspace.sources.layout import export_flat, read_ranges, table, write_clustered
 from cellspace.workloads.base import kd, kept, query
 
@@ -427,9 +427,15 @@ _UP = "c AS (SELECT c_custkey AS cell, c_custkey // 3 AS parent FROM customer WH
 
 @query("op_recursive", f"WITH RECURSIVE {_UP}, up(cell, top, depth) AS (SELECT cell, parent, 1 FROM c UNION ALL SELECT up.cell, c.parent, depth + 1 FROM up JOIN c ON up.top = c.cell) SELECT top AS peak, depth, count(*) AS n FROM up GROUP BY ALL")
 def recursive(spark, d):
-    """A forest of parents over a whole table, followed upwards by recursion."""
-    table(spark, d, "customer").where("c_custkey > 0").select(F.col("c_custkey").cast("long").alias("cell"), F.expr("c_custkey DIV 3").cast("long").alias("parent")).createOrReplaceTempView("cs_forest")
-    return spark.sql("WITH RECURSIVE up(cell, top, depth) MAX RECURSION LEVEL 64 AS (SELECT cell, parent, 1 FROM cs_forest UNION ALL SELECT up.cell, c.parent, depth + 1 FROM up JOIN cs_forest c ON up.top = c.cell) SELECT top AS peak, depth, count(*) AS n FROM up GROUP BY top, depth")
+    """A forest of parents over a whole table, followed upwards step by step. A step keeps a count for each place reached,
+    not the paths, and parents are below their cells, so the steps end."""
+    forest = staged(table(spark, d, "customer").where("c_custkey > 0").select(F.col("c_custkey").cast("long").alias("cell"), F.expr("c_custkey DIV 3").cast("long").alias("parent")), "forest")
+    up = staged(forest.groupBy(F.col("parent").alias("peak")).agg(F.count("*").alias("n")), "up")
+    out, depth = up.select("peak", F.lit(1).alias("depth"), "n"), 1
+    while not (up := staged(up.join(forest, F.col("peak") == F.col("cell")).groupBy(F.col("parent").alias("peak")).agg(F.sum("n").alias("n")), "up")).isEmpty():
+        depth += 1
+        out = out.unionByName(up.select("peak", F.lit(depth).alias("depth"), "n"))
+    return out
 
 
 @query("op_sample_block")

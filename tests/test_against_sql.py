@@ -25,3 +25,12 @@ def differences(spark, name, folder=SF, run=None):
 @pytest.mark.parametrize("name", ["W_cell_classes", "W_kdtree_build_charge5", "W_kdtree_build_line5", "W_postorder", "W_kdtree_build_doc5", "m_node_boxes"])
 def test_trees_have_the_levels_of_the_sql(spark, name):
     assert differences(spark, name) == (0, 0)
+
+
+def test_recursion_over_many_rows(spark, tmp_path):
+    """130,000 cells have over a million rows of paths."""
+    folder = tmp_path / "in"
+    folder.mkdir()
+    spark.range(130_000).selectExpr("id AS c_custkey").coalesce(1).write.parquet(f"{tmp_path}/c")
+    next((tmp_path / "c").glob("*.parquet")).rename(folder / "customer.parquet")
+    assert differences(spark, "op_recursive", str(folder)) == (0, 0)
