@@ -20,6 +20,11 @@ def _small(df):
     return maybe_broadcast(df, df.count())
 
 
+def _share(part, whole):
+    """``part`` of ``whole``; of an empty text it isn't a number, as in the SQL."""
+    return F.when(whole == 0, F.lit(float("nan"))).otherwise(part / F.nullif(whole, F.lit(0)))
+
+
 @query("op_scan_prune", "SELECT sum(l_quantity) AS q, round(sum(l_extendedprice), 2) AS p, round(sum(l_discount), 4) AS d, round(sum(l_tax), 4) AS t, CAST(max(CAST(l_shipdate AS DATE)) AS VARCHAR) AS last FROM lineitem")
 def scan_prune(spark, d):
     t = table(spark, d, "lineitem").select("l_quantity", "l_extendedprice", "l_discount", "l_tax", "l_shipdate")
@@ -172,7 +177,7 @@ _SEEDS = [(1, 6.0, 4.0), (2, 9.0, 3.0), (3, 12.0, 5.0), (4, 10.0, 7.0)]
 def join_cross_topk(spark, d):
     t = table(spark, d, "documents")
     low = F.lower("text")
-    share = lambda x: (F.length(low) - F.length(F.replace(low, F.lit(x), F.lit("")))) * 100.0 / F.length("text")
+    share = lambda x: _share((F.length(low) - F.length(F.replace(low, F.lit(x), F.lit("")))) * 100.0, F.length("text"))
     p = t.select("doc_id", share("e").alias("a"), share("n").alias("b"))
     s = spark.createDataFrame(_SEEDS, "seed int, u double, v double")
     d2 = (F.col("a") - F.col("u")) * (F.col("a") - F.col("u")) + (F.col("b") - F.col("v")) * (F.col("b") - F.col("v"))

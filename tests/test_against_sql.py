@@ -27,6 +27,16 @@ def test_trees_have_the_levels_of_the_sql(spark, name):
     assert differences(spark, name) == (0, 0)
 
 
+@pytest.mark.parametrize("name", ["op_join_cross_topk"])
+def test_empty_and_missing_texts(spark, tmp_path, name):
+    texts = [(1, "", "en"), (2, "tenne", "en"), (3, None, "fr"), (4, "", "de"), (5, "Nennen", "fr"), (6, "x", None)]
+    spark.createDataFrame(texts, "doc_id long, text string, lang string").coalesce(1).write.parquet(f"{tmp_path}/d")
+    folder = tmp_path / "in"
+    folder.mkdir()
+    next((tmp_path / "d").glob("*.parquet")).rename(folder / "documents.parquet")
+    assert differences(spark, name, str(folder)) == (0, 0)
+
+
 def test_recursion_over_many_rows(spark, tmp_path):
     """130,000 cells have over a million rows of paths."""
     folder = tmp_path / "in"
