@@ -410,7 +410,7 @@ def array(spark, d):
 @query("op_map", "SELECT lang, round(avg((length(text) - length(replace(text, 'e', ''))) * 1.0 / length(text)), 8) AS e, round(avg((length(text) - length(replace(text, 'n', ''))) * 1.0 / length(text)), 8) AS n FROM documents GROUP BY lang")
 def mapped(spark, d):
     t = table(spark, d, "documents")
-    share = lambda x: (F.length("text") - F.length(F.replace("text", F.lit(x), F.lit("")))) * 1.0 / F.length("text")
+    share = lambda x: _share((F.length("text") - F.length(F.replace("text", F.lit(x), F.lit("")))) * 1.0, F.length("text"))
     m = F.map_from_arrays(F.array(F.lit("e"), F.lit("n")), F.array(share("e"), share("n")))
     per = t.select("lang", F.transform_values(m, lambda k, v: v * 1.0).alias("m"))
     return per.groupBy("lang").agg(F.round(F.avg(F.col("m")["e"]), 8).alias("e"), F.round(F.avg(F.col("m")["n"]), 8).alias("n"))

@@ -27,7 +27,7 @@ def test_trees_have_the_levels_of_the_sql(spark, name):
     assert differences(spark, name) == (0, 0)
 
 
-@pytest.mark.parametrize("name", ["op_join_cross_topk"])
+@pytest.mark.parametrize("name", ["op_join_cross_topk", "op_map"])
 def test_empty_and_missing_texts(spark, tmp_path, name):
     texts = [(1, "", "en"), (2, "tenne", "en"), (3, None, "fr"), (4, "", "de"), (5, "Nennen", "fr"), (6, "x", None)]
     spark.createDataFrame(texts, "doc_id long, text string, lang string").coalesce(1).write.parquet(f"{tmp_path}/d")
