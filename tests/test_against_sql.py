@@ -46,7 +46,7 @@ def test_recursion_over_many_rows(spark, tmp_path):
     assert differences(spark, "op_recursive", str(folder)) == (0, 0)
 
 
-@pytest.mark.parametrize("name", ["W_selectivity_sweep", "m_choose_plan", "W_hull_similar", "m_poly_strict"])
+@pytest.mark.parametrize("name", ["W_selectivity_sweep", "m_choose_plan", "W_hull_similar", "m_poly_strict", "m_selectivity_counts"])
 def test_queries_over_many_leaves(spark, name, monkeypatch):
     """Covers of hundreds of intervals, as trees of some million rows have them."""
     import __spark_entry__ as e
